@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from privgrove.llm import packing, planes
+from privgrove.llm import bpe_count, packing, planes
 
 
 def vocabulary(name: str) -> str:
@@ -27,9 +27,14 @@ def op5_bit_plane_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return planes.token_files(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), 2)
 
 
+def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe_count.token_counts(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"), 4096)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_best_fit_packing": op2_best_fit_packing,
     "op5_bit_plane_ids": op5_bit_plane_ids,
+    "op9_token_counts": op9_token_counts,
 }
 
 SQL: dict[str, str] = {}
