@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from privgrove.llm.textio import gathered, stored, texts_of
-from privgrove.llm.tokenids import encoder, with_end
+from privgrove.llm.tokenids import TEXT_BYTES, encoder, with_end
 
 #: Tokens that one packer handles.
 PACKER_TOKENS = 8 << 20
@@ -66,7 +66,7 @@ def piece_table(docs: DataFrame, vocabulary: str, size: int, end_id: int, id_col
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = encoder(vocabulary).encode
-        for batch in gathered(batches):
+        for batch in gathered(batches, most=TEXT_BYTES):
             ids, offsets = with_end(*encode(batch.column("text")), end_id)
             lengths = np.diff(offsets)
             pieces = (lengths + size - 1) // size

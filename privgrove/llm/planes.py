@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from privgrove.llm.textio import gathered, shared_dir, texts_of
-from privgrove.llm.tokenids import encoder, with_end
+from privgrove.llm.tokenids import TEXT_BYTES, encoder, with_end
 
 MAGIC, VERSION, WIDTH = b"PGID", 1, 32
 BLOCK_IDS = 1 << 16
@@ -86,7 +86,7 @@ def write_ids(docs: DataFrame, path: str, vocabulary: str, end_id: int, id_col:
 
     def encode_range(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode, number, at = encoder(vocabulary).encode, 0, TaskContext.get().partitionId()
-        for batch in gathered(batches):
+        for batch in gathered(batches, most=TEXT_BYTES):
             ids, offsets = with_end(*encode(batch.column("text")), end_id)
             yield pa.RecordBatch.from_arrays(
                 [

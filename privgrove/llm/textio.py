@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import uuid
 from collections.abc import Iterator
 
@@ -62,6 +63,15 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text", most: int =
             at = end
 
 
+def trimmed() -> None:
+    """Give freed memory back to the system: a worker shares its executor's limit with the JVM."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def gathered(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """Slices of about `most` bytes: small batches are joined, large ones split."""
     held, size = [], 0
@@ -70,6 +80,7 @@ def gathered(batches: Iterator[pa.RecordBatch], column: str = "text", most: int
         if held and size + n > most:
             yield joined(held)
             held, size = [], 0
+            trimmed()
         held.append(part)
         size += n
     if held:

@@ -7,8 +7,9 @@ library's BPE model; every other chunk, and every text with special strings or r
 
 from __future__ import annotations
 
+import os
+from array import array
 from functools import lru_cache
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -18,8 +19,12 @@ from privgrove.llm.textio import Chunks, plain, ragged
 
 #: Trailing characters that every pre-tokenizer here separates from a preceding letter.
 TRAILING = ".,;:!?*#&$%|)"
+#: Text that one step encodes: a worker's arrays stay within some tens of MB.
+TEXT_BYTES = 2 << 20
+#: Chunks that the full encoder takes at once; its results are large.
+BATCH = 1000
 #: Entries that a worker keeps from slice to slice; a full cache starts anew.
-CACHE = 250_000
+CACHE = 100_000
 
 
 def byte_letters() -> dict[int, str]:
@@ -33,6 +38,7 @@ class WordEncoder:
     """Token ids of texts; `spaced` says that a word's leading space is part of its first token."""
 
     def __init__(self, path: str):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # Spark runs a worker per core
         from tokenizers import Tokenizer
 
         self.full = Tokenizer.from_file(path)
@@ -40,20 +46,24 @@ class WordEncoder:
         self.spaced = self.model.end_of_word_suffix is None
         self.special = [t.content for t in self.full.get_added_tokens_decoder().values()]
         self.letters = byte_letters()
-        self.cache: dict[str, list[int]] = {}
+        self.cache: dict[str, bytes] = {}
 
-    def whole(self, texts: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.full.encode_batch_fast(texts, add_special_tokens=False)]
+    def whole(self, texts: list[str]) -> list[bytes]:
+        """The full encoder's ids of each text, as 32-bit numbers."""
+        out = []
+        for at in range(0, len(texts), BATCH):
+            out += [array("I", e.ids).tobytes() for e in self.full.encode_batch_fast(texts[at : at + BATCH], add_special_tokens=False)]
+        return out
 
-    def word(self, stem: str) -> list[int]:
+    def word(self, stem: str) -> bytes:
         """Ids of a letters-only word."""
         if not self.spaced:
             stem = stem.lower()
         if not stem.isascii():
             stem = stem.encode().decode("latin-1").translate(self.letters)
-        return [t.id for t in self.model.tokenize(f"Ġ{stem}" if self.spaced else stem)]
+        return array("I", [t.id for t in self.model.tokenize(f"Ġ{stem}" if self.spaced else stem)]).tobytes()
 
-    def distinct(self, words: pa.Array) -> list[list[int]]:
+    def distinct(self, words: pa.Array) -> list[bytes]:
         """Ids of each chunk, with its leading space where that counts."""
         stems = pc.utf8_rtrim(words, characters=TRAILING)
         cache, out, rest = self.cache, [], []
@@ -94,10 +104,8 @@ class WordEncoder:
             found: dict[str, int] = {}
             codes[first] = [len(lists) + found.setdefault(w, len(found)) for w in bare.to_numpy(zero_copy_only=False)]
             lists += self.whole(list(found))
-        if not self.spaced:  # the empty chunk between two spaces
-            lists = [x or [] for x in lists]
-        sizes = np.fromiter(map(len, lists), np.int64, len(lists))
-        flat = np.fromiter(chain.from_iterable(lists), np.uint32, int(sizes.sum()))
+        sizes = np.fromiter(map(len, lists), np.int64, len(lists)) // 4
+        flat = np.frombuffer(b"".join(lists), np.uint32)
         starts = np.cumsum(sizes) - sizes
         ids = flat[ragged(starts[codes], sizes[codes])]
         ends = np.concatenate(([0], np.cumsum(sizes[codes])))
@@ -109,7 +117,7 @@ class WordEncoder:
     def with_odd(self, texts, odd, offsets, ids):
         """Put the ids of the texts that were encoded whole at their places."""
         own = dict(zip(np.flatnonzero(odd), self.whole(texts.filter(pa.array(odd)).to_pylist())))
-        parts = [np.asarray(own[i], np.uint32) if i in own else ids[offsets[i] : offsets[i + 1]] for i in range(len(odd))]
+        parts = [np.frombuffer(own[i], np.uint32) if i in own else ids[offsets[i] : offsets[i + 1]] for i in range(len(odd))]
         return np.concatenate(([0], np.cumsum([len(p) for p in parts]))).astype(np.int64), np.concatenate(parts)
 
 
