@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from privgrove.llm import bpe_count, jaccard, packing, planes
+from privgrove.llm import bpe_count, jaccard, langid, packing, planes
 
 
 def vocabulary(name: str) -> str:
@@ -35,9 +35,14 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=90)
 
 
+def op7_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.languages(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_best_fit_packing": op2_best_fit_packing,
     "op5_bit_plane_ids": op5_bit_plane_ids,
+    "op7_crf_language": op7_crf_language,
     "op9_token_counts": op9_token_counts,
     "op10_jaccard_join": op10_jaccard_join,
 }
