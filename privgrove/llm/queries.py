@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from privgrove.llm import bpe_count, jaccard, langid, packing, planes
+from privgrove.llm import bpe_count, jaccard, langid, packing, planes, warc
 
 
 def vocabulary(name: str) -> str:
@@ -35,6 +35,10 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=90)
 
 
+def op6_warc_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.archived(table(spark, sf_dir, "pages"))
+
+
 def op7_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.languages(table(spark, sf_dir, "documents"))
 
@@ -42,6 +46,7 @@ def op7_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_best_fit_packing": op2_best_fit_packing,
     "op5_bit_plane_ids": op5_bit_plane_ids,
+    "op6_warc_chain": op6_warc_chain,
     "op7_crf_language": op7_crf_language,
     "op9_token_counts": op9_token_counts,
     "op10_jaccard_join": op10_jaccard_join,
