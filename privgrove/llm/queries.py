@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from privgrove.llm import bpe_count, jaccard, langid, packing, planes, warc
+from privgrove.llm import audio, bpe_count, jaccard, langid, licenses, packing, planes, warc
 
 
 def vocabulary(name: str) -> str:
@@ -23,10 +23,18 @@ def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), 2048, 0)
 
 
+def op3_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return audio.media_features(table(spark, sf_dir, "documents"))
+
+
 def op5_bit_plane_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return planes.token_files(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), 2)
 
 
+def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scanned(table(spark, sf_dir, "documents")).drop("spans")
+
+
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_count.token_counts(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"), 4096)
 
@@ -45,11 +53,13 @@ def op7_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_best_fit_packing": op2_best_fit_packing,
+    "op3_telephony_audio": op3_telephony_audio,
     "op5_bit_plane_ids": op5_bit_plane_ids,
     "op6_warc_chain": op6_warc_chain,
     "op7_crf_language": op7_crf_language,
+    "op8_license_scan": op8_license_scan,
     "op9_token_counts": op9_token_counts,
     "op10_jaccard_join": op10_jaccard_join,
 }
 
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {"op8_license_scan": licenses.scan_sql()}
