@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from privgrove.llm import audio, bpe_count, jaccard, langid, licenses, packing, planes, warc
+from privgrove.llm import audio, bpe_count, jaccard, langid, licenses, mixing, packing, planes, warc
 
 
 def vocabulary(name: str) -> str:
@@ -27,6 +27,11 @@ def op3_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
     return audio.media_features(table(spark, sf_dir, "documents"))
 
 
+def op4_raked_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kept = mixing.sampled(table(spark, sf_dir, "documents"))
+    return kept.selectExpr("doc_id", "_source AS source", "_lang AS lang", "_topic AS topic", "_tokens AS n_tokens", "probability")
+
+
 def op5_bit_plane_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return planes.token_files(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), 2)
 
@@ -54,6 +59,7 @@ def op7_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_best_fit_packing": op2_best_fit_packing,
     "op3_telephony_audio": op3_telephony_audio,
+    "op4_raked_mixing": op4_raked_mixing,
     "op5_bit_plane_ids": op5_bit_plane_ids,
     "op6_warc_chain": op6_warc_chain,
     "op7_crf_language": op7_crf_language,
@@ -62,4 +68,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_jaccard_join": op10_jaccard_join,
 }
 
-SQL: dict[str, str] = {"op8_license_scan": licenses.scan_sql()}
+SQL: dict[str, str] = {
+    "op4_raked_mixing": mixing.sample_sql(),
+    "op8_license_scan": licenses.scan_sql(),
+}
