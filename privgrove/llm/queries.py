@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from privgrove.llm import audio, bpe_count, jaccard, langid, licenses, mixing, packing, planes, warc
+from privgrove.llm import audio, bm25, bpe_count, jaccard, langid, licenses, mixing, packing, planes, warc
 
 
 def vocabulary(name: str) -> str:
@@ -19,6 +19,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_bm25_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return bm25.search(docs, docs.where("doc_id % 100 = 0"), k=10)
+
+
 def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), 2048, 0)
 
@@ -57,6 +62,7 @@ def op7_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_bm25_search": op1_bm25_search,
     "op2_best_fit_packing": op2_best_fit_packing,
     "op3_telephony_audio": op3_telephony_audio,
     "op4_raked_mixing": op4_raked_mixing,
@@ -69,6 +75,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 SQL: dict[str, str] = {
+    "op1_bm25_search": bm25.search_sql(),
     "op4_raked_mixing": mixing.sample_sql(),
     "op8_license_scan": licenses.scan_sql(),
 }
