@@ -6,21 +6,48 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from privgrove.llm import packing
-from privgrove.llm.textio import shared_dir
+from privgrove.llm import jaccard, langid, mixing, packing
+from privgrove.llm.textio import shared_dir, stored
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
+#: A text is rejected when it has no letter, or when no language holds this share of its expected words.
+LEAST_SCORE = 0.3
+
+
+def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents in a language that the model knows; it learns from their own labels."""
+    found = langid.predicted(docs, langid.trained(docs))
+    gone = stored(found.where((F.col("lang_pred") == langid.UNKNOWN) | (F.col("score") < LEAST_SCORE)).select("doc_id").distinct(), "rejected")
+    nameless = docs.where("doc_id IS NULL AND text RLIKE '\\\\p{L}'")
+    return docs.where("doc_id IS NOT NULL").join(gone, "doc_id", "left_anti").unionByName(nameless).select(*docs.columns)
+
+
+def deduplicated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates: five-word n-grams, Jaccard similarity of 0.8 or more."""
+    return jaccard.first_of_each(docs, words=5, percent=80).select(*docs.columns)
+
+
+def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """A sample whose tokens are raked to smoothed source, language and topic shares."""
+    return mixing.sampled(docs).select(*docs.columns)
+
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of the documents kept, placed in sequences of 2048 tokens."""
     return packing.pack_documents(docs, public_tokenizers.path("word_bpe_49k.json"), 2048, 0)
 
 
-STAGES: list[tuple[str, Stage]] = [("best_fit_packing", packed)]
+STAGES: list[tuple[str, Stage]] = [
+    ("language_id", identified),
+    ("ngram_jaccard_join", deduplicated),
+    ("mixing_to_target_weights", mixed),
+    ("best_fit_packing", packed),
+]
 
-#: Tokenisation is not SQL; tests hold the stages against brute force.
+#: Language models and tokenisation are not SQL; tests hold the stages against brute force.
 ORACLE_SQL: str | None = None
 
 
