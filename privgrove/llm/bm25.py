@@ -23,8 +23,7 @@ import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from privgrove.llm.jaccard import summed
-from privgrove.llm.textio import gathered, ragged, shared_dir, slices, stored, texts_of
+from privgrove.llm.textio import gathered, ragged, shared_dir, slices, stored, summed, texts_of
 from privgrove.llm.wordhash import MARKS, STEP_BYTES, word_hashes
 
 K1, B = 1.2, 0.75

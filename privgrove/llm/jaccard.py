@@ -4,13 +4,14 @@
    sets are one node from here on. The same pass counts n-grams over all documents in a sketch of fixed size.
 2. Postings: a node's n-grams are ordered rare first (by the sketch, then by hash; any common total order is exact), and
    only its prefix is posted: two sets that link must share an n-gram of both prefixes.
-3. Stars: each posting list links its nodes to one centre. Pairs pass a length, a positional and a suffix filter, and each
-   pair left is verified once on the whole sets. The links found are contracted to components.
-4. Rest: lists that still hold several components give the pairs between them, which are verified likewise. A pair within
-   a component is never needed, so groups of copies are not expanded, and no link between two components is lost.
-5. Components of all links, by alternating large-star and small-star steps.
-
-Long lists are salted by the sketch's count in step 3; step 4 sees lists whole, as (list, component) groups.
+3. Edges: pairs of a posting list pass a length, a positional and a suffix filter; the last bounds the overlap by counts
+   per hash class. Each list gives at most a spanning set of edges; a long list gives a star, unfiltered.
+4. Blocks: components of the edges. Two sets that link are in one block, so blocks are verified on their own: every set is
+   sent once, and each pair whose ends are not yet connected is compared at most once.
+5. A block too large for a task is dealt out at random, several times over, and the links found are joined. Lists that
+   still hold several components of such a block then give the pairs between them, each verified once on the whole sets.
+
+A pair inside a component is never needed, so groups of copies are not expanded; no link between components is lost.
 """
 
 from __future__ import annotations
@@ -20,66 +21,24 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from privgrove.llm.textio import plain, shared_dir, slices, stored, texts_of
+from privgrove.llm.textio import ragged, shared_dir, slices, stored, summed, texts_of
+from privgrove.llm.wordhash import STEP_BYTES, mixed, word_hashes
 
-SLICE = 3 << 20
 CELLS = 1 << 18
 BLOOM_BITS = 1 << 23
-#: Sketch count above which a posting list is dealt to several tasks.
+#: Sketch count from which a posting list is not read by one task but linked to its least node by a join.
 LIST_ROWS = 50_000
-BASE, INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 1 << 64)
-
-
-def mixed(x: np.ndarray) -> np.ndarray:
-    """A 64-bit finaliser: every input bit reaches every output bit."""
-    x = x ^ (x >> np.uint64(30))
-    x = x * np.uint64(0xBF58476D1CE4E5B9)
-    x = x ^ (x >> np.uint64(27))
-    x = x * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
-
+#: Rows of a list up to which its pairs are filtered; a longer one gives a star.
+LIST_PAIRS = 64
+#: Sets and n-grams that one task verifies together, and how often a larger block is dealt out.
+BLOCK_SETS, BLOCK_GRAMS, DEALS = 2048, 2_000_000, 3
+#: Hash classes of the suffix filter: few, or many for large sets.
+FEW, MANY, LARGE = 32, 128, 2000
 
-LOWERED = np.arange(256, dtype=np.uint8)
-LOWERED[65:91] += 32
-BYTE_VALUES = mixed(LOWERED.astype(np.uint64) + np.uint64(1))
-BLANK = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
 PLACES = [np.uint64(int(x)) for x in mixed(np.arange(100, 164, dtype=np.uint64)) | np.uint64(1)]
-_powers: dict[int, np.ndarray] = {}
-
-
-def powers(base: int, n: int) -> np.ndarray:
-    """base ** i modulo 2 ** 64 for i below n at least."""
-    held = _powers.get(base)
-    if held is None or len(held) < n:
-        full = np.full(max(n, SLICE + 1), base, np.uint64)
-        full[0] = 1
-        held = np.cumprod(full)
-        if n <= 4 * SLICE:
-            _powers[base] = held
-    return held[:n]
-
-
-def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """(hash of each word, offsets of each text's words): A-Z lowered, words end at ASCII white space."""
-    texts = plain(texts, pa.large_string())
-    begin = np.frombuffer(texts.buffers()[1], np.int64)[texts.offset : texts.offset + len(texts) + 1]
-    data = texts.buffers()[2]
-    raw = np.frombuffer(data, np.uint8)[begin[0] : begin[-1]] if data is not None else np.zeros(0, np.uint8)
-    begin = begin - begin[0]
-    if not len(raw):
-        return np.zeros(0, np.uint64), np.zeros(len(texts) + 1, np.int64)
-    solid = ~BLANK[raw]
-    edge = np.zeros(len(raw) + 1, bool)
-    edge[begin] = True
-    starts = np.flatnonzero(solid & (edge[:-1] | np.concatenate(([True], ~solid[:-1]))))
-    ends = np.flatnonzero(solid & (edge[1:] | np.concatenate((~solid[1:], [True])))) + 1
-    sums = np.zeros(len(raw) + 1, np.uint64)
-    np.cumsum(BYTE_VALUES[raw] * powers(BASE, len(raw)), out=sums[1:])
-    words = mixed((sums[ends] - sums[starts]) * powers(INVERSE, len(raw))[starts])
-    return words, np.searchsorted(starts, begin)
 
 
 def gram_sets(texts: pa.Array, words: int) -> list[np.ndarray]:
@@ -111,7 +70,7 @@ def indexed(rows: DataFrame, words: int, cells: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(cells, np.int64)
-        for batch in slices(batches, most=SLICE):
+        for batch in slices(batches, most=STEP_BYTES):
             sets = gram_sets(batch.column("text"), words)
             if any(map(len, sets)):
                 counts += np.bincount((np.concatenate(sets) & np.uint64(cells - 1)).astype(np.int64), minlength=cells)
@@ -128,30 +87,21 @@ def indexed(rows: DataFrame, words: int, cells: int) -> DataFrame:
     return rows.mapInArrow(run, "doc_id long, node binary, n long, cells binary, sketch boolean")
 
 
-def summed(parts: DataFrame, column: str, dtype: str, size: int, combine=np.add, ways: int = 16) -> np.ndarray:
-    """Combine the fixed-size arrays in column; a few tasks do most of it, the driver the rest."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(size, dtype)
-        for batch in batches:
-            for value in batch.column(0):
-                combine(total, np.frombuffer(value.as_py(), dtype), out=total)
-        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=[column])
+def shape(grams: np.ndarray) -> bytes:
+    """How many n-grams fall in each hash class, a byte each; empty where a count needs more."""
+    classes = MANY if len(grams) > LARGE else FEW
+    counts = np.bincount((grams >> np.uint64(57)).astype(np.int64), minlength=MANY).reshape(classes, -1).sum(axis=1)
+    return counts.astype(np.uint8).tobytes() if counts.max() < 256 else b""
 
-    total = np.zeros(size, dtype)
-    for row in parts.select(column).coalesce(ways).mapInArrow(run, f"{column} binary").toLocalIterator():
-        combine(total, np.frombuffer(row[0], dtype), out=total)
-    return total
 
-
-def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray) -> DataFrame:
-    """The prefix of every document's set: gram, salt, node, n, place, shape; equal sets are posted once a task."""
+def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray, list_rows: int) -> DataFrame:
+    """The prefix of every document's set: gram, heavy, node, n, place, shape; equal sets are posted once a task."""
     shared = rows.sparkSession.sparkContext.broadcast(np.minimum(sketch, (1 << 31) - 1).astype(np.int32))
     mask = np.uint64(len(sketch) - 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, seen = shared.value, set()
-        for batch in slices(batches, most=SLICE):
+        for batch in slices(batches, most=STEP_BYTES):
             keep: list[tuple] = []
             for grams in gram_sets(batch.column("text"), words):
                 if not len(grams) or (name := digest(grams)) in seen:
@@ -169,37 +119,109 @@ def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray) -> Dat
             row = np.repeat(np.arange(len(keep)), sizes)
             place = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
             common = np.concatenate([k[4] for k in keep])
-            own = np.array([int.from_bytes(k[0][:4], "little") for k in keep], np.int64)[row]
+            pick = pa.array(row)
             yield pa.RecordBatch.from_arrays(
                 [
                     pa.array(np.concatenate([k[3] for k in keep]).view(np.int64)),
-                    pa.array((own % (common // LIST_ROWS + 1)).astype(np.int32)),
-                    pa.array([k[0] for k in keep], pa.binary()).take(pa.array(row)),
+                    pa.array(common >= list_rows),
+                    pa.array([k[0] for k in keep], pa.binary()).take(pick),
                     pa.array(np.array([k[1] for k in keep], np.int32)[row]),
                     pa.array(place.astype(np.int32)),
-                    pa.array(np.array([k[2] for k in keep], np.int64)[row]),
+                    pa.array([k[2] for k in keep], pa.binary()).take(pick),
                 ],
-                names=["gram", "salt", "node", "n", "place", "shape"],
+                names=["gram", "heavy", "node", "n", "place", "shape"],
             )
 
-    return rows.mapInArrow(run, "gram long, salt int, node binary, n int, place int, shape long")
-
-
-def shape(grams: np.ndarray) -> int:
-    """How many n-grams fall in each of 8 hash classes, a byte each; 0 where a count needs more."""
-    classes = np.bincount((grams >> np.uint64(61)).astype(np.int64), minlength=8)
-    return int.from_bytes(classes.astype(np.uint8).tobytes(), "little", signed=True) if classes.max() < 256 else 0
-
-
-def could_link(a: str, b: str, percent: int) -> Column:
-    """Length, positional and suffix filter on two postings of one list; true for each linked pair's first shared n-gram."""
-    na, nb = F.col(f"{a}_n"), F.col(f"{b}_n")
-    least = F.ceil(percent * (na + nb) / F.lit(100.0 + percent) - 1e-9)
-    rest = 1 + F.least(na - F.col(f"{a}_place"), nb - F.col(f"{b}_place")) - 1
-    byte = lambda x, k: F.shiftrightunsigned(F.col(x), 8 * k).bitwiseAND(F.lit(255))
-    shared = sum((F.least(byte(f"{a}_shape", k), byte(f"{b}_shape", k)) for k in range(8)), F.lit(0))
-    sure = (F.col(f"{a}_shape") == 0) | (F.col(f"{b}_shape") == 0)
-    return (100 * F.least(na, nb) >= percent * F.greatest(na, nb)) & (rest >= least) & (sure | (shared >= least))
+    return rows.mapInArrow(run, "gram long, heavy boolean, node binary, n int, place int, shape binary")
+
+
+class List:
+    """Rows of sorted posting lists as arrays."""
+
+    def __init__(self, table: pa.Table):
+        self.gram = table["gram"].to_numpy()
+        self.n, self.place = table["n"].to_numpy().astype(np.int64), table["place"].to_numpy().astype(np.int64)
+        self.names = np.frombuffer(b"".join(table["node"].to_pylist()), "<u8").reshape(-1, 2)
+        sigs = table["shape"].to_pylist()
+        size = np.array([len(s) for s in sigs])
+        self.few, self.many = np.zeros((len(sigs), FEW), np.uint16), np.zeros((len(sigs), MANY), np.uint8)
+        self.has, self.fine = size > 0, size == MANY
+        small = size == FEW
+        self.few[small] = np.frombuffer(b"".join(s for s in sigs if len(s) == FEW), np.uint8).reshape(-1, FEW)
+        self.many[self.fine] = np.frombuffer(b"".join(s for s in sigs if len(s) == MANY), np.uint8).reshape(-1, MANY)
+        self.few[self.fine] = self.many[self.fine].reshape(-1, FEW, MANY // FEW).sum(axis=2)
+
+    def could_link(self, a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
+        """Length, positional and suffix filter; true for each linked pair's first shared n-gram."""
+        na, nb = self.n[a], self.n[b]
+        least = -(-percent * (na + nb) // (100 + percent))
+        rest = np.minimum(na - self.place[a], nb - self.place[b])
+        ok = (100 * np.minimum(na, nb) >= percent * np.maximum(na, nb)) & (rest >= least)
+        at = np.flatnonzero(ok & self.has[a] & self.has[b])
+        fine = self.fine[a[at]] & self.fine[b[at]]
+        for some, sig in ((at[fine], self.many), (at[~fine], self.few)):
+            for k in range(0, len(some), 20_000):
+                part = some[k : k + 20_000]
+                ok[part] = np.minimum(sig[a[part]], sig[b[part]]).sum(axis=1, dtype=np.int64) >= least[part]
+        return ok
+
+
+def list_edges(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """Edges (u, v) of sorted posting lists. A list that goes on in the next batch waits for it, with its first rows."""
+    held = None
+    for table, final in flagged(batches):
+        table = pa.concat_tables([held, table]) if held is not None else table
+        rows = List(table)
+        n = len(rows.gram)
+        if not n:
+            continue
+        new = np.concatenate(([True], rows.gram[1:] != rows.gram[:-1]))
+        first = np.flatnonzero(new)
+        group = np.cumsum(new) - 1
+        sizes = np.diff(np.append(first, n))
+        open_ = n if final else int(first[-1])
+        if not final and sizes[-1] > LIST_PAIRS:  # long: its star goes out now, its first row stays as centre
+            open_ = n
+        us, vs = [], []
+        long = sizes > LIST_PAIRS
+        done = np.arange(n) < open_
+        star = np.flatnonzero(long[group] & ~new & done)
+        us.append(first[group[star]])
+        vs.append(star)
+        short = ~long[group] & done
+        for gap in range(1, LIST_PAIRS):
+            a = np.flatnonzero(short[:-gap] & (group[:-gap] == group[gap:])) if n > gap else np.zeros(0, np.int64)
+            if not len(a):
+                break
+            keep = rows.could_link(a, a + gap, percent)
+            us.append(a[keep])
+            vs.append(a[keep] + gap)
+        u, v = np.concatenate(us), np.concatenate(vs)
+        differ = (rows.names[u] != rows.names[v]).any(axis=1)
+        u, v = u[differ], v[differ]
+        if len(u):
+            pairs = np.unique(np.concatenate((rows.names[u], rows.names[v]), axis=1), axis=0)
+            flat = pairs.astype("<u8").tobytes()
+            cut = [flat[k : k + 32] for k in range(0, len(flat), 32)]
+            yield pa.RecordBatch.from_arrays([pa.array([c[:16] for c in cut], pa.binary()), pa.array([c[16:] for c in cut], pa.binary())], names=["u", "v"])
+        if final:
+            held = None
+        elif open_ < n:
+            held = table.slice(open_)
+        else:  # carry the long list's first rows, enough for it to count as long again
+            held = table.slice(int(first[-1]), LIST_PAIRS + 1)
+
+
+def flagged(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Table, bool]]:
+    """Batches as tables, with whether each is the last one."""
+    before = None
+    for batch in batches:
+        if batch.num_rows:
+            if before is not None:
+                yield before, False
+            before = pa.Table.from_batches([batch])
+    if before is not None:
+        yield before, True
 
 
 def bloom_positions(nodes: list[bytes], bits: int) -> np.ndarray:
@@ -207,11 +229,8 @@ def bloom_positions(nodes: list[bytes], bits: int) -> np.ndarray:
     return raw.astype(np.int64) % bits
 
 
-def needed_sets(rows: DataFrame, nodes: DataFrame, words: int, at: str) -> DataFrame:
-    """(node, grams) of the nodes given, one row each.
-
-    A Bloom filter of fixed size goes to the tasks that rebuild sets from texts; what passes is joined exactly.
-    """
+def bloom_of(nodes: DataFrame) -> np.ndarray:
+    """A Bloom filter of fixed size over the column `node`; each task makes a part."""
 
     def bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bloom = np.zeros(BLOOM_BITS // 8, np.uint8)
@@ -221,30 +240,84 @@ def needed_sets(rows: DataFrame, nodes: DataFrame, words: int, at: str) -> DataF
                 np.bitwise_or.at(bloom, where >> 3, (1 << (where & 7)).astype(np.uint8))
         yield pa.RecordBatch.from_arrays([pa.array([bloom.tobytes()], pa.binary())], names=["bloom"])
 
-    bloom = summed(nodes.select("node").mapInArrow(bits, "bloom binary"), "bloom", "u1", BLOOM_BITS // 8, np.bitwise_or)
-    shared = rows.sparkSession.sparkContext.broadcast(bloom)
+    return summed(nodes.select("node").mapInArrow(bits, "bloom binary"), "bloom", "u1", BLOOM_BITS // 8, np.bitwise_or)
+
+
+def rebuilt_sets(rows: DataFrame, nodes: DataFrame, words: int) -> DataFrame:
+    """(node, doc_id, grams) of documents whose node passes a Bloom filter of the nodes given; join exactly after."""
+    shared = rows.sparkSession.sparkContext.broadcast(bloom_of(nodes))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        have, seen = shared.value, set()
-        for batch in slices(batches, most=SLICE):
-            sets = {digest(s): s for s in gram_sets(batch.column("text"), words) if len(s)}
-            names = [x for x in sets if x not in seen]
-            if names:
-                where = bloom_positions(names, BLOOM_BITS)
+        have = shared.value
+        for batch in slices(batches, most=STEP_BYTES):
+            own = [(digest(s), i, s) for i, s in zip(batch.column("doc_id").to_pylist(), gram_sets(batch.column("text"), words)) if len(s)]
+            if own:
+                where = bloom_positions([x[0] for x in own], BLOOM_BITS)
                 hit = ((have[where >> 3] >> (where & 7).astype(np.uint8)) & 1).all(axis=1)
-                names = [x for x, ok in zip(names, hit) if ok]
-            if len(seen) < 200_000:
-                seen.update(names)
-            if names:
-                grams = [sets[x].view(np.int64) for x in names]
-                offsets = np.concatenate(([0], np.cumsum([len(g) for g in grams]))).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(grams)))], names=["node", "grams"])
+                own = [x for x, ok in zip(own, hit) if ok]
+            if own:
+                offsets = np.concatenate(([0], np.cumsum([len(x[2]) for x in own]))).astype(np.int32)
+                grams = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([x[2] for x in own]).view(np.int64)))
+                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in own], pa.binary()), pa.array([x[1] for x in own], pa.int64()), grams], names=["node", "doc_id", "grams"])
 
-    found = rows.mapInArrow(run, "node binary, grams array<long>").join(nodes.select("node"), "node", "left_semi")
-    return stored(found.groupBy("node").agg(F.first("grams").alias("grams")), "sets", at)
+    return rows.mapInArrow(run, "node binary, doc_id long, grams array<long>")
 
 
-def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def block_links(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """Links between the sets, enough of them for all components, by search from set to set over an inverted index.
+
+    The index holds sets that no component has taken yet and is rebuilt as they become few.
+    """
+    sizes = np.array([len(s) for s in sets])
+    codes = np.unique(np.concatenate(sets), return_inverse=True)[1]
+    starts = np.cumsum(sizes) - sizes
+    owner = np.repeat(np.arange(len(sets)), sizes)
+    free = np.ones(len(sets), bool)
+    links: list[tuple[int, int]] = []
+
+    def index() -> tuple[np.ndarray, np.ndarray, int]:
+        keep = free[owner]
+        order = np.argsort(codes[keep], kind="stable")
+        return owner[keep][order], np.concatenate(([0], np.cumsum(np.bincount(codes[keep], minlength=codes.max() + 1)))), int(free.sum())
+
+    posts, at, held = index()
+    left = held
+    for seed in range(len(sets)):
+        if not free[seed]:
+            continue
+        free[seed] = False
+        left -= 1
+        queue = [seed]
+        while queue and left:
+            if left < held // 2:
+                posts, at, held = index()
+            i = queue.pop()
+            own = codes[starts[i] : starts[i] + sizes[i]]
+            both = np.bincount(posts[ragged(at[own], at[own + 1] - at[own])], minlength=len(sets))
+            near = np.flatnonzero(free & (100 * both >= percent * (sizes[i] + sizes - both)) & (both > 0))
+            free[near] = False
+            left -= len(near)
+            links += [(i, int(k)) for k in near]
+            queue += near.tolist()
+    return links
+
+
+def verified_blocks(sets: DataFrame, percent: int) -> DataFrame:
+    """Links (u, v) inside each group of (part, node, grams)."""
+
+    def run(table: pa.Table) -> pa.Table:
+        names, lists = table["node"].to_pylist(), table["grams"].combine_chunks()
+        own = {name: k for k, name in enumerate(names)}
+        order = list(own.values())
+        grams = [lists[k].values.to_numpy() for k in order]
+        links = block_links(grams, percent)
+        keys = list(own)
+        return pa.table({"u": pa.array([keys[a] for a, _ in links], pa.binary()), "v": pa.array([keys[b] for _, b in links], pa.binary())})
+
+    return sets.groupBy("part").applyInArrow(run, "u binary, v binary")
+
+
+def verified_pairs(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (u, v) whose whole sets are similar enough."""
     left = sets.select(F.col("node").alias("u"), F.col("grams").alias("u_grams"))
     right = sets.select(F.col("node").alias("v"), F.col("grams").alias("v_grams"))
@@ -254,11 +327,12 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def components(edges: DataFrame, at: str, tag: str) -> DataFrame:
-    """(node, root) of every node in edges: the smallest node that links reach.
+    """(node, root) of every node in edges: the smallest node that edges reach.
 
     Alternates large-star and small-star steps until the edges no longer change; every step is a grouped minimum, which
     combines before its shuffle, and a join.
     """
+
     def canonical(df: DataFrame) -> DataFrame:
         return df.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
 
@@ -276,49 +350,63 @@ def components(edges: DataFrame, at: str, tag: str) -> DataFrame:
         small = large.join(low, "u").select(F.col("v").alias("u"), F.col("low").alias("v"))
         edges = stored(canonical(small.unionByName(low.select("u", F.col("low").alias("v")))), f"{tag}_{step}s", at)
     roots = edges.groupBy("u").agg(F.min("v").alias("root")).select(F.col("u").alias("node"), "root")
-    return roots.unionByName(edges.select(F.col("v").alias("node")).distinct().join(roots, "node", "left_anti").select("node", F.col("node").alias("root")))
+    return roots.unionByName(roots.select(F.col("root").alias("node")).distinct().withColumn("root", F.col("node")))
 
 
-def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str) -> tuple[DataFrame, DataFrame]:
+def between_components(posts: DataFrame, roots: DataFrame, percent: int) -> DataFrame:
+    """Pairs (u, v) of one posting list and different components that pass the length and positional filter."""
+    left = posts.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")).select("gram", "root", "node", "n", "place").distinct()
+    several = left.groupBy("gram").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b").select("gram")
+    left = left.join(several, "gram", "left_semi")
+    side = lambda s: left.select("gram", *[F.col(c).alias(f"{s}_{c}") for c in ("root", "node", "n", "place")])
+    least = F.ceil(percent * (F.col("u_n") + F.col("v_n")) / F.lit(100.0 + percent) - 1e-9)
+    near = (100 * F.least("u_n", "v_n") >= percent * F.greatest("u_n", "v_n")) & (F.least(F.col("u_n") - F.col("u_place"), F.col("v_n") - F.col("v_place")) >= least)
+    pairs = side("u").join(side("v"), "gram").where(F.col("u_root") < F.col("v_root")).where(near)
+    return pairs.select(F.least("u_node", "v_node").alias("u"), F.greatest("u_node", "v_node").alias("v")).distinct()
+
+
+def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block_sets: int = BLOCK_SETS, block_grams: int = BLOCK_GRAMS, list_rows: int = LIST_ROWS) -> tuple[DataFrame, DataFrame]:
     """(index, links): index has doc_id, node, n of every document; links are verified (u, v) between nodes, enough of
     them for all components."""
     index = stored(indexed(rows, words, cells), "index", at)
     sketch = summed(index.where("sketch"), "cells", "<i8", cells)
     index = index.where("not sketch").select("doc_id", "node", "n")
-
-    whole = Window.partitionBy("gram", "salt")
-    head = F.min(F.struct("n", "node", "place", "shape")).over(whole)
-    posts = posted(rows, words, percent, sketch).repartition("gram", "salt").dropDuplicates(["gram", "salt", "node"])
-    counted = F.count(F.lit(1)).over(whole)
-    lists = posts.withColumn("head", head).withColumn("held", counted).where((F.col("held") > 1) | (F.col("salt") > 0))
-    lists = stored(lists.drop("held"), "lists", at)
-
-    star = lists.where("head.node <> node").select(
-        *[F.col(f"head.{c}").alias(f"u_{c}") for c in ("node", "n", "place", "shape")],
-        *[F.col(c).alias(f"v_{c}") for c in ("node", "n", "place", "shape")],
-    )
-    first = stored(star.where(could_link("u", "v", percent)).select(F.col("u_node").alias("u"), F.col("v_node").alias("v")).distinct(), "pairs_1", at)
-    both = lambda pairs: pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct()
-    links = stored(verified(first, needed_sets(rows, stored(both(first), "nodes_1", at), words, f"{at}/1"), percent), "links_1", at)
-
-    roots = components(links, at, "stars")
-    left = lists.drop("head").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    several = left.groupBy("gram").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b").select("gram")
-    left = stored(left.join(several, "gram", "left_semi"), "rest", at)
-    groups = left.select("gram", "root").distinct()
-    pairs = groups.select("gram", F.col("root").alias("u_root")).join(groups.select("gram", F.col("root").alias("v_root")), "gram").where("u_root < v_root")
-    side = lambda s: left.select("gram", *[F.col(c).alias(f"{s}_{c}") for c in ("root", "node", "n", "place", "shape")])
-    pairs = pairs.join(side("u"), ["gram", "u_root"]).join(side("v"), ["gram", "v_root"]).where(could_link("u", "v", percent))
-    pairs = pairs.select(F.least("u_node", "v_node").alias("u"), F.greatest("u_node", "v_node").alias("v")).distinct()
-    tested = first.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
-    second = stored(pairs.join(tested, ["u", "v"], "left_anti"), "pairs_2", at)
-    if second.isEmpty():
+    posts = posted(rows, words, percent, sketch, list_rows)
+    lists = posts.where("NOT heavy").drop("heavy").repartition("gram").sortWithinPartitions("gram", "n", "node")
+    edges = lists.mapInArrow(lambda batches: list_edges(batches, percent), "u binary, v binary")
+    if sketch.max() >= list_rows:
+        heavy = posts.where("heavy").select("gram", F.col("node").alias("u")).distinct()
+        edges = edges.unionByName(heavy.join(heavy.groupBy("gram").agg(F.min("u").alias("v")), "gram").where("u <> v").select("u", "v"))
+    edges = stored(edges.distinct(), "edges", at)
+    blocks = components(edges, at, "blocks")
+    one = index.where("node IS NOT NULL").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(-1 << 63))).alias("doc_id"), F.first("n").alias("n"))
+    blocks = stored(blocks.join(one, "node"), "blocks", at)
+    size = blocks.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / block_sets), F.ceil(F.sum("n") / block_grams)).cast("int").alias("parts"))
+    dealt = stored(blocks.join(size, "root"), "dealt", at)
+    sets = rebuilt_sets(rows, dealt, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63)))
+
+    def deal(which: DataFrame, number: int) -> DataFrame:
+        part = F.xxhash64("root", F.pmod(F.xxhash64("node", F.lit(number)), F.col("parts")))
+        return stored(verified_blocks(sets.join(which.select("node", "doc_id", part.alias("part")), ["node", "doc_id"]).select("part", "node", "grams"), percent), f"links_{number}", at)
+
+    links = deal(dealt, 0)
+    large = dealt.where("parts > 1")
+    if large.isEmpty():
+        return index, links
+    for number in range(1, DEALS):
+        links = links.unionByName(deal(large, number))
+    roots = components(links, at, "partly")
+    rest = posts.join(large.select("node"), "node", "left_semi")
+    pairs = stored(between_components(rest, roots, percent), "pairs", at)
+    if pairs.isEmpty():
         return index, links
-    more = verified(second, needed_sets(rows, stored(both(second), "nodes_2", at), words, f"{at}/2"), percent)
-    return index, links.unionByName(stored(more, "links_2", at))
+    needed = stored(pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct().join(one, "node"), "needed", at)
+    whole = rebuilt_sets(rows, needed, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63))).join(needed.select("node", "doc_id"), ["node", "doc_id"], "left_semi")
+    whole = stored(whole.groupBy("node").agg(F.first("grams").alias("grams")), "sets", at)
+    return index, links.unionByName(stored(verified_pairs(pairs, whole, percent), "links_rest", at))
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text", **sizes: int) -> DataFrame:
     """Per document: doc_id, n_shingles, component_id (the smallest doc_id that links reach, itself included).
 
     Two documents link when 100 * intersection >= percent * union of their word n-gram sets. Null or empty texts, and
@@ -328,11 +416,10 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: i
     """
     at = shared_dir(docs.sparkSession)
     rows = texts_of(docs, id_col, text_col)
-    index, links = linked(rows, words, percent, cells, at)
+    index, links = linked(rows, words, percent, cells, at, **sizes)
     roots = stored(components(links, at, "all"), "roots", at)
     nodes = index.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
-    nodes = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    nodes = stored(nodes, "members", at)
+    nodes = stored(nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "members", at)
     least = nodes.groupBy("root").agg(F.min("least").alias("component_id"))
     named = stored(nodes.join(least, "root").select("node", "component_id"), "named", at)
     return index.join(named, "node", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
