@@ -58,7 +58,7 @@ def complete_grid(hist: DataFrame, spec: DatasetSpec, bins: int, point: str = "e
     """Every cell of the public grid, weight 0 where no row is, with its representative value."""
     spark = hist.sparkSession
     place = {"edge": 1.0, "mid": 0.5}[point]
-    bounds = spark.createDataFrame([(k, f.lo, f.hi) for k, f in enumerate(spec.features)], "feature int, lo double, hi double")
+    bounds = spark.createDataFrame([(k, float(f.lo), float(f.hi)) for k, f in enumerate(spec.features)], "feature int, lo double, hi double")
     grid = bounds.select("feature", "lo", "hi", F.explode(F.sequence(F.lit(0), F.lit(bins - 1))).alias("bin"))
     grid = grid.select("feature", "bin", (F.col("lo") + (F.col("bin") + place) * (F.col("hi") - F.col("lo")) / bins).alias("edge"))
     cells = hist.select(F.col("feature").cast("int"), F.col("bin").cast("int"), "weight")
