@@ -8,7 +8,11 @@ A query's bound for a block is the sum of its terms' block maxima. The blocks wi
 with the k-th best score so far as threshold, only blocks whose bound reaches it are scored at all. This is the pivot
 test of block-max WAND, made for all blocks of a shard at once. Nothing that could enter the top k is skipped, ties
 included: equal rounded scores are ranked by the smaller id. Documents lie in a shard by their commonest frequent terms
-and length, so that a block holds like texts and its bounds are tight. Shards' results are merged by rank.
+and length, so that a block holds like texts and its bounds are tight. Terms that are frequent in a shard are held as
+rows of a matrix, so that bounds and scores of many queries are matrix products; the others are added posting by posting.
+
+The square root of all shards is searched first, with each query's k-th best score there as the threshold for the rest:
+what the rest returns is then a few rows a query, not k from every shard. Shards' results are merged by rank.
 
 Queries go to the tasks in blocks of bounded size; each block is one pass over the index.
 """
@@ -20,6 +24,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import zstandard
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -93,18 +98,19 @@ def build_shard(batch: pa.RecordBatch) -> Shard:
 
 
 def build_index(docs: DataFrame, at: str, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = SHARD_BYTES) -> DataFrame:
-    """Write the shards of all documents: (n, words, shard)."""
+    """Write the shards of all documents: (number, n, words, shard)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pack = zstandard.ZstdCompressor(level=1)
+        pack, number = zstandard.ZstdCompressor(level=1), TaskContext.get().partitionId() << 32
         for batch in gathered(batches, most=shard_bytes):
             for begin in range(0, batch.num_rows, 65_536):
                 shard = build_shard(batch.slice(begin, 65_536))
+                number += 1
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([len(shard.ids)], pa.int64()), pa.array([int(shard.sizes.sum())], pa.int64()), pa.array([pack.compress(shard.to_bytes())], pa.binary())], names=["n", "words", "shard"]
+                    [pa.array([number], pa.int64()), pa.array([len(shard.ids)], pa.int64()), pa.array([int(shard.sizes.sum())], pa.int64()), pa.array([pack.compress(shard.to_bytes())], pa.binary())], names=["number", "n", "words", "shard"]
                 )
 
-    return stored(texts_of(docs, id_col, text_col).mapInArrow(run, "n long, words long, shard binary"), "shards", at)
+    return stored(texts_of(docs, id_col, text_col).mapInArrow(run, "number long, n long, words long, shard binary"), "shards", at)
 
 
 def opened(batches: Iterator[pa.RecordBatch]) -> Iterator[Shard]:
@@ -146,66 +152,81 @@ def places(shard: Shard, terms: np.ndarray) -> np.ndarray:
     return np.where(shard.terms[at] == terms, at, -1) if len(shard.terms) else np.full(len(terms), -1)
 
 
-def search_shard(shard: Shard, block: QueryBlock, mean: float, k: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(query number, document ids, rounded scores) of each query's best k in the shard."""
-    at = places(shard, block.terms)
-    used = np.unique(at[at >= 0])
-    if not len(used):
+class Impacts:
+    """A shard's impacts for a block's terms: frequent terms as a matrix per document block, with its maxima; postings of the
+    rest."""
+
+    def __init__(self, shard: Shard, block: QueryBlock, mean: float):
+        self.at = places(shard, block.terms)
+        used = np.unique(self.at[self.at >= 0])
+        lengths = np.diff(shard.starts)[used]
+        self.size, self.blocks = len(shard.ids), -(-len(shard.ids) // BLOCK)
+        frequent = lengths >= max(8, self.size // 25)
+
+        def impacts(terms: np.ndarray, spread: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            picked = ragged(shard.starts[terms], spread)
+            docs, counts = shard.docs[picked].astype(np.int64), shard.counts[picked].astype(np.float64)
+            return docs, counts * (K1 + 1) / (counts + K1 * (1 - B + B * shard.sizes[docs] / mean))
+
+        docs, value = impacts(used[frequent], lengths[frequent])
+        self.matrix = np.zeros((self.blocks, int(frequent.sum()), BLOCK))
+        self.matrix[docs // BLOCK, np.repeat(np.arange(self.matrix.shape[1]), lengths[frequent]), docs % BLOCK] = value
+        self.tops = self.matrix.max(axis=2).T
+        self.docs, self.value = impacts(used[~frequent], lengths[~frequent])
+        self.bounds = np.concatenate(([0], np.cumsum(lengths[~frequent])))
+        self.row = np.full(len(shard.terms) + 1, -1)  # of frequent terms; -2 - k for the k-th other term
+        self.row[used[frequent]] = np.arange(self.matrix.shape[1])
+        self.row[used[~frequent]] = -2 - np.arange(int((~frequent).sum()))
+
+
+def search_shard(shard: Shard, block: QueryBlock, mean: float, k: int, floor: np.ndarray, together: int = 128) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(query number, document ids, rounded scores) of each query's best k in the shard that reach its floor."""
+    if not len(shard.ids) or not len(shard.terms):
         return
-    lengths = np.diff(shard.starts)[used]
-    picked = ragged(shard.starts[used], lengths)
-    docs, counts = shard.docs[picked].astype(np.int64), shard.counts[picked].astype(np.float64)
-    impact = counts * (K1 + 1) / (counts + K1 * (1 - B + B * shard.sizes[docs] / mean))
-    # entries: the postings of a term in a block, with their largest impact
-    group = docs // BLOCK
-    owner = np.repeat(np.arange(len(used)), lengths)
-    first = np.flatnonzero(np.concatenate(([True], (owner[1:] != owner[:-1]) | (group[1:] != group[:-1]))))
-    top = np.maximum.reduceat(impact, first)
-    sizes, entry_group = np.diff(np.append(first, len(docs))), group[first]
-    bounds = np.searchsorted(owner[first], np.arange(len(used) + 1))
-    local = np.searchsorted(used, at)
-    blocks = -(-len(shard.ids) // BLOCK)
-    lead = max(1, -(-2 * k // BLOCK))
-    for q in range(len(block.ids)):
-        own = slice(block.offsets[q], block.offsets[q + 1])
-        numbers = block.numbers[own]
-        have = at[numbers] >= 0
-        if not have.any():
-            continue
-        term = local[numbers[have]]
-        weight = (block.counts[own] * block.idf[numbers])[have]
-        each = bounds[term + 1] - bounds[term]
-        entries = ragged(bounds[term], each)
-        heavy = np.repeat(weight, each)
-        where = entry_group[entries]
-        limit = np.bincount(where, heavy * top[entries], blocks)
-
-        def scored(chosen: np.ndarray) -> np.ndarray:
-            mark = np.zeros(blocks, bool)
-            mark[chosen] = True
-            keep = mark[where]
-            some = entries[keep]
-            post = ragged(first[some], sizes[some])
-            return np.bincount(docs[post], np.repeat(heavy[keep], sizes[some]) * impact[post], len(shard.ids))
-
-        order = np.argsort(-limit, kind="stable")
-        scores = scored(order[:lead])
-        least = np.partition(scores, -k)[-k] if len(scores) > k else 0.0
-        more = order[lead:]
-        more = more[(limit[more] > 0) & (limit[more] >= least - 10.0 ** (1 - ROUND))]
-        if len(more):
-            scores = scores + scored(more)
-        hit = np.flatnonzero(scores > 0)
-        if len(hit) > k:
-            edge = np.partition(scores[hit], -k)[-k]
-            hit = hit[scores[hit] >= edge - 10.0 ** (1 - ROUND)]
-        value = np.round(scores[hit], ROUND)
-        best = np.lexsort((shard.ids[hit], -value))[:k]
-        yield q, shard.ids[hit][best], value[best]
-
-
-def search_block(shards: DataFrame, rows: list, n: int, words: int, k: int, at: str) -> DataFrame:
-    """(query_id, rank, doc_id, score) of a block of queries against every shard."""
+    own, slack = Impacts(shard, block, mean), 10.0 ** (1 - ROUND)
+    width, lead = own.blocks * BLOCK, max(1, -(-2 * k // BLOCK))
+    for begin in range(0, len(block.ids), together):
+        end = min(begin + together, len(block.ids))
+        span = slice(block.offsets[begin], block.offsets[end])
+        query = np.repeat(np.arange(end - begin), np.diff(block.offsets[begin : end + 1]))
+        numbers = block.numbers[span]
+        place = own.row[own.at[numbers]]  # a term that the shard lacks is at -1, the last entry
+        weight = block.counts[span] * block.idf[numbers]
+        matrix = np.zeros((end - begin, own.matrix.shape[1]))
+        often = place >= 0
+        matrix[query[often], place[often]] = weight[often]
+        other = np.flatnonzero(place < -1)
+        term = -2 - place[other]
+        spread = own.bounds[term + 1] - own.bounds[term]
+        posts = ragged(own.bounds[term], spread)
+        rare = np.bincount(np.repeat(query[other], spread) * width + own.docs[posts], np.repeat(weight[other], spread) * own.value[posts], (end - begin) * width).reshape(-1, width)
+        limit = matrix @ own.tops + rare.reshape(-1, own.blocks, BLOCK).max(axis=2)
+        scores = np.zeros_like(rare)
+
+        def score(wanted: np.ndarray) -> None:
+            for b in np.flatnonzero(wanted.any(axis=0)):
+                rows, cols = np.flatnonzero(wanted[:, b]), slice(b * BLOCK, (b + 1) * BLOCK)
+                scores[rows, cols] = matrix[rows] @ own.matrix[b] + rare[rows, cols]
+
+        first = np.zeros(limit.shape, bool)
+        np.put_along_axis(first, np.argpartition(-limit, min(lead, own.blocks) - 1, axis=1)[:, :lead], True, axis=1)
+        first &= limit >= np.maximum(floor[begin:end, None] - slack, 1e-12)
+        score(first)
+        least = np.partition(scores, -k, axis=1)[:, -k] if width >= k else np.zeros(end - begin)
+        least = np.maximum(least, floor[begin:end])
+        score(~first & (limit > 0) & (limit >= least[:, None] - slack))
+        for q in range(end - begin):
+            hit = np.flatnonzero(scores[q] > max(0.0, least[q] - slack))
+            value = np.round(scores[q, hit], ROUND)
+            keep = value >= floor[begin + q]
+            hit, value = hit[keep], value[keep]
+            best = np.lexsort((shard.ids[hit], -value))[:k]
+            if len(best):
+                yield begin + q, shard.ids[hit][best], value[best]
+
+
+def search_block(shards: DataFrame, rows: list, n: int, words: int, held: int, k: int, at: str) -> DataFrame:
+    """(query_id, rank, doc_id, score) of a block of queries against all `held` shards."""
     context, block = shards.sparkSession.sparkContext, QueryBlock(rows)
     terms = context.broadcast(block.terms)
 
@@ -220,19 +241,27 @@ def search_block(shards: DataFrame, rows: list, n: int, words: int, k: int, at:
     block.idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
     shared, mean = context.broadcast(block), words / n
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for shard in opened(batches):
-            found = list(search_shard(shard, shared.value, mean, k))
-            if found:
-                number = np.repeat([q for q, *_ in found], [len(d) for _, d, _ in found]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(number), pa.array(shared.value.ids[number]), pa.array(np.concatenate([d for _, d, _ in found])), pa.array(np.concatenate([s for *_, s in found]))], names=["query_no", "query_id", "doc_id", "score"]
-                )
+    def found(which: DataFrame, floors, name: str) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for shard in opened(batches):
+                own = list(search_shard(shard, shared.value, mean, k, floors.value))
+                if own:
+                    number = np.repeat([q for q, *_ in own], [len(d) for _, d, _ in own]).astype(np.int32)
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(number), pa.array(shared.value.ids[number]), pa.array(np.concatenate([d for _, d, _ in own])), pa.array(np.concatenate([s for *_, s in own]))], names=["query_no", "query_id", "doc_id", "score"]
+                    )
+
+        return stored(which.select("shard").mapInArrow(run, "query_no int, query_id long, doc_id long, score double"), name, at)
 
-    found = shards.select("shard").mapInArrow(run, "query_no int, query_id long, doc_id long, score double")
     order = Window.partitionBy("query_no").orderBy(F.desc("score"), "doc_id")
-    best = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
-    return stored(best.select("query_id", "rank", "doc_id", "score"), "best", at)
+    top = lambda df: df.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    share = F.pmod(F.xxhash64("number"), F.lit(max(1, int(held**0.5)))) == 0
+    early = found(shards.where(share), context.broadcast(np.zeros(len(block.ids))), "early")
+    floor = np.zeros(len(block.ids))
+    for r in top(early).where(F.col("rank") == k).select("query_no", "score").toLocalIterator():
+        floor[r["query_no"]] = r["score"]
+    late = found(shards.where(~share), context.broadcast(floor), "late")
+    return stored(top(early.unionByName(late)).select("query_id", "rank", "doc_id", "score"), "best", at)
 
 
 def search(docs: DataFrame, queries: DataFrame, k: int = 10, query_bytes: int = QUERY_BYTES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -245,7 +274,7 @@ def search(docs: DataFrame, queries: DataFrame, k: int = 10, query_bytes: int =
     """
     spark, at = docs.sparkSession, shared_dir(docs.sparkSession)
     shards = build_index(docs, at, id_col, text_col)
-    n, words = shards.agg(F.sum("n"), F.sum("words")).first()
+    n, words, held = shards.agg(F.sum("n"), F.sum("words"), F.count(F.lit(1))).first()
     terms = stored(query_terms(texts_of(queries, id_col, text_col)), "queries", at)
     size = terms.agg(F.sum(F.octet_length("terms"))).first()[0] or 0
     out = spark.range(0).selectExpr("id AS query_id", "CAST(id AS INT) AS rank", "id AS doc_id", "CAST(id AS DOUBLE) AS score")
@@ -255,7 +284,7 @@ def search(docs: DataFrame, queries: DataFrame, k: int = 10, query_bytes: int =
     for number in range(blocks):
         rows = terms.where(F.pmod(F.xxhash64("query_id", "terms"), F.lit(blocks)) == number).orderBy("query_id").collect()
         if rows:
-            out = out.unionByName(search_block(shards, rows, n, words or 1, k, f"{at}/{number}"))
+            out = out.unionByName(search_block(shards, rows, n, words or 1, held, k, f"{at}/{number}"))
     return out
 
 
