@@ -70,7 +70,7 @@ class WordEncoder:
         if len(cache) > CACHE:
             cache.clear()
         for k, (word, stem) in enumerate(zip(words.to_numpy(zero_copy_only=False), stems.to_numpy(zero_copy_only=False))):
-            if stem.isalpha() and (stem.isascii() or max(stem) < "ɐ"):
+            if stem.isalpha() and (stem.isascii() or max(stem) < "ɐ" and "İ" not in stem):  # whose lower case has a mark
                 ids = cache.get(stem)
                 if ids is None:
                     ids = cache[stem] = self.word(stem)
