@@ -36,7 +36,7 @@ LIST_PAIRS = 64
 #: Sets and n-grams that one task verifies together, and how often a larger block is dealt out.
 BLOCK_SETS, BLOCK_GRAMS, DEALS = 2048, 2_000_000, 3
 #: Hash classes of the suffix filter: few, or many for large sets.
-FEW, MANY, LARGE = 32, 128, 2000
+FEW, MANY, LARGE = 16, 64, 800
 
 PLACES = [np.uint64(int(x)) for x in mixed(np.arange(100, 164, dtype=np.uint64)) | np.uint64(1)]
 
@@ -65,8 +65,13 @@ def digest(grams: np.ndarray) -> bytes:
     return hashlib.blake2b(grams.tobytes(), digest_size=16).digest()
 
 
+def key_of(name: bytes) -> int:
+    """A short form of a digest. Only candidate edges use it: where two nodes share one, their blocks become one."""
+    return int.from_bytes(name[:8], "little", signed=True)
+
+
 def indexed(rows: DataFrame, words: int, cells: int) -> DataFrame:
-    """Per document (doc_id, node, n), and per task one row whose `cells` are its n-gram counts."""
+    """Per document (doc_id, node, key, n), and per task one row whose `cells` are its n-gram counts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(cells, np.int64)
@@ -76,26 +81,26 @@ def indexed(rows: DataFrame, words: int, cells: int) -> DataFrame:
                 counts += np.bincount((np.concatenate(sets) & np.uint64(cells - 1)).astype(np.int64), minlength=cells)
             empty = pa.nulls(len(sets), pa.binary())
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array([digest(s) if len(s) else None for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int64()), empty, pa.array([False] * len(sets))],
-                names=["doc_id", "node", "n", "cells", "sketch"],
+                [batch.column("doc_id"), pa.array(names := [digest(s) if len(s) else None for s in sets], pa.binary()), pa.array([x and key_of(x) for x in names], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), empty, pa.array([False] * len(sets))],
+                names=["doc_id", "node", "key", "n", "cells", "sketch"],
             )
         yield pa.RecordBatch.from_arrays(
-            [pa.array([None], pa.int64()), pa.array([None], pa.binary()), pa.array([None], pa.int64()), pa.array([counts.astype("<i8").tobytes()], pa.binary()), pa.array([True])],
-            names=["doc_id", "node", "n", "cells", "sketch"],
+            [pa.array([None], pa.int64()), pa.array([None], pa.binary()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([counts.astype("<i8").tobytes()], pa.binary()), pa.array([True])],
+            names=["doc_id", "node", "key", "n", "cells", "sketch"],
         )
 
-    return rows.mapInArrow(run, "doc_id long, node binary, n long, cells binary, sketch boolean")
+    return rows.mapInArrow(run, "doc_id long, node binary, key long, n long, cells binary, sketch boolean")
 
 
 def shape(grams: np.ndarray) -> bytes:
     """How many n-grams fall in each hash class, a byte each; empty where a count needs more."""
     classes = MANY if len(grams) > LARGE else FEW
-    counts = np.bincount((grams >> np.uint64(57)).astype(np.int64), minlength=MANY).reshape(classes, -1).sum(axis=1)
+    counts = np.bincount((grams >> np.uint64(58)).astype(np.int64), minlength=MANY).reshape(classes, -1).sum(axis=1)
     return counts.astype(np.uint8).tobytes() if counts.max() < 256 else b""
 
 
 def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray, list_rows: int) -> DataFrame:
-    """The prefix of every document's set: gram, heavy, node, n, place, shape; equal sets are posted once a task."""
+    """The prefix of every document's set: gram, heavy, key, n, place, shape; equal sets are posted once a task."""
     shared = rows.sparkSession.sparkContext.broadcast(np.minimum(sketch, (1 << 31) - 1).astype(np.int32))
     mask = np.uint64(len(sketch) - 1)
 
@@ -119,20 +124,22 @@ def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray, list_r
             row = np.repeat(np.arange(len(keep)), sizes)
             place = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
             common = np.concatenate([k[4] for k in keep])
-            pick = pa.array(row)
+            grams = np.concatenate([k[3] for k in keep]).view(np.int64)
+            order = np.argsort(grams)  # as the lists are: what a task reads is in sorted runs already
+            row = row[order]
             yield pa.RecordBatch.from_arrays(
                 [
-                    pa.array(np.concatenate([k[3] for k in keep]).view(np.int64)),
-                    pa.array(common >= list_rows),
-                    pa.array([k[0] for k in keep], pa.binary()).take(pick),
+                    pa.array(grams[order]),
+                    pa.array(common[order] >= list_rows),
+                    pa.array(np.array([key_of(k[0]) for k in keep], np.int64)[row]),
                     pa.array(np.array([k[1] for k in keep], np.int32)[row]),
-                    pa.array(place.astype(np.int32)),
-                    pa.array([k[2] for k in keep], pa.binary()).take(pick),
+                    pa.array(place[order].astype(np.int32)),
+                    pa.array([k[2] for k in keep], pa.binary()).take(pa.array(row)),
                 ],
-                names=["gram", "heavy", "node", "n", "place", "shape"],
+                names=["gram", "heavy", "key", "n", "place", "shape"],
             )
 
-    return rows.mapInArrow(run, "gram long, heavy boolean, node binary, n int, place int, shape binary")
+    return rows.mapInArrow(run, "gram long, heavy boolean, key long, n int, place int, shape binary")
 
 
 class List:
@@ -141,7 +148,7 @@ class List:
     def __init__(self, table: pa.Table):
         self.gram = table["gram"].to_numpy()
         self.n, self.place = table["n"].to_numpy().astype(np.int64), table["place"].to_numpy().astype(np.int64)
-        self.names = np.frombuffer(b"".join(table["node"].to_pylist()), "<u8").reshape(-1, 2)
+        self.key = table["key"].to_numpy()
         sigs = table["shape"].to_pylist()
         size = np.array([len(s) for s in sigs])
         self.few, self.many = np.zeros((len(sigs), FEW), np.uint16), np.zeros((len(sigs), MANY), np.uint8)
@@ -197,13 +204,10 @@ def list_edges(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.R
             us.append(a[keep])
             vs.append(a[keep] + gap)
         u, v = np.concatenate(us), np.concatenate(vs)
-        differ = (rows.names[u] != rows.names[v]).any(axis=1)
-        u, v = u[differ], v[differ]
-        if len(u):
-            pairs = np.unique(np.concatenate((rows.names[u], rows.names[v]), axis=1), axis=0)
-            flat = pairs.astype("<u8").tobytes()
-            cut = [flat[k : k + 32] for k in range(0, len(flat), 32)]
-            yield pa.RecordBatch.from_arrays([pa.array([c[:16] for c in cut], pa.binary()), pa.array([c[16:] for c in cut], pa.binary())], names=["u", "v"])
+        pairs = np.stack((rows.key[u], rows.key[v]), axis=1)
+        pairs = np.unique(pairs[pairs[:, 0] != pairs[:, 1]], axis=0)
+        if len(pairs):
+            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
         if final:
             held = None
         elif open_ < n:
@@ -370,17 +374,17 @@ def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block
     them for all components."""
     index = stored(indexed(rows, words, cells), "index", at)
     sketch = summed(index.where("sketch"), "cells", "<i8", cells)
-    index = index.where("not sketch").select("doc_id", "node", "n")
+    index = index.where("not sketch").select("doc_id", "node", "key", "n")
     posts = posted(rows, words, percent, sketch, list_rows)
-    lists = posts.where("NOT heavy").drop("heavy").repartition("gram").sortWithinPartitions("gram", "n", "node")
-    edges = lists.mapInArrow(lambda batches: list_edges(batches, percent), "u binary, v binary")
+    lists = posts.where("NOT heavy").drop("heavy").repartition("gram").sortWithinPartitions("gram", "n", "key")
+    edges = lists.mapInArrow(lambda batches: list_edges(batches, percent), "u long, v long")
     if sketch.max() >= list_rows:
-        heavy = posts.where("heavy").select("gram", F.col("node").alias("u")).distinct()
+        heavy = posts.where("heavy").select("gram", F.col("key").alias("u")).distinct()
         edges = edges.unionByName(heavy.join(heavy.groupBy("gram").agg(F.min("u").alias("v")), "gram").where("u <> v").select("u", "v"))
     edges = stored(edges.distinct(), "edges", at)
-    blocks = components(edges, at, "blocks")
-    one = index.where("node IS NOT NULL").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(-1 << 63))).alias("doc_id"), F.first("n").alias("n"))
-    blocks = stored(blocks.join(one, "node"), "blocks", at)
+    blocks = components(edges, at, "blocks").withColumnRenamed("node", "key")
+    one = index.where("node IS NOT NULL").groupBy("node", "key").agg(F.min(F.coalesce("doc_id", F.lit(-1 << 63))).alias("doc_id"), F.first("n").alias("n"))
+    blocks = stored(blocks.join(one, "key"), "blocks", at)
     size = blocks.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / block_sets), F.ceil(F.sum("n") / block_grams)).cast("int").alias("parts"))
     dealt = stored(blocks.join(size, "root"), "dealt", at)
     sets = rebuilt_sets(rows, dealt, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63)))
@@ -396,11 +400,11 @@ def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block
     for number in range(1, DEALS):
         links = links.unionByName(deal(large, number))
     roots = components(links, at, "partly")
-    rest = posts.join(large.select("node"), "node", "left_semi")
+    rest = posts.join(large.select("node", "key"), "key")
     pairs = stored(between_components(rest, roots, percent), "pairs", at)
     if pairs.isEmpty():
         return index, links
-    needed = stored(pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct().join(one, "node"), "needed", at)
+    needed = stored(pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct().join(one, "node").drop("key"), "needed", at)
     whole = rebuilt_sets(rows, needed, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63))).join(needed.select("node", "doc_id"), ["node", "doc_id"], "left_semi")
     whole = stored(whole.groupBy("node").agg(F.first("grams").alias("grams")), "sets", at)
     return index, links.unionByName(stored(verified_pairs(pairs, whole, percent), "links_rest", at))

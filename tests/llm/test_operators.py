@@ -290,8 +290,8 @@ def test_jaccard_awkward_rows(docs, empty):
 
 
 def test_long_lists_cross_batches():
-    names = [bytes([k % 256, k // 256] + [7] * 14) for k in range(300)]
-    table = pa.table({"gram": pa.array([1] * 3 + [2] * 250 + [3] * 47, pa.int64()), "node": pa.array(names, pa.binary()), "n": pa.array([10] * 300, pa.int32()), "place": pa.array([0] * 300, pa.int32()), "shape": pa.array([b""] * 300, pa.binary())})
+    names = list(range(300))
+    table = pa.table({"gram": pa.array([1] * 3 + [2] * 250 + [3] * 47, pa.int64()), "key": pa.array(names, pa.int64()), "n": pa.array([10] * 300, pa.int32()), "place": pa.array([0] * 300, pa.int32()), "shape": pa.array([b""] * 300, pa.binary())})
     for size in (300, 90, 7, 1):
         edges = [(u.as_py(), v.as_py()) for b in jaccard.list_edges(iter(table.to_batches(max_chunksize=size)), 90) for u, v in zip(b.column(0), b.column(1))]
         own = {x: x for x in names}
