@@ -20,11 +20,11 @@ from privgrove.llm.textio import Chunks, plain, ragged
 #: Trailing characters that every pre-tokenizer here separates from a preceding letter.
 TRAILING = ".,;:!?*#&$%|)"
 #: Text that one step encodes: a worker's arrays stay within some tens of MB.
-TEXT_BYTES = 2 << 20
+TEXT_BYTES = 4 << 20
 #: Chunks that the full encoder takes at once; its results are large.
 BATCH = 1000
 #: Entries that a worker keeps from slice to slice; a full cache starts anew.
-CACHE = 100_000
+CACHE = 200_000
 
 
 def byte_letters() -> dict[int, str]:
