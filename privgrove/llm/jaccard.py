@@ -31,7 +31,7 @@ CELLS = 1 << 18
 BLOOM_BITS = 1 << 23
 #: Sketch count from which a posting list is not read by one task but linked to its least node by a join.
 LIST_ROWS = 50_000
-#: Rows of a list up to which its pairs are filtered; a longer one gives a star.
+#: Nodes of a list up to which its pairs are filtered; a longer one gives a star.
 LIST_PAIRS = 64
 #: Sets and n-grams that one task verifies together, and how often a larger block is dealt out.
 BLOCK_SETS, BLOCK_GRAMS, DEALS = 2048, 2_000_000, 3
@@ -177,7 +177,7 @@ def list_edges(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.R
     """Edges (u, v) of sorted posting lists. A list that goes on in the next batch waits for it, with its first rows."""
     held = None
     for table, final in flagged(batches):
-        table = pa.concat_tables([held, table]) if held is not None else table
+        table = once(pa.concat_tables([held, table]) if held is not None else table)
         rows = List(table)
         n = len(rows.gram)
         if not n:
@@ -216,6 +216,14 @@ def list_edges(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.R
             held = table.slice(int(first[-1]), LIST_PAIRS + 1)
 
 
+def once(table: pa.Table) -> pa.Table:
+    """The first of each list's rows of one node: tasks post a node that they share once each, and rows are sorted."""
+    gram, key = table["gram"].to_numpy(), table["key"].to_numpy()
+    again = np.zeros(len(gram), bool)
+    again[1:] = (gram[1:] == gram[:-1]) & (key[1:] == key[:-1])
+    return table.filter(pa.array(~again)) if again.any() else table
+
+
 def flagged(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Table, bool]]:
     """Batches as tables, with whether each is the last one."""
     before = None
@@ -375,6 +383,7 @@ def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block
     index = stored(indexed(rows, words, cells), "index", at)
     sketch = summed(index.where("sketch"), "cells", "<i8", cells)
     index = index.where("not sketch").select("doc_id", "node", "key", "n")
+    list_rows += 4 * int(np.median(sketch))  # a cell also counts n-grams that only share it
     posts = posted(rows, words, percent, sketch, list_rows)
     lists = posts.where("NOT heavy").drop("heavy").repartition("gram").sortWithinPartitions("gram", "n", "key")
     edges = lists.mapInArrow(lambda batches: list_edges(batches, percent), "u long, v long")

@@ -325,3 +325,19 @@ def test_search(spark, docs, empty):
     got = bm25.search(frame, spark.createDataFrame([(7, query), (8, None), (9, "zzz")], "doc_id long, text string"), 4).orderBy("rank").collect()
     assert [(r["query_id"], r["rank"], r["doc_id"], r["score"]) for r in got] == [(7, k + 1, i, pytest.approx(-s)) for k, (s, i) in enumerate(sorted(want)[:4])]
     assert bm25.search(empty, frame).count() == 0 and bm25.search(frame, empty).count() == 0
+
+
+def test_list_edges_across_batches(monkeypatch):
+    """Short lists give their close pairs, long ones a star, however batches cut them; a repeated node counts once."""
+    monkeypatch.setattr(jaccard, "LIST_PAIRS", 4)
+    sizes, rows = {1: 3, 2: 12, 3: 2}, []
+    for gram, size in sizes.items():
+        for key in range(100 * gram, 100 * gram + size):
+            rows += [(gram, key, 50, 0, b"")] * (3 if key % 2 else 1)
+    table = pa.table({name: pa.array(column, kind) for name, column, kind in zip(("gram", "key", "n", "place", "shape"), zip(*rows), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()))})
+    want = {(a, b) for gram in (1, 3) for a in range(100 * gram, 100 * gram + sizes[gram]) for b in range(a + 1, 100 * gram + sizes[gram])}
+    want |= {(200, k) for k in range(201, 212)}
+    for step in (1, 2, 3, 5, 7, len(rows)):
+        got = [b for b in jaccard.list_edges(iter(table.to_batches(max_chunksize=step)), 90)]
+        pairs = {(u, v) for b in got for u, v in zip(b["u"].to_pylist(), b["v"].to_pylist())}
+        assert want <= pairs and all(u // 100 == v // 100 for u, v in pairs), step
