@@ -99,10 +99,14 @@ def shape(grams: np.ndarray) -> bytes:
     return counts.astype(np.uint8).tobytes() if counts.max() < 256 else b""
 
 
-def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray, list_rows: int) -> DataFrame:
-    """The prefix of every document's set: gram, heavy, key, n, place, shape; equal sets are posted once a task."""
+def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray, list_rows: int, only: DataFrame | None = None) -> DataFrame:
+    """The prefix of every document's set: gram, heavy, key, n, place, shape; equal sets are posted once a task.
+
+    With `only`, sets pass a Bloom filter of its nodes first; join exactly after.
+    """
     shared = rows.sparkSession.sparkContext.broadcast(np.minimum(sketch, (1 << 31) - 1).astype(np.int32))
     mask = np.uint64(len(sketch) - 1)
+    bloom = rows.sparkSession.sparkContext.broadcast(bloom_of(only)) if only is not None else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, seen = shared.value, set()
@@ -113,6 +117,8 @@ def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray, list_r
                     continue
                 if len(seen) < 200_000:
                     seen.add(name)
+                if bloom is not None and not bloom_holds(bloom.value, [name])[0]:
+                    continue
                 n = len(grams)
                 common = counts[(grams & mask).astype(np.int64)]
                 key = (np.minimum(common, (1 << 20) - 1).astype(np.uint64) << np.uint64(44)) | (grams >> np.uint64(20))
@@ -241,6 +247,11 @@ def bloom_positions(nodes: list[bytes], bits: int) -> np.ndarray:
     return raw.astype(np.int64) % bits
 
 
+def bloom_holds(bloom: np.ndarray, nodes: list[bytes]) -> np.ndarray:
+    where = bloom_positions(nodes, BLOOM_BITS)
+    return ((bloom[where >> 3] >> (where & 7).astype(np.uint8)) & 1).all(axis=1)
+
+
 def bloom_of(nodes: DataFrame) -> np.ndarray:
     """A Bloom filter of fixed size over the column `node`; each task makes a part."""
 
@@ -264,9 +275,7 @@ def rebuilt_sets(rows: DataFrame, nodes: DataFrame, words: int) -> DataFrame:
         for batch in slices(batches, most=STEP_BYTES):
             own = [(digest(s), i, s) for i, s in zip(batch.column("doc_id").to_pylist(), gram_sets(batch.column("text"), words)) if len(s)]
             if own:
-                where = bloom_positions([x[0] for x in own], BLOOM_BITS)
-                hit = ((have[where >> 3] >> (where & 7).astype(np.uint8)) & 1).all(axis=1)
-                own = [x for x, ok in zip(own, hit) if ok]
+                own = [x for x, ok in zip(own, bloom_holds(have, [x[0] for x in own])) if ok]
             if own:
                 offsets = np.concatenate(([0], np.cumsum([len(x[2]) for x in own]))).astype(np.int32)
                 grams = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([x[2] for x in own]).view(np.int64)))
@@ -396,20 +405,20 @@ def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block
     blocks = stored(blocks.join(one, "key"), "blocks", at)
     size = blocks.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / block_sets), F.ceil(F.sum("n") / block_grams)).cast("int").alias("parts"))
     dealt = stored(blocks.join(size, "root"), "dealt", at)
-    sets = rebuilt_sets(rows, dealt, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63)))
 
     def deal(which: DataFrame, number: int) -> DataFrame:
+        sets = rebuilt_sets(rows, which, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63)))
         part = F.xxhash64("root", F.pmod(F.xxhash64("node", F.lit(number)), F.col("parts")))
         return stored(verified_blocks(sets.join(which.select("node", "doc_id", part.alias("part")), ["node", "doc_id"]).select("part", "node", "grams"), percent), f"links_{number}", at)
 
     links = deal(dealt, 0)
-    large = dealt.where("parts > 1")
+    large = stored(dealt.where("parts > 1"), "large", at)
     if large.isEmpty():
         return index, links
     for number in range(1, DEALS):
         links = links.unionByName(deal(large, number))
     roots = components(links, at, "partly")
-    rest = posts.join(large.select("node", "key"), "key")
+    rest = posted(rows, words, percent, sketch, list_rows, large).join(large.select("node", "key"), "key")
     pairs = stored(between_components(rest, roots, percent), "pairs", at)
     if pairs.isEmpty():
         return index, links
