@@ -112,6 +112,20 @@ def test_audio_codecs():
     assert ends.tolist() == [0, 2000, 2003] and np.abs(low[50:1900] - tone[200:7600:4]).max() < 60
 
 
+def test_audio_keeps_every_sample_and_its_rate(spark, docs, tmp_path):
+    table = audio.TABLES[audio.ULAW]
+    payload = {(i, t): audio.padded_payload(t.encode(), 576, 255) for i, t in texts_of(docs)}
+    got = audio.with_pcm(audio.written_media(docs, str(tmp_path), audio.ULAW, 576, 255, "doc_id", "text")).collect()
+    want = {hashlib.sha256(p).hexdigest(): table[np.frombuffer(p, np.uint8)].astype("<i2").tobytes() for p in payload.values()}
+    assert {r["payload_sha256"]: bytes(r["pcm"]) for r in got} == want and {r["pcm_rate"] for r in got} == {8000}
+    assert all(r["feature"].endswith(f"pcm={zlib.crc32(want[r['payload_sha256']]):08x}") for r in got)
+    signals, rates = [np.arange(100, dtype=np.int16), np.zeros(8, np.int16)], [8000, 4000]
+    sound, out = audio.at_rate(signals, rates, 4000)
+    assert out == [4000, 4000] and [len(x) for x in sound] == [100, 16] and audio.at_rate(signals, rates, None)[1] == rates
+    with pytest.raises(ValueError):
+        audio.at_rate(signals, rates, 3000)
+
+
 def test_mixing(docs, empty):
     kept = mixing.sampled(docs, keep=0.5)
     assert set(docs.columns) <= set(kept.columns)
