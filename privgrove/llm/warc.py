@@ -72,32 +72,38 @@ def record_text(revisit: Column) -> Column:
 def write_archives(pages: DataFrame, path: str, least_bytes: int = 0, id_col: str = "page_id", html_col: str = "html", url_col: str = "url", file_bytes: int = FILE_BYTES) -> None:
     """Write one record per row. Null html is an empty payload; a null id is written empty and read as null."""
     rows = with_revisits(pages, least_bytes, id_col, html_col, url_col, f"{path}_work")
-    size = rows.agg(F.avg("size")).first()[0] or 0
+    size = rows.agg(F.avg(F.col("size") + F.octet_length("url"))).first()[0] or 0
     each = max(1, int(file_bytes / (size + 400)))
     rows.select(record_text(F.col("refers_to").isNotNull()).alias("value")).write.mode("overwrite").option("lineSep", END).option("maxRecordsPerFile", each).text(path)
 
 
-NEXT_BREAK = re.compile(rb"\r\n\r\n")
+CRLF, BLANK = b"\r\n", b"\r\n\r\n"
 
 
 def candidates(raw: bytes) -> Iterator[tuple[int, int, dict[str, str], int]]:
     """(offset, successor, header fields, payload start) of every place where a record could begin.
 
     A candidate begins a line, has a version line and a header with a length that stays inside the file and is followed
-    by the closing breaks. Others can't be records, whatever the chain.
+    by the closing breaks. Others can't be records, whatever the chain. A header has any length and ends at the first
+    blank line; no line of it is another version line, so of several before one blank line only the last is a candidate
+    and every byte is searched once.
     """
     at = raw.find(MAGIC)
     while at >= 0:
-        if at == 0 or raw[at - 2 : at] == b"\r\n":
-            end = NEXT_BREAK.search(raw, at, at + (1 << 16))
-            if end:
-                lines = raw[at : end.start()].decode("utf-8", "replace").split("\r\n")
-                fields = {k.strip().lower(): v.strip() for k, sep, v in (line.partition(":") for line in lines[1:]) if sep}
-                length = fields.get("content-length", "")
-                if length.isascii() and length.isdigit():
-                    stop = end.end() + int(length)
-                    if raw[stop : stop + 4] == b"\r\n\r\n":
-                        yield at, stop + 4, fields, end.end()
+        if at == 0 or raw[at - 2 : at] == CRLF:
+            end = raw.find(BLANK, at)
+            if end < 0:
+                return
+            last = raw.rfind(CRLF + MAGIC, at, end)
+            at = at if last < 0 else last + len(CRLF)
+            lines = raw[at:end].decode("utf-8", "replace").split("\r\n")
+            fields = {k.strip().lower(): v.strip() for k, sep, v in (line.partition(":") for line in lines[1:]) if sep}
+            length = fields.get("content-length", "")
+            if length.isascii() and length.isdigit():
+                start = end + len(BLANK)
+                stop = start + int(length)
+                if raw[stop : stop + 4] == BLANK:
+                    yield at, stop + 4, fields, start
         at = raw.find(MAGIC, at + 1)
 
 

@@ -186,6 +186,17 @@ def test_warc(spark):
     assert warc.archived(pages.limit(0)).count() == 0
 
 
+def test_warc_keeps_pages_behind_a_long_url(spark):
+    rows = [(1, "data:text/plain," + "x" * 200_000, "long"), (2, "http://x/2", "\r\nWARC/1.1\r\nWARC/1.1\r\nContent-Length: 1\r\n\r\n"), (3, "http://x/3", "c"), (4, None, "d")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1)
+    got = {r["page_id"]: (r["payload_bytes"], r["payload_digest"]) for r in warc.archived(pages).collect()}
+    assert got == {k: (len(h), base64.b32encode(hashlib.sha1(h.encode()).digest()).decode()) for k, _, h in rows}
+    head = b"WARC/1.1\r\nWARC-Target-URI: " + b"u" * 70_000 + b"\r\nContent-Length: 3\r\n\r\nabc\r\n\r\n"
+    raw = head + b"WARC/1.1\r\nContent-Length: 1\r\n\r\nz\r\n\r\n"
+    assert [(a, b) for a, b, _, _ in warc.candidates(raw)] == [(0, len(head)), (len(head), len(raw))]
+    assert list(warc.candidates(b"WARC/1.1\r\n" * 300_000)) == []
+
+
 def test_language(spark, docs, empty):
     frame = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     rows = langid.languages(frame).join(frame.select("doc_id", "lang"), "doc_id").collect()
