@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
 
-
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from privgrove.functions import sqlfront
@@ -17,8 +18,9 @@ from privgrove.queries.base import KEY, query
 from privgrove.sources.io import load
 from privgrove.streaming import streams
 
-#: Registered studies use few, shallow trees: what they show is in the README at full size, from bench.py.
-SMALL = {"trees": 4, "max_depth": 3}
+#: Registered trainings and studies have their full settings: 20 trees of depth 6, all budgets, trials, sizes and bins.
+#: They are long; bench.py runs only w01, open and private at two budgets, one trial each.
+STUDIED = ("w01", "w02", "w03", "w04", "w05", "w06")
 LINE = m.LINE_KEY
 
 
@@ -54,7 +56,7 @@ for _name, _sql in ROWS_SQL.items():
 
     @query(f"{_name}_fit")
     def fitted(spark, d, name=_name):
-        return experiments.sweep(spark, d, name, (1.0, 10.0), 1, **SMALL)
+        return experiments.sweep(spark, d, name)
 
 
 STUMP_SQL = f"""WITH {m.HIST_SQL}, {m.grid_sql()}, {m.dp_sql(1 / 3)}, {m.cuts_sql("dp")},
@@ -80,13 +82,13 @@ def m30(spark, d):
 
 @query("m30_private_ensemble")
 def m30_ensemble(spark, d):
-    model, ledger, _ = fit(m.binned(spark, d), m.SPEC, BoostParams(epsilon_total=2.0, trees=3, max_depth=3, subsample=0.5, bins=m.BINS, min_child=50, noise_key=KEY))
+    model, ledger, _ = fit(m.binned(spark, d), m.SPEC, BoostParams(epsilon_total=2.0, bins=m.BINS, min_child=50, noise_key=KEY))
     return model.nodes(spark)
 
 
 @query("m30_ledger")
 def m30_ledger(spark, d):
-    _, ledger, _ = fit(m.binned(spark, d), m.SPEC, BoostParams(epsilon_total=2.0, trees=2, max_depth=2, subsample=0.5, bins=m.BINS, min_child=50, noise_key=KEY))
+    _, ledger, _ = fit(m.binned(spark, d), m.SPEC, BoostParams(epsilon_total=2.0, bins=m.BINS, min_child=50, noise_key=KEY))
     return ledger.to_df(spark)
 
 
@@ -94,51 +96,52 @@ def variant(name: str, **changes):
     @query(name)
     def run(spark, d):
         bench = experiments.Bench(spark, d, "w01")
-        p = bench.params(**({"epsilon_total": 10.0} | SMALL | changes))
+        p = bench.params(**({"epsilon_total": 10.0} | changes))
         out = experiments.table(spark, [bench.run(name, p)])
         bench.close()
         return out
 
 
 variant("m19b_local_proposals", proposal="local")
-variant("m32_joint_proposals", proposal="joint", max_cuts=8, trees=2)
+variant("m32_joint_proposals", proposal="joint")
 variant("m25_noisy_average_fit", leaf_mode="noisy_average")
 variant("m25_strict_fit", leaf_mode="noisy_average", strict=True)
 variant("m23_worst_case_fit", leaf_mode="worst_case")
-variant("m31_uneven_fit", tree_weights=(4.0, 3.0, 2.0, 1.0), early_leaf_bonus=True)
+variant("m31_uneven_fit", tree_weights=tuple(float(k) for k in range(20, 0, -1)), early_leaf_bonus=True)
 
 
 @query("b01_open_model")
 def b01(spark, d):
     bench = experiments.Bench(spark, d, "w01")
-    out = experiments.table(spark, [bench.run("open", bench.params(**SMALL).open())])
+    out = experiments.table(spark, [bench.run("open", bench.params().open())])
     bench.close()
     return out
 
 
 @query("b03_precursor")
 def b03(spark, d):
-    return experiments.against_precursor(spark, d, "w01", (1.0,), 1, **SMALL)
+    one, other = (experiments.against_precursor(spark, d, name, experiments.EPSILONS, experiments.TRIALS) for name in ("w01", "w03"))
+    return one.unionByName(other)
 
 
 @query("w07_leaf_study")
 def w07(spark, d):
-    return experiments.leaf_study(spark, d, "w01", 1.0, (20, 60), **SMALL)
+    return experiments.leaf_study(spark, d)
 
 
 @query("w08_bin_study")
 def w08(spark, d):
-    return experiments.bin_study(spark, d, "w01", 1.0, (8, 16), **SMALL)
+    return experiments.bin_study(spark, d)
 
 
 @query("w09_result_table")
 def w09(spark, d):
-    return experiments.means(experiments.sweep(spark, d, "w03", (1.0, 10.0), 2, trees=2, max_depth=3))
+    return experiments.means(reduce(DataFrame.unionByName, [experiments.sweep(spark, d, name) for name in STUDIED]))
 
 
 @query("w10_runtime")
 def w10(spark, d):
-    return experiments.runtime(spark, d, "w01", **SMALL)
+    return experiments.runtime(spark, d)
 
 
 # ---- audits

@@ -9,6 +9,7 @@ from privgrove.operators.gradient import UNIT
 from privgrove.plans import audit, experiments
 from privgrove.plans.boost import BoostParams, fit
 from privgrove.queries import methods as m
+from privgrove.queries import registry
 
 SMALL = BoostParams(epsilon_total=2.0, trees=2, max_depth=3, subsample=0.5, bins=m.BINS, min_child=20, noise_key="k0")
 
@@ -76,6 +77,40 @@ def test_open_model_beats_private_beats_constant(spark):
     assert open_ <= private + 0.5 < floor
 
 
+def test_registered_studies_run_in_full(spark, sf_dir, monkeypatch):
+    """What each query asks to be trained; the training itself is replaced."""
+    asked = []
+
+    class Asked(experiments.Bench):
+        def __init__(self, spark, sf_dir, name, bins=None):
+            self.work, self.bins, self.settings = experiments.for_tables(sf_dir)[name], bins or 64, {"min_child": 500}
+
+        def run(self, variant, params, trial=0):
+            asked.append((self.work.name, variant, params, trial))
+            return experiments.Run(self.work.name, variant, params.epsilon_total, trial, "error_pct", 1.0, 1, 1.0, 1.0)
+
+        def floor(self):
+            return experiments.Run(self.work.name, "constant", 0.0, 0, "error_pct", 1.0, 1, 0.0, 0.0)
+
+        def close(self):
+            pass
+
+    def of(name):
+        asked.clear()
+        registry.QUERIES[name](spark, sf_dir)
+        assert all((p.trees, p.max_depth) == (20, 6) for _, v, p, _ in asked if v != "warm-up")
+        return list(asked)
+
+    monkeypatch.setattr(experiments, "Bench", Asked)
+    private = {(w, p.epsilon_total, t) for w, v, p, t in of("w09_result_table") if v == "private"}
+    assert private == {(f"w0{k}", eps, t) for k in range(1, 7) for eps in experiments.EPSILONS for t in range(experiments.TRIALS)}
+    assert {v for _, v, _, _ in of("w07_leaf_study")} == {"clipped", "noisy_average", "min_child_200", "min_child_600"}
+    assert {p.bins for _, _, p, _ in of("w08_bin_study")} == {8, 16, 32, 64, 128}
+    assert {(w, p.epsilon_total, t) for w, _, p, t in of("b03_precursor")} == {(w, eps, t) for w in ("w01", "w03") for eps in experiments.EPSILONS for t in range(experiments.TRIALS)}
+    for name in ("b01_open_model", "w10_runtime", "w04_fit", *(n for n in registry.QUERIES if n.startswith("m") and n.endswith("_fit"))):
+        assert of(name), name
+
+
 def test_audits_stay_below_their_epsilon(spark):
     for mechanism, one, other, eps in ((audit.laplace_count(0.5), 10, 11, 0.5), (audit.exponential_of(1.0, 3.0), [0.0, 3.0, 1.0], [3.0, 0.0, 1.0], 1.0)):
         rows = audit.empirical_epsilon(spark, mechanism, one, other, 40_000).collect()
