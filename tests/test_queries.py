@@ -20,3 +20,16 @@ def test_same_rows_as_duckdb(spark, sf_dir, name):
     plain = lambda v: None if v is None or v != v else float(v) if isinstance(v, (int, float)) and not isinstance(v, bool) else str(v)
     rows = lambda df: sorted((tuple(plain(v) for v in r) for r in df[cols].itertuples(index=False)), key=repr)
     assert rows(got) == rows(want)
+
+
+@pytest.mark.parametrize("how", ["left", "right", "full"])
+def test_outer_joins_keep_every_row_of_the_outer_side(spark, sf_dir, how):
+    rows = registry.QUERIES[f"j03_{how}_outer"](spark, sf_dir).toPandas()
+    customers, orders = (spark.read.parquet(f"{sf_dir}/{t}.parquet").count() for t in ("customer", "orders"))
+    assert (rows.iloc[:, 0].nunique() == customers) == (how != "right") and (rows.iloc[:, 1].nunique() == orders) == (how != "left")
+    assert rows.isna().any().tolist() == [how != "left", how != "right"]
+    db = duckdb.connect()
+    for t in ("customer", "orders"):
+        db.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf_dir}/{t}.parquet'")
+    got = [tuple(r) for r in registry.QUERIES[f"j03_{how}_outer"](spark, sf_dir).collect()]
+    assert sorted(got, key=repr) == sorted(db.execute(registry.SQL[f"j03_{how}_outer"]).fetchall(), key=repr)
