@@ -11,7 +11,10 @@
 5. A block too large for a task is dealt out at random, several times over, and the links found are joined. Lists that
    still hold several components of such a block then give the pairs between them, each verified once on the whole sets.
 
-A pair inside a component is never needed, so groups of copies are not expanded; no link between components is lost.
+6. Links: those inside a component are then counted, each pair of different sets once and without a row for it. A large
+   component is cut into parts, and each pair of parts is a task.
+
+Steps 3 to 5 need no pair inside a component, so groups of copies are not expanded; no link between components is lost.
 """
 
 from __future__ import annotations
@@ -428,8 +431,74 @@ def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block
     return index, links.unionByName(stored(verified_pairs(pairs, whole, percent), "links_rest", at))
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text", **sizes: int) -> DataFrame:
-    """Per document: doc_id, n_shingles, component_id (the smallest doc_id that links reach, itself included).
+def cell_links(sets: list[np.ndarray], side: np.ndarray | None, percent: int) -> Iterator[tuple[int, np.ndarray]]:
+    """(set, linked sets) with each linked pair once: of all sets, or with `side` only between its False and True sets."""
+    sizes = np.array([len(s) for s in sets])
+    codes = np.unique(np.concatenate(sets), return_inverse=True)[1]
+    starts, owner = np.cumsum(sizes) - sizes, np.repeat(np.arange(len(sets)), sizes)
+    held = np.ones(len(codes), bool) if side is None else side[owner]
+    posts = owner[held][np.argsort(codes[held], kind="stable")]
+    at = np.concatenate(([0], np.cumsum(np.bincount(codes[held], minlength=codes.max() + 1))))
+    for i in range(len(sets)) if side is None else np.flatnonzero(~side):
+        own = codes[starts[i] : starts[i] + sizes[i]]
+        both = np.bincount(posts[ragged(at[own], at[own + 1] - at[own])], minlength=len(sets))
+        near = np.flatnonzero((both > 0) & (100 * both >= percent * (sizes[i] + sizes - both)))
+        yield int(i), near[near > i] if side is None else near
+
+
+def component_links(rows: DataFrame, members: DataFrame, words: int, percent: int, at: str, pairs: bool = False, block_sets: int = BLOCK_SETS, block_grams: int = BLOCK_GRAMS) -> DataFrame:
+    """Of members (node, root, doc_id, n, copies): (node, linked), documents whose set is another one that links; rows of
+    a node add up. With pairs, every linked pair of nodes (u, v)."""
+    size = members.groupBy("root").agg(F.count(F.lit(1)).alias("held"), F.greatest(F.ceil(F.count(F.lit(1)) / block_sets), F.ceil(F.sum("n") / block_grams)).cast("int").alias("parts")).where("held > 1")
+    dealt = stored(members.join(size, "root").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")), "members_dealt", at)
+    sets = rebuilt_sets(rows, dealt, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63))).join(dealt.select("node", "doc_id", "root", "part", "parts", "copies"), ["node", "doc_id"])
+    cells = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    cells = cells.select("root", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "part", "node", "copies", "grams")
+
+    def run(table: pa.Table) -> pa.Table:
+        at = list({name: k for k, name in enumerate(table["node"].to_pylist())}.values())
+        names, copies, lists = (table[c].take(pa.array(at)) for c in ("node", "copies", "grams"))
+        names, copies, part = names.to_pylist(), copies.to_numpy(), table["part"].to_numpy()[at]
+        high = table["high"][0].as_py()
+        side = None if table["low"][0].as_py() == high else part == high
+        if len(names) < 2 or side is not None and (side.all() or not side.any()):
+            return pa.table({"u": pa.array([], pa.binary()), "v": pa.array([], pa.binary())}) if pairs else pa.table({"node": pa.array([], pa.binary()), "linked": pa.array([], pa.int64())})
+        grams = [x.values.to_numpy() for x in lists]
+        if pairs:
+            found = [(names[i], names[k]) for i, near in cell_links(grams, side, percent) for k in near]
+            return pa.table({"u": pa.array([min(f) for f in found], pa.binary()), "v": pa.array([max(f) for f in found], pa.binary())})
+        linked = np.zeros(len(names), np.int64)
+        for i, near in cell_links(grams, side, percent):
+            linked[i] += copies[near].sum()
+            linked[near] += copies[i]
+        return pa.table({"node": pa.array(names, pa.binary()), "linked": pa.array(linked)})
+
+    return stored(cells.groupBy("root", "low", "high").applyInArrow(run, "u binary, v binary" if pairs else "node binary, linked long"), "pairs_all" if pairs else "linked", at)
+
+
+def grouped(rows: DataFrame, words: int, percent: int, cells: int, at: str, **sizes: int) -> tuple[DataFrame, DataFrame]:
+    """(index, members): of every document, and of every node its root, one document, its size and its copies."""
+    index, links = linked(rows, words, percent, cells, at, **sizes)
+    roots = stored(components(links, at, "all"), "roots", at)
+    nodes = index.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"), F.min(F.coalesce("doc_id", F.lit(-1 << 63))).alias("doc_id"), F.first("n").alias("n"), F.count(F.lit(1)).alias("copies"))
+    return index, stored(nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "members", at)
+
+
+def set_links(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text", **sizes: int) -> tuple[DataFrame, DataFrame]:
+    """(membership, links): node of every document (doc_id, node), and every linked pair (u, v) of different nodes once.
+
+    Documents of one node link as well. Pairs grow with the square of a group; near_duplicates counts them without rows.
+    """
+    at = shared_dir(docs.sparkSession)
+    rows = texts_of(docs, id_col, text_col)
+    index, members = grouped(rows, words, percent, cells, at, **sizes)
+    blocks = {k: v for k, v in sizes.items() if k != "list_rows"}
+    return index.select("doc_id", "node"), component_links(rows, members, words, percent, at, True, **blocks)
+
+
+def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text", count_links: bool = True, **sizes: int) -> DataFrame:
+    """Per document: doc_id, n_shingles, component_id (the smallest doc_id that links reach, itself included), and with
+    count_links n_links, the number of other documents that it links with, copies included.
 
     Two documents link when 100 * intersection >= percent * union of their word n-gram sets. Null or empty texts, and
     texts of white space, have an empty set and link with nothing. Rows with equal sets are linked, however many there
@@ -438,13 +507,16 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: i
     """
     at = shared_dir(docs.sparkSession)
     rows = texts_of(docs, id_col, text_col)
-    index, links = linked(rows, words, percent, cells, at, **sizes)
-    roots = stored(components(links, at, "all"), "roots", at)
-    nodes = index.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
-    nodes = stored(nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "members", at)
+    index, nodes = grouped(rows, words, percent, cells, at, **sizes)
     least = nodes.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = stored(nodes.join(least, "root").select("node", "component_id"), "named", at)
-    return index.join(named, "node", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    named = nodes.join(least, "root").select("node", "component_id", "copies")
+    out = [F.col("doc_id"), F.col("n").alias("n_shingles"), F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id")]
+    if count_links:
+        blocks = {k: v for k, v in sizes.items() if k != "list_rows"}
+        sums = component_links(rows, nodes, words, percent, at, **blocks).groupBy("node").agg(F.sum("linked").alias("linked"))
+        named = named.join(sums, "node", "left")
+        out.append((F.coalesce("linked", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).alias("n_links"))
+    return index.join(stored(named, "named", at), "node", "left").select(*out)
 
 
 def first_of_each(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -452,7 +524,7 @@ def first_of_each(docs: DataFrame, words: int = 5, percent: int = 80, id_col: st
 
     Of rows that share an id and a component, one stays. Rows without an id can't be named as copies and stay.
     """
-    found = stored(near_duplicates(docs, words, percent, id_col=id_col, text_col=text_col), "found")
+    found = stored(near_duplicates(docs, words, percent, id_col=id_col, text_col=text_col, count_links=False), "found")
     gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias(id_col)).distinct()
     kept = docs.join(stored(gone, "gone"), id_col, "left_anti")
     if found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").isEmpty():

@@ -50,7 +50,7 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=90)
+    return jaccard.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=90).drop("n_links")
 
 
 def op6_warc_chain(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -302,6 +302,27 @@ def test_jaccard(spark, sizes):
     assert got == {i: (n[i], roots[i]) for i, _ in rows}
 
 
+@pytest.mark.parametrize("sizes", [{}, {"block_sets": 2}])
+def test_jaccard_finds_every_link(spark, sizes):
+    rng = np.random.default_rng(4)
+    base, texts = [f"w{k}" for k in range(40)], ["", "one", "ONE", "other words here"]
+    for k in range(12):
+        w = list(base)
+        w[int(rng.integers(0, 40))] = f"z{k}"
+        texts += [" ".join(w)] * (1 + k % 2)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    sets = [{tuple(w[k : k + 3]) for k in range(max(1, len(w) - 2))} if (w := t.lower().split()) else set() for t in texts]
+    like = lambda a, b: bool(sets[a]) and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])
+    want = {(a, b) for a in range(len(texts)) for b in range(len(texts)) if a != b and like(a, b)}
+    assert len({frozenset(sets[x]) for p in want for x in p}) > 3
+    got = {r["doc_id"]: r["n_links"] for r in jaccard.near_duplicates(docs, 3, 80, **sizes).collect()}
+    assert got == {a: sum(x == a for x, _ in want) for a in range(len(texts))}
+    members, links = jaccard.set_links(docs, 3, 80, **sizes)
+    node = {r["doc_id"]: r["node"] for r in members.collect()}
+    pairs = [frozenset((r["u"], r["v"])) for r in links.collect()]
+    assert len(pairs) == len(set(pairs)) and set(pairs) == {frozenset((node[a], node[b])) for a, b in want if node[a] != node[b]}
+
+
 def test_jaccard_awkward_rows(docs, empty):
     rows = jaccard.near_duplicates(docs, 3, 80).collect()
     assert len(rows) == docs.count()
