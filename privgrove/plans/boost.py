@@ -1,5 +1,6 @@
 """Training: private cuts, private splits, private leaves, tree after tree on fresh samples.
 
+Any number of models, such as the trials and budgets of a study, are trained in step: a level of all of them is one job.
 Only counts leave the tasks. A tree's sample is its own partition of a table written once; its rows keep static bins, so a
 pass reads a few bytes per feature. One job per level sums fixed-point gradients by (node, feature, bin); the sums of the
 larger child come from its parent's. What reaches the driver is bounded by nodes x features x bins.
@@ -8,8 +9,9 @@ larger child come from its parent's. What reaches the driver is bounded by nodes
 from __future__ import annotations
 
 import time
-from collections.abc import Iterator
-from dataclasses import asdict, dataclass
+from collections.abc import Generator, Iterator
+from dataclasses import asdict, dataclass, replace
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +26,7 @@ from privgrove.operators.gradient import UNIT
 from privgrove.operators.proposals import cuts_of, joint_quantiles
 from privgrove.operators.schema import DatasetSpec
 from privgrove.operators.splits import best_split
-from privgrove.plans.ledger import BudgetPlan, Charge, Ledger, plan_ensemble
+from privgrove.plans.ledger import BudgetPlan, Charge, Ledger, plan_ensemble, sequential
 from privgrove.plans.tree import Tree, TreeModel, bins_of, routed
 from privgrove.sources.io import shared_dir
 
@@ -40,6 +42,7 @@ class BoostParams:
     lam: float = 0.1
     g_star: float = 1.0
     min_child: int = 500
+    min_hessian: float = 0.0  # of a child; each row's hessian is 1 under squared loss
     min_gain: float | None = None
     subsample: float = 0.1
     max_cuts: int = 50
@@ -62,53 +65,80 @@ class BoostParams:
         return BoostParams(**(asdict(self) | {"private": False, "proposal_noise": False, "split_mode": "greedy", "leaf_mode": "exact", "gradient_filter": False}))
 
 
-def level_sums(workset: DataFrame, tree: Tree, open_nodes: list[int], m: int, bins: int) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """Per open node: (gradient sums, counts) by feature and 1 + bin; place 0 is missing."""
+Sums = dict[int, tuple[np.ndarray, np.ndarray]]
+
+
+def level_sums(workset: DataFrame, asked: dict[int, tuple[Tree, list[int]]], m: int, bins: int) -> dict[int, Sums]:
+    """Per run and open node of its tree: (gradient sums, counts) by feature and 1 + bin; place 0 is missing.
+
+    A task gives a row per cell that its rows fill at most; what reaches the driver is bounded by nodes times cells.
+    """
     width = bins + 1
-    arrays, depth = tree.arrays(), tree.depth()
-    slot = np.full(len(arrays[0]), -1)
-    for k, node in enumerate(open_nodes):
-        slot[np.searchsorted(arrays[6], node)] = k
-    size = len(open_nodes) * m * width
+    each, at, packed = m * width, 0, {}
+    for run, (tree, nodes) in asked.items():
+        arrays = tree.arrays()
+        slot = np.full(len(arrays[0]), -1)
+        slot[np.searchsorted(arrays[6], nodes)] = np.arange(len(nodes))
+        packed[run] = arrays, tree.depth(), slot, at, len(nodes) * each
+        at += len(nodes) * each
+    total = at
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums, counts = np.zeros(size, np.int64), np.zeros(size, np.int64)
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, counts = np.zeros(total, np.int64), np.zeros(total, np.int64)
         for batch in batches:
-            b, g = bins_of(batch, m).astype(np.int64), batch.column("g").to_numpy()
-            own = slot[routed(arrays, b, depth)]
-            keep = own >= 0
-            own, b, g = own[keep], b[keep], g[keep]
-            for k in range(m):
-                cell = (own * m + k) * width + b[:, k] + 1
-                counts += np.bincount(cell, minlength=size)
-                # halves below 2**53 in float sums, so integers come out whole
-                high, low = g >> 16, g & 0xFFFF
-                sums += (np.bincount(cell, high, size).astype(np.int64) << 16) + np.bincount(cell, low, size).astype(np.int64)
+            owner, bins_, gs = batch.column("run").to_numpy(), bins_of(batch, m).astype(np.int64), batch.column("g").to_numpy()
+            for run in np.unique(owner).tolist():
+                if run not in packed:
+                    continue
+                arrays, depth, slot, start, size = packed[run]
+                mine = owner == run
+                b, g = (bins_, gs) if mine.all() else (bins_[mine], gs[mine])
+                own = slot[routed(arrays, b, depth)]
+                keep = own >= 0
+                own, b, g = own[keep], b[keep], g[keep]
+                part = slice(start, start + size)
+                for k in range(m):
+                    cell = own * each + k * width + b[:, k] + 1
+                    counts[part] += np.bincount(cell, minlength=size)
+                    # halves below 2**53 in float sums, so integers come out whole
+                    sums[part] += (np.bincount(cell, g >> 16, size).astype(np.int64) << 16) + np.bincount(cell, g & 0xFFFF, size).astype(np.int64)
         at = np.flatnonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(sums[at]), pa.array(counts[at])], names=["cell", "sg", "n"])
 
-    part = workset.mapInArrow(run, "cell long, sg long, n long").groupBy("cell").agg(F.sum("sg").alias("sg"), F.sum("n").alias("n")).toArrow()
-    sums, counts = np.zeros(size, np.int64), np.zeros(size, np.int64)
+    part = workset.mapInArrow(add, "cell long, sg long, n long").groupBy("cell").agg(F.sum("sg").alias("sg"), F.sum("n").alias("n")).toArrow()
+    sums, counts = np.zeros(total, np.int64), np.zeros(total, np.int64)
     cell = part["cell"].to_numpy()
     sums[cell], counts[cell] = part["sg"].to_numpy(), part["n"].to_numpy()
-    shape = (len(open_nodes), m, width)
-    return {node: (sums.reshape(shape)[k], counts.reshape(shape)[k]) for k, node in enumerate(open_nodes)}
+    out = {}
+    for run, (_, nodes) in asked.items():
+        *_, start, size = packed[run]
+        s, n = (x[start : start + size].reshape(len(nodes), m, width) for x in (sums, counts))
+        out[run] = {node: (s[k], n[k]) for k, node in enumerate(nodes)}
+    return out
 
 
-def workset_of(sample: DataFrame, model: TreeModel, params: BoostParams) -> DataFrame:
-    """Bins and fixed-point gradients of a tree's sample at the model's margins; filtered by gradient size."""
-    packed, m = [(t.arrays(), t.depth()) for t in model.trees], model.spec.m
-    filtered, bound = params.gradient_filter, params.g_star
+def workset_of(sample: DataFrame, models: dict[int, TreeModel], params: list[BoostParams], draw_of: list[int]) -> DataFrame:
+    """Bins and fixed-point gradients of a tree's samples at the margins of every run that uses them, with its run;
+    filtered by gradient size."""
+    m = next(iter(models.values())).spec.m
+    packed = {r: [(t.arrays(), t.depth()) for t in model.trees] for r, model in models.items()}
+    by_draw = {d: [r for r in models if draw_of[r] == d] for d in {draw_of[r] for r in models}}
+    bound = [(p.gradient_filter, p.g_star) for p in params]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = [*(f"b_{k}" for k in range(m)), "g", "run"]
         for batch in batches:
-            bins, y = bins_of(batch, m), batch.column("y").to_numpy()
-            g = sum((a[5][routed(a, bins, d)] for a, d in packed), np.zeros(len(bins))) - y
-            keep = np.flatnonzero(np.abs(g) <= bound) if filtered else np.arange(len(g))
-            cols = [batch.column(f"b_{k}").take(pa.array(keep)) for k in range(m)]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(np.trunc(g[keep] * UNIT).astype(np.int64))], names=[*(f"b_{k}" for k in range(m)), "g"])
+            drawn = batch.column("draw").to_numpy()
+            for d in np.unique(drawn).tolist():
+                part = batch.filter(pa.array(drawn == d))
+                bins, y = bins_of(part, m), part.column("y").to_numpy()
+                for r in by_draw.get(d, ()):
+                    g = sum((a[5][routed(a, bins, depth)] for a, depth in packed[r]), np.zeros(len(bins))) - y
+                    keep = np.flatnonzero(np.abs(g) <= bound[r][1]) if bound[r][0] else np.arange(len(g))
+                    cols = [part.column(f"b_{k}").take(pa.array(keep)) for k in range(m)]
+                    yield pa.RecordBatch.from_arrays([*cols, pa.array(np.trunc(g[keep] * UNIT).astype(np.int64)), pa.array(np.full(len(keep), r, np.int16))], names=names)
 
-    return sample.select(*[f"b_{k}" for k in range(m)], "y").mapInArrow(run, ", ".join([*(f"b_{k} smallint" for k in range(m)), "g bigint"]))
+    return sample.select(*[f"b_{k}" for k in range(m)], "y", "draw").mapInArrow(run, ", ".join([*(f"b_{k} smallint" for k in range(m)), "g bigint", "run smallint"]))
 
 
 def cuts_for(counts: np.ndarray, plan: BudgetPlan | None, params: BoostParams, ids: tuple) -> list[np.ndarray]:
@@ -137,10 +167,11 @@ def plans_of(spec: DatasetSpec, params: BoostParams) -> list[BudgetPlan] | None:
     return plan_ensemble(params.epsilon_total, params.trees, params.subsample, spec.m, params.max_depth, params.shares, params.tree_weights, params.early_leaf_bonus)
 
 
-def grow(workset: DataFrame, spec: DatasetSpec, params: BoostParams, plan: BudgetPlan | None, number: int) -> Tree:
-    """One tree on its workset."""
+def growing(spec: DatasetSpec, params: BoostParams, plan: BudgetPlan | None, number: int) -> Generator[tuple[Tree, list[int]], Sums, Tree]:
+    """One tree: asks for the sums of open nodes, level by level, and returns the tree."""
     key, tree = params.noise_key, Tree()
-    open_nodes, hist, cuts = [0], level_sums(workset, Tree(), [0], spec.m, params.bins), None
+    open_nodes, cuts = [0], None
+    hist = yield tree, open_nodes
     for depth in range(params.max_depth + 1):
         split_level = []
         for node in open_nodes:
@@ -154,14 +185,14 @@ def grow(workset: DataFrame, spec: DatasetSpec, params: BoostParams, plan: Budge
             else:
                 own = cuts = cuts if cuts is not None else cuts_for(n, plan, params, (f"{key}|sketch|{number}",))
             eps = plan.level if plan and params.split_mode == "exponential" else None
-            best = best_split(sg, n, own, params.lam, params.min_child, params.min_gain, params.strict, eps, params.g_star, (f"{key}|split|{number}", node))
+            best = best_split(sg, n, own, params.lam, max(params.min_child, params.min_hessian), params.min_gain, params.strict, eps, params.g_star, (f"{key}|split|{number}", node))
             if best:
                 tree.split(node, best.feature, best.cut_bin, best.default_left)
                 split_level.append((node, best))
         if not split_level:
             break
         small = [2 * v + 1 if b.nl <= b.nr else 2 * v + 2 for v, b in split_level]
-        found = level_sums(workset, tree, small, spec.m, params.bins)
+        found = yield tree, small
         for (v, _), s in zip(split_level, small):
             other = 4 * v + 3 - s
             found[other] = tuple(whole - part for whole, part in zip(hist[v], found[s]))
@@ -177,34 +208,82 @@ def grow(workset: DataFrame, spec: DatasetSpec, params: BoostParams, plan: Budge
     return tree
 
 
-def fit(binned: DataFrame, spec: DatasetSpec, params: BoostParams, materialized: bool = True) -> tuple[TreeModel, Ledger, list[float]]:
-    """(model, ledger, seconds per tree) for BINNED rows (row_key, b_.., y)."""
-    spark = binned.sparkSession
-    plans = plans_of(spec, params)
-    ledger = Ledger(params.epsilon_total if plans else float("inf"), 1.0 if params.disjoint else params.subsample, disjoint_trees=params.disjoint)
-    model, seconds = TreeModel(spec, params.bins, params=asdict(params) | {"noise_key": ""}), []
+def charges_of(params: BoostParams, plan: BudgetPlan, number: int) -> list[Charge]:
+    """What a tree releases. In strict mode a noisy average also tells of an exact count; that charge is extra, and the
+    whole tree is scaled by `strict_plan` so that both fit."""
+    charges = plan.charges(number)
+    if params.strict and params.leaf_mode == "noisy_average":
+        more = strict_average_charge(plan.leaf(), params.min_child, params.lam) - plan.leaf()
+        charges.append(Charge(number, "leaf count", params.max_depth, "leaf counts", more, note="exact count, floored"))
+    return charges
+
+
+def strict_plan(params: BoostParams, plan: BudgetPlan) -> BudgetPlan:
+    """The largest plan whose charges, with those for exact counts, stay within the given plan's eps."""
+    if not (params.strict and params.leaf_mode == "noisy_average"):
+        return plan
+    low, high = 0.0, plan.eps_tree
+    for _ in range(100):
+        middle = (low + high) / 2
+        spent = sequential([c.epsilon for c in charges_of(params, replace(plan, eps_tree=middle), 0)])
+        low, high = (middle, high) if spent <= plan.eps_tree else (low, middle)
+    return replace(plan, eps_tree=low)
+
+
+def drawn_for(binned: DataFrame, params: BoostParams) -> DataFrame:
+    """The rows of all trees' samples, with tree_id."""
     if params.disjoint:
         eta = params.learning_rate
-        drawn = sampling.disjoint(binned, [eta * (1 - eta) ** t for t in range(params.trees)], params.noise_key)
-    else:
-        drawn = sampling.with_trees(binned, params.trees, params.subsample, params.noise_key)
+        return sampling.disjoint(binned, [eta * (1 - eta) ** t for t in range(params.trees)], params.noise_key)
+    return sampling.with_trees(binned, params.trees, params.subsample, params.noise_key)
+
+
+def fit_many(binned: DataFrame, spec: DatasetSpec, runs: list[BoostParams], materialized: bool = True) -> list[tuple[TreeModel, Ledger, list[float]]]:
+    """(model, ledger, seconds per tree) of every run, for BINNED rows (row_key, b_.., y) of one bin count.
+
+    Runs that draw alike share their samples. A tree of all runs takes one job a level; its seconds are shared out evenly.
+    Every run's result is what `fit` gives for it alone.
+    """
+    if len({p.bins for p in runs}) != 1:
+        raise ValueError("runs need one bin count, that of the rows")
+    spark = binned.sparkSession
+    drawing = [(p.noise_key, p.trees, p.disjoint, p.learning_rate if p.disjoint else p.subsample) for p in runs]
+    draws = sorted(set(drawing))
+    draw_of = [draws.index(d) for d in drawing]
     kept = [*[f"b_{k}" for k in range(spec.m)], "y", "tree_id"]
+    drawn = reduce(DataFrame.unionByName, [drawn_for(binned, runs[draw_of.index(k)]).select(*kept, F.lit(k).cast("smallint").alias("draw")) for k in range(len(draws))])
     if materialized:
         path = shared_dir(spark, "samples")
-        drawn.select(*kept).write.mode("overwrite").partitionBy("tree_id").parquet(path)
-        drawn = spark.read.schema(drawn.select(*kept).schema).parquet(path)
-    for t in range(params.trees):
+        drawn.write.mode("overwrite").partitionBy("tree_id").parquet(path)
+        drawn = spark.read.schema(drawn.schema).parquet(path)
+    plans = [x and [strict_plan(p, plan) for plan in x] for p, x in ((p, plans_of(spec, p)) for p in runs)]
+    ledgers = [Ledger(p.epsilon_total if x else float("inf"), 1.0 if p.disjoint else p.subsample, disjoint_trees=p.disjoint) for p, x in zip(runs, plans)]
+    models, seconds = [TreeModel(spec, p.bins, params=asdict(p) | {"noise_key": ""}) for p in runs], [[] for _ in runs]
+    for t in range(max(p.trees for p in runs)):
         began = time.time()
-        work = workset_of(drawn.where(F.col("tree_id") == t), model, params).persist(StorageLevel.MEMORY_AND_DISK)
-        plan = plans[t] if plans else None
-        if plan:
-            charges = plan.charges(t)
-            if params.strict and params.leaf_mode == "noisy_average":
-                more = strict_average_charge(plan.leaf(), params.min_child, params.lam) - plan.leaf()
-                charges.append(Charge(t, "leaf count", params.max_depth, "leaf counts", more, note="exact count, floored"))
-                ledger.limit = float("inf")  # the floor's extra charge comes on top and shows in the total
-            ledger.charge(charges)
-        model.trees.append(grow(work, spec, params, plan, t))
+        active = [r for r, p in enumerate(runs) if t < p.trees]
+        work = workset_of(drawn.where(F.col("tree_id") == t), {r: models[r] for r in active}, runs, draw_of).persist(StorageLevel.MEMORY_AND_DISK)
+        growers, asked, trees = {}, {}, {}
+        for r in active:
+            plan = plans[r][t] if plans[r] else None
+            if plan:
+                ledgers[r].charge(charges_of(runs[r], plan, t))
+            growers[r] = growing(spec, runs[r], plan, t)
+            asked[r] = next(growers[r])
+        while asked:
+            sums, now, asked = level_sums(work, asked, spec.m, runs[0].bins), list(asked), {}
+            for r in now:
+                try:
+                    asked[r] = growers[r].send(sums[r])
+                except StopIteration as done:
+                    trees[r] = done.value
+        for r in active:
+            models[r].trees.append(trees[r])
+            seconds[r].append((time.time() - began) / len(active))
         work.unpersist()
-        seconds.append(time.time() - began)
-    return model, ledger, seconds
+    return list(zip(models, ledgers, seconds))
+
+
+def fit(binned: DataFrame, spec: DatasetSpec, params: BoostParams, materialized: bool = True) -> tuple[TreeModel, Ledger, list[float]]:
+    """(model, ledger, seconds per tree) for BINNED rows (row_key, b_.., y)."""
+    return fit_many(binned, spec, [params], materialized)[0]

@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import asdict, dataclass, replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from privgrove.operators.sampling import is_test
 from privgrove.plans import metrics
-from privgrove.plans.boost import BoostParams, fit
-from privgrove.plans.ledger import Ledger
-from privgrove.plans.tree import TreeModel
+from privgrove.plans.boost import BoostParams, fit_many
+from privgrove.plans.tree import TreeModel, bins_of, routed
 from privgrove.plans.workloads import Workload, for_tables
 
 #: Budgets of the result table, and how often a trial is repeated with another key.
@@ -53,9 +55,6 @@ class Bench:
     def params(self, **changes) -> BoostParams:
         return BoostParams(**({"min_child": self.settings["min_child"], "bins": self.bins} | changes))
 
-    def fit(self, params: BoostParams) -> tuple[TreeModel, Ledger, list[float]]:
-        return fit(self.train, self.work.spec, params)
-
     def measure(self, scored: DataFrame) -> tuple[str, float, int]:
         if self.work.classes:
             value, n = metrics.error_pct(scored).first()
@@ -63,11 +62,37 @@ class Bench:
         value, n = metrics.rmse(scored, self.work.spec.target).first()
         return "rmse", value, n
 
+    def measures(self, models: list[TreeModel]) -> list[tuple[str, float, int]]:
+        """The same measure of every model, from one pass over the test rows."""
+        packed, m, classes, target = [[(t.arrays(), t.depth()) for t in x.trees] for x in models], self.work.spec.m, self.work.classes, self.work.spec.target
+        half = (target.hi - target.lo) / 2
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            loss, n = np.zeros(len(packed)), 0
+            for batch in batches:
+                bins, y = bins_of(batch, m), batch.column("y").to_numpy()
+                n += len(y)
+                for k, trees in enumerate(packed):
+                    margin = sum((a[5][routed(a, bins, depth)] for a, depth in trees), np.zeros(len(y)))
+                    loss[k] += (np.where(margin >= 0, 1.0, -1.0) != y).sum() if classes else (((np.clip(margin, -1, 1) - y) * half) ** 2).sum()
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(packed))), pa.array(loss), pa.array(np.full(len(packed), n))], names=["k", "loss", "n"])
+
+        sums = {r["k"]: (r["loss"], r["n"]) for r in self.test.mapInArrow(run, "k long, loss double, n long").groupBy("k").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n")).collect()}
+        mean = [sums[k][0] / max(sums[k][1], 1) for k in range(len(models))]
+        return [("error_pct", round(100 * x, 6), sums[k][1]) if classes else ("rmse", round(x**0.5, 6), sums[k][1]) for k, x in enumerate(mean)]
+
+    def run_many(self, asked: list[tuple[str, BoostParams, int]]) -> list[Run]:
+        """Fit and measure (variant, params, trial), all in step."""
+        fitted = fit_many(self.train, self.work.spec, [p for _, p, _ in asked])
+        found = self.measures([model for model, _, _ in fitted])
+        free = float("inf")
+        return [
+            Run(self.work.name, variant, p.epsilon_total if p.private else free, trial, measure, value, n, ledger.total() if p.private else free, sum(seconds) / len(seconds))
+            for (variant, p, trial), (_, ledger, seconds), (measure, value, n) in zip(asked, fitted, found)
+        ]
+
     def run(self, variant: str, params: BoostParams, trial: int = 0) -> Run:
-        model, ledger, seconds = self.fit(params)
-        measure, value, n = self.measure(model.predict_binned(self.test))
-        spent = ledger.total() if params.private else float("inf")
-        return Run(self.work.name, variant, params.epsilon_total if params.private else float("inf"), trial, measure, value, n, spent, sum(seconds) / len(seconds))
+        return self.run_many([(variant, params, trial)])[0]
 
     def floor(self) -> Run:
         """The constant predictor."""
@@ -92,42 +117,44 @@ def table(spark: SparkSession, runs: list[Run]) -> DataFrame:
 def sweep(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> DataFrame:
     """Error of the private model by budget and trial, with the open model and the constant."""
     bench = Bench(spark, sf_dir, name)
-    runs = [bench.floor(), bench.run("open", bench.params(**changes).open())]
-    for eps in epsilons:
-        runs += [bench.run("private", bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes), t) for t in range(trials)]
+    asked = [("open", bench.params(noise_key=f"k{t}", **changes).open(), t) for t in range(trials)]
+    asked += [("private", bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes), t) for eps in epsilons for t in range(trials)]
+    runs = [bench.floor(), *bench.run_many(asked)]
     bench.close()
     return table(spark, runs)
 
 
 def against_precursor(spark: SparkSession, sf_dir: str, name: str, epsilons=(1.0, 10.0), trials: int = 1, **changes) -> DataFrame:
     bench = Bench(spark, sf_dir, name)
-    runs = []
-    for eps in epsilons:
-        for t in range(trials):
-            p = bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes)
-            runs += [bench.run("private", p, t), bench.run("precursor", precursor(p), t)]
+    each = [(t, bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes)) for eps in epsilons for t in range(trials)]
+    runs = bench.run_many([x for t, p in each for x in (("private", p, t), ("precursor", precursor(p), t))])
     bench.close()
     return table(spark, runs)
 
 
-def leaf_study(spark: SparkSession, sf_dir: str, name: str = "w01", epsilon: float = 1.0, children: tuple[int, int] = (200, 600), **changes) -> DataFrame:
+def leaf_study(spark: SparkSession, sf_dir: str, name: str = "w01", epsilon: float = 1.0, children: tuple[int, int] = (200, 600), trials: int = TRIALS, **changes) -> DataFrame:
     """Leaf-noise strategies: clipped baseline, two minimum child sizes, noisy average."""
     bench = Bench(spark, sf_dir, name)
-    p = bench.params(epsilon_total=epsilon, **changes)
-    variants = {"clipped": replace(p, leaf_mode="geometric", min_child=1), "noisy_average": replace(p, leaf_mode="noisy_average")}
-    variants |= {f"min_child_{c}": replace(p, leaf_mode="min_child", min_child=c) for c in children}
-    runs = [bench.run(k, v) for k, v in variants.items()]
+    asked = []
+    for t in range(trials):
+        p = bench.params(epsilon_total=epsilon, noise_key=f"k{t}", **changes)
+        asked += [("clipped", replace(p, leaf_mode="geometric", min_child=1), t), ("noisy_average", replace(p, leaf_mode="noisy_average"), t)]
+        asked += [(f"min_child_{c}", replace(p, leaf_mode="min_child", min_child=c), t) for c in children]
+    runs = bench.run_many(asked)
     bench.close()
     return table(spark, runs)
 
 
-def bin_study(spark: SparkSession, sf_dir: str, name: str = "w01", epsilon: float = 1.0, bins=(8, 16, 32, 64, 128), **changes) -> DataFrame:
+def bin_study(spark: SparkSession, sf_dir: str, name: str = "w01", epsilon: float = 1.0, bins=(8, 16, 32, 64, 128, 256, 512), trials: int = TRIALS, **changes) -> DataFrame:
     """Private against data-exact cuts at several bin counts, everything else equal."""
     runs = []
     for b in bins:
         bench = Bench(spark, sf_dir, name, b)
-        p = bench.params(epsilon_total=epsilon, **changes)
-        runs += [bench.run(f"noised_{b}", p), bench.run(f"exact_{b}", replace(p, proposal_noise=False))]
+        asked = []
+        for t in range(trials):
+            p = bench.params(epsilon_total=epsilon, noise_key=f"k{t}", **changes)
+            asked += [(f"noised_{b}", p, t), (f"exact_{b}", replace(p, proposal_noise=False), t)]
+        runs += bench.run_many(asked)
         bench.close()
     return table(spark, runs)
 

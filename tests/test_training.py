@@ -1,5 +1,7 @@
 """Training: invariants of the loop, of samples and of the histograms."""
 
+from dataclasses import replace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -7,7 +9,7 @@ from pyspark.sql import functions as F
 from privgrove.operators import sampling, splits
 from privgrove.operators.gradient import UNIT
 from privgrove.plans import audit, experiments
-from privgrove.plans.boost import BoostParams, fit
+from privgrove.plans.boost import BoostParams, fit, fit_many
 from privgrove.queries import methods as m
 from privgrove.queries import registry
 
@@ -28,6 +30,30 @@ def test_budget_is_kept_and_counts_are_not_released(spark, sf_dir):
     assert {c.mechanism for c in ledger.charges} == {"sketch", "split", "leaf"}
 
 
+def test_models_trained_in_step_equal_those_trained_alone(spark, sf_dir):
+    b = m.binned(spark, sf_dir)
+    runs = [SMALL, replace(SMALL, epsilon_total=9.0, trees=3), replace(SMALL, noise_key="k1", max_depth=2), replace(SMALL, disjoint=True), SMALL.open()]
+    for params, (model, ledger, _) in zip(runs, fit_many(b, m.SPEC, runs)):
+        alone, own, _ = fit(b, m.SPEC, params)
+        assert model.nodes(spark).collect() == alone.nodes(spark).collect() and ledger.charges == own.charges
+    with pytest.raises(ValueError):
+        fit_many(b, m.SPEC, [SMALL, replace(SMALL, bins=8)])
+
+
+def test_strict_mode_stays_within_its_budget(spark, sf_dir):
+    params = replace(SMALL, strict=True, leaf_mode="noisy_average")
+    _, ledger, _ = fit(m.binned(spark, sf_dir), m.SPEC, params)
+    assert ledger.limit == 2.0 and 1.99 < ledger.total() <= 2.0 * (1 + 1e-9) and "leaf count" in {c.mechanism for c in ledger.charges}
+
+
+def test_children_have_the_least_hessian_weight(spark, sf_dir):
+    b = m.binned(spark, sf_dir)
+    model, _, _ = fit(b, m.SPEC, replace(SMALL.open(), trees=1, subsample=1.0, min_child=1, min_hessian=300.0))
+    tree = model.trees[0]
+    leaf = tree.expression(lambda x: F.lit(x.node))
+    assert len(tree.leaves()) > 2 and min(r["count"] for r in b.groupBy(leaf.alias("leaf")).count().collect()) >= 300
+
+
 def test_scoring_paths_agree(spark, sf_dir):
     b = m.binned(spark, sf_dir)
     model = m.two_trees()
@@ -85,9 +111,9 @@ def test_registered_studies_run_in_full(spark, sf_dir, monkeypatch):
         def __init__(self, spark, sf_dir, name, bins=None):
             self.work, self.bins, self.settings = experiments.for_tables(sf_dir)[name], bins or 64, {"min_child": 500}
 
-        def run(self, variant, params, trial=0):
-            asked.append((self.work.name, variant, params, trial))
-            return experiments.Run(self.work.name, variant, params.epsilon_total, trial, "error_pct", 1.0, 1, 1.0, 1.0)
+        def run_many(self, runs):
+            asked.extend((self.work.name, *r) for r in runs)
+            return [experiments.Run(self.work.name, variant, params.epsilon_total, trial, "error_pct", 1.0, 1, 1.0, 1.0) for variant, params, trial in runs]
 
         def floor(self):
             return experiments.Run(self.work.name, "constant", 0.0, 0, "error_pct", 1.0, 1, 0.0, 0.0)
@@ -105,7 +131,7 @@ def test_registered_studies_run_in_full(spark, sf_dir, monkeypatch):
     private = {(w, p.epsilon_total, t) for w, v, p, t in of("w09_result_table") if v == "private"}
     assert private == {(f"w0{k}", eps, t) for k in range(1, 7) for eps in experiments.EPSILONS for t in range(experiments.TRIALS)}
     assert {v for _, v, _, _ in of("w07_leaf_study")} == {"clipped", "noisy_average", "min_child_200", "min_child_600"}
-    assert {p.bins for _, _, p, _ in of("w08_bin_study")} == {8, 16, 32, 64, 128}
+    assert {p.bins for _, _, p, _ in of("w08_bin_study")} == {8, 16, 32, 64, 128, 256, 512}
     assert {(w, p.epsilon_total, t) for w, _, p, t in of("b03_precursor")} == {(w, eps, t) for w in ("w01", "w03") for eps in experiments.EPSILONS for t in range(experiments.TRIALS)}
     for name in ("b01_open_model", "w10_runtime", "w04_fit", *(n for n in registry.QUERIES if n.startswith("m") and n.endswith("_fit"))):
         assert of(name), name
