@@ -43,14 +43,17 @@ def digest_column(payload: Column) -> Column:
 
 
 def with_revisits(pages: DataFrame, least_bytes: int, id_col: str, html_col: str, url_col: str, at: str) -> DataFrame:
-    """(page_id, url, payload, digest, size, refers_to); refers_to only where the page revisits another."""
+    """(page_id, url, html, digest, size, refers_to); refers_to only where the page revisits another.
+
+    A row is decided by its own id and payload, so where an id repeats its other payloads are not touched. Only (id,
+    digest) meets the rows again: rows of one payload, however many, are spread by their ids.
+    """
     rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.coalesce(F.col(url_col).cast("string"), F.lit("")).alias("url"), F.coalesce(F.col(html_col).cast("string"), F.lit("")).alias("html"))
-    payload = F.encode("html", "UTF-8")
-    keyed = rows.select("page_id", digest_column(payload).alias("digest"), F.octet_length("html").cast("long").alias("size"))
-    first = keyed.where(F.col("size") >= least_bytes).groupBy("digest").agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("held")).where("held > 1")
-    later = keyed.where(F.col("size") >= least_bytes).join(first, "digest").where("page_id > first").select("page_id", F.col("first").alias("refers_to")).distinct()
-    later = stored(later, "revisits", at)
-    return rows.join(later, "page_id", "left").select("page_id", "url", "html", digest_column(payload).alias("digest"), F.octet_length("html").cast("long").alias("size"), "refers_to")
+    rows = rows.withColumn("digest", digest_column(F.encode("html", "UTF-8"))).withColumn("size", F.octet_length("html").cast("long"))
+    keyed = rows.where(F.col("size") >= least_bytes).select("page_id", "digest")
+    first = keyed.groupBy("digest").agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("held")).where("held > 1")
+    later = keyed.join(first, "digest").where("page_id > first").select("page_id", "digest", F.col("first").alias("refers_to")).distinct()
+    return rows.join(stored(later, "revisits", at), ["page_id", "digest"], "left").select("page_id", "url", "html", "digest", "size", "refers_to")
 
 
 def record_text(revisit: Column) -> Column:
@@ -108,7 +111,7 @@ def candidates(raw: bytes) -> Iterator[tuple[int, int, dict[str, str], int]]:
 
 
 def candidate_rows(archives: DataFrame) -> DataFrame:
-    """One row per candidate of the archive files (path, content)."""
+    """One row per candidate of the archive files (path, content), and one without a type for each file's end."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -129,9 +132,9 @@ def candidate_rows(archives: DataFrame) -> DataFrame:
                             number(fields.get("warc-refers-to")),
                         )
                     )
-                if rows:
-                    columns = [pa.array([path.as_py()] * len(rows), pa.string()), *(pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64())))]
-                    yield pa.RecordBatch.from_arrays(columns, names=["file", "at", "successor", "page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
+                rows.append((len(raw), len(raw), None, None, None, None, None))
+                columns = [pa.array([path.as_py()] * len(rows), pa.string()), *(pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64())))]
+                yield pa.RecordBatch.from_arrays(columns, names=["file", "at", "successor", "page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
 
     return archives.select("path", "content").mapInArrow(scan, "file string, at long, successor long, page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
@@ -145,7 +148,8 @@ def reachable(found: DataFrame) -> DataFrame:
     """The candidates on the chain from offset 0 of their file, by pointer jumping within each file.
 
     Marks start at offset 0. Each round marks the targets of marked pointers and replaces every pointer by its pointer's
-    pointer, so a chain of n records takes log2(n) rounds. A file's rows are its offsets only, about one per record.
+    pointer, so a chain of n records takes log2(n) rounds. A file's rows are its offsets only, about one per record. A
+    chain that does not reach the file's end is an error: what lies behind the break would be lost.
     """
 
     def jump(table: pa.Table) -> pa.Table:
@@ -163,6 +167,8 @@ def reachable(found: DataFrame) -> DataFrame:
             marked[pointer[marked]] = True
             marked[none] = False
             pointer = pointer[pointer]
+        if not marked[none - 1]:
+            raise ValueError(f"{table['file'][0]}: the chain of records breaks off at byte {places[marked[:none]].max(initial=0)}")
         return table.take(pa.array(order[marked[:none]])).select(["file", "at"])
 
     chain = found.select("file", "at", "successor").groupBy("file").applyInArrow(jump, "file string, at long")
@@ -173,14 +179,16 @@ def read_archives(spark, path: str, at: str) -> DataFrame:
     """The true records of the archives below path: page_id, payload_bytes, payload_digest, record_type, refers_to."""
     files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path)
     found = stored(candidate_rows(files), "candidates", at)
-    return reachable(found).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    return reachable(found).where("record_type IS NOT NULL").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 def archived(pages: DataFrame, least_bytes: int = 0, path: str | None = None, **columns) -> DataFrame:
     """Write archives of all pages, read them back and give one row per page.
 
     Of pages with equal payloads of at least least_bytes, the one with the smallest id is the response. Null payloads are
-    empty ones. Rows that repeat the smallest id are responses each; null ids never revisit. An empty table gives no rows.
+    empty ones. Each row is decided by its own id and payload: an id that repeats can be a response with one payload and a
+    revisit with another, and rows that repeat the smallest id of a payload are responses each. Null ids never revisit.
+    Extra columns are ignored, whatever their names; an empty table gives no rows.
     """
     path = path or f"{shared_dir(pages.sparkSession)}/warc"
     write_archives(pages, path, least_bytes, **columns)
