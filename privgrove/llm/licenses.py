@@ -58,6 +58,84 @@ ALONE = [
     (40, "license-mention", "licen", "licen[sc]e agreement"),
 ]
 
+# Words of licence bodies, notices and reservations. (priority, label, keyword, words); W is any word.
+BODIES = [
+    (98, "mit", "granted", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files"),
+    (97, "mit", "granted", "permission is hereby granted free of charge to any person obtaining a copy"),
+    (98, "bsl-1.0", "granted", "permission is hereby granted free of charge to any person or organization obtaining a copy"),
+    (97, "isc", "permission", "permission to use copy modify and (?:or )?distribute this software for any purpose with or without fee is hereby granted"),
+    (90, "hpnd", "permission", "permission to use copy modify and distribute this software and its documentation for any purpose"),
+    (85, "mit", "copyright", "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software"),
+    (60, "warranty-disclaimer", "warranty", "the software is provided as is without warranty of any kind express or implied"),
+    (60, "warranty-disclaimer", "merchantability", "without even the implied warranty of merchantability or fitness for a particular purpose"),
+    (60, "warranty-disclaimer", "merchantability", "implied warranties of merchantability(?: and)?(?: fitness for a particular purpose)?"),
+    (70, "bsd", "redistribution", "redistribution and use in source and binary forms with or without modification are permitted"),
+    (71, "bsd", "redistributions", "redistributions of source code must retain the above copyright notice"),
+    (71, "bsd", "redistributions", "redistributions in binary form must reproduce the above copyright notice"),
+    (88, "bsd-3-clause", "neither", "neither the name of (?:W ){1,12}(?:nor|or) (?:W ){0,6}may be used to endorse or promote products"),
+    (88, "bsd-4-clause", "advertising", "all advertising materials mentioning features or use of this software must display"),
+    (65, "bsd", "contributors", "this software is provided by the copyright holders and contributors as is"),
+    (90, "zlib", "misrepresented", "the origin of this software must not be misrepresented"),
+    (85, "zlib", "liable", "in no event will the authors be held liable for any damages arising from the use of this software"),
+    (95, "apache-2.0", "compliance", "you may not use this file except in compliance with the licen[sc]e"),
+    (96, "apache-2.0", "apache", "apache org licen[sc]es licen[sc]e 2 0"),
+    (90, "apache-2.0", "apache", "licensed to the apache software foundation(?: asf)? under one or more contributor licen[sc]e agreements"),
+    (92, "gpl", "redistribute", "this (?:program|software|file|library) is free software you can redistribute it and or modify it under the terms of the gnu general public licen[sc]e"),
+    (93, "lgpl", "redistribute", "this (?:program|software|file|library) is free software you can redistribute it and or modify it under the terms of the gnu (?:lesser|library) general public licen[sc]e"),
+    (93, "agpl", "redistribute", "this (?:program|software|file|library) is free software you can redistribute it and or modify it under the terms of the gnu affero general public licen[sc]e"),
+    (80, "gpl", "gnu", "you should have received a copy of the gnu general public licen[sc]e"),
+    (81, "lgpl", "gnu", "you should have received a copy of the gnu (?:lesser|library) general public licen[sc]e"),
+    (81, "agpl", "gnu", "you should have received a copy of the gnu affero general public licen[sc]e"),
+    (94, "gpl-2.0", "gnu", "gnu general public licen[sc]e version 2(?: june 1991)?"),
+    (94, "gpl-3.0", "gnu", "gnu general public licen[sc]e version 3(?: 29 june 2007)?"),
+    (94, "lgpl-2.1", "gnu", "gnu lesser general public licen[sc]e version 2 1"),
+    (94, "lgpl-3.0", "gnu", "gnu lesser general public licen[sc]e version 3"),
+    (94, "agpl-3.0", "gnu", "gnu affero general public licen[sc]e version 3"),
+    (75, "gpl", "gnu", "gnu org licen[sc]es gpl"),
+    (75, "gfdl", "gnu", "permission is granted to copy distribute and or modify this document under the terms of the gnu free documentation licen[sc]e"),
+    (70, "gpl-exception", "exception", "as a special exception (?:W ){1,12}permission to link"),
+    (95, "mpl-2.0", "mozilla", "this source code form is subject to the terms of the mozilla public licen[sc]e v 2 0"),
+    (85, "mpl", "mozilla", "the contents of this file are subject to the mozilla public licen[sc]e"),
+    (95, "epl", "eclipse", "this program and the accompanying materials are made available under the terms of the eclipse public licen[sc]e"),
+    (85, "cddl", "cddl", "the contents of this file are subject to the terms of the common development and distribution licen[sc]e"),
+    (90, "ofl", "font", "this font software is licensed under the sil open font licen[sc]e"),
+    (97, "unlicense", "unencumbered", "this is free and unencumbered software released into the public domain"),
+    (97, "wtfpl", "fuck", "do what the fuck you want to"),
+    (85, "public-domain", "domain", "(?:released|placed|dedicated|put) (?:in|into|to) the public domain"),
+    (80, "public-domain", "domain", "(?:is|are|work in|belongs to) the public domain"),
+    (80, "public-domain", "domain", "public domain dedication"),
+    (80, "public-domain", "waives", "waives (?:all|any) (?:of )?(?:his|her|its|their) rights"),
+    (92, "cc0", "publicdomain", "creativecommons org publicdomain zero 1 0"),
+    (85, "cc0", "domain", "to the extent possible under law (?:W ){1,12}(?:waived|dedicated) (?:W ){1,20}public domain"),
+    (90, "cc-by", "creativecommons", "creativecommons org licen[sc]es by [0-9] [0-9]"),
+    (91, "cc-by-sa", "creativecommons", "creativecommons org licen[sc]es by sa [0-9] [0-9]"),
+    (91, "cc-by-nc", "creativecommons", "creativecommons org licen[sc]es by nc [0-9] [0-9]"),
+    (91, "cc-by-nd", "creativecommons", "creativecommons org licen[sc]es by nd [0-9] [0-9]"),
+    (92, "cc-by-nc-sa", "creativecommons", "creativecommons org licen[sc]es by nc sa [0-9] [0-9]"),
+    (92, "cc-by-nc-nd", "creativecommons", "creativecommons org licen[sc]es by nc nd [0-9] [0-9]"),
+    (84, "cc-by-sa", "attribution", "creative commons attribution share ?alike"),
+    (84, "cc-by-nc", "attribution", "creative commons attribution non ?commercial"),
+    (84, "cc-by-nd", "attribution", "creative commons attribution no ?deriv(?:ative)?s"),
+    (90, "sspl", "functionality", "make the functionality of the program or a modified version available to third parties as a service"),
+    (90, "elastic", "hosted", "you may not provide the software to third parties as a hosted or managed service"),
+    (90, "busl", "licensor", "the licensor hereby grants you the right to copy modify create derivative works redistribute and make non production use"),
+    (88, "proprietary", "unauthorized", "unauthorized (?:copying|use|reproduction|distribution) of this (?:W ){1,10}is (?:strictly )?prohibited"),
+    (82, "proprietary", "confidential", "(?:confidential and proprietary|proprietary and confidential)"),
+    (82, "proprietary", "secret", "trade secrets? (?:of|and)"),
+    (82, "reserved", "reproduced", "no part of this (?:publication|book|document|work|site|text) may be reproduced"),
+    (78, "reserved", "reproduced", "may not be reproduced (?:W ){0,12}without (?:the )?(?:prior )?(?:express )?(?:written )?(?:permission|consent)"),
+    (78, "reserved", "permission", "without (?:the )?(?:prior )?(?:express )?written (?:permission|consent) of the (?:publisher|author|owner|copyright holder)"),
+    (76, "non-commercial", "commercial", "for (?:personal|private|internal|educational|academic)(?: and| or)? non ?commercial use only"),
+    (74, "non-commercial", "commercial", "non ?commercial (?:use|purposes) only"),
+    (66, "reserved", "vorbehalten", "alle rechte vorbehalten"),
+    (66, "reserved", "réservés", "tous droits réservés"),
+    (66, "reserved", "reservados", "todos los derechos reservados"),
+    (66, "reserved", "reservados", "todos os direitos reservados"),
+    (66, "reserved", "riservati", "tutti i diritti riservati"),
+    (66, "reserved", "voorbehouden", "alle rechten voorbehouden"),
+    (50, "copyright", "©", "© (?:copyright )?[0-9]{4}"),
+]
+
 BASE_PRIORITY = 30
 
 
@@ -79,9 +157,9 @@ def over_words(words: str) -> str:
 
 
 def rules() -> list[Rule]:
-    """All rules in order: base phrases, rules that stand alone, then every form of every name."""
+    """All rules in order: base phrases, rules that stand alone, bodies and notices, then every form of every name."""
     raw = [(BASE_PRIORITY, label, words.split(" ")[-1], words, True) for words, label in BASE.items()]
-    raw += [(p, label, key, words, False) for p, label, key, words in ALONE]
+    raw += [(p, label, key, words.replace("W ", "[^ ]+ "), False) for p, label, key, words in [*ALONE, *BODIES]]
     raw += [(p + len(name.split()) / 100, label, name.split(" ")[0], form.format(name), False) for p, form in FORMS for name, label in NAMES.items()]
     return [Rule(k, round(100 * p), label, key, over_words(words), base) for k, (p, label, key, words, base) in enumerate(raw)]
 
@@ -90,9 +168,15 @@ RULES = rules()
 
 
 def gate(lowered: Column) -> Column:
-    """True for every text that a rule could match: each rule's words hold one of these."""
+    """True for every text that a rule could match: it holds the rule's keyword. `licen` stands for every form of a name,
+    and common keywords count only beside another word of their rules."""
     cc = lowered.contains("cc") & lowered.rlike(rf"(?:^|{SEPARATOR[:-1]})cc{SEPARATOR}by(?:{SEPARATOR[:-1]}|$)")
-    return lowered.contains("licen") | lowered.contains("reserved") | lowered.contains("later") & lowered.contains("version") | lowered.contains("copyright") | cc
+    beside = {"later": "version", "neither": "endorse", "liable": "damages", "hosted": "software", "functionality": "third", "secret": "trade", "exception": "link", "attribution": "creative", "font": "licen", "apache": "licen", "granted": "permission"}
+    found = cc | lowered.contains("licen")
+    for key in sorted({k for _, _, k, _ in [*ALONE, *BODIES]} | {words.split(" ")[-1] for words in BASE.values()} - {"by", "license"}):
+        if key not in ("cc", "licen"):
+            found = found | (lowered.contains(key) & lowered.contains(beside[key]) if key in beside else lowered.contains(key))
+    return found
 
 
 def rule_array() -> Column:
