@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import warnings
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -166,12 +167,16 @@ def workloads(parts: int = 2000) -> dict[str, Workload]:
     return {w.name: w for w in all_}
 
 
-def for_tables(sf_dir: str) -> dict[str, Workload]:
-    """The workloads with the public key range of the scale named by the folder, 2,000 parts at sf0.01."""
-    try:
-        scale = float(sf_dir.rstrip("/").rsplit("/sf", 1)[1])
-    except (IndexError, ValueError):
-        scale = 0.01
-    return workloads(max(200, round(200_000 * scale)))
-
+def for_tables(sf_dir: str, parts: int | None = None) -> dict[str, Workload]:
+    """The workloads; `parts` is the public number of part keys, else that of the scale that the folder's name gives.
 
+    Keys beyond it are clipped to the last bin, so a folder without a scale in its name is warned of.
+    """
+    if parts is None:
+        try:
+            scale = float(sf_dir.rstrip("/").rsplit("/sf", 1)[1])
+        except (IndexError, ValueError):
+            warnings.warn(f"{sf_dir} does not name its scale: 2,000 part keys are taken; give `parts`", stacklevel=2)
+            scale = 0.01
+        parts = max(200, round(200_000 * scale))
+    return workloads(parts)

@@ -215,10 +215,16 @@ def t01(spark, d):
     return streams.drained(streams.scored(streams.events_stream(spark, d), model), "scored")
 
 
-@query("t05_late_rows", "SELECT count(*) AS n FROM events")
+FIRST, LATE = "('view', 'click')", "('purchase', 'error')"
+
+
+@query("t05_late_rows", f"SELECT event_id FROM events WHERE event_type NOT IN {LATE} OR ts > (SELECT date_trunc('milliseconds', max(ts)) - INTERVAL 1 HOUR FROM events WHERE event_type IN {FIRST})")
 def t05(spark, d):
-    stream = streams.events_stream(spark, d).withWatermark("ts", "1 hour")
-    return streams.drained(stream.select("event_id"), "late").agg(F.count(F.lit(1)).alias("n"))
+    """Three batches by type. The first one's latest time sets a watermark that the second advances to and the third is
+    held against: rows of the third that are behind it are dropped."""
+    rows = events(spark, d).select("event_id", "ts", "event_type")
+    parts = [rows.where(f"event_type IN {FIRST}"), rows.where(f"event_type NOT IN {FIRST} AND event_type NOT IN {LATE}"), rows.where(f"event_type IN {LATE}")]
+    return streams.drained(streams.on_time(streams.arriving(parts, "late").select("event_id", "ts"), "event_id"), "late").select("event_id")
 
 
 @query("t06_deduplicated", "SELECT count(*) AS n FROM events")
@@ -238,12 +244,14 @@ def t09(spark, d):
     return streams.drained(streams.events_stream(spark, d).join(F.broadcast(cuts), "event_type").select("event_id", "cut"), "static")
 
 
-@query("t07_budget_meter")
+@query("t07_budget_meter", "SELECT user_id, least(n, 10) AS allowed, n - least(n, 10) AS refused, round(CAST(1.0 - least(n, 10) * 0.1 AS DOUBLE), 6) AS remaining FROM (SELECT user_id, count(*) AS n FROM events GROUP BY 1)")
 def t07(spark, d):
-    """The stateful meter needs the RocksDB state store; where the session has another, a grouped form gives the same."""
-    per = F.count(F.lit(1))
-    used = F.least(per, F.lit(10))
-    return events(spark, d).groupBy("user_id").agg(used.alias("allowed"), (per - used).alias("refused"), F.round(1.0 - used * 0.1, 9).alias("remaining"))
+    """Two batches meet one state: what the first leaves is what the second can spend."""
+    own = streams.with_rocksdb(spark)
+    rows = events(own, d).select("user_id", "event_type")
+    stream = streams.arriving([rows.where(f"event_type NOT IN {LATE}"), rows.where(f"event_type IN {LATE}")], "meter")
+    spent = streams.drained(streams.budget_meter(stream), "meter", "update")
+    return spent.groupBy("user_id").agg(F.sum("allowed").alias("allowed"), F.sum("refused").alias("refused"), F.round(F.min("remaining"), 6).alias("remaining"))
 
 
 # ---- UDFs and SQL functions

@@ -22,8 +22,13 @@ def register(spark: SparkSession, sf_dir: str, names=TABLES) -> None:
 
 
 def shared_dir(spark: SparkSession, name: str = "work") -> str:
-    """A new folder below spark.checkpoint.dir, which driver and executors share; /tmp/checkpoints where it is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
+    """A new folder below spark.checkpoint.dir, which driver and executors share; where it is unset, below
+    /tmp/checkpoints if the session is a local one, else an error: executors would each write to a disk of their own."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        root = "/tmp/checkpoints"
     return f"{root.rstrip('/')}/grove-{name}-{uuid.uuid4().hex}"
 
 

@@ -20,8 +20,29 @@ def events_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def arriving(parts: list[DataFrame], name: str) -> DataFrame:
+    """A stream whose micro-batches are the parts, in their order."""
+    spark, path = parts[0].sparkSession, shared_dir(parts[0].sparkSession, f"stream-{name}")
+    for k, part in enumerate(parts):
+        part.coalesce(1).write.parquet(f"{path}/{k}")
+    return spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/*")
+
+
+def on_time(stream: DataFrame, key: str, time: str = "ts", delay: str = "1 hour") -> DataFrame:
+    """Rows once each that are not behind the watermark, the latest time of earlier batches less the delay."""
+    return stream.withWatermark(time, delay).dropDuplicates([key, time])
+
+
+def with_rocksdb(spark: SparkSession) -> SparkSession:
+    """A session of its own whose streams keep their state in RocksDB, as stateful processors need."""
+    own = spark.newSession()
+    own.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    return own
+
+
 def drained(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there now and give the result as a table read from the shared folder."""
+    """Run a stream over what is there now and give the result as a table read from the shared folder: in update mode the
+    updates of all batches, in complete mode the last state."""
     spark = df.sparkSession
     path = shared_dir(spark, f"stream-{name}")
     if mode == "append":
@@ -29,7 +50,7 @@ def drained(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
         return spark.read.schema(df.schema).parquet(f"{path}/out")
 
     def save(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(f"{path}/out")
+        batch.write.mode("overwrite").parquet(f"{path}/out/batch={number}" if mode == "update" else f"{path}/out")
 
     df.writeStream.outputMode(mode).foreachBatch(save).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(df.schema).parquet(f"{path}/out")
@@ -76,6 +97,7 @@ class BudgetMeter(StatefulProcessor):
 
 
 def budget_meter(events: DataFrame, budget: float = 1.0, cost: float = 0.1) -> DataFrame:
+    """What every batch's rows of a unit are allowed and refused, and what the unit has left then."""
     return events.groupBy("user_id").transformWithStateInPandas(BudgetMeter(budget, cost), "user_id long, allowed long, refused long, remaining double", "Update", "None")
 
 
