@@ -19,9 +19,13 @@ SLICE_BYTES = 6 << 20
 def shared_dir(spark: SparkSession) -> str:
     """A new folder that the driver and every executor reach: below spark.checkpoint.dir.
 
-    Where the session names none (tests), /tmp/checkpoints serves.
+    Where a local session names none (tests), /tmp/checkpoints serves; on a cluster that is an error.
     """
-    root = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        root = "/tmp/checkpoints"
     return f"{root.rstrip('/')}/privgrove-{uuid.uuid4().hex}"
 
 
@@ -36,6 +40,18 @@ def stored(df: DataFrame, name: str, at: str | None = None, level: int = 3) -> D
     return spark.read.schema(df.schema).parquet(path)
 
 
+def free_names(taken: list[str], *wanted: str) -> list[str]:
+    """The names wanted, with lines before them where columns of that name are there already (upper or lower case)."""
+    held = {t.lower() for t in taken}
+    out = []
+    for name in wanted:
+        while name.lower() in held:
+            name = f"_{name}"
+        held.add(name.lower())
+        out.append(name)
+    return out
+
+
 def texts_of(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """(doc_id, text) with null texts as empty strings; extra columns are dropped before any Python step."""
     return df.select(
