@@ -80,16 +80,19 @@ def m30(spark, d):
     return spark.createDataFrame([(x[0].feature, x[0].cut_bin, x[0].default_left, round(x[1].value, 8), round(x[2].value, 8))], "feature int, cut_bin int, default_left boolean, left_value double, right_value double")
 
 
-@query("m30_private_ensemble")
-def m30_ensemble(spark, d):
-    model, ledger, _ = fit(m.binned(spark, d), m.SPEC, BoostParams(epsilon_total=2.0, bins=m.BINS, min_child=50, noise_key=KEY))
-    return model.nodes(spark)
+LEDGER_SQL = """WITH t AS (SELECT unnest(range(20)) AS tree), e AS (SELECT ln(1 + (exp(2.0 / 20) - 1) / 0.1) / 3 AS third),
+  c AS (SELECT tree, 'sketch' AS mechanism, -1 AS level, 'feature ' || k AS scope, third / 3 AS epsilon, 'parallel over bins' AS composition FROM t, e, (SELECT unnest(range(3)) AS k)
+    UNION ALL SELECT tree, 'split', k, 'level ' || k, third / 6, 'parallel over nodes' FROM t, e, (SELECT unnest(range(6)) AS k)
+    UNION ALL SELECT tree, 'leaf', 6, 'leaves', third, 'parallel over leaves' FROM t, e)
+  SELECT CAST(tree AS INTEGER) AS tree, mechanism, CAST(level AS INTEGER) AS level, scope, round(epsilon, 9) AS epsilon, composition FROM c"""
 
 
-@query("m30_ledger")
+@query("m30_ledger", LEDGER_SQL)
 def m30_ledger(spark, d):
-    _, ledger, _ = fit(m.binned(spark, d), m.SPEC, BoostParams(epsilon_total=2.0, bins=m.BINS, min_child=50, noise_key=KEY))
-    return ledger.to_df(spark)
+    """What twenty trees of depth 6 are charged: three features, six levels and the leaves of each, amplified in the total."""
+    p = BoostParams(epsilon_total=2.0, bins=m.BINS, min_child=50, noise_key=KEY)
+    _, ledger, _ = fit(m.binned(spark, d), m.SPEC, p)
+    return ledger.to_df(spark).select("tree", "mechanism", "level", "scope", F.round("epsilon", 9).alias("epsilon"), "composition")
 
 
 def variant(name: str, **changes):
