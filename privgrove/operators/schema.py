@@ -59,6 +59,14 @@ class DatasetSpec:
         cols = [static_bin(F.col(f"x_{k}"), f.lo, f.hi, bins).alias(f"b_{k}") for k, f in enumerate(self.features)]
         return rows.select("row_key", *cols, "y")
 
+    def binned_at(self, rows: DataFrame, cuts: dict[int, list[float]]) -> DataFrame:
+        """Bins between cuts that come from the data, for a model that is not private: right-closed, -1 where x is missing."""
+        cols = []
+        for k in range(self.m):
+            x = F.col(f"x_{k}")
+            cols.append(F.coalesce(sum(((x > c).cast("int") for c in cuts.get(k, [])), F.when(x.isNotNull(), 0)), F.lit(-1)).cast("smallint").alias(f"b_{k}"))
+        return rows.select("row_key", *cols, "y")
+
     def edge(self, feature: int, b: int, bins: int) -> float:
         f = self.features[feature]
         return f.lo + (b + 1) * (f.hi - f.lo) / bins

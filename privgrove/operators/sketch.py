@@ -6,7 +6,6 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -71,34 +70,105 @@ def query(s: Summary, ranks: np.ndarray) -> np.ndarray:
     return s.value[np.abs(middle[None, :] - np.asarray(ranks)[:, None]).argmin(axis=1)] if len(s.value) else np.zeros(0)
 
 
-def propose(rows: DataFrame, m: int, max_cuts: int, weight_col: str | None = None, sketch_eps: float = 0.005) -> DataFrame:
-    """CUTS (feature, slot, cut): each task summarises its rows, summaries are merged per feature.
+#: Levels of merging that the rank error is shared out over: 2**LEVELS parts, of batches and tasks together.
+LEVELS = 32
+
+
+def entries_for(sketch_eps: float) -> int:
+    """Entries of a pruned summary, so that LEVELS prunings on the way up add sketch_eps of the total weight at most."""
+    return int(np.ceil(LEVELS / sketch_eps)) + 2
+
+
+class Stack:
+    """Summaries by level, as digits of a binary counter: two of a level are merged and pruned to one of the next.
+
+    A part of the input is pruned once a level on its way up, and the parts of a level add up to the input, so the error is
+    the number of levels over `size`, however many parts there are. Points are gathered first, so the parts are large.
+    """
+
+    def __init__(self, size: int):
+        self.size, self.levels, self.values, self.weights, self.held = size, [], [], [], 0
+
+    def add(self, values: np.ndarray, weights: np.ndarray) -> None:
+        self.values.append(values)
+        self.weights.append(weights)
+        self.held += len(values)
+        if self.held >= 4 * self.size:
+            self.flush()
+
+    def flush(self) -> None:
+        if self.held:
+            self.push(build(np.concatenate(self.values), np.concatenate(self.weights)))
+            self.values, self.weights, self.held = [], [], 0
+
+    def push(self, s: Summary) -> None:
+        s, k = prune(s, self.size), 0
+        while k < len(self.levels) and self.levels[k] is not None:
+            s, self.levels[k] = prune(merge(self.levels[k], s), self.size), None
+            k += 1
+        self.levels[k : k + 1] = [s]
+
+    def whole(self) -> Summary:
+        self.flush()
+        total = build(np.zeros(0), np.zeros(0))
+        for s in self.levels:
+            total = merge(total, s) if s is not None else total
+        return prune(total, self.size)
 
-    A task's summary has at most 2 / sketch_eps entries per feature, whatever it has read.
+
+def summaries(rows: DataFrame, m: int, sketch_eps: float, tasks: int | None = None) -> DataFrame:
+    """One summary per feature as rows (feature, value, low, high, weight), with rank bounds within sketch_eps of the total.
+
+    Each task summarises its rows; summaries then meet in two steps, some thousand groups at first, so no task reads those
+    of all others.
     """
-    size = int(np.ceil(2 / sketch_eps))
+    size = entries_for(sketch_eps)
+    names = ["feature", "value", "low", "high", "weight"]
+
+    def table(feature: int, s: Summary) -> pa.Table:
+        return pa.table({"feature": np.full(len(s.value), feature, np.int32), "value": s.value, "low": s.low, "high": s.high, "weight": s.weight})
 
     def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [build(np.zeros(0), np.zeros(0)) for _ in range(m)]
+        held = [Stack(size) for _ in range(m)]
         for batch in batches:
             w = batch.column("w").to_numpy(zero_copy_only=False)
             for k in range(m):
                 x = batch.column(f"x_{k}").to_numpy(zero_copy_only=False)
                 ok = ~np.isnan(x)
-                held[k] = prune(merge(held[k], build(x[ok], w[ok])), size)
+                held[k].add(x[ok], w[ok])
         for k, s in enumerate(held):
-            yield pa.RecordBatch.from_pandas(pd.DataFrame({"feature": np.full(len(s.value), k, np.int32), "value": s.value, "low": s.low, "high": s.high, "weight": s.weight}), preserve_index=False)
+            yield from table(k, s.whole()).to_batches()
+
+    def merged(part: pa.Table) -> pa.Table:
+        stack = Stack(size)
+        tasks, columns = part["task"].to_numpy(), [part[c].to_numpy() for c in names[1:]]
+        for t in np.unique(tasks):
+            at = np.flatnonzero(tasks == t)
+            at = at[np.argsort(columns[0][at], kind="stable")]
+            stack.push(Summary(*[c[at] for c in columns]))
+        out = table(part["feature"][0].as_py(), stack.whole())
+        return out.append_column("task", pa.array(np.full(len(out), part["group"][0].as_py()), pa.int32()))
+
+    kind = "feature int, value double, low double, high double, weight double"
+    parts = rows.mapInArrow(partial, kind).withColumn("task", F.spark_partition_id())
+    groups = max(1, int((tasks or rows.rdd.getNumPartitions()) ** 0.5))
+    for ways in (groups, 1):
+        parts = parts.withColumn("group", F.pmod("task", F.lit(ways))).groupBy("feature", "group").applyInArrow(merged, f"{kind}, task int")
+    return parts.select(*names)
 
-    def merged(key: tuple, table: pa.Table) -> pa.Table:
-        total = build(np.zeros(0), np.zeros(0))
-        t = table.to_pandas()
-        for _, part in t.groupby(["task"], sort=True):
-            part = part.sort_values("value")
-            total = prune(merge(total, Summary(*[part[c].to_numpy() for c in ("value", "low", "high", "weight")])), 4 * size)
+
+def propose(rows: DataFrame, m: int, max_cuts: int, weight_col: str | None = None, sketch_eps: float = 0.005) -> DataFrame:
+    """CUTS (feature, slot, cut) at even shares of each feature's weight, ranks within sketch_eps of the total weight.
+
+    Missing values have no part; a feature without values has no cut, an empty table no rows.
+    """
+
+    def chosen(key: tuple, table: pa.Table) -> pa.Table:
+        order = np.argsort(table["value"].to_numpy(), kind="stable")
+        total = Summary(*[table[c].to_numpy()[order] for c in ("value", "low", "high", "weight")])
         cuts = np.unique(query(total, total.total * np.arange(1, max_cuts + 1) / (max_cuts + 1)))
         return pa.table({"feature": np.full(len(cuts), key[0].as_py(), np.int32), "slot": np.arange(len(cuts), dtype=np.int32), "cut": cuts.astype(np.float64)})
 
     weight = F.col(weight_col).cast("double") if weight_col else F.lit(1.0)
     rows = rows.select(*[F.col(f"x_{k}").cast("double").alias(f"x_{k}") for k in range(m)], weight.alias("w"))
-    parts = rows.mapInArrow(partial, "feature int, value double, low double, high double, weight double")
-    return parts.withColumn("task", F.spark_partition_id()).groupBy("feature").applyInArrow(merged, "feature int, slot int, cut double")
+    return summaries(rows, m, sketch_eps).groupBy("feature").applyInArrow(chosen, "feature int, slot int, cut double")

@@ -11,6 +11,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from privgrove.operators import sketch
 from privgrove.operators.sampling import is_test
 from privgrove.plans import metrics
 from privgrove.plans.boost import BoostParams, fit_many
@@ -39,13 +40,20 @@ class Run:
 class Bench:
     """A workload's train and test rows in static bins, kept for all runs over it."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str, bins: int | None = None):
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, bins: int | None = None, sketched: bool = False):
+        """With `sketched`, bins lie between the data's own quantiles; only a model without privacy may use them."""
         self.work: Workload = for_tables(sf_dir)[name]
         rows = self.work.rows(spark, sf_dir)
         self.n = rows.count()
         self.settings = self.work.settings(self.n)
         self.bins = bins or self.settings["bins"]
-        binned = self.work.spec.binned(rows, self.bins).withColumn("test", is_test())
+        spec = self.work.spec
+        if sketched:
+            cuts: dict[int, list[float]] = {}
+            for r in sketch.propose(rows.where(~is_test()), spec.m, self.bins - 1).orderBy("feature", "slot").collect():  # features times bins
+                cuts.setdefault(r["feature"], []).append(r["cut"])
+        self.sketched = sketched
+        binned = (spec.binned_at(rows, cuts) if sketched else spec.binned(rows, self.bins)).withColumn("test", is_test())
         if binned.rdd.getNumPartitions() < spark.sparkContext.defaultParallelism:
             binned = binned.repartition(spark.sparkContext.defaultParallelism)
         self.binned = binned.persist(StorageLevel.MEMORY_AND_DISK)
@@ -83,6 +91,8 @@ class Bench:
 
     def run_many(self, asked: list[tuple[str, BoostParams, int]]) -> list[Run]:
         """Fit and measure (variant, params, trial), all in step."""
+        if self.sketched and any(p.private for _, p, _ in asked):
+            raise ValueError("bins between the data's own quantiles are not private")
         fitted = fit_many(self.train, self.work.spec, [p for _, p, _ in asked])
         found = self.measures([model for model, _, _ in fitted])
         free = float("inf")
@@ -124,6 +134,19 @@ def sweep(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials
     return table(spark, runs)
 
 
+def open_models(spark: SparkSession, sf_dir: str, name: str, trials: int = TRIALS, **changes) -> DataFrame:
+    """The model without privacy over even bins, over the data's quantiles by the sketch, and with every bin's edge a cut."""
+    runs = []
+    for sketched in (False, True):
+        bench = Bench(spark, sf_dir, name, sketched=sketched)
+        each = [(t, bench.params(noise_key=f"k{t}", **changes).open()) for t in range(trials)]
+        asked = [("open_sketched" if sketched else "open", p, t) for t, p in each]
+        asked += [("open_sketched_greedy" if sketched else "open_greedy", replace(p, max_cuts=p.bins - 1), t) for t, p in each]
+        runs += bench.run_many(asked)
+        bench.close()
+    return table(spark, runs)
+
+
 def against_precursor(spark: SparkSession, sf_dir: str, name: str, epsilons=(1.0, 10.0), trials: int = 1, **changes) -> DataFrame:
     bench = Bench(spark, sf_dir, name)
     each = [(t, bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes)) for eps in epsilons for t in range(trials)]

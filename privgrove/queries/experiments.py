@@ -115,10 +115,7 @@ variant("m31_uneven_fit", tree_weights=tuple(float(k) for k in range(20, 0, -1))
 
 @query("b01_open_model")
 def b01(spark, d):
-    bench = experiments.Bench(spark, d, "w01")
-    out = experiments.table(spark, [bench.run("open", bench.params().open())])
-    bench.close()
-    return out
+    return experiments.open_models(spark, d, "w01")
 
 
 @query("b03_precursor")

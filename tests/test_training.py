@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from privgrove.operators import sampling, splits
+from privgrove.operators import sampling, sketch, splits
 from privgrove.operators.gradient import UNIT
 from privgrove.plans import audit, experiments
 from privgrove.plans.boost import BoostParams, fit, fit_many
@@ -108,7 +108,7 @@ def test_registered_studies_run_in_full(spark, sf_dir, monkeypatch):
     asked = []
 
     class Asked(experiments.Bench):
-        def __init__(self, spark, sf_dir, name, bins=None):
+        def __init__(self, spark, sf_dir, name, bins=None, sketched=False):
             self.work, self.bins, self.settings = experiments.for_tables(sf_dir)[name], bins or 64, {"min_child": 500}
 
         def run_many(self, runs):
@@ -137,6 +137,36 @@ def test_registered_studies_run_in_full(spark, sf_dir, monkeypatch):
         assert of(name), name
 
 
+def test_sketch_keeps_its_rank_error_over_many_batches(spark):
+    rng, eps = np.random.default_rng(1), 0.02
+    size = sketch.entries_for(eps)
+    parts = [np.round(np.arange(400) * 0.01 + k * 0.37 + rng.random(400), 3) for k in range(1000)]
+    whole, exact = sketch.Stack(size), sketch.build(np.concatenate(parts), np.ones(400_000))
+    small = sketch.Stack(64)
+    for x in parts:
+        whole.push(sketch.build(x, np.ones(400)))
+        small.push(sketch.build(x, np.ones(400)))
+    ranks = np.linspace(0, exact.total, 200)
+    for s, bound in ((whole.whole(), eps), (small.whole(), 12 / 60)):
+        assert len(s.value) <= size + 2
+        low, high, _ = sketch.bounds_at(exact, sketch.query(s, ranks))
+        assert (np.maximum(low - ranks, ranks - high).max() / exact.total) <= bound
+    rows = spark.createDataFrame([(float(v),) for v in rng.exponential(1, 20_000)], "x_0 double").repartition(23)
+    got = [r["cut"] for r in sketch.propose(rows, 1, 9, sketch_eps=0.01).orderBy("slot").collect()]
+    x = np.sort(np.array([r[0] for r in rows.collect()]))
+    assert np.abs(np.searchsorted(x, got) / len(x) - np.arange(1, 10) / 10).max() <= 0.01
+    assert sketch.propose(rows.where("x_0 < 0"), 1, 9).count() == 0
+
+
+def test_open_model_over_sketched_bins(spark, sf_dir):
+    bench = experiments.Bench(spark, sf_dir, "w04", sketched=True)
+    p = bench.params(trees=4, max_depth=4, subsample=0.5, min_child=20)
+    assert bench.run("open_sketched", p.open()).value < 0.5 * bench.floor().value
+    with pytest.raises(ValueError):
+        bench.run("private", p)
+    bench.close()
+
+
 def test_audits_stay_below_their_epsilon(spark):
     for mechanism, one, other, eps in ((audit.laplace_count(0.5), 10, 11, 0.5), (audit.exponential_of(1.0, 3.0), [0.0, 3.0, 1.0], [3.0, 0.0, 1.0], 1.0)):
         rows = audit.empirical_epsilon(spark, mechanism, one, other, 40_000).collect()
