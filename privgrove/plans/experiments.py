@@ -40,20 +40,23 @@ class Run:
 class Bench:
     """A workload's train and test rows in static bins, kept for all runs over it."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str, bins: int | None = None, sketched: bool = False):
-        """With `sketched`, bins lie between the data's own quantiles; only a model without privacy may use them."""
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, bins: int | None = None, bins_by: str = "even"):
+        """Bins are even over the public bounds, or lie between the data's quantiles (`sketch`) or between all of its
+        values (`exact`, for small tables); only a model without privacy may use the data's."""
         self.work: Workload = for_tables(sf_dir)[name]
         rows = self.work.rows(spark, sf_dir)
         self.n = rows.count()
         self.settings = self.work.settings(self.n)
         self.bins = bins or self.settings["bins"]
         spec = self.work.spec
-        if sketched:
-            cuts: dict[int, list[float]] = {}
-            for r in sketch.propose(rows.where(~is_test()), spec.m, self.bins - 1).orderBy("feature", "slot").collect():  # features times bins
-                cuts.setdefault(r["feature"], []).append(r["cut"])
-        self.sketched = sketched
-        binned = (spec.binned_at(rows, cuts) if sketched else spec.binned(rows, self.bins)).withColumn("test", is_test())
+        self.bins_by = bins_by
+        if bins_by == "even":
+            binned = spec.binned(rows, self.bins)
+        else:
+            cuts = sketched_cuts(rows.where(~is_test()), spec.m, self.bins - 1) if bins_by == "sketch" else all_cuts(rows.where(~is_test()), spec.m)
+            self.bins = 1 + max(map(len, cuts.values()), default=0)
+            binned = spec.binned_at(rows, cuts)
+        binned = binned.withColumn("test", is_test())
         if binned.rdd.getNumPartitions() < spark.sparkContext.defaultParallelism:
             binned = binned.repartition(spark.sparkContext.defaultParallelism)
         self.binned = binned.persist(StorageLevel.MEMORY_AND_DISK)
@@ -91,8 +94,8 @@ class Bench:
 
     def run_many(self, asked: list[tuple[str, BoostParams, int]]) -> list[Run]:
         """Fit and measure (variant, params, trial), all in step."""
-        if self.sketched and any(p.private for _, p, _ in asked):
-            raise ValueError("bins between the data's own quantiles are not private")
+        if self.bins_by != "even" and any(p.private for _, p, _ in asked):
+            raise ValueError("bins that come from the data are not private")
         fitted = fit_many(self.train, self.work.spec, [p for _, p, _ in asked])
         found = self.measures([model for model, _, _ in fitted])
         free = float("inf")
@@ -119,6 +122,27 @@ def precursor(params: BoostParams) -> BoostParams:
     return replace(params, proposal_noise=False, shares=(0.0, 0.5, 0.5), leaf_mode="geometric", min_child=1, disjoint=True)
 
 
+def by_feature(cuts: DataFrame) -> dict[int, list[float]]:
+    out: dict[int, list[float]] = {}
+    for r in cuts.orderBy("feature", "cut").collect():  # bounded by features times bins
+        out.setdefault(r["feature"], []).append(r["cut"])
+    return out
+
+
+def sketched_cuts(rows: DataFrame, m: int, cuts: int) -> dict[int, list[float]]:
+    """Cuts per feature at even shares of its values."""
+    return by_feature(sketch.propose(rows, m, cuts).select("feature", "cut"))
+
+
+def all_cuts(rows: DataFrame, m: int, most: int = 10_000) -> dict[int, list[float]]:
+    """Every value of each feature as a cut, as exact greedy search tries them; refuses features with more than `most`."""
+    pairs = ", ".join(f"{k}, x_{k}" for k in range(m))
+    values = rows.select(F.expr(f"stack({m}, {pairs}) AS (feature, cut)")).where("cut IS NOT NULL").distinct()
+    if values.groupBy("feature").count().where(F.col("count") > most).count():
+        raise ValueError(f"exact greedy search is for features of at most {most} values")
+    return by_feature(values)
+
+
 def table(spark: SparkSession, runs: list[Run]) -> DataFrame:
     schema = "workload string, variant string, epsilon double, trial int, measure string, value double, n_test long, spent double, seconds_per_tree double"
     return spark.createDataFrame([tuple(asdict(r).values()) for r in runs], schema)
@@ -134,15 +158,13 @@ def sweep(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials
     return table(spark, runs)
 
 
-def open_models(spark: SparkSession, sf_dir: str, name: str, trials: int = TRIALS, **changes) -> DataFrame:
-    """The model without privacy over even bins, over the data's quantiles by the sketch, and with every bin's edge a cut."""
+def open_models(spark: SparkSession, sf_dir: str, name: str, trials: int = TRIALS, ways: tuple[str, ...] = ("even", "sketch", "exact"), **changes) -> DataFrame:
+    """The model without privacy over even bins, over the data's quantiles, and by exact greedy search over all values."""
     runs = []
-    for sketched in (False, True):
-        bench = Bench(spark, sf_dir, name, sketched=sketched)
-        each = [(t, bench.params(noise_key=f"k{t}", **changes).open()) for t in range(trials)]
-        asked = [("open_sketched" if sketched else "open", p, t) for t, p in each]
-        asked += [("open_sketched_greedy" if sketched else "open_greedy", replace(p, max_cuts=p.bins - 1), t) for t, p in each]
-        runs += bench.run_many(asked)
+    for way in ways:
+        bench = Bench(spark, sf_dir, name, bins_by=way)
+        each = [bench.params(noise_key=f"k{t}", **changes).open() for t in range(trials)]
+        runs += bench.run_many([(f"open_{way}", replace(p, max_cuts=p.bins) if way == "exact" else p, t) for t, p in enumerate(each)])
         bench.close()
     return table(spark, runs)
 

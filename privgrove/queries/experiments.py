@@ -115,7 +115,12 @@ variant("m31_uneven_fit", tree_weights=tuple(float(k) for k in range(20, 0, -1))
 
 @query("b01_open_model")
 def b01(spark, d):
-    return experiments.open_models(spark, d, "w01")
+    return experiments.open_models(spark, d, "w01", ways=("even", "sketch"))
+
+
+@query("b07_exact_greedy_model")
+def b07(spark, d):
+    return experiments.open_models(spark, d, "w06", ways=("even", "exact"))
 
 
 @query("b03_precursor")

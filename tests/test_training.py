@@ -108,7 +108,7 @@ def test_registered_studies_run_in_full(spark, sf_dir, monkeypatch):
     asked = []
 
     class Asked(experiments.Bench):
-        def __init__(self, spark, sf_dir, name, bins=None, sketched=False):
+        def __init__(self, spark, sf_dir, name, bins=None, bins_by="even"):
             self.work, self.bins, self.settings = experiments.for_tables(sf_dir)[name], bins or 64, {"min_child": 500}
 
         def run_many(self, runs):
@@ -158,13 +158,30 @@ def test_sketch_keeps_its_rank_error_over_many_batches(spark):
     assert sketch.propose(rows.where("x_0 < 0"), 1, 9).count() == 0
 
 
-def test_open_model_over_sketched_bins(spark, sf_dir):
-    bench = experiments.Bench(spark, sf_dir, "w04", sketched=True)
-    p = bench.params(trees=4, max_depth=4, subsample=0.5, min_child=20)
-    assert bench.run("open_sketched", p.open()).value < 0.5 * bench.floor().value
+def test_open_models_over_the_datas_own_bins(spark, sf_dir):
+    for way in ("sketch", "exact"):
+        bench = experiments.Bench(spark, sf_dir, "w06", bins_by=way)
+        p = bench.params(trees=4, max_depth=3, subsample=1.0, min_child=5).open()
+        cuts = bench.bins if way == "exact" else 50
+        assert bench.run("open", replace(p, max_cuts=cuts)).value < bench.floor().value
+        with pytest.raises(ValueError):
+            bench.run("private", bench.params())
+        bench.close()
+    rows = experiments.for_tables(sf_dir)["w01"].rows(spark, sf_dir)
     with pytest.raises(ValueError):
-        bench.run("private", p)
-    bench.close()
+        experiments.all_cuts(rows, 2, 10)
+
+
+def test_exact_greedy_tree_takes_the_best_of_all_cuts(spark):
+    rng = np.random.default_rng(8)
+    x, y = rng.integers(0, 40, 400) / 7, rng.choice([-1.0, 1.0], 400)
+    rows = spark.createDataFrame([(str(k), float(a), float(b)) for k, (a, b) in enumerate(zip(x, y))], "row_key string, x_0 double, y double")
+    spec = m.DatasetSpec("row_key", (m.FeatureSpec("x", "x_0", 0, 6),), m.TargetSpec("y", kind="class"))
+    cuts = experiments.all_cuts(rows, 1)
+    p = replace(SMALL.open(), trees=1, max_depth=1, subsample=1.0, min_child=1, bins=len(cuts[0]) + 1, max_cuts=len(cuts[0]) + 1)
+    model, _, _ = fit(spec.binned_at(rows, cuts), spec, p)
+    gains = {c: (-y[x <= c].sum()) ** 2 / ((x <= c).sum() + 0.1) + (-y[x > c].sum()) ** 2 / ((x > c).sum() + 0.1) for c in cuts[0][:-1]}
+    assert cuts[0][model.trees[0].nodes[0].cut_bin] == max(gains, key=gains.get)
 
 
 def test_audits_stay_below_their_epsilon(spark):
