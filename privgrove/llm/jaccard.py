@@ -1,16 +1,18 @@
 """Exact Jaccard join on word n-grams and its components, by rare-first prefix filtering.
 
-1. Index: each text's set of distinct n-grams, as 64-bit hashes, gives its size and a 128-bit digest. Texts with equal
-   sets are one node from here on. The same pass counts n-grams over all documents in a sketch of fixed size.
+1. Index: each text's set of distinct n-grams, as 64-bit hashes, gives its size, a 128-bit digest and its shape, the
+   n-gram counts of some hash classes. Texts with equal sets are one node from here on. The same pass counts n-grams
+   over all documents in a sketch of fixed size.
 2. Postings: a node's n-grams are ordered rare first (by the sketch, then by hash; any common total order is exact), and
    only its prefix is posted: two sets that link must share an n-gram of both prefixes.
-3. Edges: pairs of a posting list pass a length, a positional and a suffix filter; the last bounds the overlap by counts
-   per hash class. Each list gives at most a spanning set of edges; a long list gives a star, unfiltered.
-4. Blocks: components of the edges. Two sets that link are in one block, so blocks are verified on their own: every set is
-   sent once, and each pair whose ends are not yet connected is compared at most once.
+3. Candidates: pairs of a short list pass a length and a positional filter, and then, once each, the suffix filter: class
+   counts that differ by more than two linked sets could are proof that they don't link. Of a long list, which a group
+   of near copies gives, the members meet in cells of bounded size with the same three filters, and a cell gives only
+   the edges that join what it has not joined yet.
+4. Blocks: components of the candidates. Two sets that link are in one block, so blocks are verified on their own: every
+   set is built and sent once, and each pair whose ends are not yet connected is compared at most once.
 5. A block too large for a task is dealt out at random, several times over, and the links found are joined. Lists that
    still hold several components of such a block then give the pairs between them, each verified once on the whole sets.
-
 6. Links: those inside a component are then counted, each pair of different sets once and without a row for it. A large
    component is cut into parts, and each pair of parts is a task.
 
@@ -24,24 +26,28 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from privgrove.llm.textio import ragged, shared_dir, slices, stored, summed, texts_of
+from privgrove.llm.textio import free_names, ragged, shared_dir, slices, stored, summed, texts_of
 from privgrove.llm.wordhash import STEP_BYTES, mixed, word_hashes
 
+#: Cells of the rarity sketch. Any order is exact; a fixed size only tells rare n-grams apart less well on larger inputs.
 CELLS = 1 << 18
-BLOOM_BITS = 1 << 23
+#: Bits of the Bloom filter for each node in it, and at most: beyond that more sets are sent than needed, none lost.
+BLOOM_EACH, BLOOM_MOST = 16, 1 << 28
 #: Sketch count from which a posting list is not read by one task but linked to its least node by a join.
 LIST_ROWS = 50_000
-#: Nodes of a list up to which its pairs are filtered; a longer one gives a star.
-LIST_PAIRS = 64
+#: Nodes of a list up to which its pairs are listed; a longer one is cut into cells of so many rows on either side, and
+#: one of more than so many parts is linked to its least node.
+LIST_PAIRS, CELL_ROWS, LIST_PARTS = 64, 4096, 16
 #: Sets and n-grams that one task verifies together, and how often a larger block is dealt out.
 BLOCK_SETS, BLOCK_GRAMS, DEALS = 2048, 2_000_000, 3
-#: Hash classes of the suffix filter: few, or many for large sets.
-FEW, MANY, LARGE = 16, 64, 800
+#: Hash classes of the suffix filter: between a quarter and an eighth of the set's size.
+LEAST_CLASSES, MOST_CLASSES = 16, 1024
 
 PLACES = [np.uint64(int(x)) for x in mixed(np.arange(100, 164, dtype=np.uint64)) | np.uint64(1)]
+NO_ID = -1 << 63
 
 
 def gram_sets(texts: pa.Array, words: int) -> list[np.ndarray]:
@@ -69,168 +75,96 @@ def digest(grams: np.ndarray) -> bytes:
 
 
 def key_of(name: bytes) -> int:
-    """A short form of a digest. Only candidate edges use it: where two nodes share one, their blocks become one."""
+    """A short form of a digest. Only candidates use it: where two nodes share one, their blocks become one."""
     return int.from_bytes(name[:8], "little", signed=True)
 
 
+def shape(grams: np.ndarray) -> bytes:
+    """How many n-grams fall in each hash class, a byte each, 255 at most; a power of two of classes."""
+    bits = (min(MOST_CLASSES, max(LEAST_CLASSES, 1 << max(0, (len(grams) - 1).bit_length() - 3)))).bit_length() - 1
+    return np.minimum(np.bincount((grams >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits), 255).astype(np.uint8).tobytes()
+
+
+def folded(counts: np.ndarray, classes: int) -> np.ndarray:
+    """Rows of class counts brought to fewer classes."""
+    return counts if counts.shape[1] == classes else np.minimum(counts.reshape(len(counts), classes, -1).sum(axis=2), 255).astype(np.uint8)
+
+
+def most_apart(na: np.ndarray, nb: np.ndarray, percent: int) -> np.ndarray:
+    """How many n-grams two linked sets of these sizes may have that the other lacks, both sides together."""
+    return na + nb - 2 * -(-percent * (na + nb) // (100 + percent))
+
+
 def indexed(rows: DataFrame, words: int, cells: int) -> DataFrame:
-    """Per document (doc_id, node, key, n), and per task one row whose `cells` are its n-gram counts."""
+    """Per document (doc_id, mark, node, key, n, shape), and per task one row whose `cells` are its n-gram counts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(cells, np.int64)
+        names = ["doc_id", "mark", "node", "key", "n", "shape", "cells", "sketch"]
         for batch in slices(batches, most=STEP_BYTES):
             sets = gram_sets(batch.column("text"), words)
             if any(map(len, sets)):
                 counts += np.bincount((np.concatenate(sets) & np.uint64(cells - 1)).astype(np.int64), minlength=cells)
-            empty = pa.nulls(len(sets), pa.binary())
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(names := [digest(s) if len(s) else None for s in sets], pa.binary()), pa.array([x and key_of(x) for x in names], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), empty, pa.array([False] * len(sets))],
-                names=["doc_id", "node", "key", "n", "cells", "sketch"],
-            )
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([None], pa.int64()), pa.array([None], pa.binary()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([counts.astype("<i8").tobytes()], pa.binary()), pa.array([True])],
-            names=["doc_id", "node", "key", "n", "cells", "sketch"],
-        )
+            nodes = [digest(s) if len(s) else None for s in sets]
+            columns = [pa.array(nodes, pa.binary()), pa.array([x and key_of(x) for x in nodes], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([shape(s) if len(s) else None for s in sets], pa.binary())]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("mark"), *columns, pa.nulls(len(sets), pa.binary()), pa.array([False] * len(sets))], names=names)
+        nothing = [pa.nulls(1, t) for t in (pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.binary())]
+        yield pa.RecordBatch.from_arrays([*nothing, pa.array([counts.astype("<i8").tobytes()], pa.binary()), pa.array([True])], names=names)
 
-    return rows.mapInArrow(run, "doc_id long, node binary, key long, n long, cells binary, sketch boolean")
+    return rows.mapInArrow(run, "doc_id long, mark long, node binary, key long, n long, shape binary, cells binary, sketch boolean")
 
 
-def shape(grams: np.ndarray) -> bytes:
-    """How many n-grams fall in each hash class, a byte each; empty where a count needs more."""
-    classes = MANY if len(grams) > LARGE else FEW
-    counts = np.bincount((grams >> np.uint64(58)).astype(np.int64), minlength=MANY).reshape(classes, -1).sum(axis=1)
-    return counts.astype(np.uint8).tobytes() if counts.max() < 256 else b""
+class Prefixes:
+    """Turns sets into postings of their rarest n-grams."""
 
+    def __init__(self, rows: DataFrame, sketch: np.ndarray, percent: int, list_rows: int):
+        self.counts = rows.sparkSession.sparkContext.broadcast(np.minimum(sketch, (1 << 31) - 1).astype(np.int32))
+        self.percent, self.list_rows = percent, list_rows
 
-def posted(rows: DataFrame, words: int, percent: int, sketch: np.ndarray, list_rows: int, only: DataFrame | None = None) -> DataFrame:
-    """The prefix of every document's set: gram, heavy, key, n, place, shape; equal sets are posted once a task.
+    def of(self, sets: list[tuple[int, np.ndarray]]) -> pa.RecordBatch:
+        """Postings of (key, n-grams): gram, heavy, key, and spot, which is size * 2**32 + place in the order."""
+        counts, kept = self.counts.value, []
+        for key, grams in sets:
+            common = counts[(grams & np.uint64(len(counts) - 1)).astype(np.int64)]
+            rank = (np.minimum(common, (1 << 20) - 1).astype(np.uint64) << np.uint64(44)) | (grams >> np.uint64(20))
+            order = np.lexsort((grams, rank))[: len(grams) - (self.percent * len(grams) + 99) // 100 + 1]
+            kept.append((grams[order], common[order], np.full(len(order), key, np.int64), (len(grams) << 32) + np.arange(len(order))))
+        grams, common, keys, spots = (np.concatenate(x) for x in zip(*kept))
+        order = np.argsort(grams.view(np.int64), kind="stable")  # as the lists are: what a task reads is in sorted runs already
+        return pa.RecordBatch.from_arrays([pa.array(grams.view(np.int64)[order]), pa.array(common[order] >= self.list_rows), pa.array(keys[order]), pa.array(spots[order])], names=["gram", "heavy", "key", "spot"])
 
-    With `only`, sets pass a Bloom filter of its nodes first; join exactly after.
-    """
-    shared = rows.sparkSession.sparkContext.broadcast(np.minimum(sketch, (1 << 31) - 1).astype(np.int32))
-    mask = np.uint64(len(sketch) - 1)
-    bloom = rows.sparkSession.sparkContext.broadcast(bloom_of(only)) if only is not None else None
+
+POSTS = "gram long, heavy boolean, key long, spot long"
+
+
+def posted(rows: DataFrame, words: int, prefixes: Prefixes) -> DataFrame:
+    """The postings of every document's set; equal sets are posted once a task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts, seen = shared.value, set()
+        seen: set[bytes] = set()
         for batch in slices(batches, most=STEP_BYTES):
-            keep: list[tuple] = []
+            sets = []
             for grams in gram_sets(batch.column("text"), words):
-                if not len(grams) or (name := digest(grams)) in seen:
-                    continue
-                if len(seen) < 200_000:
-                    seen.add(name)
-                if bloom is not None and not bloom_holds(bloom.value, [name])[0]:
-                    continue
-                n = len(grams)
-                common = counts[(grams & mask).astype(np.int64)]
-                key = (np.minimum(common, (1 << 20) - 1).astype(np.uint64) << np.uint64(44)) | (grams >> np.uint64(20))
-                order = np.argsort(key, kind="stable")[: n - (percent * n + 99) // 100 + 1]
-                keep.append((name, n, shape(grams), grams[order], common[order]))
-            if not keep:
-                continue
-            sizes = np.array([len(k[3]) for k in keep])
-            row = np.repeat(np.arange(len(keep)), sizes)
-            place = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-            common = np.concatenate([k[4] for k in keep])
-            grams = np.concatenate([k[3] for k in keep]).view(np.int64)
-            order = np.argsort(grams)  # as the lists are: what a task reads is in sorted runs already
-            row = row[order]
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array(grams[order]),
-                    pa.array(common[order] >= list_rows),
-                    pa.array(np.array([key_of(k[0]) for k in keep], np.int64)[row]),
-                    pa.array(np.array([k[1] for k in keep], np.int32)[row]),
-                    pa.array(place[order].astype(np.int32)),
-                    pa.array([k[2] for k in keep], pa.binary()).take(pa.array(row)),
-                ],
-                names=["gram", "heavy", "key", "n", "place", "shape"],
-            )
-
-    return rows.mapInArrow(run, "gram long, heavy boolean, key long, n int, place int, shape binary")
-
-
-class List:
-    """Rows of sorted posting lists as arrays."""
-
-    def __init__(self, table: pa.Table):
-        self.gram = table["gram"].to_numpy()
-        self.n, self.place = table["n"].to_numpy().astype(np.int64), table["place"].to_numpy().astype(np.int64)
-        self.key = table["key"].to_numpy()
-        sigs = table["shape"].to_pylist()
-        size = np.array([len(s) for s in sigs])
-        self.few, self.many = np.zeros((len(sigs), FEW), np.uint16), np.zeros((len(sigs), MANY), np.uint8)
-        self.has, self.fine = size > 0, size == MANY
-        small = size == FEW
-        self.few[small] = np.frombuffer(b"".join(s for s in sigs if len(s) == FEW), np.uint8).reshape(-1, FEW)
-        self.many[self.fine] = np.frombuffer(b"".join(s for s in sigs if len(s) == MANY), np.uint8).reshape(-1, MANY)
-        self.few[self.fine] = self.many[self.fine].reshape(-1, FEW, MANY // FEW).sum(axis=2)
-
-    def could_link(self, a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
-        """Length, positional and suffix filter; true for each linked pair's first shared n-gram."""
-        na, nb = self.n[a], self.n[b]
-        least = -(-percent * (na + nb) // (100 + percent))
-        rest = np.minimum(na - self.place[a], nb - self.place[b])
-        ok = (100 * np.minimum(na, nb) >= percent * np.maximum(na, nb)) & (rest >= least)
-        at = np.flatnonzero(ok & self.has[a] & self.has[b])
-        fine = self.fine[a[at]] & self.fine[b[at]]
-        for some, sig in ((at[fine], self.many), (at[~fine], self.few)):
-            for k in range(0, len(some), 20_000):
-                part = some[k : k + 20_000]
-                ok[part] = np.minimum(sig[a[part]], sig[b[part]]).sum(axis=1, dtype=np.int64) >= least[part]
-        return ok
-
-
-def list_edges(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """Edges (u, v) of sorted posting lists. A list that goes on in the next batch waits for it, with its first rows."""
-    held = None
-    for table, final in flagged(batches):
-        table = once(pa.concat_tables([held, table]) if held is not None else table)
-        rows = List(table)
-        n = len(rows.gram)
-        if not n:
-            continue
-        new = np.concatenate(([True], rows.gram[1:] != rows.gram[:-1]))
-        first = np.flatnonzero(new)
-        group = np.cumsum(new) - 1
-        sizes = np.diff(np.append(first, n))
-        open_ = n if final else int(first[-1])
-        if not final and sizes[-1] > LIST_PAIRS:  # long: its star goes out now, its first row stays as centre
-            open_ = n
-        us, vs = [], []
-        long = sizes > LIST_PAIRS
-        done = np.arange(n) < open_
-        star = np.flatnonzero(long[group] & ~new & done)
-        us.append(first[group[star]])
-        vs.append(star)
-        short = ~long[group] & done
-        for gap in range(1, LIST_PAIRS):
-            a = np.flatnonzero(short[:-gap] & (group[:-gap] == group[gap:])) if n > gap else np.zeros(0, np.int64)
-            if not len(a):
-                break
-            keep = rows.could_link(a, a + gap, percent)
-            us.append(a[keep])
-            vs.append(a[keep] + gap)
-        u, v = np.concatenate(us), np.concatenate(vs)
-        pairs = np.stack((rows.key[u], rows.key[v]), axis=1)
-        pairs = np.unique(pairs[pairs[:, 0] != pairs[:, 1]], axis=0)
-        if len(pairs):
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
-        if final:
-            held = None
-        elif open_ < n:
-            held = table.slice(open_)
-        else:  # carry the long list's first rows, enough for it to count as long again
-            held = table.slice(int(first[-1]), LIST_PAIRS + 1)
+                if len(grams) and (name := digest(grams)) not in seen:
+                    if len(seen) < 200_000:  # beyond, a set may be posted again: lists drop repeated keys
+                        seen.add(name)
+                    sets.append((key_of(name), grams))
+            if sets:
+                yield prefixes.of(sets)
 
+    return rows.select("text").mapInArrow(run, POSTS)
 
-def once(table: pa.Table) -> pa.Table:
-    """The first of each list's rows of one node: tasks post a node that they share once each, and rows are sorted."""
-    gram, key = table["gram"].to_numpy(), table["key"].to_numpy()
-    again = np.zeros(len(gram), bool)
-    again[1:] = (gram[1:] == gram[:-1]) & (key[1:] == key[:-1])
-    return table.filter(pa.array(~again)) if again.any() else table
+
+def posted_sets(sets: DataFrame, prefixes: Prefixes) -> DataFrame:
+    """The same postings from sets (key, grams)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                yield prefixes.of([(k, g.values.to_numpy().view(np.uint64)) for k, g in zip(part.column("key").to_pylist(), part.column("grams"))])
+
+    return sets.select("key", "grams").mapInArrow(run, POSTS)
 
 
 def flagged(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Table, bool]]:
@@ -245,46 +179,187 @@ def flagged(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Table, bool]
         yield before, True
 
 
+def once(table: pa.Table) -> pa.Table:
+    """The first of each list's rows of one node: tasks post a node that they share once each, and rows are sorted."""
+    gram, key = table["gram"].to_numpy(), table["key"].to_numpy()
+    again = np.zeros(len(gram), bool)
+    again[1:] = (gram[1:] == gram[:-1]) & (key[1:] == key[:-1])
+    return table.filter(pa.array(~again)) if again.any() else table
+
+
+def list_candidates(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """Of posting lists sorted by gram and key: of a short list the pairs (u, v) that pass the length and positional
+    filter, with null grams; of a long one its own rows (gram, u, spot). A list that goes on in the next batch waits."""
+    names, none = ["gram", "u", "v", "spot"], lambda n: pa.nulls(n, pa.int64())
+    held, going = None, None  # a short list that may go on, and the gram of a long one
+    for table, final in flagged(batches):
+        table = once(pa.concat_tables([held, table]) if held is not None else table)
+        gram, key, spot = (table[c].to_numpy() for c in ("gram", "key", "spot"))
+        size, place, n = spot >> 32, spot & 0xFFFFFFFF, len(gram)
+        new = np.concatenate(([True], gram[1:] != gram[:-1]))
+        first, group = np.flatnonzero(new), np.cumsum(new) - 1
+        sizes = np.diff(np.append(first, n))
+        long = sizes > LIST_PAIRS
+        long[0] |= going is not None and gram[0] == going
+        open_ = n if final or long[-1] else int(first[-1])
+        going = gram[-1] if long[-1] else None
+        whole = np.flatnonzero(long[group])
+        if len(whole):
+            yield pa.RecordBatch.from_arrays([pa.array(gram[whole]), pa.array(key[whole]), none(len(whole)), pa.array(spot[whole])], names=names)
+        short = ~long[group] & (np.arange(n) < open_)
+        us, vs = [], []
+        for gap in range(1, min(LIST_PAIRS, n)):
+            a = np.flatnonzero(short[:-gap] & (group[:-gap] == group[gap:]))
+            if not len(a):
+                break
+            b = a + gap
+            ok = (100 * np.minimum(size[a], size[b]) >= percent * np.maximum(size[a], size[b])) & (2 * np.minimum(size[a] - place[a], size[b] - place[b]) >= size[a] + size[b] - most_apart(size[a], size[b], percent))
+            us.append(key[a[ok]])
+            vs.append(key[b[ok]])
+        if us and sum(map(len, us)):
+            pairs = np.unique(np.stack((np.concatenate(us), np.concatenate(vs)), axis=1), axis=0)  # keys rise in a list
+            yield pa.RecordBatch.from_arrays([none(len(pairs)), pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), none(len(pairs))], names=names)
+        held = table.slice(open_) if open_ < n else None
+
+
+def likely(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """The pairs (u, v) of keys that pass the suffix filter on their nodes' shapes."""
+    for side in "uv":
+        pairs = pairs.join(nodes.select(F.col("key").alias(side), F.col("n").alias(f"{side}_n"), F.col("shape").alias(f"{side}_shape")), side)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, "u_shape"):
+            a, b = ([np.frombuffer(x.as_buffer(), np.uint8) for x in batch.column(f"{s}_shape")] for s in "uv")
+            wide = np.array([(len(x), len(y)) for x, y in zip(a, b)])
+            apart = np.zeros(len(a), np.int64)
+            for x, y in np.unique(wide, axis=0).tolist():
+                at = np.flatnonzero((wide == (x, y)).all(axis=1))
+                for some in np.array_split(at, len(at) * max(x, y) // 4_000_000 + 1):
+                    left, right = (folded(np.stack([side[k] for k in some]), min(x, y)) for side in (a, b))
+                    apart[some] = np.abs(left.astype(np.int16) - right).sum(axis=1, dtype=np.int64)
+            keep = apart <= most_apart(*(batch.column(f"{s}_n").to_numpy() for s in "uv"), percent)
+            yield batch.select(["u", "v"]).filter(pa.array(keep))
+
+    return pairs.select("u", "v", "u_n", "v_n", "u_shape", "v_shape").mapInArrow(run, "u long, v long")
+
+
+def cell_pairs(spot: np.ndarray, shapes: list[bytes], side: np.ndarray | None, group: np.ndarray, percent: int, spanning: bool) -> Iterator[tuple[int, np.ndarray]]:
+    """(row, later rows) of one list that pass the three filters and are not in one group; with `side`, only pairs
+    between its False and True rows. With spanning, rows that a pair has joined count as one group from then on."""
+    size, place = spot >> 32, spot & 0xFFFFFFFF
+    order = np.argsort(size, kind="stable")
+    size, place, shapes, group = size[order], place[order], [shapes[k] for k in order], group[order].copy()
+    side = side[order] if side is not None else None
+    wide = np.array([len(s) for s in shapes])
+    tables: dict[int, np.ndarray] = {}
+    for classes in np.unique(wide).tolist():  # of all rows with at least so many classes, folded to these
+        tables[classes] = np.concatenate([np.zeros((int((wide < classes).sum()), classes), np.uint8), *(folded(np.frombuffer(b"".join(s for s in shapes if len(s) == w), np.uint8).reshape(-1, w), classes) for w in np.unique(wide[wide >= classes]).tolist())])
+    ends = np.searchsorted(size, 100 * size // percent, "right")
+    for i in range(len(size)):
+        later = np.arange(i + 1, ends[i])
+        later = later[group[later] != group[i]]
+        if side is not None:
+            later = later[side[later] != side[i]]
+        if not len(later):
+            continue
+        most = most_apart(size[i], size[later], percent)
+        later, most = (x[2 * np.minimum(size[i] - place[i], size[later] - place[later]) >= size[i] + size[later] - most] for x in (later, most))
+        table = tables[wide[i]]
+        near = later[np.abs(table[later].astype(np.int16) - table[i]).sum(axis=1, dtype=np.int64) <= most]
+        if not len(near):
+            continue
+        if spanning:
+            joined, at = np.unique(group[near], return_index=True)
+            near = near[at]
+            group[np.isin(group, joined)] = group[i]
+        yield int(order[i]), order[near]
+
+
+def celled(posts: DataFrame, nodes: DataFrame, percent: int, list_parts: int | None, cell_rows: int, grouped: bool = False) -> DataFrame:
+    """Candidate pairs (u, v) of keys from whole posting lists (gram, key, spot).
+
+    Without `grouped`, a cell's candidates only span what they join, and a list of more than `list_parts` parts is linked
+    to its least node. With it, nodes have a root, and all candidates between different roots are given.
+    """
+    size = posts.groupBy("gram").agg(F.ceil(F.count(F.lit(1)) / cell_rows).cast("int").alias("parts"))
+    posts = posts.join(size, "gram")
+    star = None
+    if list_parts is not None:
+        huge = posts.where(F.col("parts") > list_parts)
+        star = huge.join(huge.groupBy("gram").agg(F.min("key").alias("v")), "gram").where("key <> v").select(F.col("key").alias("u"), "v")
+        posts = posts.where(F.col("parts") <= list_parts)
+    own = posts.join(nodes.select("key", "shape", *(["root"] if grouped else [])), "key")
+    own = own.withColumn("part", F.pmod(F.xxhash64("key"), F.col("parts")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    own = own.select("gram", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "part", "key", "spot", "shape", *(["root"] if grouped else []))
+
+    def run(table: pa.Table) -> pa.Table:
+        key, spot, part = (table[c].to_numpy() for c in ("key", "spot", "part"))
+        keep = np.unique(key, return_index=True)[1]
+        high = table["high"][0].as_py()
+        side = None if table["low"][0].as_py() == high else part[keep] == high
+        group = np.unique(table["root"].to_numpy(zero_copy_only=False), return_inverse=True)[1][keep] if grouped else np.arange(len(keep))
+        found = list(cell_pairs(spot[keep], table["shape"].take(pa.array(keep)).to_pylist(), side, group, percent, not grouped))
+        u, v = (key[keep[np.concatenate([np.zeros(0, np.int64), *x]).astype(np.int64)]] for x in ([np.repeat(i, len(b)) for i, b in found], [b for _, b in found]))
+        return pa.table({"u": pa.array(np.minimum(u, v), pa.int64()), "v": pa.array(np.maximum(u, v), pa.int64())})
+
+    pairs = own.groupBy("gram", "low", "high").applyInArrow(run, "u long, v long")
+    return pairs if star is None else pairs.unionByName(star)
+
+
 def bloom_positions(nodes: list[bytes], bits: int) -> np.ndarray:
     raw = np.frombuffer(b"".join(nodes), "<u4").reshape(-1, 4)
-    return raw.astype(np.int64) % bits
+    return raw.astype(np.int64) & (bits - 1)
 
 
 def bloom_holds(bloom: np.ndarray, nodes: list[bytes]) -> np.ndarray:
-    where = bloom_positions(nodes, BLOOM_BITS)
+    where = bloom_positions(nodes, 8 * len(bloom))
     return ((bloom[where >> 3] >> (where & 7).astype(np.uint8)) & 1).all(axis=1)
 
 
 def bloom_of(nodes: DataFrame) -> np.ndarray:
-    """A Bloom filter of fixed size over the column `node`; each task makes a part."""
+    """A Bloom filter over the column `node`, of a size that follows their number up to a limit; each task makes a part."""
+    held = nodes.count()
+    bits = min(BLOOM_MOST, max(1 << 13, 1 << (BLOOM_EACH * held).bit_length()))
 
-    def bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bloom = np.zeros(BLOOM_BITS // 8, np.uint8)
+    def parts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bloom = np.zeros(bits // 8, np.uint8)
         for batch in batches:
             if batch.num_rows:
-                where = bloom_positions(batch.column(0).to_pylist(), BLOOM_BITS).ravel()
+                where = bloom_positions(batch.column(0).to_pylist(), bits).ravel()
                 np.bitwise_or.at(bloom, where >> 3, (1 << (where & 7)).astype(np.uint8))
         yield pa.RecordBatch.from_arrays([pa.array([bloom.tobytes()], pa.binary())], names=["bloom"])
 
-    return summed(nodes.select("node").mapInArrow(bits, "bloom binary"), "bloom", "u1", BLOOM_BITS // 8, np.bitwise_or)
+    return summed(nodes.select("node").mapInArrow(parts, "bloom binary"), "bloom", "u1", bits // 8, np.bitwise_or)
+
+
+def named(node: bytes, number: int) -> bytes:
+    """A digest of a node and the document that stands for it."""
+    return hashlib.md5(node + str(number).encode()).digest()
 
 
 def rebuilt_sets(rows: DataFrame, nodes: DataFrame, words: int) -> DataFrame:
-    """(node, doc_id, grams) of documents whose node passes a Bloom filter of the nodes given; join exactly after."""
-    shared = rows.sparkSession.sparkContext.broadcast(bloom_of(nodes))
+    """(node, doc_id, grams) of documents that pass a Bloom filter of the (node, doc_id) given; join exactly after."""
+    name = F.unhex(F.md5(F.concat("node", F.encode(F.col("doc_id").cast("string"), "UTF-8")))).alias("node")
+    shared = rows.sparkSession.sparkContext.broadcast(bloom_of(nodes.select(name)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        have = shared.value
+        have, seen = shared.value, set()
         for batch in slices(batches, most=STEP_BYTES):
-            own = [(digest(s), i, s) for i, s in zip(batch.column("doc_id").to_pylist(), gram_sets(batch.column("text"), words)) if len(s)]
-            if own:
-                own = [x for x, ok in zip(own, bloom_holds(have, [x[0] for x in own])) if ok]
-            if own:
-                offsets = np.concatenate(([0], np.cumsum([len(x[2]) for x in own]))).astype(np.int32)
-                grams = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([x[2] for x in own]).view(np.int64)))
-                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in own], pa.binary()), pa.array([x[1] for x in own], pa.int64()), grams], names=["node", "doc_id", "grams"])
+            own = [(digest(s), i, s) for i, s in zip(batch.column("doc_id").fill_null(NO_ID).to_pylist(), gram_sets(batch.column("text"), words)) if len(s)]
+            if not own:
+                continue
+            names, kept = [named(d, i) for d, i, _ in own], []
+            for x, name, ok in zip(own, names, bloom_holds(have, names)):
+                if ok and name not in seen:
+                    if len(seen) < 200_000:  # rows that repeat id and set are dropped for good after
+                        seen.add(name)
+                    kept.append(x)
+            if kept:
+                offsets = np.concatenate(([0], np.cumsum([len(x[2]) for x in kept]))).astype(np.int32)
+                grams = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([x[2] for x in kept]).view(np.int64)))
+                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in kept], pa.binary()), pa.array([x[1] for x in kept], pa.int64()), grams], names=["node", "doc_id", "grams"])
 
-    return rows.mapInArrow(run, "node binary, doc_id long, grams array<long>")
+    return rows.select("doc_id", "text").mapInArrow(run, "node binary, doc_id long, grams array<long>")
 
 
 def block_links(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
@@ -377,58 +452,86 @@ def components(edges: DataFrame, at: str, tag: str) -> DataFrame:
     return roots.unionByName(roots.select(F.col("root").alias("node")).distinct().withColumn("root", F.col("node")))
 
 
-def between_components(posts: DataFrame, roots: DataFrame, percent: int) -> DataFrame:
-    """Pairs (u, v) of one posting list and different components that pass the length and positional filter."""
-    left = posts.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")).select("gram", "root", "node", "n", "place").distinct()
-    several = left.groupBy("gram").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b").select("gram")
-    left = left.join(several, "gram", "left_semi")
-    side = lambda s: left.select("gram", *[F.col(c).alias(f"{s}_{c}") for c in ("root", "node", "n", "place")])
-    least = F.ceil(percent * (F.col("u_n") + F.col("v_n")) / F.lit(100.0 + percent) - 1e-9)
-    near = (100 * F.least("u_n", "v_n") >= percent * F.greatest("u_n", "v_n")) & (F.least(F.col("u_n") - F.col("u_place"), F.col("v_n") - F.col("v_place")) >= least)
-    pairs = side("u").join(side("v"), "gram").where(F.col("u_root") < F.col("v_root")).where(near)
-    return pairs.select(F.least("u_node", "v_node").alias("u"), F.greatest("u_node", "v_node").alias("v")).distinct()
+def first_nodes(index: DataFrame) -> DataFrame:
+    """One row per node: node, key, n, shape, copies, its smallest id (least), and that id or NO_ID (doc_id)."""
+    found = index.where("node IS NOT NULL").groupBy("node", "key", "n").agg(F.first("shape").alias("shape"), F.min("doc_id").alias("least"), F.min(F.coalesce("doc_id", F.lit(NO_ID))).alias("doc_id"), F.count(F.lit(1)).alias("copies"))
+    return found
+
+
+def candidates(posts: DataFrame, nodes: DataFrame, percent: int, at: str, cell_rows: int, list_parts: int, heavy_lists: bool) -> DataFrame:
+    """Edges (u, v) of keys, enough of them for all components of the pairs that pass the filters."""
+    lists = posts.where("NOT heavy").select("gram", "key", "spot") if heavy_lists else posts.select("gram", "key", "spot")
+    lists = lists.repartition("gram").sortWithinPartitions("gram", "key")
+    found = stored(lists.mapInArrow(lambda batches: list_candidates(batches, percent), "gram long, u long, v long, spot long"), "candidates", at)
+    edges = likely(found.where("gram IS NULL").select("u", "v").distinct(), nodes, percent)
+    long = found.where("gram IS NOT NULL").select("gram", F.col("u").alias("key"), "spot")
+    edges = edges.unionByName(celled(long, nodes, percent, list_parts, cell_rows))
+    if heavy_lists:
+        heavy = posts.where("heavy").select("gram", F.col("key").alias("u")).distinct()
+        edges = edges.unionByName(heavy.join(heavy.groupBy("gram").agg(F.min("u").alias("v")), "gram").where("u <> v").select("u", "v"))
+    return stored(edges.distinct(), "edges", at)
+
 
+def between_components(sets: DataFrame, nodes: DataFrame, prefixes: Prefixes, links: DataFrame, percent: int, cell_rows: int, at: str) -> DataFrame:
+    """Links between the components that `links` make of the large blocks' sets (node, key, grams).
 
-def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block_sets: int = BLOCK_SETS, block_grams: int = BLOCK_GRAMS, list_rows: int = LIST_ROWS) -> tuple[DataFrame, DataFrame]:
-    """(index, links): index has doc_id, node, n of every document; links are verified (u, v) between nodes, enough of
-    them for all components."""
+    Candidates between components are first verified one for each pair of components, then, where two are still apart,
+    all of them.
+    """
+    roots = sets.select("node", "key").join(components(links, at, "partly"), "node", "left").withColumn("root", F.coalesce("root", "node"))
+    roots = stored(roots, "partly", at)
+    posts = posted_sets(sets, prefixes).drop("heavy").join(roots.select("key", "root"), "key")
+    several = posts.groupBy("gram").agg(F.min("root").alias("a"), F.max("root").alias("b")).where("a <> b").select("gram")
+    posts = stored(posts.drop("root").distinct().join(several, "gram", "left_semi"), "between", at)
+    known = roots.join(nodes.select("node", "shape"), "node")
+    pairs = celled(posts, known, percent, None, cell_rows, grouped=True).distinct()
+    side = lambda s: roots.select(F.col("key").alias(s), F.col("node").alias(f"{s}_node"), F.col("root").alias(f"{s}_root"))
+    pairs = pairs.join(side("u"), "u").join(side("v"), "v").where("u_root <> v_root")
+    pairs = stored(pairs.select(F.col("u_node").alias("u"), F.col("v_node").alias("v"), F.least("u_root", "v_root").alias("a"), F.greatest("u_root", "v_root").alias("b")), "pairs", at)
+    if pairs.isEmpty():
+        return links
+    first = pairs.groupBy("a", "b").agg(F.min(F.struct("u", "v")).alias("pair")).select("pair.u", "pair.v")
+    found = stored(verified_pairs(first, sets, percent), "links_first", at)
+    merged = components(links.unionByName(found), at, "first")
+    apart = pairs.select("u", "v")
+    for s in "uv":
+        apart = apart.join(merged.select(F.col("node").alias(s), F.col("root").alias(f"{s}_root")), s, "left")
+    apart = apart.where(F.coalesce("u_root", "u") != F.coalesce("v_root", "v")).select("u", "v").join(first, ["u", "v"], "left_anti")
+    return links.unionByName(found).unionByName(stored(verified_pairs(apart, sets, percent), "links_rest", at))
+
+
+def linked(rows: DataFrame, words: int, percent: int, cells: int, at: str, block_sets: int = BLOCK_SETS, block_grams: int = BLOCK_GRAMS, list_rows: int = LIST_ROWS, cell_rows: int = CELL_ROWS, list_parts: int = LIST_PARTS) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """(index, nodes, sets, links): the index has every document; links are verified (u, v) between nodes, enough of them
+    for all components; sets (node, key, grams) has each node that could have a link."""
     index = stored(indexed(rows, words, cells), "index", at)
     sketch = summed(index.where("sketch"), "cells", "<i8", cells)
-    index = index.where("not sketch").select("doc_id", "node", "key", "n")
+    index = index.where("NOT sketch").drop("cells", "sketch")
+    nodes = stored(first_nodes(index), "nodes", at)
     list_rows += 4 * int(np.median(sketch))  # a cell also counts n-grams that only share it
-    posts = posted(rows, words, percent, sketch, list_rows)
-    lists = posts.where("NOT heavy").drop("heavy").repartition("gram").sortWithinPartitions("gram", "n", "key")
-    edges = lists.mapInArrow(lambda batches: list_edges(batches, percent), "u long, v long")
-    if sketch.max() >= list_rows:
-        heavy = posts.where("heavy").select("gram", F.col("key").alias("u")).distinct()
-        edges = edges.unionByName(heavy.join(heavy.groupBy("gram").agg(F.min("u").alias("v")), "gram").where("u <> v").select("u", "v"))
-    edges = stored(edges.distinct(), "edges", at)
+    prefixes = Prefixes(rows, sketch, percent, list_rows)
+    edges = candidates(posted(rows, words, prefixes), nodes, percent, at, cell_rows, list_parts, bool(sketch.max() >= list_rows))
     blocks = components(edges, at, "blocks").withColumnRenamed("node", "key")
-    one = index.where("node IS NOT NULL").groupBy("node", "key").agg(F.min(F.coalesce("doc_id", F.lit(-1 << 63))).alias("doc_id"), F.first("n").alias("n"))
-    blocks = stored(blocks.join(one, "key"), "blocks", at)
+    blocks = stored(blocks.join(nodes.select("node", "key", "doc_id", "n"), "key"), "blocks", at)
     size = blocks.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / block_sets), F.ceil(F.sum("n") / block_grams)).cast("int").alias("parts"))
-    dealt = stored(blocks.join(size, "root"), "dealt", at)
+    dealt = blocks.join(size, "root").select("node", "key", "doc_id", "root", "parts")
+    sets = rebuilt_sets(rows, blocks, words).join(dealt, ["node", "doc_id"]).drop("doc_id")
+    sets = stored(sets.dropDuplicates(["node"]) if has_repeats(index) else sets, "sets", at)
 
     def deal(which: DataFrame, number: int) -> DataFrame:
-        sets = rebuilt_sets(rows, which, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63)))
         part = F.xxhash64("root", F.pmod(F.xxhash64("node", F.lit(number)), F.col("parts")))
-        return stored(verified_blocks(sets.join(which.select("node", "doc_id", part.alias("part")), ["node", "doc_id"]).select("part", "node", "grams"), percent), f"links_{number}", at)
-
-    links = deal(dealt, 0)
-    large = stored(dealt.where("parts > 1"), "large", at)
-    if large.isEmpty():
-        return index, links
-    for number in range(1, DEALS):
-        links = links.unionByName(deal(large, number))
-    roots = components(links, at, "partly")
-    rest = posted(rows, words, percent, sketch, list_rows, large).join(large.select("node", "key"), "key")
-    pairs = stored(between_components(rest, roots, percent), "pairs", at)
-    if pairs.isEmpty():
-        return index, links
-    needed = stored(pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct().join(one, "node").drop("key"), "needed", at)
-    whole = rebuilt_sets(rows, needed, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63))).join(needed.select("node", "doc_id"), ["node", "doc_id"], "left_semi")
-    whole = stored(whole.groupBy("node").agg(F.first("grams").alias("grams")), "sets", at)
-    return index, links.unionByName(stored(verified_pairs(pairs, whole, percent), "links_rest", at))
+        return stored(verified_blocks(which.select(part.alias("part"), "node", "grams"), percent), f"links_{number}", at)
+
+    links, large = deal(sets, 0), sets.where("parts > 1")
+    if not large.isEmpty():
+        for number in range(1, DEALS):
+            links = links.unionByName(deal(large, number))
+        links = between_components(large, nodes, prefixes, links, percent, cell_rows, at)
+    return index, nodes, sets.select("node", "key", "grams"), links
+
+
+def has_repeats(index: DataFrame) -> bool:
+    """Whether several rows share an id and a set, so that one node could be built from each of them."""
+    return not index.where("node IS NOT NULL").groupBy("doc_id", "node").count().where("count > 1").isEmpty()
 
 
 def cell_links(sets: list[np.ndarray], side: np.ndarray | None, percent: int) -> Iterator[tuple[int, np.ndarray]]:
@@ -446,13 +549,12 @@ def cell_links(sets: list[np.ndarray], side: np.ndarray | None, percent: int) ->
         yield int(i), near[near > i] if side is None else near
 
 
-def component_links(rows: DataFrame, members: DataFrame, words: int, percent: int, at: str, pairs: bool = False, block_sets: int = BLOCK_SETS, block_grams: int = BLOCK_GRAMS) -> DataFrame:
-    """Of members (node, root, doc_id, n, copies): (node, linked), documents whose set is another one that links; rows of
-    a node add up. With pairs, every linked pair of nodes (u, v)."""
+def component_links(sets: DataFrame, members: DataFrame, percent: int, at: str, pairs: bool = False, block_sets: int = BLOCK_SETS, block_grams: int = BLOCK_GRAMS) -> DataFrame:
+    """Of members (node, root, n, copies) with their sets: (node, linked), documents whose set is another one that links;
+    rows of a node add up. With pairs, every linked pair of nodes (u, v)."""
     size = members.groupBy("root").agg(F.count(F.lit(1)).alias("held"), F.greatest(F.ceil(F.count(F.lit(1)) / block_sets), F.ceil(F.sum("n") / block_grams)).cast("int").alias("parts")).where("held > 1")
-    dealt = stored(members.join(size, "root").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")), "members_dealt", at)
-    sets = rebuilt_sets(rows, dealt, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-1 << 63))).join(dealt.select("node", "doc_id", "root", "part", "parts", "copies"), ["node", "doc_id"])
-    cells = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    dealt = members.join(size, "root").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
+    cells = sets.select("node", "grams").join(dealt.select("node", "root", "part", "parts", "copies"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     cells = cells.select("root", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "part", "node", "copies", "grams")
 
     def run(table: pa.Table) -> pa.Table:
@@ -476,12 +578,20 @@ def component_links(rows: DataFrame, members: DataFrame, words: int, percent: in
     return stored(cells.groupBy("root", "low", "high").applyInArrow(run, "u binary, v binary" if pairs else "node binary, linked long"), "pairs_all" if pairs else "linked", at)
 
 
-def grouped(rows: DataFrame, words: int, percent: int, cells: int, at: str, **sizes: int) -> tuple[DataFrame, DataFrame]:
-    """(index, members): of every document, and of every node its root, one document, its size and its copies."""
-    index, links = linked(rows, words, percent, cells, at, **sizes)
+def marked(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(doc_id, text, mark); mark is a hash of the text, so that (doc_id, mark) names a row where ids repeat."""
+    return texts_of(docs, id_col, text_col).withColumn("mark", F.xxhash64("text"))
+
+
+def grouped(rows: DataFrame, words: int, percent: int, cells: int, at: str, **sizes: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(index, members, sets): of every document, and of every node its root, one document, its size and its copies."""
+    index, nodes, sets, links = linked(rows, words, percent, cells, at, **sizes)
     roots = stored(components(links, at, "all"), "roots", at)
-    nodes = index.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"), F.min(F.coalesce("doc_id", F.lit(-1 << 63))).alias("doc_id"), F.first("n").alias("n"), F.count(F.lit(1)).alias("copies"))
-    return index, stored(nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "members", at)
+    return index, stored(nodes.drop("shape", "key").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "members", at), sets
+
+
+def block_sizes(sizes: dict[str, int]) -> dict[str, int]:
+    return {k: v for k, v in sizes.items() if k.startswith("block")}
 
 
 def set_links(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text", **sizes: int) -> tuple[DataFrame, DataFrame]:
@@ -490,10 +600,8 @@ def set_links(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = C
     Documents of one node link as well. Pairs grow with the square of a group; near_duplicates counts them without rows.
     """
     at = shared_dir(docs.sparkSession)
-    rows = texts_of(docs, id_col, text_col)
-    index, members = grouped(rows, words, percent, cells, at, **sizes)
-    blocks = {k: v for k, v in sizes.items() if k != "list_rows"}
-    return index.select("doc_id", "node"), component_links(rows, members, words, percent, at, True, **blocks)
+    index, members, sets = grouped(marked(docs, id_col, text_col), words, percent, cells, at, **sizes)
+    return index.select("doc_id", "node"), component_links(sets, members, percent, at, True, **block_sizes(sizes))
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text", count_links: bool = True, **sizes: int) -> DataFrame:
@@ -506,29 +614,46 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, cells: i
     columns are ignored; an empty table gives no rows.
     """
     at = shared_dir(docs.sparkSession)
-    rows = texts_of(docs, id_col, text_col)
-    index, nodes = grouped(rows, words, percent, cells, at, **sizes)
+    index, nodes, sets = grouped(marked(docs, id_col, text_col), words, percent, cells, at, **sizes)
     least = nodes.groupBy("root").agg(F.min("least").alias("component_id"))
     named = nodes.join(least, "root").select("node", "component_id", "copies")
     out = [F.col("doc_id"), F.col("n").alias("n_shingles"), F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id")]
     if count_links:
-        blocks = {k: v for k, v in sizes.items() if k != "list_rows"}
-        sums = component_links(rows, nodes, words, percent, at, **blocks).groupBy("node").agg(F.sum("linked").alias("linked"))
+        sums = component_links(sets, nodes, percent, at, **block_sizes(sizes)).groupBy("node").agg(F.sum("linked").alias("linked"))
         named = named.join(sums, "node", "left")
         out.append((F.coalesce("linked", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).alias("n_links"))
     return index.join(stored(named, "named", at), "node", "left").select(*out)
 
 
-def first_of_each(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The documents without those that link, directly or not, to one of a smaller id; all columns stay.
+def row_key(id_col: str, text_col: str) -> Column:
+    """What names a row of documents here: its id, null last, and the mark of its text."""
+    key = F.col(id_col).cast("long")
+    return F.struct(key.isNull().alias("without_id"), F.coalesce(key, F.lit(0)).alias("id"), F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).alias("mark"))
+
 
-    Of rows that share an id and a component, one stays. Rows without an id can't be named as copies and stay.
+def first_of_each(docs: DataFrame, words: int = 5, percent: int = 80, cells: int = CELLS, id_col: str = "doc_id", text_col: str = "text", **sizes: int) -> DataFrame:
+    """One row of every component stays, with all of its columns: that of the smallest id, or of a null one if no row of
+    the component has an id.
+
+    Rows are told apart by id and text, so repeated ids lose nothing: each row goes or stays with its own component. Of
+    rows of one id in a component the one of the smallest text hash stays, of rows equal in id and text the one of the
+    smallest hash over all columns. Texts without words link with nothing and all stay.
     """
-    found = stored(near_duplicates(docs, words, percent, id_col=id_col, text_col=text_col, count_links=False), "found")
-    gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias(id_col)).distinct()
-    kept = docs.join(stored(gone, "gone"), id_col, "left_anti")
-    if found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").isEmpty():
+    at = shared_dir(docs.sparkSession)
+    index, nodes, _ = grouped(marked(docs, id_col, text_col), words, percent, cells, at, **sizes)
+    key = F.struct(F.col("doc_id").isNull().alias("without_id"), F.coalesce("doc_id", F.lit(0)).alias("id"), "mark")
+    found = index.where("node IS NOT NULL").select("node", key.alias("_key")).groupBy("node", "_key").agg(F.count(F.lit(1)).alias("held"))
+    found = stored(found.join(nodes.select("node", "root"), "node"), "found", at)
+    best = found.groupBy("root").agg(F.min("_key").alias("best"))
+    decided = stored(found.join(best, "root").select(F.col("_key.without_id").alias("without_id"), F.col("_key.id").alias("id"), F.col("_key.mark").alias("mark"), (F.col("_key") == F.col("best")).alias("stays"), "held"), "decided", at)
+    names = free_names(docs.columns, "without_id", "id_key", "mark")
+    own = docs.select("*", *[row_key(id_col, text_col)[f].alias(n) for f, n in zip(("without_id", "id", "mark"), names)])
+    match = lambda df: df.select(*[F.col(f).alias(n) for f, n in zip(("without_id", "id", "mark"), names)])
+    repeated = decided.where("stays AND held > 1")
+    several = not repeated.isEmpty()
+    kept = own.join(match(decided.where("NOT stays OR held > 1" if several else "NOT stays")), names, "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    if not several:
         return kept
-    order = Window.partitionBy(id_col, F.xxhash64(text_col)).orderBy(F.xxhash64(*docs.columns))
-    ranked = kept.withColumn("_copy", F.row_number().over(order))
-    return ranked.where(F.col(id_col).isNull() | (F.col("_copy") == 1)).drop("_copy")
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    one = own.join(match(repeated), names, "left_semi").groupBy(*names).agg(F.min_by(whole, F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns])).alias("_row"))
+    return kept.unionByName(one.select("_row.*"))

@@ -34,7 +34,7 @@ def op3_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_raked_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     kept = mixing.sampled(table(spark, sf_dir, "documents"))
-    return kept.selectExpr("doc_id", "_source AS source", "_lang AS lang", "_topic AS topic", "_tokens AS n_tokens", "probability")
+    return kept.selectExpr("doc_id", "mix.source", "mix.lang", "mix.topic", "mix.tokens AS n_tokens", "mix.probability")
 
 
 def op5_bit_plane_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -50,7 +50,7 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=90).drop("n_links")
+    return jaccard.near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=90)
 
 
 def op6_warc_chain(spark: SparkSession, sf_dir: str) -> DataFrame:

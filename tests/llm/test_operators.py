@@ -8,6 +8,7 @@ import zlib
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 pytest.importorskip("public_tokenizers")
 import public_tokenizers
@@ -128,22 +129,43 @@ def test_audio_keeps_every_sample_and_its_rate(spark, docs, tmp_path):
 
 def test_mixing(docs, empty):
     kept = mixing.sampled(docs, keep=0.5)
-    assert set(docs.columns) <= set(kept.columns)
+    assert kept.columns == [*docs.columns, "mix"]
     rows = kept.collect()
-    assert {r["doc_id"] for r in rows if r["_tokens"] == 0} >= {0, 1, 2} and all(0 < r["probability"] <= 1 for r in rows)
+    assert {r["doc_id"] for r in rows if r["mix"]["tokens"] == 0} >= {0, 1, 2} and all(0 < r["mix"]["probability"] <= 1 for r in rows)
     assert mixing.sampled(empty).count() == 0
 
 
+def test_mixing_with_clashing_columns(docs):
+    plain = mixing.sampled(docs, keep=0.5).select("doc_id", "text", "mix").collect()
+    odd = docs.selectExpr("*", "1 AS mix", "2 AS `_MIX`", "3 AS probability", "4 AS chance", "5 AS cell", "6 AS lang_pred", "7 AS _topic", "8 AS `a.b`")
+    kept = mixing.sampled(odd, keep=0.5)
+    assert kept.columns == [*odd.columns, "__mix"]
+    rows = kept.collect()
+    assert {tuple(r)[-9:-1] for r in rows} == {(1, 2, 3, 4, 5, 6, 7, 8)}
+    assert sorted([(r["doc_id"], r["text"], r["__mix"]) for r in rows], key=repr) == sorted([tuple(r) for r in plain], key=repr)
+
+
+def test_topics(spark):
+    texts = {"quartz quartzes quartzite": "words-0", "boulders balances and another": "words-1", "licensing": "legal", "a | b | continent": "table", "me@you": "contact", "short words only": "other", "": "other", "日本語のテキスト": "other"}
+    rows = spark.createDataFrame([(t,) for t in texts], "t string").select("t", mixing.topic_of(F.col("t")).alias("topic")).collect()
+    assert {r["t"]: r["topic"] for r in rows} == texts
+
+
 def test_raked_weights_meet_the_marginals(spark):
     rng = np.random.default_rng(3)
     cells = spark.createDataFrame([(f"s{a}", f"l{b}", f"t{c}", float(rng.integers(5, 500))) for a in range(4) for b in range(3) for c in range(2)], "source string, lang string, topic string, tokens double")
-    got = mixing.raked(cells, {"source": 0.5, "lang": 0.5, "topic": 0.5}, 12).toPandas()
+    plan, gaps = mixing.planned(cells, 0.72, {"source": 0.5, "lang": 0.5, "topic": 0.5}, 40)
+    got = plan.toPandas()
+    assert (got.probability == 1).any() and (got.probability <= 1).all()  # some cells are at their cap
     for side in mixing.SIDES:
         share = got.groupby(side).tokens.sum() / got.tokens.sum()
         target = share**0.5 / (share**0.5).sum()
-        assert np.abs(got.groupby(side).weight.sum() / got.weight.sum() - target).max() < 1e-6
-    p = mixing.calibrated(spark.createDataFrame(got), 0.6).toPandas()
-    assert abs((p.tokens * p.probability).sum() / p.tokens.sum() - 0.6) < 1e-6
+        assert np.abs((got.tokens * got.probability).groupby(got[side]).sum() / got.tokens.sum() / 0.72 - target).max() < 1e-6
+    assert gaps.agg({"gap": "max"}).first()[0] < 1e-6
+    impossible = spark.createDataFrame([("a", "x", "t", 1.0), ("b", "x", "t", 999.0)], cells.schema)
+    plan, gaps = mixing.planned(impossible, 0.9, {"source": 0.0}, 20)
+    by = {r["value"]: r["gap"] for r in gaps.where("side = 'source'").collect()}
+    assert by["a"] > 0.4 and {r["source"]: r["probability"] for r in plan.collect()}["a"] == 1
 
 
 @pytest.mark.parametrize("bits", [8, 1])
@@ -197,6 +219,21 @@ def test_warc_keeps_pages_behind_a_long_url(spark):
     assert list(warc.candidates(b"WARC/1.1\r\n" * 300_000)) == []
 
 
+def test_warc_decides_every_row_by_itself(spark, tmp_path):
+    rows = [(5, "same"), (5, "same"), (5, "other"), (1, "same"), (2, "other"), (2, "alone"), (None, "same"), (None, None), (9, "alone"), (1, "same"), (7, "x" * 300_000)]
+    pages = spark.createDataFrame([(i, "http://x", h, "z", 1) for i, h in rows], "page_id long, url string, html string, digest string, refers_to int").repartition(3)
+    sha = lambda t: base64.b32encode(hashlib.sha1((t or "").encode()).digest()).decode()
+    first = {h: min((i for i, x in rows if x == h and i is not None), default=None) for _, h in rows}
+    want = [(i, len(h or ""), sha(h), *(("revisit", first[h]) if i is not None and i > first[h] else ("response", None))) for i, h in rows]
+    got = [tuple(r) for r in warc.archived(pages, path=str(tmp_path / "a")).collect()]
+    assert sorted(got, key=repr) == sorted(want, key=repr)
+    part = max((tmp_path / "a").glob("part-*"), key=lambda p: p.stat().st_size)
+    part.write_bytes(part.read_bytes()[:-10])
+    part.with_name(f".{part.name}.crc").unlink(missing_ok=True)
+    with pytest.raises(Exception, match="breaks off"):
+        warc.read_archives(spark, str(tmp_path / "a"), str(tmp_path / "again")).count()
+
+
 def test_language(spark, docs, empty):
     frame = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     rows = langid.languages(frame).join(frame.select("doc_id", "lang"), "doc_id").collect()
@@ -252,6 +289,29 @@ def test_licenses(docs, empty):
     assert "cc-by-nc" in labels[10] and "gpl" in labels[11]
 
 
+NOTICES = {
+    "mit": 'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software")',
+    "bsd": "Redistribution and use in source and binary forms, with or without\n * modification, are permitted provided that the following conditions are met:",
+    "bsd-3-clause": "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software",
+    "apache-2.0": 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License.',
+    "gpl": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License",
+    "lgpl": "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License",
+    "unlicense": "This is free and unencumbered software released into the public domain.",
+    "public-domain": "The author has placed this work... it was released into the public domain in 2001",
+    "isc": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted",
+    "cc-by-nc-sa": "see https://creativecommons.org/licenses/by-nc-sa/4.0/ for terms",
+    "reserved": "Tous droits réservés", "zlib": "The origin of this software must not be misrepresented", "copyright": "© 2019 someone",
+    "gpl-2.0-or-later": "either version 2 of the License, or (at your option) any later version.",
+}
+
+
+def test_license_bodies_and_notices(spark):
+    rows = [(k, t) for k, t in enumerate(NOTICES.values())] + [(99, "A plain text that grants nothing and has no permission slip; the public library is in the domain of the town, later on.")]
+    got = {r["doc_id"]: r["labels"].split(",") for r in licenses.scanned(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(label in got[k] for k, label in enumerate(NOTICES)) and got[99] == [""]
+    assert "public-domain" not in got[list(NOTICES).index("unlicense")]  # inside the interval of a rule that ranks higher
+
+
 def test_token_counts(docs, empty):
     import sentencepiece
 
@@ -285,7 +345,7 @@ def brute_components(rows, words, percent):
     return [len(s) for s in sets], [root(k) for k in range(len(rows))]
 
 
-@pytest.mark.parametrize("sizes", [{}, {"block_sets": 2}, {"list_rows": 2, "block_sets": 3}])
+@pytest.mark.parametrize("sizes", [{}, {"block_sets": 2, "cell_rows": 20}, {"list_rows": 2, "block_sets": 3, "cell_rows": 7, "list_parts": 2}])
 def test_jaccard(spark, sizes):
     rng = np.random.default_rng(2)
     base = [f"w{k}" for k in rng.integers(0, 400, 60)]
@@ -335,23 +395,6 @@ def test_jaccard_awkward_rows(docs, empty):
     assert jaccard.near_duplicates(empty).count() == 0 and jaccard.first_of_each(empty).count() == 0
 
 
-def test_long_lists_cross_batches():
-    names = list(range(300))
-    table = pa.table({"gram": pa.array([1] * 3 + [2] * 250 + [3] * 47, pa.int64()), "key": pa.array(names, pa.int64()), "n": pa.array([10] * 300, pa.int32()), "place": pa.array([0] * 300, pa.int32()), "shape": pa.array([b""] * 300, pa.binary())})
-    for size in (300, 90, 7, 1):
-        edges = [(u.as_py(), v.as_py()) for b in jaccard.list_edges(iter(table.to_batches(max_chunksize=size)), 90) for u, v in zip(b.column(0), b.column(1))]
-        own = {x: x for x in names}
-
-        def root(x):
-            while own[x] != x:
-                x = own[x]
-            return x
-
-        for u, v in edges:
-            own[max(root(u), root(v))] = min(root(u), root(v))
-        assert len({root(x) for x in names}) == 3, size
-
-
 def test_search(spark, docs, empty):
     pages = [(k, t) for k, t in texts_of(docs) if k is not None and not (k == 5 and False)]
     frame = spark.createDataFrame(pages, "doc_id long, text string").repartition(4)
@@ -373,17 +416,53 @@ def test_search(spark, docs, empty):
     assert bm25.search(empty, frame).count() == 0 and bm25.search(frame, empty).count() == 0
 
 
-def test_list_edges_across_batches(monkeypatch):
-    """Short lists give their close pairs, long ones a star, however batches cut them; a repeated node counts once."""
-    monkeypatch.setattr(jaccard, "LIST_PAIRS", 4)
-    sizes, rows = {1: 3, 2: 12, 3: 2}, []
+def test_list_candidates_across_batches():
+    """Short lists give their close pairs, long ones their rows, however batches cut them; a repeated node counts once."""
+    sizes, rows = {1: 3, 2: 250, 3: 1, 4: 47, 5: 66}, []
     for gram, size in sizes.items():
-        for key in range(100 * gram, 100 * gram + size):
-            rows += [(gram, key, 50, 0, b"")] * (3 if key % 2 else 1)
-    table = pa.table({name: pa.array(column, kind) for name, column, kind in zip(("gram", "key", "n", "place", "shape"), zip(*rows), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()))})
-    want = {(a, b) for gram in (1, 3) for a in range(100 * gram, 100 * gram + sizes[gram]) for b in range(a + 1, 100 * gram + sizes[gram])}
-    want |= {(200, k) for k in range(201, 212)}
-    for step in (1, 2, 3, 5, 7, len(rows)):
-        got = [b for b in jaccard.list_edges(iter(table.to_batches(max_chunksize=step)), 90)]
-        pairs = {(u, v) for b in got for u, v in zip(b["u"].to_pylist(), b["v"].to_pylist())}
-        assert want <= pairs and all(u // 100 == v // 100 for u, v in pairs), step
+        for key in range(1000 * gram, 1000 * gram + size):
+            rows += [(gram, key, 50 << 32)] * (3 if key % 2 else 1)
+    table = pa.table({name: pa.array(column, pa.int64()) for name, column in zip(("gram", "key", "spot"), zip(*rows))})
+    want = {(a, b) for gram in (1, 4) for a in range(1000 * gram, 1000 * gram + sizes[gram]) for b in range(a + 1, 1000 * gram + sizes[gram])}
+    for step in (1, 2, 7, 90, len(rows)):
+        got = [r for b in jaccard.list_candidates(iter(table.to_batches(max_chunksize=step)), 90) for r in b.to_pylist()]
+        assert {(r["u"], r["v"]) for r in got if r["gram"] is None} == want, step
+        assert {(r["gram"], r["u"]) for r in got if r["gram"] is not None} == {(g, k) for g, k, _ in rows if g in (2, 5)}, step
+
+
+def test_filters_never_lose_a_link():
+    """Cells and the suffix filter keep every pair that links, and with spanning every component, over all sizes of shapes."""
+    rng = np.random.default_rng(9)
+    for size in (3, 20, 300, 3000, 30000):
+        base = np.unique(rng.integers(0, 1 << 63, size, dtype=np.uint64))
+        sets = [np.unique(np.concatenate((rng.choice(base, int(len(base) * x), replace=False), rng.integers(0, 1 << 63, int(size * y), dtype=np.uint64)))) for x, y in rng.uniform((0.75, 0), (1, 0.2), (12, 2))]
+        sets += [np.zeros(300, np.uint64) + (np.uint64(k) << np.uint64(40)) + np.arange(300, dtype=np.uint64) for k in (0, 0, 1)]  # one class has them all
+        spot = np.array([len(s) << 32 for s in sets])
+        true = {(a, b) for a in range(len(sets)) for b in range(a) if 5 * len(np.intersect1d(sets[a], sets[b])) >= 4 * len(np.union1d(sets[a], sets[b]))}
+        for side in (None, rng.random(len(sets)) < 0.5):
+            want = {p for p in true if side is None or side[p[0]] != side[p[1]]}
+            found = lambda spanning: {(max(i, k), min(i, k)) for i, near in jaccard.cell_pairs(spot, [jaccard.shape(s) for s in sets], side, np.arange(len(sets)), 80, spanning) for k in near.tolist()}  # noqa: E731,B023
+            assert want <= found(False) and (size < 20 or len(found(False)) < len(sets) * (len(sets) - 1) / 2)
+            own = {k: k for k in range(len(sets))}
+
+            def root(x):
+                while own[x] != x:  # noqa: B023
+                    x = own[x]  # noqa: B023
+                return x
+
+            for a, b in found(True):
+                own[root(a)] = root(b)
+            assert all(root(a) == root(b) for a, b in want)
+
+
+def test_first_of_each_decides_every_row_by_itself(spark):
+    a, near, other = "one two three four five six seven eight nine ten", "one two three four five six seven eight nine ten eleven", "quite another text of some words"
+    rows = [(1, a, "x"), (2, a, "x"), (2, other, "x"), (3, near, "x"), (3, a, "y"), (None, near, "x"), (None, "only here without an id", "x"), (None, "only here without an id", "x"), (4, None, "x"), (4, None, "x"), (5, "...  ", "x"), (7, other + " z", "x"), (7, "seven " * 40, "x"), (7, "seven " * 41, "x"), (1, a, "z")]
+    docs = spark.createDataFrame([(*r, k % 2) for k, r in enumerate(rows)], "doc_id long, text string, node string, _row int").repartition(4)
+    kept = jaccard.first_of_each(docs, 3, 80)
+    assert kept.columns == docs.columns
+    got = sorted([(r["doc_id"], r["text"]) for r in kept.collect()], key=repr)
+    seven = [t for i, t, _ in rows if i == 7 and t.startswith("seven")]
+    assert [x for x in got if x[0] == 7 and x[1].startswith("seven")] in [[(7, t)] for t in seven]
+    got = [x for x in got if not (x[0] == 7 and x[1].startswith("seven"))]
+    assert got == sorted([(1, a), (2, other), (None, "only here without an id"), (4, None), (4, None), (5, "...  ")] + ([(7, other + " z")] if brute_components([(0, other), (1, other + " z")], 3, 80)[1] == [0, 1] else []), key=repr)
