@@ -6,10 +6,9 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from privgrove.llm import jaccard, langid, mixing, packing
-from privgrove.llm.textio import shared_dir, stored
+from privgrove.llm.textio import shared_dir
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
@@ -18,15 +17,12 @@ LEAST_SCORE = 0.3
 
 
 def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a language that the model knows; it learns from their own labels."""
-    found = langid.predicted(docs, langid.trained(docs))
-    gone = stored(found.where((F.col("lang_pred") == langid.UNKNOWN) | (F.col("score") < LEAST_SCORE)).select("doc_id").distinct(), "rejected")
-    nameless = docs.where("doc_id IS NULL AND text RLIKE '\\\\p{L}'")
-    return docs.where("doc_id IS NOT NULL").join(gone, "doc_id", "left_anti").unionByName(nameless).select(*docs.columns)
+    """Rows in a language that the model knows; it learns from their own labels. Each row is decided by its own text."""
+    return langid.kept(docs, langid.trained(docs), LEAST_SCORE)
 
 
 def deduplicated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates: five-word n-grams, Jaccard similarity of 0.8 or more."""
+    """One row of each group of near duplicates: five-word n-grams, Jaccard similarity of 0.8 or more. Texts without words stay."""
     return jaccard.first_of_each(docs, words=5, percent=80).select(*docs.columns)
 
 

@@ -24,7 +24,7 @@ UNKNOWN = "und"
 EDGES = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum()) + "«»„“”‘’…–—¿¡"
 BITS = 17
 GRAMS, AFFIXES = (2, 3, 4), (1, 2, 3, 4)
-TEXT_BYTES = 4 << 20
+TEXT_BYTES = 2 << 20
 
 
 @dataclass
@@ -239,6 +239,23 @@ def predicted(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", tex
     return texts_of(docs, id_col, text_col).mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
+def kept(docs: DataFrame, model: LanguageModel, least: float, text_col: str = "text") -> DataFrame:
+    """The rows whose text has a language with a score of `least` or more, with their own columns.
+
+    Every row is decided by its own text, so null or repeated ids change nothing. Null texts and texts without a letter
+    have no language and go; an empty table gives no rows.
+    """
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in gathered(batches, text_col, TEXT_BYTES):
+            langs, score = likeliest(batch.column(at).fill_null(""), shared.value)
+            yield batch.filter(pa.array((score >= least) & (np.array(langs, object) != UNKNOWN)))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def labelled_words(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per document: doc_id, words and their likeliest labels, for code-switched text."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
