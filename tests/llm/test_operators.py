@@ -96,6 +96,39 @@ def test_audio(docs, empty):
     assert audio.media_features(empty).count() == 0
 
 
+def adpcm_by_sample(block):
+    """One block, a sample at a time."""
+    value, index = int.from_bytes(block[:2], "little", signed=True), min(block[2], 88)
+    out = [value]
+    for code in (c for b in block[4:] for c in (b & 15, b >> 4)):
+        step = int(audio.STEPS[index])
+        change = sum(step >> shift for shift, bit in ((0, 4), (1, 2), (2, 1)) if code & bit) + (step >> 3)
+        value = max(-32768, min(32767, value - change if code & 8 else value + change))
+        index = max(0, min(88, index + (-1, -1, -1, -1, 2, 4, 6, 8)[code & 7]))
+        out.append(value)
+    return out
+
+
+def test_audio_media_and_features(docs):
+    """The stored form and every feature, by their definitions."""
+    table, step = audio.TABLES[audio.ULAW].astype(int), 505
+    for r in audio.media_features(docs).collect():
+        text = next(t for i, t in texts_of(docs) if i == r["doc_id"] and hashlib.sha256(audio.padded_payload(t.encode(), 576, 255)).hexdigest() == r["payload_sha256"])
+        full = audio.padded_payload(text.encode(), 576, 255)
+        medium = audio.wav(full, audio.ULAW)
+        assert (r["media_bytes"], r["media_sha256"]) == (len(medium), hashlib.sha256(medium).hexdigest()) and medium.endswith(full)
+        x = table[list(full)]
+        crossings = sum((a >= 0) != (b >= 0) for a, b in zip(x, x[1:]))
+        assert r["feature"] == f"rms={np.sqrt(np.mean(x.astype(float) ** 2)):.1f};peak={abs(x).max()};crossings={crossings};pcm={zlib.crc32(x.astype('<i2').tobytes()):08x}"
+        if len(full) > 6000:
+            continue
+        law = audio.TABLES[audio.ALAW].astype(int)
+        near = np.abs(law[:, None] - x[None]).min(axis=0)
+        blocks = [np.append(b, np.full(step - len(b), b[-1])).astype(np.int16) for b in (x[k : k + step] for k in range(0, len(x), step))]
+        back = np.concatenate([adpcm_by_sample(bytes(audio.encode_adpcm(b[None])[0])) for b in blocks])[: len(x)]
+        assert r["codecs"] == f"ulaw=0.0;alaw={np.sqrt(np.mean(near**2.0)):.1f};adpcm={np.sqrt(np.mean((back - x) ** 2.0)):.1f}"
+
+
 def test_audio_codecs():
     t = np.arange(505 * 6)
     pcm = (8000 * np.sin(t / 7) * np.minimum(1, t / 300)).astype(np.int16).reshape(6, 505)
@@ -104,10 +137,18 @@ def test_audio_codecs():
     tag, rate, align, data = audio.unwav(medium)
     back = audio.to_pcm(tag, align, data).reshape(6, 505)
     assert (back[:, 0] == pcm[:, 0]).all() and np.sqrt(np.mean((back.astype(float) - pcm) ** 2)) < 900
+    assert [int(audio.TABLES[audio.ULAW][b]) for b in (0x00, 0x80, 0x7F, 0xFF, 0xF0, 0x70)] == [-32124, 32124, 0, 0, 120, -120]
+    assert [int(audio.TABLES[audio.ALAW][b]) for b in (0x55, 0xD5, 0x2A, 0xAA, 0x00, 0x80)] == [-8, 8, -32256, 32256, -5504, 5504]
     for law in (audio.ULAW, audio.ALAW):
         table = audio.TABLES[law].astype(int)
-        assert len(set(table)) >= 255 and (np.sort(np.abs(table)) == np.sort(np.abs(-table))).all()
+        assert (table[:128] == -table[128:]).all() and (np.diff(np.unique(table)) > 0).all()
+        assert (table[audio.CODES[law][table + 32768]] == table).all()
+        every = np.arange(-32768, 32768)
+        assert (np.abs(table[audio.CODES[law]] - every)[::97] == np.abs(table[:, None] - every[None, ::97]).min(axis=0)).all()
         assert audio.unwav(audio.wav(bytes(range(256)), law))[3] == bytes(range(256))
+    assert audio.decode_adpcm(np.array([[0, 0, 0, 0, 0xF7]], np.uint8)).tolist() == [[0, 11, -19]]  # by hand: steps 7, then 16
+    noise = np.random.default_rng(3).integers(0, 256, (4, 64)).astype(np.uint8)
+    assert audio.decode_adpcm(noise).tolist() == [adpcm_by_sample(bytes(b)) for b in noise]
     tone = (3000 * np.sin(2 * np.pi * 100 * np.arange(8000) / 8000)).astype(np.int16)
     low, ends = audio.resampled(np.concatenate([tone, tone[:10]]), np.array([0, 8000, 8010]), 4)
     assert ends.tolist() == [0, 2000, 2003] and np.abs(low[50:1900] - tone[200:7600:4]).max() < 60
