@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from privgrove.operators import sketch
 from privgrove.operators.sampling import is_test
-from privgrove.plans import metrics
+from privgrove.plans import cost, metrics
 from privgrove.plans.boost import BoostParams, fit_many
 from privgrove.plans.tree import TreeModel, bins_of, routed
 from privgrove.plans.workloads import Workload, for_tables
@@ -213,6 +213,19 @@ def runtime(spark: SparkSession, sf_dir: str, name: str = "w01", **changes) -> D
     return table(spark, runs[1:])
 
 
+def engine_cost(spark: SparkSession, sf_dir: str, name: str = "w01", trees: int = 4, together: int = 8, **changes) -> DataFrame:
+    """What training costs the engine: jobs, tasks, bytes and shuffled rows of a private and an open model, and of several
+    in step; with the most rows that its tasks may shuffle, the cells of a level each."""
+    bench = Bench(spark, sf_dir, name)
+    p = bench.params(trees=trees, **changes)
+    runs = {"private": [p], "open": [p.open()], f"private_x{together}": [replace(p, noise_key=f"k{k}") for k in range(together)]}
+    rows = [(k, trees, len(v), *cost.measured(spark, lambda v=v: fit_many(bench.train, bench.work.spec, v)).values()) for k, v in runs.items()]
+    cells = bench.work.spec.m * (bench.bins + 1) * 2 ** max(0, p.max_depth - 1)  # of the last level: of two children one is summed
+    bench.close()
+    out = spark.createDataFrame(rows, "variant string, trees int, models int, jobs long, tasks long, input_bytes long, shuffle_records long, shuffle_bytes long, seconds double")
+    return out.withColumn("most_records", F.col("tasks") * F.col("models") * F.lit(cells))
+
+
 def means(runs: DataFrame) -> DataFrame:
-    """The result table's form: one row per workload and variant, one column per budget."""
-    return runs.groupBy("workload", "variant", "measure").pivot("epsilon").agg(F.round(F.avg("value"), 4))
+    """The result table: mean and standard deviation over trials by workload, variant and budget."""
+    return metrics.trial_summary(runs, ["workload", "variant", "epsilon", "measure"], "value")

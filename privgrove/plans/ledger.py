@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 from collections.abc import Sequence
 from dataclasses import dataclass, field, replace
+from typing import Protocol
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -104,6 +105,11 @@ class Ledger:
         each = [self.tree_epsilon(t) for t in sorted({c.tree for c in self.charges})]
         return parallel(each) if self.disjoint_trees else sequential(each)
 
+    def total_by(self, accountant: Accountant) -> tuple[float, float]:
+        """(epsilon, delta) of all trees under another accountant; trees on disjoint rows cost the largest."""
+        each = [self.tree_epsilon(t) for t in sorted({c.tree for c in self.charges})]
+        return (parallel(each), 0.0) if self.disjoint_trees else accountant.total(each)
+
     def charge(self, new: Sequence[Charge]) -> None:
         """Record charges, or refuse all of them."""
         after = replace(self, charges=[*self.charges, *new])
@@ -115,6 +121,45 @@ class Ledger:
         return spark.createDataFrame([(c.tree, c.mechanism, c.level, c.scope, c.epsilon, c.delta, c.composition, c.note) for c in self.charges], SCHEMA)
 
 
+class Accountant(Protocol):
+    """What composes the charges of releases on the same rows to one (epsilon, delta)."""
+
+    def total(self, epsilons: Sequence[float]) -> tuple[float, float]: ...
+
+
+@dataclass(frozen=True)
+class PureAccountant:
+    """Charges add up; no delta. The ledger's own rule."""
+
+    def total(self, epsilons: Sequence[float]) -> tuple[float, float]:
+        return sequential(epsilons), 0.0
+
+
+@dataclass(frozen=True)
+class AdvancedAccountant:
+    """Advanced composition of unequal charges, for a delta; never above the plain sum."""
+
+    delta: float
+
+    def total(self, epsilons: Sequence[float]) -> tuple[float, float]:
+        drift = math.fsum(e * math.expm1(e) for e in epsilons)
+        spread = math.sqrt(2 * math.log(1 / self.delta) * math.fsum(e * e for e in epsilons))
+        plain = sequential(epsilons)
+        return (plain, 0.0) if plain <= drift + spread else (drift + spread, self.delta)
+
+
+@dataclass(frozen=True)
+class ConcentratedAccountant:
+    """Zero-concentrated privacy: a pure charge of e counts e**2 / 2, and sums are brought back for a delta."""
+
+    delta: float
+
+    def total(self, epsilons: Sequence[float]) -> tuple[float, float]:
+        rho = math.fsum(e * e / 2 for e in epsilons)
+        bound, plain = rho + 2 * math.sqrt(rho * math.log(1 / self.delta)), sequential(epsilons)
+        return (plain, 0.0) if plain <= bound else (bound, self.delta)
+
+
 def total_of(ledger: DataFrame, gamma: float = 1.0) -> DataFrame:
     """The ledger's total as a DataFrame: largest by scope, sum by tree, amplified, sum over trees."""
     scopes = ledger.groupBy("tree", "mechanism", "scope").agg(F.max("epsilon").alias("e"))

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from privgrove.functions import sqlfront
 from privgrove.functions.noise import laplace_sql, uniform_sql
 
-from privgrove.plans import audit, experiments
+from privgrove.plans import audit, experiments, metrics
 from privgrove.plans.boost import BoostParams, fit
 from privgrove.plans.workloads import for_tables
 from privgrove.queries import methods as m
@@ -149,6 +149,17 @@ def w10(spark, d):
     return experiments.runtime(spark, d)
 
 
+@query("a10_engine_cost")
+def a10(spark, d):
+    return experiments.engine_cost(spark, d)
+
+
+@query("a11_trial_summary", "SELECT l_returnflag AS variant, round(avg(v), 6) AS mean, round(stddev_samp(v), 6) AS stddev, count(*) AS trials FROM (SELECT l_returnflag, l_linenumber, avg(l_discount) AS v FROM lineitem GROUP BY ALL) GROUP BY 1")
+def a11(spark, d):
+    trials = load(spark, d, "lineitem").groupBy(F.col("l_returnflag").alias("variant"), "l_linenumber").agg(F.avg("l_discount").alias("v"))
+    return metrics.trial_summary(trials, ["variant"], "v")
+
+
 # ---- audits
 
 

@@ -560,3 +560,11 @@ def g13g(spark, d):
     return mechanisms.dp_group_count(load(spark, d, "events"), "event_type", keys, 0.5, KEY).select("event_type", F.round("n", 6).alias("n"))
 
 
+
+
+@query("m35_accountants", """WITH e AS (SELECT 0.05 AS e, 0.000001 AS d, 200 AS k), s AS (SELECT *, e * k AS plain, k * e * (exp(e) - 1) + sqrt(2 * ln(1 / d) * k * e * e) AS adv, k * e * e / 2 AS rho FROM e)
+  SELECT round(plain, 6) AS pure, round(least(plain, adv), 6) AS advanced, round(least(plain, rho + 2 * sqrt(rho * ln(1 / d))), 6) AS concentrated FROM s""")
+def m35(spark, d):
+    """Two hundred equal charges under three accountants."""
+    e = [0.05] * 200
+    return one(spark, pure=ledger.PureAccountant().total(e)[0], advanced=ledger.AdvancedAccountant(1e-6).total(e)[0], concentrated=ledger.ConcentratedAccountant(1e-6).total(e)[0])

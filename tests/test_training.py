@@ -1,14 +1,17 @@
 """Training: invariants of the loop, of samples and of the histograms."""
 
+import math
+from collections import Counter
 from dataclasses import replace
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from privgrove.operators import sampling, sketch, splits
+from privgrove.functions.noise import uniform_of
+from privgrove.operators import leaves, sampling, sketch, splits
 from privgrove.operators.gradient import UNIT
-from privgrove.plans import audit, experiments
+from privgrove.plans import audit, experiments, ledger
 from privgrove.plans.boost import BoostParams, fit, fit_many
 from privgrove.queries import methods as m
 from privgrove.queries import registry
@@ -190,6 +193,47 @@ def test_audits_stay_below_their_epsilon(spark):
         assert rows and all(r["log_ratio"] - 1.5 * r["error"] <= eps for r in rows)
 
 
+def audited(release, one, other, runs):
+    """Largest log ratio of outcome shares on two inputs, less three standard errors; release(input, key) -> bucket."""
+    counts = [Counter(release(x, f"{tag}{k}") for k in range(runs)) for tag, x in (("a", one), ("b", other))]
+    return max(abs(math.log(counts[0][o] / counts[1][o])) - 3 * math.sqrt(1 / counts[0][o] + 1 / counts[1][o]) for o in counts[0] if min(counts[0][o], counts[1][o]) >= 50)
+
+
+def test_a_seeded_split_and_a_leaf_stay_below_their_epsilon():
+    rng = np.random.default_rng(2)
+    n, g = rng.integers(1, 6, (2, 9)), rng.integers(-UNIT, UNIT, (2, 9))
+    n[1], g[1] = n[0][::-1], g[0][::-1]
+    n[:, 0] = g[:, 0] = 0
+    more_n, more_g = n.copy(), g.copy()
+    more_n[0, 1] += 1
+    more_n[1, 8] += 1
+    more_g[0, 1] += UNIT
+    more_g[1, 8] += UNIT
+    eps, cuts = 1.0, [np.arange(7)] * 2
+
+    def split(tables, key):
+        s = splits.best_split(*tables, cuts, 0.1, 0, None, True, eps, 1.0, (key, 0))
+        return s.feature, s.cut_bin
+
+    assert audited(split, (g, n), (more_g, more_n), 3000) <= eps
+    for mode in ("min_child", "worst_case"):
+        leaf = lambda sums, key, mode=mode: math.floor(leaves.leaf_value(mode, *sums, eps, 1.0, 0.1, 20, uniform_of(key, "leaf")) / 0.05)
+        assert audited(leaf, (-20.0, 20), (-19.0, 21), 20_000) <= eps
+
+
+def test_accountants():
+    assert ledger.PureAccountant().total([0.1, 0.2]) == (pytest.approx(0.3), 0.0)
+    few, many = [0.5, 0.5], [0.01] * 1000
+    for a in (ledger.AdvancedAccountant(1e-6), ledger.ConcentratedAccountant(1e-6)):
+        assert a.total(few) == (1.0, 0.0) and a.total(many)[0] < 10 and a.total(many)[1] == 1e-6
+
+
+def test_training_shuffles_cells_not_rows(spark, sf_dir):
+    rows = {r["variant"]: r for r in experiments.engine_cost(spark, sf_dir, trees=2, together=4, max_depth=3).collect()}
+    assert all(0 < r["shuffle_records"] <= r["most_records"] for r in rows.values())
+    assert rows["private_x4"]["jobs"] <= rows["private"]["jobs"] + 8  # four models in the jobs of one
+
+
 def test_plans_push_filters_and_keep_rows_in_place(spark, sf_dir):
     plan = m.m18(spark, sf_dir)._jdf.queryExecution().toString()
     assert "PushedFilters" in plan and "SortMergeJoin" not in plan
