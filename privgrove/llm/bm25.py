@@ -9,7 +9,9 @@ with the k-th best score so far as threshold, only blocks whose bound reaches it
 test of block-max WAND, made for all blocks of a shard at once. Nothing that could enter the top k is skipped, ties
 included: equal rounded scores are ranked by the smaller id. Documents lie in a shard by their commonest frequent terms
 and length, so that a block holds like texts and its bounds are tight. Terms that are frequent in a shard are held as
-rows of a matrix, so that bounds and scores of many queries are matrix products; the others are added posting by posting.
+rows of a matrix, so that bounds and scores of many queries are matrix products. A block of 32 documents holds about one
+posting of any other term, which then is its own block maximum: those postings go into the bounds as they are, and no
+cursor moves over them.
 
 The square root of all shards is searched first, with each query's k-th best score there as the threshold for the rest:
 what the rest returns is then a few rows a query, not k from every shard. Shards' results are merged by rank.
@@ -179,8 +181,11 @@ class Impacts:
         self.row[used[~frequent]] = -2 - np.arange(int((~frequent).sum()))
 
 
-def search_shard(shard: Shard, block: QueryBlock, mean: float, k: int, floor: np.ndarray, together: int = 128) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(query number, document ids, rounded scores) of each query's best k in the shard that reach its floor."""
+def search_shard(shard: Shard, block: QueryBlock, mean: float, k: int, floor: np.ndarray, together: int = 128, tally: np.ndarray | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(query number, document ids, rounded scores) of each query's best k in the shard that reach its floor.
+
+    `tally`, if given, is added to: (query, block) pairs with any shared term, and those scored.
+    """
     if not len(shard.ids) or not len(shard.terms):
         return
     own, slack = Impacts(shard, block, mean), 10.0 ** (1 - ROUND)
@@ -214,7 +219,10 @@ def search_shard(shard: Shard, block: QueryBlock, mean: float, k: int, floor: np
         score(first)
         least = np.partition(scores, -k, axis=1)[:, -k] if width >= k else np.zeros(end - begin)
         least = np.maximum(least, floor[begin:end])
-        score(~first & (limit > 0) & (limit >= least[:, None] - slack))
+        rest = ~first & (limit > 0) & (limit >= least[:, None] - slack)
+        score(rest)
+        if tally is not None:
+            tally += ((limit > 0).sum(), first.sum() + rest.sum())
         for q in range(end - begin):
             hit = np.flatnonzero(scores[q] > max(0.0, least[q] - slack))
             value = np.round(scores[q, hit], ROUND)

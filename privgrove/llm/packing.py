@@ -24,6 +24,8 @@ from privgrove.llm.tokenids import TEXT_BYTES, encoder, with_end
 #: Tokens that one packer handles.
 PACKER_TOKENS = 8 << 20
 OPEN_BINS = 8192
+#: Parts that rows equal in every key are dealt out to.
+SALTS = 64
 
 
 class OpenBins:
@@ -87,8 +89,9 @@ def piece_table(docs: DataFrame, vocabulary: str, size: int, end_id: int, id_col
 def pack(pieces: DataFrame, size: int, open_bins: int = OPEN_BINS, packer_tokens: int = PACKER_TOKENS) -> DataFrame:
     """Add sequence_id and offset to rows that have a `length` of 1 to `size`.
 
-    Every row is placed. Which sequence a piece lands in is a function of the rows alone: packers get their rows by hash
-    and in a total order, so a task that is run again gives the same sequences.
+    Every row is placed. Packers get their rows by hash and in a total order, so a task that is run again gives the same
+    sequences. Rows equal in every key, however many there are, are dealt out over SALTS packers by their place in the
+    table; which of them goes where makes no difference.
     """
     total = pieces.agg(F.sum("length")).first()[0] or 0
     packers = max(1, -(-total // packer_tokens))
@@ -101,8 +104,14 @@ def pack(pieces: DataFrame, size: int, open_bins: int = OPEN_BINS, packer_tokens
             spots = np.array(placed, np.int64).reshape(-1, 2)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(spots[:, 0] + base), pa.array(spots[:, 1])], names=[*batch.schema.names, "sequence_id", "offset"])
 
-    keys = ["doc_id", "piece", "ids_crc32"]
-    return pieces.repartition(packers, *keys).sortWithinPartitions(F.desc("length"), *keys).mapInArrow(place, schema)
+    keys, salt = ["doc_id", "piece", "ids_crc32"], F.pmod(F.monotonically_increasing_id(), F.lit(SALTS))
+    spread = pieces.repartition(packers, *keys, salt) if has_repeats(pieces, keys) else pieces.repartition(packers, *keys)
+    return spread.sortWithinPartitions(F.desc("length"), *keys).mapInArrow(place, schema)
+
+
+def has_repeats(pieces: DataFrame, keys: list[str]) -> bool:
+    """Whether some rows are equal in all keys more than SALTS times over."""
+    return not pieces.groupBy(*keys).agg(F.count(F.lit(1)).alias("held")).where(F.col("held") > SALTS).isEmpty()
 
 
 def pack_documents(docs: DataFrame, vocabulary: str, size: int = 2048, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text", open_bins: int = OPEN_BINS, packer_tokens: int = PACKER_TOKENS) -> DataFrame:

@@ -75,6 +75,14 @@ def test_packing(docs, empty):
     assert packing.pack_documents(empty, path, 64, 0).count() == 0
 
 
+def test_packing_spreads_equal_rows(spark):
+    pieces = spark.createDataFrame([(None, 0, 0, 40, 7)] * 3000 + [(k, 0, 0, 24, 9) for k in range(3000)], "doc_id long, piece int, start long, length long, ids_crc32 long")
+    rows = packing.pack(pieces, 64, packer_tokens=12_000)
+    assert rows.withColumn("part", F.shiftright("sequence_id", 36)).where("doc_id IS NULL").groupBy("part").count().agg({"count": "max"}).first()[0] < 900
+    bins = rows.groupBy("sequence_id").agg(F.sum("length").alias("n"), F.count_distinct("offset").alias("places"), F.count("*").alias("held"))
+    assert rows.count() == 6000 and bins.where("n > 64 OR places <> held").isEmpty() and bins.count() < 3600
+
+
 def test_open_bins_close_the_fullest_and_fit_tightly():
     bins = packing.OpenBins(10, 2)
     assert [bins.put(n) for n in (6, 7, 3, 5, 4)] == [(0, 0), (1, 0), (1, 7), (2, 0), (0, 6)]
