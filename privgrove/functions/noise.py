@@ -26,6 +26,16 @@ def uniform_of(*parts: object) -> float:
     return (int(hashlib.sha256("|".join(map(str, parts)).encode()).hexdigest()[:13], 16) + 0.5) / SCALE
 
 
+def uniforms_of(ids: tuple, lasts: list[str]) -> np.ndarray:
+    """uniform_of(*ids, last) for many last parts; the common ids are hashed once."""
+    base, out = hashlib.sha256("|".join(map(str, ids)).encode() + b"|"), np.empty(len(lasts))
+    for k, last in enumerate(lasts):
+        h = base.copy()
+        h.update(last.encode())
+        out[k] = int.from_bytes(h.digest()[:7], "big") >> 4
+    return (out + 0.5) / SCALE
+
+
 def uniform_sql(text: str) -> str:
     """The same uniform in DuckDB SQL, for an expression that gives the joined text."""
     return f"((CAST('0x' || substr(sha256({text}), 1, 13) AS BIGINT) + 0.5) / 4503599627370496.0)"

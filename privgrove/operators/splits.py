@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from privgrove.functions.noise import race_key, race_keys, uniform, uniform_of
+from privgrove.functions.noise import race_key, race_keys, uniform, uniforms_of
 from privgrove.operators.gradient import UNIT
 
 
@@ -168,23 +168,26 @@ def best_split(sg: np.ndarray, n: np.ndarray, cuts: list[np.ndarray], lam: float
     The histogram of a node is bounded by features times bins, so this last step is the driver's. eps_level None is
     greedy. Gives None when no candidate is allowed.
     """
-    rows = []
+    parts = []
     for k, edges in enumerate(cuts):
         if not len(edges):
             continue
         left_g, left_n = np.cumsum(sg[k, 1:])[edges], np.cumsum(n[k, 1:])[edges]
         for default_left in (True, False):
-            if not default_left and not strict and not n[k, 0]:
-                continue
-            gl, nl = (left_g + sg[k, 0], left_n + n[k, 0]) if default_left else (left_g, left_n)
-            rows += [(k, s, int(e), default_left, a, b) for s, (e, a, b) in enumerate(zip(edges.tolist(), gl.tolist(), nl.tolist()))]
-    if not rows:
+            if default_left:
+                parts.append((k, True, edges, left_g + sg[k, 0], left_n + n[k, 0]))
+            elif strict or n[k, 0]:
+                parts.append((k, False, edges, left_g, left_n))
+    if not parts:
         return None
+    sizes = [len(p[2]) for p in parts]
+    feature, left = np.repeat([p[0] for p in parts], sizes), np.repeat([p[1] for p in parts], sizes)
+    slot, cut = np.concatenate([np.arange(x) for x in sizes]), np.concatenate([p[2] for p in parts])
     total_g, total_n = int(sg[0].sum()), int(n[0].sum())
-    gl, nl = np.array([r[4] for r in rows], np.float64) / UNIT, np.array([r[5] for r in rows])
+    gl, nl = np.concatenate([p[3] for p in parts]).astype(np.float64) / UNIT, np.concatenate([p[4] for p in parts])
     gr, nr = total_g / UNIT - gl, total_n - nl
     value = gain(gl, nl, gr, nr, lam)
-    ok = np.ones(len(rows), bool)
+    ok = np.ones(len(cut), bool)
     if not strict:
         ok = (nl >= min_child) & (nr >= min_child)
         if min_gain is not None:
@@ -195,7 +198,6 @@ def best_split(sg: np.ndarray, n: np.ndarray, cuts: list[np.ndarray], lam: float
     if eps_level is None or eps_level == float("inf"):
         at = ok[int(np.argmax(np.round(value[ok], 6)))]
     else:
-        u = np.array([uniform_of(*ids, rows[i][0], rows[i][1], int(rows[i][3])) for i in ok])
+        u = uniforms_of(ids, [f"{f}|{s}|{d}" for f, s, d in zip(feature[ok].tolist(), slot[ok].tolist(), left[ok].astype(int).tolist())])
         at = ok[int(np.argmin(race_keys(value[ok] * eps_level / (6 * g_star**2), u)))]
-    k, _, cut, default_left, *_ = rows[at]
-    return Split(k, cut, default_left, float(value[at]), float(gl[at]), int(nl[at]), float(gr[at]), int(nr[at]))
+    return Split(int(feature[at]), int(cut[at]), bool(left[at]), float(value[at]), float(gl[at]), int(nl[at]), float(gr[at]), int(nr[at]))

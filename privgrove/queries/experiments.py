@@ -18,8 +18,8 @@ from privgrove.queries.base import KEY, query
 from privgrove.sources.io import load
 from privgrove.streaming import streams
 
-#: Registered trainings and studies have their full settings: 20 trees of depth 6, all budgets, trials, sizes and bins.
-#: They are long; bench.py runs only w01, open and private at two budgets, one trial each.
+#: Registered trainings and studies have their full settings: 20 trees of depth 6, all budgets, sizes and bins, and five
+#: trials in the studies; a workload's own fit has one trial of each budget. Models of a study are trained in step.
 STUDIED = ("w01", "w02", "w03", "w04", "w05", "w06")
 LINE = m.LINE_KEY
 
@@ -56,7 +56,7 @@ for _name, _sql in ROWS_SQL.items():
 
     @query(f"{_name}_fit")
     def fitted(spark, d, name=_name):
-        return experiments.sweep(spark, d, name)
+        return experiments.sweep(spark, d, name, trials=1)
 
 
 STUMP_SQL = f"""WITH {m.HIST_SQL}, {m.grid_sql()}, {m.dp_sql(1 / 3)}, {m.cuts_sql("dp")},
