@@ -206,7 +206,8 @@ def fit(texts: list[str], langs: list[str], rounds: int = 30, rate: float = 1.0,
 
 
 def trained(docs: DataFrame, per_language: int = 250, longest: int = 6000, languages: int = 64, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> LanguageModel:
-    """Fit on a bounded sample: per_language texts of at most `longest` bytes, of the most frequent languages.
+    """Fit on a bounded sample: per_language texts of at most `longest` bytes, of the `languages` most frequent labels;
+    a label beyond those, or with longer texts only, is not learned and so never predicted.
 
     Rows whose crc32 of the id modulo 3 is 1 are held out, and so are null ids, texts and languages. The sample has the
     rows with the smallest hashes, so it is the same however the table is cut.

@@ -67,8 +67,17 @@ def plain(array: pa.Array | pa.ChunkedArray, kind: pa.DataType) -> pa.Array:
     return array if array.type == kind else array.cast(kind)
 
 
+def trimmed() -> None:
+    """Give freed memory back to the system: a worker shares its executor's limit with the JVM."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def slices(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
-    """Split batches so that each has at most `most` bytes in column, or one row."""
+    """Split batches so that each has at most `most` bytes in column, or one row; at the end, memory is given back."""
     for batch in batches:
         n = batch.num_rows
         if not n:
@@ -80,15 +89,7 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text", most: int =
             end = max(at + 1, int(np.searchsorted(size, base + most, "right")))
             yield batch.slice(at, end - at)
             at = end
-
-
-def trimmed() -> None:
-    """Give freed memory back to the system: a worker shares its executor's limit with the JVM."""
-    pa.default_memory_pool().release_unused()
-    try:
-        ctypes.CDLL(None).malloc_trim(0)
-    except (AttributeError, OSError):  # another C library
-        pass
+    trimmed()
 
 
 def gathered(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -104,6 +105,7 @@ def gathered(batches: Iterator[pa.RecordBatch], column: str = "text", most: int
         size += n
     if held:
         yield joined(held)
+    trimmed()
 
 
 def joined(parts: list[pa.RecordBatch]) -> pa.RecordBatch:

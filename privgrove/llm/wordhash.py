@@ -8,7 +8,7 @@ import pyarrow as pa
 from privgrove.llm.textio import plain
 
 #: Text bytes that one step hashes; its arrays take some 40 times as much.
-STEP_BYTES = 3 << 20
+STEP_BYTES = 1 << 20
 BASE = 0x9E3779B97F4A7C15
 INVERSE = pow(BASE, -1, 1 << 64)
 
