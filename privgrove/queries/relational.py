@@ -157,7 +157,7 @@ for _hint in ("merge", "shuffle_hash"):
 for _how in ("left", "right", "full"):
     both(f"j03_{_how}_outer", f"SELECT c_custkey, o_orderkey FROM customer {_how.upper()} JOIN orders ON c_custkey = o_custkey AND o_totalprice > 300000")
 both("j04_semi_join", "SELECT c_custkey FROM customer LEFT SEMI JOIN (SELECT * FROM orders WHERE o_totalprice > 300000) ON c_custkey = o_custkey", "SELECT c_custkey FROM customer SEMI JOIN (SELECT * FROM orders WHERE o_totalprice > 300000) ON c_custkey = o_custkey")
-both("j04_anti_join", "SELECT c_custkey FROM customer LEFT ANTI JOIN orders ON c_custkey = o_custkey", "SELECT c_custkey FROM customer ANTI JOIN orders ON c_custkey = o_custkey")
+both("j04_anti_join", "SELECT c_custkey FROM customer LEFT ANTI JOIN (SELECT * FROM orders WHERE o_totalprice > 300000) ON c_custkey = o_custkey", "SELECT c_custkey FROM customer ANTI JOIN (SELECT * FROM orders WHERE o_totalprice > 300000) ON c_custkey = o_custkey")
 both("j05_cross_grid", "SELECT r_regionkey, n_nationkey FROM region CROSS JOIN nation")
 
 

@@ -106,6 +106,17 @@ def test_open_model_beats_private_beats_constant(spark):
     assert open_ <= private + 0.5 < floor
 
 
+@pytest.mark.parametrize("name", ["w11a", "w12"])
+def test_negative_controls_stay_at_the_constant(spark, name):
+    """Targets that do not depend on the features: no model may seem to learn, with or without privacy."""
+    bench = experiments.Bench(spark, "/root/testdata/sf0.01", name)
+    p = bench.params(trees=4, max_depth=3, subsample=0.5, epsilon_total=10.0)
+    floor, (open_, private) = bench.floor(), bench.run_many([("open", p.open(), 0), ("private", p, 0)])
+    bench.close()
+    band = 300 * math.sqrt(0.25 / floor.n_test)  # three standard errors, in percent
+    assert open_.value > floor.value - band and private.value > floor.value - band
+
+
 def test_registered_studies_run_in_full(spark, sf_dir, monkeypatch):
     """What each query asks to be trained; the training itself is replaced."""
     asked = []
