@@ -22,6 +22,8 @@ WORDS = r"[^ \t\n\r]+"
 SMOOTHING = {"source": 0.7, "lang": 0.8, "topic": 0.9}
 #: Share of the tokens to keep, rounds at most, and the gap at which raking ends sooner.
 KEEP, ROUNDS, CLOSE = 0.7, 12, 1e-13
+#: Cells that one task rakes; more of them are dealt out by side, with the same results.
+FEW_CELLS = 100_000
 #: Topics of running text: classes of the initials of its words of seven letters or more.
 LONG_WORD, CLASSES = r"([a-z])[a-z]{6,}", 8
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
@@ -61,8 +63,8 @@ def with_targets(cells: DataFrame, smoothing: dict[str, float], keep: float) ->
     return cells.withColumn("weight", F.col("tokens") / F.sum("tokens").over(everything)).withColumn("cap", F.col("weight") / F.lit(keep))
 
 
-def raked(cells: DataFrame, rounds: int) -> DataFrame:
-    """Cells with their raked weight.
+def raked(cells: DataFrame, rounds: int, few: bool = False) -> DataFrame:
+    """Cells with their raked weight; `few` cells stay in one partition, where no step needs an exchange.
 
     A side whose value has too much is scaled down whole; one that has too little is made up by its cells below their cap.
     """
@@ -75,6 +77,7 @@ def raked(cells: DataFrame, rounds: int) -> DataFrame:
             cells = cells.withColumn("weight", F.when(own >= F.col(f"_{side}"), F.col("weight") * F.col(f"_{side}") / own).otherwise(more))
         if k % 2 or k == rounds - 1:
             cells = stored(cells, "raked")
+            cells = cells.coalesce(1) if few else cells
             if (gaps(cells).agg(F.max("gap")).first()[0] or 0.0) < CLOSE:
                 break
     return cells
@@ -88,7 +91,10 @@ def gaps(cells: DataFrame) -> DataFrame:
 
 def planned(cells: DataFrame, keep: float = KEEP, smoothing: dict[str, float] | None = None, rounds: int = ROUNDS) -> tuple[DataFrame, DataFrame]:
     """(cells with weight and probability, gaps) of cells (source, lang, topic, tokens); cells of no tokens have no part."""
-    cells = raked(stored(with_targets(cells.where("tokens > 0"), {**SMOOTHING, **(smoothing or {})}, keep), "targets"), rounds)
+    cells = cells.where("tokens > 0")
+    few = cells.count() <= FEW_CELLS
+    cells = with_targets(cells.coalesce(1) if few else cells, {**SMOOTHING, **(smoothing or {})}, keep)
+    cells = raked(stored(cells, "targets").coalesce(1) if few else stored(cells, "targets"), rounds, few)
     chance = F.round(F.least(F.lit(1.0), F.col("weight") / F.col("cap")), 9)
     return cells.select(*SIDES, "tokens", "weight", chance.alias("probability")), gaps(cells)
 
