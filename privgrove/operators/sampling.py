@@ -5,13 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from privgrove.functions.noise import uniform
+from privgrove.functions.noise import below, uniform
 
 TEST = 0.2
 
 
 def is_test(id_col: str = "row_key"):
-    return uniform("split", id_col) < TEST
+    return below(TEST, "split", id_col)
 
 
 def split(df: DataFrame, id_col: str = "row_key") -> tuple[DataFrame, DataFrame]:
@@ -20,7 +20,7 @@ def split(df: DataFrame, id_col: str = "row_key") -> tuple[DataFrame, DataFrame]
 
 
 def in_sample(key: str, tree: int, gamma: float, id_col: str = "row_key"):
-    return uniform(f"{key}|sample|{tree}", id_col) < gamma
+    return below(gamma, f"{key}|sample|{tree}", id_col)
 
 
 def bernoulli(df: DataFrame, gamma: float, tree: int, key: str, id_col: str = "row_key") -> DataFrame:

@@ -162,17 +162,19 @@ class Split:
     nr: int
 
 
-def best_split(sg: np.ndarray, n: np.ndarray, cuts: list[np.ndarray], lam: float, min_child: int, min_gain: float | None, strict: bool, eps_level: float | None, g_star: float, ids: tuple) -> Split | None:
+def best_split(sg: np.ndarray, n: np.ndarray, cuts: list[np.ndarray], lam: float, min_child: int, min_gain: float | None, strict: bool, eps_level: float | None, g_star: float, ids: tuple, at: list[np.ndarray] | None = None) -> Split | None:
     """Choose one node's split from its (feature, 1 + bin) sums of fixed-point gradients and counts; column 0 is missing.
 
     The histogram of a node is bounded by features times bins, so this last step is the driver's. eps_level None is
-    greedy. Gives None when no candidate is allowed.
+    greedy. Gives None when no candidate is allowed. `at` has the places of the cuts among columns 1 on, where these are not
+    all bins.
     """
     parts = []
     for k, edges in enumerate(cuts):
         if not len(edges):
             continue
-        left_g, left_n = np.cumsum(sg[k, 1:])[edges], np.cumsum(n[k, 1:])[edges]
+        upto = edges if at is None else at[k]
+        left_g, left_n = np.cumsum(sg[k, 1:])[upto], np.cumsum(n[k, 1:])[upto]
         for default_left in (True, False):
             if default_left:
                 parts.append((k, True, edges, left_g + sg[k, 0], left_n + n[k, 0]))
@@ -196,8 +198,8 @@ def best_split(sg: np.ndarray, n: np.ndarray, cuts: list[np.ndarray], lam: float
     if not len(ok):
         return None
     if eps_level is None or eps_level == float("inf"):
-        at = ok[int(np.argmax(np.round(value[ok], 6)))]
+        best = ok[int(np.argmax(np.round(value[ok], 6)))]
     else:
         u = uniforms_of(ids, [f"{f}|{s}|{d}" for f, s, d in zip(feature[ok].tolist(), slot[ok].tolist(), left[ok].astype(int).tolist())])
-        at = ok[int(np.argmin(race_keys(value[ok] * eps_level / (6 * g_star**2), u)))]
-    return Split(int(feature[at]), int(cut[at]), bool(left[at]), float(value[at]), float(gl[at]), int(nl[at]), float(gr[at]), int(nr[at]))
+        best = ok[int(np.argmin(race_keys(value[ok] * eps_level / (6 * g_star**2), u)))]
+    return Split(int(feature[best]), int(cut[best]), bool(left[best]), float(value[best]), float(gl[best]), int(nl[best]), float(gr[best]), int(nr[best]))

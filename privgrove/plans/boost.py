@@ -1,21 +1,23 @@
 """Training: private cuts, private splits, private leaves, tree after tree on fresh samples.
 
 Any number of models, such as the trials and budgets of a study, are trained in step: a level of all of them is one job.
-Only counts leave the tasks. A tree's sample is its own partition of a table written once; its rows keep static bins, so a
-pass reads a few bytes per feature. One job per level sums fixed-point gradients by (node, feature, bin); the sums of the
-larger child come from its parent's. What reaches the driver is bounded by nodes x features x bins.
+Only counts leave the tasks. A tree's sample is its own partition of a table written once, in chunks of packed bins, so a
+pass reads a byte or two per feature. One job per level sums fixed-point gradients by (node, feature, bin) and decides on
+the split of a node in the task where its sums meet. What reaches the driver is a row per node. Where a run's samples fit
+a task, that task asks its own rows for the sums, and all models are one job; the trees are the same.
 """
 
 from __future__ import annotations
 
+import pickle
 import time
-from collections.abc import Generator, Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import asdict, dataclass, replace
 from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark import StorageLevel
+from pyspark import StorageLevel, TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -25,9 +27,9 @@ from privgrove.operators import leaves, sampling
 from privgrove.operators.gradient import UNIT
 from privgrove.operators.proposals import cuts_of, joint_quantiles
 from privgrove.operators.schema import DatasetSpec
-from privgrove.operators.splits import best_split
+from privgrove.operators.splits import Split, best_split
 from privgrove.plans.ledger import BudgetPlan, Charge, Ledger, plan_ensemble, sequential
-from privgrove.plans.tree import Tree, TreeModel, bins_of, routed
+from privgrove.plans.tree import Router, Tree, TreeModel
 from privgrove.sources.io import shared_dir
 
 
@@ -65,80 +67,173 @@ class BoostParams:
         return BoostParams(**(asdict(self) | {"private": False, "proposal_noise": False, "split_mode": "greedy", "leaf_mode": "exact", "gradient_filter": False}))
 
 
-Sums = dict[int, tuple[np.ndarray, np.ndarray]]
+#: Rows that a chunk is filled up to, and cells of a task's sums up to which they are held whole.
+CHUNK, DENSE = 1 << 15, 1 << 21
+CHUNKS = "tree_id int, draw smallint, n int, bins binary, y binary"
 
 
-def level_sums(workset: DataFrame, asked: dict[int, tuple[Tree, list[int]]], m: int, bins: int) -> dict[int, Sums]:
-    """Per run and open node of its tree: (gradient sums, counts) by feature and 1 + bin; place 0 is missing.
+def coarser(bins: np.ndarray, shift: int) -> np.ndarray:
+    """1 + bin of rows, where 2**shift even bins are one; 0 stays."""
+    return (bins + ((1 << shift) - 1)) >> shift if shift else bins
 
-    A task gives a row per cell that its rows fill at most; what reaches the driver is bounded by nodes times cells.
-    """
-    width = bins + 1
-    each, at, packed = m * width, 0, {}
-    for run, (tree, nodes) in asked.items():
-        arrays = tree.arrays()
-        slot = np.full(len(arrays[0]), -1)
-        slot[np.searchsorted(arrays[6], nodes)] = np.arange(len(nodes))
-        packed[run] = arrays, tree.depth(), slot, at, len(nodes) * each
-        at += len(nodes) * each
-    total = at
 
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums, counts = np.zeros(total, np.int64), np.zeros(total, np.int64)
-        for batch in batches:
-            owner, bins_, gs = batch.column("run").to_numpy(), bins_of(batch, m).astype(np.int64), batch.column("g").to_numpy()
-            for run in np.unique(owner).tolist():
-                if run not in packed:
-                    continue
-                arrays, depth, slot, start, size = packed[run]
-                mine = owner == run
-                b, g = (bins_, gs) if mine.all() else (bins_[mine], gs[mine])
-                own = slot[routed(arrays, b, depth)]
-                keep = own >= 0
-                own, b, g = own[keep], b[keep], g[keep]
-                part = slice(start, start + size)
-                for k in range(m):
-                    cell = own * each + k * width + b[:, k] + 1
-                    counts[part] += np.bincount(cell, minlength=size)
-                    # halves below 2**53 in float sums, so integers come out whole
-                    sums[part] += (np.bincount(cell, g >> 16, size).astype(np.int64) << 16) + np.bincount(cell, g & 0xFFFF, size).astype(np.int64)
-        at = np.flatnonzero(counts)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(sums[at]), pa.array(counts[at])], names=["cell", "sg", "n"])
-
-    part = workset.mapInArrow(add, "cell long, sg long, n long").groupBy("cell").agg(F.sum("sg").alias("sg"), F.sum("n").alias("n")).toArrow()
-    sums, counts = np.zeros(total, np.int64), np.zeros(total, np.int64)
-    cell = part["cell"].to_numpy()
-    sums[cell], counts[cell] = part["sg"].to_numpy(), part["n"].to_numpy()
-    out = {}
-    for run, (_, nodes) in asked.items():
-        *_, start, size = packed[run]
-        s, n = (x[start : start + size].reshape(len(nodes), m, width) for x in (sums, counts))
-        out[run] = {node: (s[k], n[k]) for k, node in enumerate(nodes)}
-    return out
+#: Gradient of a row that the filter leaves out.
+LEFT_OUT = np.iinfo(np.int64).min
 
 
-def workset_of(sample: DataFrame, models: dict[int, TreeModel], params: list[BoostParams], draw_of: list[int]) -> DataFrame:
-    """Bins and fixed-point gradients of a tree's samples at the margins of every run that uses them, with its run;
-    filtered by gradient size."""
-    m = next(iter(models.values())).spec.m
-    packed = {r: [(t.arrays(), t.depth()) for t in model.trees] for r, model in models.items()}
-    by_draw = {d: [r for r in models if draw_of[r] == d] for d in {draw_of[r] for r in models}}
-    bound = [(p.gradient_filter, p.g_star) for p in params]
+def matrix_of(bins: bytes, n: int, m: int) -> np.ndarray:
+    """1 + bin by (feature, row), as indices."""
+    width = len(bins) // max(1, n * m)
+    return np.frombuffer(bins, {1: np.uint8, 2: np.uint16}.get(width, np.uint32)).reshape(m, n).astype(np.intp) if m else np.zeros((0, n), np.intp)
+
+
+def chunked(drawn: DataFrame, m: int, bins: int) -> DataFrame:
+    """CHUNKS of samples: what rows of a tree and a draw a task has, bins by feature and targets as plain bytes.
+
+    Small ones of some tasks are then joined, full ones stay; so a small sample is one chunk, and none is large.
+    """
+    kind = np.uint8 if bins < 256 else np.uint16 if bins < 1 << 16 else np.uint32
+    names = ["tree_id", "draw", "salt", "n", "bins", "y"]
+
+    def row(key: tuple, parts: list[tuple[np.ndarray, np.ndarray]], spread: int) -> pa.RecordBatch:
+        b, y = np.concatenate([x for x, _ in parts], axis=1), np.concatenate([x for _, x in parts])
+        salt = ~spread if len(y) >= CHUNK // 2 else spread // 32
+        columns = [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int16()), pa.array([salt], pa.int32()), pa.array([len(y)], pa.int32()), pa.array([b.tobytes()], pa.binary()), pa.array([y.tobytes()], pa.binary())]
+        return pa.RecordBatch.from_arrays(columns, names=names)
+
+    def gathered(pieces: Iterator[tuple[tuple, np.ndarray, np.ndarray]], spread: int) -> Iterator[pa.RecordBatch]:
+        held, total = {}, 0
+        for key, b, y in pieces:
+            parts, n = held.get(key, ([], 0))
+            parts.append((b, y))
+            held[key] = parts, n + len(y)
+            total += len(y)
+            if n + len(y) >= CHUNK:
+                yield row(key, parts, spread)
+                total -= held.pop(key)[1]
+            elif total >= 64 * CHUNK:
+                for k, (parts, _) in held.items():
+                    yield row(k, parts, spread)
+                held, total = {}, 0
+        for k, (parts, _) in held.items():
+            yield row(k, parts, spread)
+
+    def of_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def pieces():
+            for batch in batches:
+                tree, draw = batch.column("tree_id").to_numpy().astype(np.int64), batch.column("draw").to_numpy().astype(np.int64)
+                key = draw << 32 | tree
+                order = np.argsort(key, kind="stable")
+                key = key[order]
+                b = np.stack([(batch.column(f"b_{k}").to_numpy(zero_copy_only=False)[order] + 1).astype(kind) for k in range(m)]) if m else np.zeros((0, len(key)), kind)
+                y = batch.column("y").to_numpy(zero_copy_only=False)[order]
+                ends = np.flatnonzero(np.diff(key, append=-1)) + 1
+                for start, end in zip([0, *ends.tolist()], ends.tolist()):
+                    yield (int(key[start] & 0xFFFFFFFF), int(key[start] >> 32)), b[:, start:end], y[start:end]
+
+        yield from gathered(pieces(), TaskContext.get().partitionId())
+
+    def of_chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def pieces():
+            for batch in batches:
+                for tree, draw, n, b, y in zip(*(batch.column(c).to_pylist() for c in ("tree_id", "draw", "n", "bins", "y"))):
+                    yield (tree, draw), np.frombuffer(b, kind).reshape(m, n), np.frombuffer(y)
+
+        yield from (x.select(["tree_id", "draw", "n", "bins", "y"]) for x in gathered(pieces(), 0))
+
+    rows = drawn.select(*[f"b_{k}" for k in range(m)], F.col("y").cast("double").alias("y"), "tree_id", "draw")
+    parts = rows.mapInArrow(of_rows, CHUNKS.replace("n int", "salt int, n int"))
+    return parts.repartition("tree_id", "draw", "salt").mapInArrow(of_chunks, CHUNKS)
+
+
+WORKSET = "n int, draw smallint, bins binary, g binary"
+
+
+def workset_of(m: int, released: Callable[[int], list[Router]], by_draw: dict[int, list[int]], params: list[BoostParams], shifts: dict[int, int]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """A function of a tree's chunks to WORKSET: the fixed-point gradients of every run that uses a draw, at its margins over
+    its released trees, filtered by gradient size."""
+    bound = {r: params[r].g_star if params[r].gradient_filter else np.inf for rs in by_draw.values() for r in rs}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [*(f"b_{k}" for k in range(m)), "g", "run"]
         for batch in batches:
-            drawn = batch.column("draw").to_numpy()
-            for d in np.unique(drawn).tolist():
-                part = batch.filter(pa.array(drawn == d))
-                bins, y = bins_of(part, m), part.column("y").to_numpy()
-                for r in by_draw.get(d, ()):
-                    g = sum((a[5][routed(a, bins, depth)] for a, depth in packed[r]), np.zeros(len(bins))) - y
-                    keep = np.flatnonzero(np.abs(g) <= bound[r][1]) if bound[r][0] else np.arange(len(g))
-                    cols = [part.column(f"b_{k}").take(pa.array(keep)) for k in range(m)]
-                    yield pa.RecordBatch.from_arrays([*cols, pa.array(np.trunc(g[keep] * UNIT).astype(np.int64)), pa.array(np.full(len(keep), r, np.int16))], names=names)
+            for d, n, packed, y in zip(*(batch.column(c).to_pylist() for c in ("draw", "n", "bins", "y"))):
+                if d not in by_draw:
+                    continue
+                whole, y, out = matrix_of(packed, n, m), np.frombuffer(y), np.empty((len(by_draw[d]), n), np.int64)
+                by_shift = {x: coarser(whole, x) for x in {shifts[r] for r in by_draw[d]}}
+                for k, r in enumerate(by_draw[d]):
+                    g, bins = np.zeros(n), by_shift[shifts[r]]
+                    for router in released(r):
+                        g += router.values(bins)
+                    g -= y
+                    out[k] = np.where(np.abs(g) <= bound[r], np.trunc(g * UNIT).astype(np.int64), LEFT_OUT)
+                yield pa.RecordBatch.from_arrays([pa.array([n], pa.int32()), pa.array([d], pa.int16()), pa.array([packed], pa.binary()), pa.array([out.tobytes()], pa.binary())], names=["n", "draw", "bins", "g"])
+
+    return run
+
+
+def cell_sums(cell: np.ndarray, g: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """(sums, counts) by cell of integers; exact. One pass serves both where a float holds a count beside a sum."""
+    most = int(np.abs(g).max(initial=0)) * len(g)
+    shift = most.bit_length() + 1
+    if shift + len(g).bit_length() <= 53:
+        both = np.bincount(cell, g + float(1 << shift), size)
+        n = np.rint(both * 2.0**-shift)
+        return (both - n * (1 << shift)).astype(np.int64), n.astype(np.int64)
+    # halves below 2**53 in float sums, so integers come out whole
+    return (np.bincount(cell, g >> 16, size).astype(np.int64) << 16) + np.bincount(cell, g & 0xFFFF, size).astype(np.int64), np.bincount(cell, minlength=size)
+
+
+def level_sums(asked: dict[int, tuple[Tree, list[int]]], by_draw: dict[int, list[int]], m: int, bins: dict[int, int], shifts: dict[int, int]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """A function of workset batches to (run, node, cells): what they sum up to per run and open node of its tree, as bytes
+    the cells (feature, 1 + bin) that have rows, their counts and gradient sums. It gives a row per open node, or where all
+    cells of a level are too many to be held, per open node and chunk."""
+    ways = {}
+    for run, (tree, nodes) in asked.items():
+        router = Router(tree, m, bins[run])
+        slot = np.full(len(router.ids), len(nodes))
+        slot[np.searchsorted(router.ids, nodes)] = np.arange(len(nodes))
+        ways[run] = router, slot[router.order], nodes, bins[run] + 1, shifts[run]
+
+    def sent(run: int, sums: np.ndarray, counts: np.ndarray, cells: np.ndarray | None = None) -> pa.RecordBatch:
+        """Of sums by (node, cell), or of given cells, all nodes' in turn."""
+        nodes, each = ways[run][2], m * ways[run][3]
+        if cells is None:
+            cells = np.flatnonzero(counts)
+            sums, counts = sums[cells], counts[cells]
+        ends = np.searchsorted(cells, np.arange(len(nodes) + 1) * each).tolist()
+        blobs = [(cells[a:b] - k * each).astype(np.int32).tobytes() + counts[a:b].astype(np.int32).tobytes() + sums[a:b].tobytes() for k, (a, b) in enumerate(zip(ends, ends[1:]))]
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(nodes), run, np.int16)), pa.array(nodes, pa.int32()), pa.array(blobs, pa.binary())], names=["run", "node", "cells"])
 
-    return sample.select(*[f"b_{k}" for k in range(m)], "y", "draw").mapInArrow(run, ", ".join([*(f"b_{k} smallint" for k in range(m)), "g bigint", "run smallint"]))
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        for batch in batches:
+            for n, d, packed, gs in zip(*(batch.column(c).to_pylist() for c in ("n", "draw", "bins", "g"))):
+                by_shift = {0: matrix_of(packed, n, m)}
+                for run, g in zip(by_draw.get(d, ()), np.frombuffer(gs, np.int64).reshape(-1, n)):
+                    if run not in ways:
+                        continue
+                    router, slot, nodes, width, shift = ways[run]
+                    if shift not in by_shift:
+                        by_shift[shift] = coarser(by_shift[0], shift)
+                    b = by_shift[shift]
+                    own, out = slot.take(router.place(b)), g == LEFT_OUT
+                    if out.any():
+                        own[out], g = len(nodes), np.where(out, 0, g)
+                    if len(nodes) * m * width > DENSE:
+                        keep = np.flatnonzero(own < len(nodes))
+                        cell = ((own[keep] * m)[:, None] + np.arange(m)) * width + b[:, keep].T
+                        cells, at = np.unique(cell, return_inverse=True)
+                        yield sent(run, *cell_sums(at.ravel(), np.repeat(g[keep], m), len(cells)), cells)
+                        continue
+                    base, size = own * width, (len(nodes) + 1) * width
+                    parts = [cell_sums(base + b[k], g, size) for k in range(m)]
+                    both = tuple(np.stack([x[i].reshape(-1, width)[:-1] for x in parts], axis=1) for i in (0, 1))
+                    held[run] = tuple(x + y for x, y in zip(held[run], both)) if run in held else both
+        for run, (sums, counts) in held.items():
+            yield sent(run, sums.ravel(), counts.ravel())
+
+    return add
 
 
 def cuts_for(counts: np.ndarray, plan: BudgetPlan | None, params: BoostParams, ids: tuple) -> list[np.ndarray]:
@@ -167,45 +262,200 @@ def plans_of(spec: DatasetSpec, params: BoostParams) -> list[BudgetPlan] | None:
     return plan_ensemble(params.epsilon_total, params.trees, params.subsample, spec.m, params.max_depth, params.shares, params.tree_weights, params.early_leaf_bonus)
 
 
-def growing(spec: DatasetSpec, params: BoostParams, plan: BudgetPlan | None, number: int) -> Generator[tuple[Tree, list[int]], Sums, Tree]:
-    """One tree: asks for the sums of open nodes, level by level, and returns the tree."""
-    key, tree = params.noise_key, Tree()
-    open_nodes, cuts = [0], None
-    hist = yield tree, open_nodes
-    for depth in range(params.max_depth + 1):
-        split_level = []
-        for node in open_nodes:
-            sg, n = hist[node]
-            x = tree.nodes[node]
-            x.n, x.value = int(n[0].sum()), float(sg[0].sum()) / UNIT  # until released
-            if depth == params.max_depth:
-                continue
-            if params.proposal == "local":
-                own = cuts_for(n, plan, params, (key, "sketch", number, node))
-            else:
-                own = cuts = cuts if cuts is not None else cuts_for(n, plan, params, (f"{key}|sketch|{number}",))
-            eps = plan.level if plan and params.split_mode == "exponential" else None
-            best = best_split(sg, n, own, params.lam, max(params.min_child, params.min_hessian), params.min_gain, params.strict, eps, params.g_star, (f"{key}|split|{number}", node))
-            if best:
-                tree.split(node, best.feature, best.cut_bin, best.default_left)
-                split_level.append((node, best))
-        if not split_level:
-            break
-        small = [2 * v + 1 if b.nl <= b.nr else 2 * v + 2 for v, b in split_level]
-        found = yield tree, small
-        for (v, _), s in zip(split_level, small):
-            other = 4 * v + 3 - s
-            found[other] = tuple(whole - part for whole, part in zip(hist[v], found[s]))
-        hist, open_nodes = found, sorted(found)
-    for leaf in tree.leaves():
-        eps = plan.leaf(leaf.depth) if plan else float("inf")
-        u = uniform_of(f"{key}|leaf|{number}", leaf.node)
-        value = leaves.leaf_value(params.leaf_mode, leaf.value, leaf.n, eps, params.g_star, params.lam, params.min_child, u, number, params.learning_rate, params.strict)
-        leaf.value = value * params.learning_rate
-    for x in tree.nodes.values():  # inner sums and exact counts are not released
-        x.n = 0 if plan else x.n
-        x.value = 0.0 if x.feature >= 0 else x.value
-    return tree
+@dataclass(frozen=True)
+class Grower:
+    """What a run decides on for one of its trees, node by node."""
+
+    params: BoostParams
+    plan: BudgetPlan | None
+    number: int
+    cuts: tuple[np.ndarray, ...] | None = None  # of the whole tree, once chosen
+
+    def choose(self, node: int, sums: np.ndarray, n: np.ndarray, bins: np.ndarray | None = None) -> tuple[Split | None, list[np.ndarray]]:
+        """(split, cuts) of a node from its sums and counts by feature and 1 + bin; with `bins`, of the columns
+        listed there by feature only, ascending: the others are empty, and a cut there parts the rows as one before it."""
+        p, key = self.params, self.params.noise_key
+        if self.cuts is not None:
+            cuts = list(self.cuts)
+        else:
+            whole = n
+            if bins is not None:
+                whole = np.zeros((len(n), p.bins + 1), n.dtype)
+                np.add.at(whole, (np.arange(len(n))[:, None], bins), n)
+            cuts = cuts_for(whole, self.plan, p, (key, "sketch", self.number, node) if p.proposal == "local" else (f"{key}|sketch|{self.number}",))
+        eps = self.plan.level if self.plan and p.split_mode == "exponential" else None
+        at = bins if bins is None else [np.searchsorted(bins[k, 1:], c + 1, "right") - 1 for k, c in enumerate(cuts)]
+        return best_split(sums, n, cuts, p.lam, max(p.min_child, p.min_hessian), p.min_gain, p.strict, eps, p.g_star, (f"{key}|split|{self.number}", node), at), cuts
+
+    def released(self, tree: Tree) -> Tree:
+        """The tree with its leaves' released values, from their exact sums."""
+        p = self.params
+        for leaf in tree.leaves():
+            eps = self.plan.leaf(leaf.depth) if self.plan else float("inf")
+            u = uniform_of(f"{p.noise_key}|leaf|{self.number}", leaf.node)
+            value = leaves.leaf_value(p.leaf_mode, leaf.value, leaf.n, eps, p.g_star, p.lam, p.min_child, u, self.number, p.learning_rate, p.strict)
+            leaf.value = value * p.learning_rate
+        for x in tree.nodes.values():  # inner sums and exact counts are not released
+            x.n = 0 if self.plan else x.n
+            x.value = 0.0 if x.feature >= 0 else x.value
+        return tree
+
+
+DECIDED = "run smallint, node int, g double, n bigint, feature int, cut_bin int, default_left boolean, gl double, nl bigint, gr double, nr bigint, cuts binary"
+EMPTY = b""
+
+
+def node_sums(blobs: list[bytes], m: int, bins: int) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
+    """(sums, counts, None) by feature and 1 + bin of a node from what tasks sent; or where that is too much to be held,
+    (sums, counts, places) of the 1 + bin that have rows, with 0, 1 and the last."""
+    size = [len(b) // 16 for b in blobs]
+    cells, counts = (np.concatenate([np.frombuffer(b, np.int32, k, i * 4 * k) for b, k in zip(blobs, size)] or [np.zeros(0, np.int32)]).astype(np.int64) for i in (0, 1))
+    sums = np.concatenate([np.frombuffer(b, np.int64, k, 8 * k) for b, k in zip(blobs, size)] or [np.zeros(0, np.int64)])
+    if m * (bins + 1) <= DENSE // 32:
+        out = np.zeros((2, m * (bins + 1)), np.int64)
+        np.add.at(out[0], cells, sums)
+        np.add.at(out[1], cells, counts)
+        return *out.reshape(2, m, bins + 1), None
+    kept, at = np.unique(cells, return_inverse=True)
+    s, n = np.zeros((2, len(kept)), np.int64)
+    np.add.at(s, at, sums)
+    np.add.at(n, at, counts)
+    each = [kept[np.searchsorted(kept, k * (bins + 1)) : np.searchsorted(kept, (k + 1) * (bins + 1))] - k * (bins + 1) for k in range(m)]
+    places = [np.unique(np.concatenate((x, [0, 1, bins]))) for x in each]
+    most = max(map(len, places))
+    found, out, done = np.full((m, most), bins), np.zeros((2, m, most), np.int64), 0
+    for k, (own, place) in enumerate(zip(each, places)):
+        found[k, : len(place)] = place
+        inside = np.searchsorted(place, own)
+        out[0, k, inside], out[1, k, inside] = s[done : done + len(own)], n[done : done + len(own)]
+        done += len(own)
+    return *out, found
+
+
+def decided(run: int, node: int, blobs: list[bytes], grower: Grower, m: int) -> tuple:
+    """A DECIDED row."""
+    sums, n, bins = node_sums(blobs, m, grower.params.bins)
+    g, total = (float(sums[0].sum()) / UNIT, int(n[0].sum())) if m else (0.0, 0)
+    if not grower.params.max_depth or not m:
+        return run, node, g, total, -1, -1, True, 0.0, 0, 0.0, 0, EMPTY
+    split, cuts = grower.choose(node, sums, n, bins)
+    told = np.concatenate(([len(c) for c in cuts], *cuts)).astype(np.int32).tobytes() if node == 0 else EMPTY
+    if not split:
+        return run, node, g, total, -1, -1, True, 0.0, 0, 0.0, 0, told
+    return run, node, g, total, split.feature, split.cut_bin, split.default_left, split.gl, split.nl, split.gr, split.nr, told
+
+
+def merged(batches: Iterator[pa.RecordBatch], growers: dict[int, Grower], m: int) -> list[tuple]:
+    """DECIDED rows of nodes from what was sent of their cells."""
+    held: dict[tuple[int, int], list[bytes]] = {}
+    for batch in batches:
+        for run, node, cells in zip(*(batch.column(c).to_pylist() for c in ("run", "node", "cells"))):
+            held.setdefault((run, node), []).append(cells)
+    return [decided(run, node, blobs, growers[run], m) for (run, node), blobs in held.items()]
+
+
+def grown(growers: dict[int, Grower], m: int, ask: Callable[[dict[int, tuple[Tree, list[int]]], dict[int, Grower]], list[tuple]]) -> dict[int, Tree]:
+    """One tree of each run, level by level; `ask` gives the DECIDED rows of the runs' open nodes."""
+    trees, asked, growers = {r: Tree() for r in growers}, {r: [0] for r in growers}, dict(growers)
+    while asked:
+        found = {x[:2]: x for x in ask({r: (trees[r], nodes) for r, nodes in asked.items()}, {r: growers[r] for r in asked})}
+        following = {}
+        for r, nodes in asked.items():
+            tree, p = trees[r], growers[r].params
+            for node in nodes:
+                _, _, g, n, feature, cut_bin, default_left, gl, nl, gr, nr, told = found.get((r, node)) or decided(r, node, [], growers[r], m)
+                if node == 0:
+                    tree.nodes[0].n, tree.nodes[0].value = n, g  # until released
+                    if told and p.proposal != "local":
+                        told = np.frombuffer(told, np.int32)
+                        growers[r] = replace(growers[r], cuts=tuple(np.split(told[m:].astype(np.int64), np.cumsum(told[: m - 1]))))
+                if feature >= 0:
+                    left, right = tree.split(node, feature, cut_bin, default_left)
+                    left.value, left.n, right.value, right.n = gl, nl, gr, nr
+                    if left.depth < p.max_depth:
+                        following.setdefault(r, []).extend((left.node, right.node))
+        asked = following
+    return {r: growers[r].released(tree) for r, tree in trees.items()}
+
+
+def grown_by_jobs(work: DataFrame, growers: dict[int, Grower], by_draw: dict[int, list[int]], m: int, bins: dict[int, int], shifts: dict[int, int]) -> dict[int, Tree]:
+    """Trees over any number of rows. A level of all of them is one job: tasks sum up their rows, a node's sums meet in a
+    task, which decides on its split, and the driver gets the splits."""
+    ways = max(1, work.sparkSession.sparkContext.defaultParallelism)
+
+    def ask(asked: dict[int, tuple[Tree, list[int]]], here: dict[int, Grower]) -> list[tuple]:
+        def decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            if rows := merged(batches, here, m):
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), KINDS)], names=NAMES)
+
+        sums = work.mapInArrow(level_sums(asked, by_draw, m, bins, shifts), "run smallint, node int, cells binary")
+        part = sums.repartition(ways, "run", "node").mapInArrow(decide, DECIDED).toArrow()
+        return list(zip(*(part[c].to_pylist() for c in NAMES)))
+
+    return grown(growers, m, ask)
+
+
+#: Rows of a tree's sample up to which one task grows all trees of a run; it holds some 24 bytes and a bin per feature of each.
+IN_A_TASK = 1 << 21
+
+
+def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: dict[int, list[int]], m: int, bins: dict[int, int], shifts: dict[int, int]) -> dict[int, tuple[list[Tree], list[float]]]:
+    """(trees, seconds of each) of runs whose samples fit a task: a task has some of a draw's runs and its chunks in order of
+    their trees, and asks its own rows level by level, so all the models are one job."""
+    spark = chunks.sparkSession
+    parts = -(-3 * max(1, spark.sparkContext.defaultParallelism) // len(by_draw))
+    sets = [(d, rs[k::parts]) for d, rs in by_draw.items() for k in range(min(parts, len(rs)))]
+    params = {r: gs[0].params for r, gs in growers.items()}
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        here, models, took, at = None, {}, [], -1
+
+        def grow(upto: int) -> None:
+            """The trees before `upto`, each from the rows that are held for it."""
+            nonlocal held, at
+            for t in range(at, upto):
+                began = time.time()
+                for r in sets[here][1]:
+                    if t < len(growers[r]):
+                        routers, tree = models[r]
+                        own = {sets[here][0]: [r]}
+                        work = list(workset_of(m, lambda _, routers=routers: routers, own, params, shifts)(held))
+                        ask = lambda asked, growing: merged(level_sums(asked, own, m, bins, shifts)(work), growing, m)
+                        tree.append(grown({r: growers[r][t]}, m, ask)[r])
+                        routers.append(Router(tree[-1], m, bins[r]))
+                took.append((time.time() - began) / len(sets[here][1]))
+                held = []
+            at = upto
+
+        held: list[pa.RecordBatch] = []
+
+        def ended() -> Iterator[pa.RecordBatch]:
+            if here is not None:
+                grow(max(len(growers[r]) for r in sets[here][1]))
+                for r, (_, trees) in models.items():
+                    yield pa.RecordBatch.from_arrays([pa.array([r], pa.int16()), pa.array([pickle.dumps((trees, took[: len(trees)]))], pa.binary())], names=["run", "model"])
+
+        for batch in batches:
+            for k in range(batch.num_rows):
+                part, t = batch.column("part")[k].as_py(), batch.column("tree_id")[k].as_py()
+                if part != here:
+                    yield from ended()
+                    here, models, took, at, held = part, {r: ([], []) for r in sets[part][1]}, [], 0, []
+                if t > at:
+                    grow(t)
+                held.append(batch.slice(k, 1))
+        yield from ended()
+
+    owner = F.coalesce(*[F.when(F.col("draw") == d, F.array(*[F.lit(k) for k, (x, _) in enumerate(sets) if x == d])) for d in by_draw])
+    dealt = chunks.withColumn("part", F.explode(owner)).repartitionById(len(sets), F.col("part")).sortWithinPartitions("part", "tree_id")
+    found = {r["run"]: pickle.loads(r["model"]) for r in dealt.mapInArrow(run, "run smallint, model binary").collect()}
+    for r in growers.keys() - found.keys():  # no row was drawn for it
+        found[r] = [grown({r: g}, m, lambda asked, growing: [])[r] for g in growers[r]], [0.0] * len(growers[r])
+    return found
+
+
+NAMES = [x.split()[0] for x in DECIDED.split(", ")]
+KINDS = [{"smallint": pa.int16(), "int": pa.int32(), "bigint": pa.int64(), "double": pa.float64(), "boolean": pa.bool_(), "binary": pa.binary()}[x.split()[1]] for x in DECIDED.split(", ")]
 
 
 def charges_of(params: BoostParams, plan: BudgetPlan, number: int) -> list[Charge]:
@@ -238,49 +488,61 @@ def drawn_for(binned: DataFrame, params: BoostParams) -> DataFrame:
     return sampling.with_trees(binned, params.trees, params.subsample, params.noise_key)
 
 
-def fit_many(binned: DataFrame, spec: DatasetSpec, runs: list[BoostParams], materialized: bool = True) -> list[tuple[TreeModel, Ledger, list[float]]]:
+def fit_many(binned: DataFrame, spec: DatasetSpec, runs: list[BoostParams], materialized: bool = True, bins: int | None = None) -> list[tuple[TreeModel, Ledger, list[float]]]:
     """(model, ledger, seconds per tree) of every run, for BINNED rows (row_key, b_.., y) of one bin count.
 
     Runs that draw alike share their samples. A tree of all runs takes one job a level; its seconds are shared out evenly.
-    Every run's result is what `fit` gives for it alone.
+    Every run's result is what `fit` gives for it alone. With `bins`, the even bins of the rows, runs may have coarser ones:
+    a half as many, a quarter and so on, which are the same as if the rows had them.
     """
-    if len({p.bins for p in runs}) != 1:
+    if bins is None and len({p.bins for p in runs}) != 1:
         raise ValueError("runs need one bin count, that of the rows")
+    bins = bins or runs[0].bins
+    width_of, shifts = {r: p.bins for r, p in enumerate(runs)}, {r: (bins // p.bins).bit_length() - 1 for r, p in enumerate(runs)}
+    if any(p.bins << shifts[r] != bins for r, p in enumerate(runs)):
+        raise ValueError("a run's bin count must be that of the rows, or a half of it, a quarter and so on")
     spark = binned.sparkSession
     drawing = [(p.noise_key, p.trees, p.disjoint, p.learning_rate if p.disjoint else p.subsample) for p in runs]
     draws = sorted(set(drawing))
     draw_of = [draws.index(d) for d in drawing]
+    by_draw = {d: [r for r in range(len(runs)) if draw_of[r] == d] for d in range(len(draws))}
     kept = [*[f"b_{k}" for k in range(spec.m)], "y", "tree_id"]
     drawn = reduce(DataFrame.unionByName, [drawn_for(binned, runs[draw_of.index(k)]).select(*kept, F.lit(k).cast("smallint").alias("draw")) for k in range(len(draws))])
     if materialized:
         path = shared_dir(spark, "samples")
-        drawn.write.mode("overwrite").partitionBy("tree_id").parquet(path)
-        drawn = spark.read.schema(drawn.schema).parquet(path)
+        chunked(drawn, spec.m, bins).write.mode("overwrite").partitionBy("tree_id").parquet(path)
+        drawn = spark.read.schema(CHUNKS).parquet(path)
     plans = [x and [strict_plan(p, plan) for plan in x] for p, x in ((p, plans_of(spec, p)) for p in runs)]
     ledgers = [Ledger(p.epsilon_total if x else float("inf"), 1.0 if p.disjoint else p.subsample, disjoint_trees=p.disjoint) for p, x in zip(runs, plans)]
     models, seconds = [TreeModel(spec, p.bins, params=asdict(p) | {"noise_key": ""}) for p in runs], [[] for _ in runs]
-    for t in range(max(p.trees for p in runs)):
+    growers = {r: [Grower(p, plans[r][t] if plans[r] else None, t) for t in range(p.trees)] for r, p in enumerate(runs)}
+    for r, p in enumerate(runs):
+        for t in range(p.trees if plans[r] else 0):
+            ledgers[r].charge(charges_of(p, plans[r][t], t))
+    large = set(by_draw)
+    if materialized:
+        rows = {d: 0 for d in by_draw} | {x["draw"]: x["n"] for x in drawn.groupBy("draw", "tree_id").agg(F.sum("n").alias("n")).groupBy("draw").agg(F.max("n").alias("n")).collect()}
+        large = {d for d, n in rows.items() if n > IN_A_TASK}
+    if small := {d: rs for d, rs in by_draw.items() if d not in large}:
+        own = drawn.where(F.col("draw").isin(list(small))) if large else drawn
+        for r, (trees, each) in whole_models(own, {r: growers[r] for rs in small.values() for r in rs}, small, spec.m, width_of, shifts).items():
+            models[r].trees, seconds[r] = trees, each
+    many = {d: by_draw[d] for d in large}
+    released = []
+    for t in range(max((runs[r].trees for rs in many.values() for r in rs), default=0)):
         began = time.time()
-        active = [r for r, p in enumerate(runs) if t < p.trees]
-        work = workset_of(drawn.where(F.col("tree_id") == t), {r: models[r] for r in active}, runs, draw_of).persist(StorageLevel.MEMORY_AND_DISK)
-        growers, asked, trees = {}, {}, {}
-        for r in active:
-            plan = plans[r][t] if plans[r] else None
-            if plan:
-                ledgers[r].charge(charges_of(runs[r], plan, t))
-            growers[r] = growing(spec, runs[r], plan, t)
-            asked[r] = next(growers[r])
-        while asked:
-            sums, now, asked = level_sums(work, asked, spec.m, runs[0].bins), list(asked), {}
-            for r in now:
-                try:
-                    asked[r] = growers[r].send(sums[r])
-                except StopIteration as done:
-                    trees[r] = done.value
-        for r in active:
-            models[r].trees.append(trees[r])
-            seconds[r].append((time.time() - began) / len(active))
+        active = {d: [r for r in rs if t < runs[r].trees] for d, rs in many.items()}
+        of_tree = drawn.where((F.col("tree_id") == t) & F.col("draw").isin([d for d, rs in active.items() if rs]))
+        of_tree = of_tree if materialized else chunked(of_tree, spec.m, bins)
+        work = of_tree.mapInArrow(workset_of(spec.m, lambda r, trees=tuple(released): [x.value[r] for x in trees], active, runs, shifts), WORKSET).persist(StorageLevel.MEMORY_AND_DISK)
+        trees = grown_by_jobs(work, {r: growers[r][t] for rs in active.values() for r in rs}, active, spec.m, width_of, shifts)
+        released.append(spark.sparkContext.broadcast({r: Router(tree, spec.m, runs[r].bins) for r, tree in trees.items()}))
+        for r, tree in trees.items():
+            models[r].trees.append(tree)
+            seconds[r].append((time.time() - began) / len(trees))
         work.unpersist()
+    for trees in released:
+        trees.destroy()
     return list(zip(models, ledgers, seconds))
 
 

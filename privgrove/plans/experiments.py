@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import asdict, dataclass, replace
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -14,8 +16,8 @@ from pyspark.sql import functions as F
 from privgrove.operators import sketch
 from privgrove.operators.sampling import is_test
 from privgrove.plans import cost, metrics
-from privgrove.plans.boost import BoostParams, fit_many
-from privgrove.plans.tree import TreeModel, bins_of, routed
+from privgrove.plans.boost import BoostParams, coarser, fit_many
+from privgrove.plans.tree import Router, TreeModel, places_of
 from privgrove.plans.workloads import Workload, for_tables
 
 #: Budgets of the result table, and how often a trial is repeated with another key.
@@ -75,20 +77,25 @@ class Bench:
 
     def measures(self, models: list[TreeModel]) -> list[tuple[str, float, int]]:
         """The same measure of every model, from one pass over the test rows."""
-        packed, m, classes, target = [[(t.arrays(), t.depth()) for t in x.trees] for x in models], self.work.spec.m, self.work.classes, self.work.spec.target
+        m, classes, target = self.work.spec.m, self.work.classes, self.work.spec.target
+        packed = self.test.sparkSession.sparkContext.broadcast([[Router(t, m, x.bins) for t in x.trees] for x in models])
+        shifts = [(self.bins // x.bins).bit_length() - 1 for x in models]
         half = (target.hi - target.lo) / 2
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            loss, n = np.zeros(len(packed)), 0
+            scored = packed.value
+            loss, n = np.zeros(len(scored)), 0
             for batch in batches:
-                bins, y = bins_of(batch, m), batch.column("y").to_numpy()
+                whole, y = places_of(batch, m), batch.column("y").to_numpy()
                 n += len(y)
-                for k, trees in enumerate(packed):
-                    margin = sum((a[5][routed(a, bins, depth)] for a, depth in trees), np.zeros(len(y)))
+                by_shift = {x: coarser(whole, x) for x in set(shifts)}
+                for k, trees in enumerate(scored):
+                    margin = sum((r.values(by_shift[shifts[k]]) for r in trees), np.zeros(len(y)))
                     loss[k] += (np.where(margin >= 0, 1.0, -1.0) != y).sum() if classes else (((np.clip(margin, -1, 1) - y) * half) ** 2).sum()
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(packed))), pa.array(loss), pa.array(np.full(len(packed), n))], names=["k", "loss", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(scored))), pa.array(loss), pa.array(np.full(len(scored), n))], names=["k", "loss", "n"])
 
         sums = {r["k"]: (r["loss"], r["n"]) for r in self.test.mapInArrow(run, "k long, loss double, n long").groupBy("k").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n")).collect()}
+        packed.destroy()
         mean = [sums[k][0] / max(sums[k][1], 1) for k in range(len(models))]
         return [("error_pct", round(100 * x, 6), sums[k][1]) if classes else ("rmse", round(x**0.5, 6), sums[k][1]) for k, x in enumerate(mean)]
 
@@ -96,7 +103,7 @@ class Bench:
         """Fit and measure (variant, params, trial), all in step."""
         if self.bins_by != "even" and any(p.private for _, p, _ in asked):
             raise ValueError("bins that come from the data are not private")
-        fitted = fit_many(self.train, self.work.spec, [p for _, p, _ in asked])
+        fitted = fit_many(self.train, self.work.spec, [p for _, p, _ in asked], bins=self.bins)
         found = self.measures([model for model, _, _ in fitted])
         free = float("inf")
         return [
@@ -123,10 +130,9 @@ def precursor(params: BoostParams) -> BoostParams:
 
 
 def by_feature(cuts: DataFrame) -> dict[int, list[float]]:
-    out: dict[int, list[float]] = {}
-    for r in cuts.orderBy("feature", "cut").collect():  # bounded by features times bins
-        out.setdefault(r["feature"], []).append(r["cut"])
-    return out
+    part = cuts.select(F.col("feature").cast("int").alias("feature"), "cut").toArrow()  # bounded by features times bins
+    feature, cut = part["feature"].to_numpy(), part["cut"].to_numpy()
+    return {int(k): np.sort(cut[feature == k]).tolist() for k in np.unique(feature)}
 
 
 def sketched_cuts(rows: DataFrame, m: int, cuts: int) -> dict[int, list[float]]:
@@ -134,11 +140,12 @@ def sketched_cuts(rows: DataFrame, m: int, cuts: int) -> dict[int, list[float]]:
     return by_feature(sketch.propose(rows, m, cuts).select("feature", "cut"))
 
 
-def all_cuts(rows: DataFrame, m: int, most: int = 10_000) -> dict[int, list[float]]:
-    """Every value of each feature as a cut, as exact greedy search tries them; refuses features with more than `most`."""
+def all_cuts(rows: DataFrame, m: int, most: int | None = None) -> dict[int, list[float]]:
+    """Every value of each feature as a cut, as exact greedy search tries them; refuses features with more than `most`, where
+    that is given. All values meet on the driver, eight bytes each."""
     pairs = ", ".join(f"{k}, x_{k}" for k in range(m))
     values = rows.select(F.expr(f"stack({m}, {pairs}) AS (feature, cut)")).where("cut IS NOT NULL").distinct()
-    if values.groupBy("feature").count().where(F.col("count") > most).count():
+    if most is not None and values.groupBy("feature").count().where(F.col("count") > most).count():
         raise ValueError(f"exact greedy search is for features of at most {most} values")
     return by_feature(values)
 
@@ -148,33 +155,58 @@ def table(spark: SparkSession, runs: list[Run]) -> DataFrame:
     return spark.createDataFrame([tuple(asdict(r).values()) for r in runs], schema)
 
 
-def sweep(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> DataFrame:
-    """Error of the private model by budget and trial, with the open model and the constant."""
+#: Benches of a study that are at work at a time: the jobs of one fill the cores that another's leave idle.
+AT_ONCE = 3
+
+
+def side_by_side(parts: list[Callable[[], list[Run]]]) -> list[Run]:
+    """The runs of all parts, in their order."""
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        return [run for runs in pool.map(lambda part: part(), parts) for run in runs]
+
+
+def sweep_runs(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> list[Run]:
     bench = Bench(spark, sf_dir, name)
     asked = [("open", bench.params(noise_key=f"k{t}", **changes).open(), t) for t in range(trials)]
     asked += [("private", bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes), t) for eps in epsilons for t in range(trials)]
     runs = [bench.floor(), *bench.run_many(asked)]
     bench.close()
-    return table(spark, runs)
+    return runs
+
+
+def sweep(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> DataFrame:
+    """Error of the private model by budget and trial, with the open model and the constant."""
+    return table(spark, sweep_runs(spark, sf_dir, name, epsilons, trials, **changes))
+
+
+def sweeps(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
+    """The sweeps of several workloads."""
+    return table(spark, side_by_side([partial(sweep_runs, spark, sf_dir, name) for name in names]))
 
 
 def open_models(spark: SparkSession, sf_dir: str, name: str, trials: int = TRIALS, ways: tuple[str, ...] = ("even", "sketch", "exact"), **changes) -> DataFrame:
     """The model without privacy over even bins, over the data's quantiles, and by exact greedy search over all values."""
-    runs = []
-    for way in ways:
+
+    def part(way: str) -> list[Run]:
         bench = Bench(spark, sf_dir, name, bins_by=way)
         each = [bench.params(noise_key=f"k{t}", **changes).open() for t in range(trials)]
-        runs += bench.run_many([(f"open_{way}", replace(p, max_cuts=p.bins) if way == "exact" else p, t) for t, p in enumerate(each)])
+        every = max(bench.bins, getattr(bench, "n", 0))  # so many even shares that no value in a sample is without a cut
+        runs = bench.run_many([(f"open_{way}", replace(p, max_cuts=every) if way == "exact" else p, t) for t, p in enumerate(each)])
         bench.close()
-    return table(spark, runs)
+        return runs
 
+    return table(spark, side_by_side([partial(part, way) for way in ways]))
 
-def against_precursor(spark: SparkSession, sf_dir: str, name: str, epsilons=(1.0, 10.0), trials: int = 1, **changes) -> DataFrame:
-    bench = Bench(spark, sf_dir, name)
-    each = [(t, bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes)) for eps in epsilons for t in range(trials)]
-    runs = bench.run_many([x for t, p in each for x in (("private", p, t), ("precursor", precursor(p), t))])
-    bench.close()
-    return table(spark, runs)
+
+def against_precursor(spark: SparkSession, sf_dir: str, names: str | tuple[str, ...], epsilons=(1.0, 10.0), trials: int = 1, **changes) -> DataFrame:
+    def part(name: str) -> list[Run]:
+        bench = Bench(spark, sf_dir, name)
+        each = [(t, bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes)) for eps in epsilons for t in range(trials)]
+        runs = bench.run_many([x for t, p in each for x in (("private", p, t), ("precursor", precursor(p), t))])
+        bench.close()
+        return runs
+
+    return table(spark, side_by_side([partial(part, name) for name in ([names] if isinstance(names, str) else names)]))
 
 
 def leaf_study(spark: SparkSession, sf_dir: str, name: str = "w01", epsilon: float = 1.0, children: tuple[int, int] = (200, 600), trials: int = TRIALS, **changes) -> DataFrame:
@@ -192,16 +224,24 @@ def leaf_study(spark: SparkSession, sf_dir: str, name: str = "w01", epsilon: flo
 
 def bin_study(spark: SparkSession, sf_dir: str, name: str = "w01", epsilon: float = 1.0, bins=(8, 16, 32, 64, 128, 256, 512), trials: int = TRIALS, **changes) -> DataFrame:
     """Private against data-exact cuts at several bin counts, everything else equal."""
-    runs = []
-    for b in bins:
-        bench = Bench(spark, sf_dir, name, b)
+
+    groups: list[list[int]] = []
+    for b in sorted(bins, reverse=True):  # rows in the finest even bins serve those that are a power of two wider
+        group = next((x for x in groups if x[0] % b == 0 and (x[0] // b).bit_count() == 1), None)
+        group.append(b) if group else groups.append([b])
+
+    def part(group: list[int]) -> list[Run]:
+        bench = Bench(spark, sf_dir, name, group[0])
         asked = []
-        for t in range(trials):
-            p = bench.params(epsilon_total=epsilon, noise_key=f"k{t}", **changes)
-            asked += [(f"noised_{b}", p, t), (f"exact_{b}", replace(p, proposal_noise=False), t)]
-        runs += bench.run_many(asked)
+        for b in sorted(group):
+            for t in range(trials):
+                p = bench.params(epsilon_total=epsilon, noise_key=f"k{t}", **{**changes, "bins": b})
+                asked += [(f"noised_{b}", p, t), (f"exact_{b}", replace(p, proposal_noise=False), t)]
+        runs = bench.run_many(asked)
         bench.close()
-    return table(spark, runs)
+        return runs
+
+    return table(spark, side_by_side([partial(part, group) for group in groups]))
 
 
 def runtime(spark: SparkSession, sf_dir: str, name: str = "w01", **changes) -> DataFrame:

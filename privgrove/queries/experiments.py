@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
-from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from privgrove.functions import sqlfront
@@ -125,8 +122,7 @@ def b07(spark, d):
 
 @query("b03_precursor")
 def b03(spark, d):
-    one, other = (experiments.against_precursor(spark, d, name, experiments.EPSILONS, experiments.TRIALS) for name in ("w01", "w03"))
-    return one.unionByName(other)
+    return experiments.against_precursor(spark, d, ("w01", "w03"), experiments.EPSILONS, experiments.TRIALS)
 
 
 @query("w07_leaf_study")
@@ -141,7 +137,7 @@ def w08(spark, d):
 
 @query("w09_result_table")
 def w09(spark, d):
-    return experiments.means(reduce(DataFrame.unionByName, [experiments.sweep(spark, d, name) for name in STUDIED]))
+    return experiments.means(experiments.sweeps(spark, d, STUDIED))
 
 
 @query("w10_runtime")
