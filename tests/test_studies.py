@@ -48,3 +48,28 @@ def test_a_study_takes_few_jobs_and_gives_the_trees_of_level_jobs(spark, sf_dir,
     monkeypatch.setattr(boost, "CHUNK", 300)
     assert nodes(spark, got["whole"]) == nodes(spark, boost.fit_many(b, m.SPEC, runs))
     b.unpersist()
+
+
+def test_exact_greedy_takes_any_number_of_values(spark):
+    rng = np.random.default_rng(3)
+    x = rng.permutation(40_000) / 8
+    y = np.where((x > 1234.5) != (rng.random(len(x)) < 0.1), 1.0, -1.0)
+    rows = spark.createDataFrame([(str(k), float(a), float(k % 5), float(b)) for k, (a, b) in enumerate(zip(x, y))], "row_key string, x_0 double, x_1 double, y double")
+    spec = m.DatasetSpec("row_key", tuple(m.FeatureSpec(f"x{k}", f"x_{k}", 0, 5000) for k in range(2)), m.TargetSpec("y", kind="class"))
+    cuts = experiments.all_cuts(rows, 2)
+    assert list(map(len, cuts.values())) == [40_000, 5]
+    p = boost.BoostParams(trees=1, max_depth=2, subsample=1.0, min_child=1, bins=40_001, max_cuts=80_000).open()
+    model, _, _ = boost.fit(spec.binned_at(rows, cuts), spec, p)
+    order = np.argsort(x)
+    left, size = np.cumsum(-y[order])[:-1], np.arange(1, len(x))
+    gains = left**2 / (size + 0.1) + (-y.sum() - left) ** 2 / (len(x) - size + 0.1)
+    root = model.trees[0].nodes[0]
+    assert root.feature == 0 and cuts[0][root.cut_bin] == x[order][np.argmax(np.round(gains, 6))]
+
+
+def test_rare_values_have_cuts_in_exact_greedy_search(spark, sf_dir, monkeypatch):
+    asked = []
+    monkeypatch.setattr(experiments.Bench, "run_many", lambda self, runs: asked.extend((self.n, p) for _, p, _ in runs) or [])
+    experiments.open_models(spark, sf_dir, "w06", 1, ("exact",))
+    (n, p), = asked
+    assert p.max_cuts >= n and len(boost.cuts_for(np.array([[0, 1, 10_000, 1, 10_000, 1, 5]]), None, replace(p, max_cuts=20_008), ())[0]) == 5
