@@ -10,13 +10,13 @@ from pyspark.sql import functions as F
 from privgrove.functions.noise import laplace, race_key, uniform
 
 
-def empirical_epsilon(spark: SparkSession, mechanism, one: float | list[float], other: float | list[float], runs: int = 200_000, least: int = 100) -> DataFrame:
+def empirical_epsilon(spark: SparkSession, mechanism, one: float | list[float], other: float | list[float], runs: int | DataFrame = 200_000, least: int = 100) -> DataFrame:
     """(bucket, n_one, n_other, log_ratio, error): outcomes of mechanism(value, key) -> Column on two inputs.
 
-    Every run has a key of its own, so the two sides draw independently. Only buckets with `least` outcomes on either
+    Every run has a key of its own, so the two sides draw independently; a table of `runs` has them in its column id. Only buckets with `least` outcomes on either
     side count; error is two standard errors of the log ratio.
     """
-    base = spark.range(runs)
+    base = spark.range(runs) if isinstance(runs, int) else runs
     sides = [base.select(mechanism(v, F.concat_ws("|", F.lit(tag), F.col("id").cast("string"))).alias("bucket")).groupBy("bucket").agg(F.count(F.lit(1)).alias(f"n_{tag}")) for tag, v in (("one", one), ("other", other))]
     both = sides[0].join(sides[1], "bucket").where((F.col("n_one") >= least) & (F.col("n_other") >= least))
     ratio = F.ln(F.col("n_one") / F.col("n_other"))

@@ -9,6 +9,7 @@ from privgrove.functions.noise import laplace_sql, uniform_sql
 
 from privgrove.plans import audit, experiments, metrics
 from privgrove.plans.boost import BoostParams, fit
+from privgrove.plans.workloads import LINE_KEY as LINE_ID
 from privgrove.plans.workloads import for_tables
 from privgrove.queries import methods as m
 from privgrove.queries.base import KEY, query
@@ -159,14 +160,19 @@ def a11(spark, d):
 # ---- audits
 
 
+def line_runs(spark, d):
+    """A run of an audit for every line item, keyed by the row."""
+    return load(spark, d, "lineitem").select(F.expr(LINE_ID).alias("id"))
+
+
 @query("m01_audit_laplace")
 def m01_laplace(spark, d):
-    return audit.empirical_epsilon(spark, audit.laplace_count(0.5), 10, 11, 50_000)
+    return audit.empirical_epsilon(spark, audit.laplace_count(0.5), 10, 11, line_runs(spark, d))
 
 
 @query("m01_audit_exponential")
 def m01_race(spark, d):
-    return audit.empirical_epsilon(spark, audit.exponential_of(1.0, 3.0), [0.0, 3.0, 1.0], [3.0, 0.0, 1.0], 50_000)
+    return audit.empirical_epsilon(spark, audit.exponential_of(1.0, 3.0), [0.0, 3.0, 1.0], [3.0, 0.0, 1.0], line_runs(spark, d))
 
 
 @query("m01_audit_noisy_average")
