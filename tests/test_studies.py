@@ -73,3 +73,16 @@ def test_rare_values_have_cuts_in_exact_greedy_search(spark, sf_dir, monkeypatch
     experiments.open_models(spark, sf_dir, "w06", 1, ("exact",))
     (n, p), = asked
     assert p.max_cuts >= n and len(boost.cuts_for(np.array([[0, 1, 10_000, 1, 10_000, 1, 5]]), None, replace(p, max_cuts=20_008), ())[0]) == 5
+
+
+def test_coarser_bins_share_the_finest_rows(spark, sf_dir):
+    sizes = (4, 6, 8, 16)
+    runs = experiments.bin_study(spark, sf_dir, bins=sizes, trials=1, trees=2, max_depth=2, subsample=0.5).collect()
+    assert len(runs) == 2 * len(sizes)
+    for b in sizes:
+        bench = experiments.Bench(spark, sf_dir, "w01", b)
+        alone = bench.run("alone", bench.params(epsilon_total=1.0, trees=2, max_depth=2, subsample=0.5))
+        bench.close()
+        assert [alone.value] == [r["value"] for r in runs if r["variant"] == f"noised_{b}"]
+    with pytest.raises(ValueError):
+        boost.fit_many(m.binned(spark, sf_dir), m.SPEC, [replace(SMALL, bins=6)], bins=m.BINS)
