@@ -86,3 +86,10 @@ def test_coarser_bins_share_the_finest_rows(spark, sf_dir):
         assert [alone.value] == [r["value"] for r in runs if r["variant"] == f"noised_{b}"]
     with pytest.raises(ValueError):
         boost.fit_many(m.binned(spark, sf_dir), m.SPEC, [replace(SMALL, bins=6)], bins=m.BINS)
+
+
+def test_workloads_side_by_side_are_as_one_by_one(spark, sf_dir):
+    few = {"trees": 2, "max_depth": 2}
+    both = experiments.against_precursor(spark, sf_dir, ("w05", "w03"), (1.0,), 1, **few).drop("seconds_per_tree").collect()
+    alone = [r for w in ("w05", "w03") for r in experiments.against_precursor(spark, sf_dir, w, (1.0,), 1, **few).drop("seconds_per_tree").collect()]
+    assert both == alone
