@@ -49,8 +49,10 @@ def with_trees(df: DataFrame, trees: int, gamma: float, key: str, id_col: str =
     """One row per (row, tree whose sample has it), with tree_id: all samples from one pass."""
     if gamma >= 1:
         return df.withColumn("tree_id", F.explode(F.sequence(F.lit(0), F.lit(trees - 1))))
-    member = [F.when(in_sample(key, t, gamma, id_col), F.lit(t)) for t in range(trees)]
-    return df.withColumn("tree_id", F.explode(F.array_compact(F.array(*member))))
+    # one condition in a loop over trees: a condition each makes a method that is too long for the JVM to compile
+    each = F.array(*[F.struct(F.lit(t).alias("tree"), F.lit(f"{key}|sample|{t}").alias("key")) for t in range(trees)])
+    drawn = df.withColumn("_draw", F.explode(each)).where(below(gamma, F.col("_draw.key"), id_col))
+    return drawn.withColumn("tree_id", F.col("_draw.tree")).drop("_draw")
 
 
 def materialize(df: DataFrame, path: str, trees: int, gamma: float, key: str, id_col: str = "row_key") -> DataFrame:

@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from privgrove.functions.noise import below, uniform
+from privgrove.operators import sampling
 from privgrove.plans import boost, cost, experiments
 from privgrove.plans.tree import Router, Tree, routed
 from privgrove.queries import methods as m
@@ -93,3 +94,11 @@ def test_workloads_side_by_side_are_as_one_by_one(spark, sf_dir):
     both = experiments.against_precursor(spark, sf_dir, ("w05", "w03"), (1.0,), 1, **few).drop("seconds_per_tree").collect()
     alone = [r for w in ("w05", "w03") for r in experiments.against_precursor(spark, sf_dir, w, (1.0,), 1, **few).drop("seconds_per_tree").collect()]
     assert both == alone
+
+
+def test_samples_of_all_trees_take_one_condition(spark):
+    rows = spark.range(3000).select(F.when(F.col("id") % 1000 > 0, F.col("id").cast("string")).alias("row_key"))
+    drawn = sampling.with_trees(rows, 20, 0.1, "k")
+    assert drawn._jdf.queryExecution().optimizedPlan().toString().count("sha2(") == 1
+    by_tree = [sampling.bernoulli(rows, 0.1, t, "k").withColumn("tree_id", F.lit(t)) for t in range(20)]
+    assert sorted(map(str, drawn.collect())) == sorted(str(r) for x in by_tree for r in x.collect())
