@@ -42,11 +42,12 @@ class Run:
 class Bench:
     """A workload's train and test rows in static bins, kept for all runs over it."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str, bins: int | None = None, bins_by: str = "even"):
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, bins: int | None = None, bins_by: str = "even", rows: DataFrame | None = None):
         """Bins are even over the public bounds, or lie between the data's quantiles (`sketch`) or between all of its
-        values (`exact`, for small tables); only a model without privacy may use the data's."""
+        values (`exact`, for small tables); only a model without privacy may use the data's. `rows` are the workload's,
+        where benches share them."""
         self.work: Workload = for_tables(sf_dir)[name]
-        rows = self.work.rows(spark, sf_dir)
+        rows = self.work.rows(spark, sf_dir) if rows is None else rows
         self.n = rows.count()
         self.settings = self.work.settings(self.n)
         self.bins = bins or self.settings["bins"]
@@ -186,16 +187,23 @@ def sweeps(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFram
 
 def open_models(spark: SparkSession, sf_dir: str, name: str, trials: int = TRIALS, ways: tuple[str, ...] = ("even", "sketch", "exact"), **changes) -> DataFrame:
     """The model without privacy over even bins, over the data's quantiles, and by exact greedy search over all values."""
+    shared = None
+    if "exact" in ways:  # a small table; its features may be long to compute
+        shared = for_tables(sf_dir)[name].rows(spark, sf_dir).persist(StorageLevel.MEMORY_AND_DISK)
+        shared.count()
 
     def part(way: str) -> list[Run]:
-        bench = Bench(spark, sf_dir, name, bins_by=way)
+        bench = Bench(spark, sf_dir, name, bins_by=way, rows=shared)
         each = [bench.params(noise_key=f"k{t}", **changes).open() for t in range(trials)]
         every = max(bench.bins, getattr(bench, "n", 0))  # so many even shares that no value in a sample is without a cut
         runs = bench.run_many([(f"open_{way}", replace(p, max_cuts=every) if way == "exact" else p, t) for t, p in enumerate(each)])
         bench.close()
         return runs
 
-    return table(spark, side_by_side([partial(part, way) for way in ways]))
+    runs = side_by_side([partial(part, way) for way in ways])
+    if shared is not None:
+        shared.unpersist()
+    return table(spark, runs)
 
 
 def against_precursor(spark: SparkSession, sf_dir: str, names: str | tuple[str, ...], epsilons=(1.0, 10.0), trials: int = 1, **changes) -> DataFrame:

@@ -89,7 +89,7 @@ W03_RULE = f"least(value, 200D) / 100 + (CASE WHEN hour(ts) >= 12 THEN 0.5D ELSE
 
 def text_features() -> tuple[FeatureSpec, ...]:
     words = "split(text, '[ \\\\n]+')"
-    share = lambda kind: f"length(regexp_replace(text, '[^{kind}]', '')) / greatest(length(text), 1)"
+    share = lambda kind: f"length(regexp_replace(text, '[^{kind}]+', '')) / greatest(length(text), 1)"
     return (
         FeatureSpec("distinct_words", f"size(array_distinct({words})) / greatest(size({words}), 1)", 0, 1),
         FeatureSpec("words_per_char", f"size({words}) / greatest(length(text), 1)", 0, 0.3),

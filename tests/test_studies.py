@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from privgrove.functions.noise import below, uniform
 from privgrove.operators import sampling
-from privgrove.plans import boost, cost, experiments
+from privgrove.plans import boost, cost, experiments, workloads
 from privgrove.plans.tree import Router, Tree, routed
 from privgrove.queries import methods as m
 
@@ -102,3 +102,20 @@ def test_samples_of_all_trees_take_one_condition(spark):
     assert drawn._jdf.queryExecution().optimizedPlan().toString().count("sha2(") == 1
     by_tree = [sampling.bernoulli(rows, 0.1, t, "k").withColumn("tree_id", F.lit(t)) for t in range(20)]
     assert sorted(map(str, drawn.collect())) == sorted(str(r) for x in by_tree for r in x.collect())
+
+
+def test_exact_and_even_bins_share_the_features(spark, sf_dir, monkeypatch):
+    made, levels = [], []
+    rows, cuts = experiments.Workload.rows, experiments.all_cuts
+    monkeypatch.setattr(experiments.Workload, "rows", lambda self, *a: made.append(rows(self, *a)) or made[-1])
+    monkeypatch.setattr(experiments, "all_cuts", lambda found, m: levels.append(made[0].storageLevel.useMemory) or cuts(found, m))
+    experiments.open_models(spark, sf_dir, "w06", 1, ("even", "exact"), trees=1, max_depth=1)
+    assert len(made) == 1 and levels == [True] and not made[0].storageLevel.useMemory
+
+
+def test_shares_of_characters_count_each(spark):
+    share = {f.name: f.expr for f in workloads.text_features()}
+    text = spark.createDataFrame([("Aé,,b\n12 ZZ😀.", 13), ("", 0), ("xyz", 3)], "text string, n int")
+    found = text.selectExpr(*[f"{share[k]} * greatest(n, 1) AS {k}" for k in ("upper_case", "digits", "punctuation")]).collect()
+    assert [tuple(round(x) for x in r) for r in found] == [(3, 2, 3), (0, 0, 0), (0, 0, 0)]
+    assert not any("]', ''" in share[k] for k in ("upper_case", "digits", "punctuation"))  # runs go at once
