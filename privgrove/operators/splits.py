@@ -169,24 +169,22 @@ def best_split(sg: np.ndarray, n: np.ndarray, cuts: list[np.ndarray], lam: float
     greedy. Gives None when no candidate is allowed. `at` has the places of the cuts among columns 1 on, where these are not
     all bins.
     """
-    parts = []
-    for k, edges in enumerate(cuts):
-        if not len(edges):
-            continue
-        upto = edges if at is None else at[k]
-        left_g, left_n = np.cumsum(sg[k, 1:])[upto], np.cumsum(n[k, 1:])[upto]
-        for default_left in (True, False):
-            if default_left:
-                parts.append((k, True, edges, left_g + sg[k, 0], left_n + n[k, 0]))
-            elif strict or n[k, 0]:
-                parts.append((k, False, edges, left_g, left_n))
-    if not parts:
+    sizes = [len(edges) for edges in cuts]
+    if not sum(sizes):
         return None
-    sizes = [len(p[2]) for p in parts]
-    feature, left = np.repeat([p[0] for p in parts], sizes), np.repeat([p[1] for p in parts], sizes)
-    slot, cut = np.concatenate([np.arange(x) for x in sizes]), np.concatenate([p[2] for p in parts])
+    feature, slot = np.repeat(np.arange(len(cuts)), sizes), np.concatenate([np.arange(x) for x in sizes])
+    cut, upto = (np.concatenate(x).astype(np.intp) for x in (cuts, cuts if at is None else at))
+    left_g, left_n = np.cumsum(sg[:, 1:], axis=1)[feature, upto], np.cumsum(n[:, 1:], axis=1)[feature, upto]
+    left = np.ones(len(cut), bool)
+    if strict or n[:, 0].any():  # by feature: missing values to the left, then to the right
+        right = np.flatnonzero(strict | (n[feature, 0] > 0))
+        left = np.concatenate((left, np.zeros(len(right), bool)))
+        feature, slot, cut, left_g, left_n = (np.concatenate((x, x[right])) for x in (feature, slot, cut, left_g, left_n))
+        order = np.lexsort((slot, ~left, feature))
+        feature, slot, cut, left, left_g, left_n = (x[order] for x in (feature, slot, cut, left, left_g, left_n))
+        left_g, left_n = left_g + np.where(left, sg[feature, 0], 0), left_n + np.where(left, n[feature, 0], 0)
     total_g, total_n = int(sg[0].sum()), int(n[0].sum())
-    gl, nl = np.concatenate([p[3] for p in parts]).astype(np.float64) / UNIT, np.concatenate([p[4] for p in parts])
+    gl, nl = left_g.astype(np.float64) / UNIT, left_n
     gr, nr = total_g / UNIT - gl, total_n - nl
     value = gain(gl, nl, gr, nr, lam)
     ok = np.ones(len(cut), bool)

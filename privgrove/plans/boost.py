@@ -22,14 +22,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from privgrove.functions.closed import before_sampling, strict_average_charge
-from privgrove.functions.noise import laplace_of, uniform_of
+from privgrove.functions.noise import laplace_of, uniform_of, uniforms_of
 from privgrove.operators import leaves, sampling
 from privgrove.operators.gradient import UNIT
 from privgrove.operators.proposals import cuts_of, joint_quantiles
 from privgrove.operators.schema import DatasetSpec
 from privgrove.operators.splits import Split, best_split
 from privgrove.plans.ledger import BudgetPlan, Charge, Ledger, plan_ensemble, sequential
-from privgrove.plans.tree import Router, Tree, TreeModel
+from privgrove.plans.tree import Codes, Router, Tree, TreeModel
 from privgrove.sources.io import shared_dir
 
 
@@ -81,10 +81,19 @@ def coarser(bins: np.ndarray, shift: int) -> np.ndarray:
 LEFT_OUT = np.iinfo(np.int64).min
 
 
-def matrix_of(bins: bytes, n: int, m: int) -> np.ndarray:
-    """1 + bin by (feature, row), as indices."""
+def matrix_of(bins: bytes, n: int, m: int, indices: bool = True) -> np.ndarray:
+    """1 + bin by (feature, row), as indices or as it is stored."""
     width = len(bins) // max(1, n * m)
-    return np.frombuffer(bins, {1: np.uint8, 2: np.uint16}.get(width, np.uint32)).reshape(m, n).astype(np.intp) if m else np.zeros((0, n), np.intp)
+    stored = np.frombuffer(bins, {1: np.uint8, 2: np.uint16}.get(width, np.uint32)).reshape(m, n) if m else np.zeros((0, n), np.uint8)
+    return stored.astype(np.intp) if indices else stored
+
+
+def rows_of(chunks: list[pa.RecordBatch], m: int) -> tuple[np.ndarray, np.ndarray]:
+    """(1 + bin by (feature, row), targets) of a tree's chunks, in as few bytes as they have there."""
+    parts = [(matrix_of(b, n, m, False), np.frombuffer(y)) for x in chunks for n, b, y in zip(*(x.column(c).to_pylist() for c in ("n", "bins", "y")))]
+    if not parts:
+        return np.zeros((m, 0), np.uint8), np.zeros(0)
+    return np.concatenate([b for b, _ in parts], axis=1), np.concatenate([y for _, y in parts])
 
 
 def chunked(drawn: DataFrame, m: int, bins: int) -> DataFrame:
@@ -248,7 +257,7 @@ def cuts_for(counts: np.ndarray, plan: BudgetPlan | None, params: BoostParams, i
             continue
         if noised:
             scale = plan.m / plan.sketch / (1 if params.proposal == "global" else 1 / plan.h)
-            w = np.maximum(0.0, [v + laplace_of(uniform_of(*ids, k, b), scale) for b, v in enumerate(w)])
+            w = np.maximum(0.0, w + [laplace_of(u, scale) for u in uniforms_of((*ids, k), list(map(str, range(len(w))))).tolist()])
         out.append(cuts_of(w, params.max_cuts))
     return out
 
@@ -333,8 +342,12 @@ def node_sums(blobs: list[bytes], m: int, bins: int) -> tuple[np.ndarray, np.nda
 
 
 def decided(run: int, node: int, blobs: list[bytes], grower: Grower, m: int) -> tuple:
-    """A DECIDED row."""
-    sums, n, bins = node_sums(blobs, m, grower.params.bins)
+    """A DECIDED row from what tasks sent."""
+    return decided_by(run, node, *node_sums(blobs, m, grower.params.bins), grower, m)
+
+
+def decided_by(run: int, node: int, sums: np.ndarray, n: np.ndarray, bins: np.ndarray | None, grower: Grower, m: int) -> tuple:
+    """A DECIDED row from a node's sums."""
     g, total = (float(sums[0].sum()) / UNIT, int(n[0].sum())) if m else (0.0, 0)
     if not grower.params.max_depth or not m:
         return run, node, g, total, -1, -1, True, 0.0, 0, 0.0, 0, EMPTY
@@ -395,10 +408,85 @@ def grown_by_jobs(work: DataFrame, growers: dict[int, Grower], by_draw: dict[int
     return grown(growers, m, ask)
 
 
-#: Rows of a tree's sample up to which one task grows all trees of a run; it holds some 24 bytes and a bin per feature of each.
+#: Rows of a tree's sample up to which one task grows all trees of a run; it holds some 50 bytes and three bins per feature of each.
 IN_A_TASK = 1 << 22
 
 
+def gradients_of(codes: Codes, y: np.ndarray, routers: list[Router], bound: float) -> np.ndarray:
+    """The fixed-point gradients of a run's rows at its margins over its trees, as `workset_of` gives them."""
+    g = codes.margins(routers, CHUNK)
+    g -= y
+    out = np.trunc(g * UNIT).astype(np.int64)
+    out[np.abs(g) > bound] = LEFT_OUT
+    return out
+
+
+class HeldRows:
+    """A tree's rows in one task, by the open node that each is in: a split parts its node's rows, the smaller part is
+    summed up, and the sums of the larger are what is left of the node's."""
+
+    def __init__(self, codes: Codes, g: np.ndarray):
+        """Of rows and their fixed-point gradients."""
+        self.codes, self.bins, self.g, self.width = codes, codes.bins, g, codes.width
+        rows = np.flatnonzero(g != LEFT_OUT)
+        self.most = int(np.abs(g[rows]).max(initial=0))
+        self.open: dict[int, tuple[np.ndarray, tuple[np.ndarray, np.ndarray] | None]] = {0: (rows, None)}
+
+    def sums(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(sums, counts) by feature and 1 + bin; exact."""
+        g, out = self.g.take(rows), np.zeros((2, len(self.bins), self.width), np.int64)
+        most = self.most * len(rows)
+        shift = most.bit_length() + 1
+        both, plain = shift + len(rows).bit_length() <= 53, most < 1 << 53
+        weight = g + float(1 << shift) if both else g.astype(np.float64) if plain else None
+        if plain and len(rows) > self.codes.cells:  # by groups of features, whose sums are then parted
+            for k, (code, size) in enumerate(zip(self.codes.codes, self.codes.sizes)):
+                cell = code.take(rows)
+                g, n = np.bincount(cell, weight, size), None if both else np.bincount(cell, minlength=size)
+                if both:
+                    n = np.rint(g * 2.0**-shift)
+                    g -= n * (1 << shift)
+                self.codes.parted(k, g.astype(np.int64), out[0])
+                self.codes.parted(k, n.astype(np.int64), out[1])
+            return out[0], out[1]
+        found = np.empty((len(self.bins), self.width))
+        for k, own in enumerate(self.bins):
+            cell = own.take(rows)
+            if both:  # a float holds a count beside a sum
+                found[k] = np.bincount(cell, weight, self.width)
+            elif plain:
+                out[0, k], out[1, k] = np.bincount(cell, weight, self.width), np.bincount(cell, minlength=self.width)
+            else:
+                out[0, k], out[1, k] = cell_sums(cell, g, self.width)
+        if both:
+            n = np.rint(found * 2.0**-shift)
+            out[0], out[1] = found - n * (1 << shift), n
+        return out[0], out[1]
+
+    def level(self, tree: Tree, nodes: list[int]) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """(node, sums, counts) of the nodes of a level, whose parents were the level before."""
+        kept = len(nodes) * len(self.bins) * self.width <= DENSE
+        if nodes != [0]:
+            before, self.open = self.open, {}
+            for x in (tree.nodes[v] for v in sorted({(v - 1) // 2 for v in nodes})):
+                rows, whole = before.pop(x.node)
+                b = self.bins[x.feature].take(rows)
+                left = b <= x.cut_bin + 1
+                if not x.default_left:
+                    left &= b > 0
+                parts = [(x.left, rows.compress(left)), (x.right, rows.compress(~left))]
+                (small, few), (large, many) = sorted(parts, key=lambda part: len(part[1]))
+                found = self.sums(few) if kept and whole else None
+                self.open[small] = few, found
+                self.open[large] = many, found and (whole[0] - found[0], whole[1] - found[1])
+        for v in nodes:
+            rows, found = self.open[v]
+            found = found or self.sums(rows)
+            if kept:
+                self.open[v] = rows, found
+            yield v, *found
+
+
 def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: dict[int, list[int]], m: int, bins: dict[int, int], shifts: dict[int, int]) -> dict[int, tuple[list[Tree], list[float]]]:
     """(trees, seconds of each) of runs whose samples fit a task: a task has some of a draw's runs and its chunks in order of
     their trees, and asks its own rows level by level, so all the models are one job."""
@@ -406,6 +494,17 @@ def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: d
     parts = -(-3 * max(1, spark.sparkContext.defaultParallelism) // len(by_draw))
     sets = [(d, rs[k::parts]) for d, rs in by_draw.items() for k in range(min(parts, len(rs)))]
     params = {r: gs[0].params for r, gs in growers.items()}
+    bound = {r: p.g_star if p.gradient_filter else np.inf for r, p in params.items()}
+
+    def asks(r: int, codes: Codes, y: np.ndarray, routers: list[Router]) -> Callable[[dict[int, tuple[Tree, list[int]]], dict[int, Grower]], list[tuple]]:
+        """What tells of a run's open nodes, from the rows of a tree's sample."""
+        rows = HeldRows(codes, gradients_of(codes, y, routers, bound[r]))
+        return lambda asked, growing: [decided_by(r, v, *sums, None, growing[r], m) for v, *sums in rows.level(*asked[r])]
+
+    def asks_sparsely(r: int, held: list[pa.RecordBatch], draw: int, routers: list[Router]) -> Callable[[dict[int, tuple[Tree, list[int]]], dict[int, Grower]], list[tuple]]:
+        """The same where the cells of a node are too many to be held."""
+        work = list(workset_of(m, lambda _: routers, {draw: [r]}, params, shifts)(held))
+        return lambda asked, growing: merged(level_sums(asked, {draw: [r]}, m, bins, shifts)(work), growing, m)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here, models, took, at = None, {}, [], -1
@@ -415,12 +514,18 @@ def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: d
             nonlocal held, at
             for t in range(at, upto):
                 began = time.time()
-                for r in sets[here][1]:
+                whole = y = codes = None
+                for r in sorted(sets[here][1], key=shifts.get):
                     if t < len(growers[r]):
                         routers, tree = models[r]
-                        own = {sets[here][0]: [r]}
-                        work = list(workset_of(m, lambda _, routers=routers: routers, own, params, shifts)(held))
-                        ask = lambda asked, growing: merged(level_sums(asked, own, m, bins, shifts)(work), growing, m)
+                        if m * (bins[r] + 1) > DENSE // 32:
+                            ask = asks_sparsely(r, held, sets[here][0], routers)
+                        else:
+                            if whole is None:
+                                whole, y = rows_of(held, m)
+                            if codes is None or codes[0] != shifts[r]:
+                                codes = shifts[r], Codes(coarser(whole, shifts[r]), bins[r] + 1)
+                            ask = asks(r, codes[1], y, routers)
                         tree.append(grown({r: growers[r][t]}, m, ask)[r])
                         routers.append(Router(tree[-1], m, bins[r]))
                 took.append((time.time() - began) / len(sets[here][1]))

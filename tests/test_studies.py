@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from privgrove.functions.noise import below, uniform
 from privgrove.operators import sampling
 from privgrove.plans import boost, cost, experiments, workloads
-from privgrove.plans.tree import Router, Tree, routed
+from privgrove.plans.tree import Codes, Router, Tree, routed
 from privgrove.queries import methods as m
 
 SMALL = boost.BoostParams(epsilon_total=2.0, trees=3, max_depth=3, subsample=0.5, bins=m.BINS, min_child=20, noise_key="k0")
@@ -119,3 +119,29 @@ def test_shares_of_characters_count_each(spark):
     found = text.selectExpr(*[f"{share[k]} * greatest(n, 1) AS {k}" for k in ("upper_case", "digits", "punctuation")]).collect()
     assert [tuple(round(x) for x in r) for r in found] == [(3, 2, 3), (0, 0, 0), (0, 0, 0)]
     assert not any("]', ''" in share[k] for k in ("upper_case", "digits", "punctuation"))  # runs go at once
+
+
+@pytest.mark.parametrize("bins", [5, 64])
+def test_a_task_sums_up_the_smaller_part_of_a_node(bins, monkeypatch):
+    rng, n = np.random.default_rng(bins), 40_000
+    places = rng.integers(0, bins + 1, (4, n)).astype(np.uint8)
+    places[1] //= bins
+    g = rng.integers(-boost.UNIT, boost.UNIT, n)
+    g[rng.random(n) < 0.1] = boost.LEFT_OUT
+    codes, summed = Codes(places, bins + 1), []
+    sums = boost.HeldRows.sums
+    monkeypatch.setattr(boost.HeldRows, "sums", lambda self, rows: summed.append(len(rows)) or sums(self, rows))
+    assert len(codes.groups) < 4
+    held, tree, nodes = boost.HeldRows(codes, g), Tree(), [0]
+    for level in range(4):
+        before, router = len(summed), Router(tree, 4, bins)
+        at = np.where(g == boost.LEFT_OUT, -1, router.ids[router.order][router.place(places.astype(np.intp))])
+        for node, found, counts in held.level(tree, nodes):
+            own = at == node
+            for k in range(4):
+                assert (counts[k] == np.bincount(places[k][own], minlength=bins + 1)).all()
+                assert (found[k] == [g[own & (places[k] == b)].sum() for b in range(bins + 1)]).all()
+        assert level == 0 or sum(summed[before:]) <= (g != boost.LEFT_OUT).sum() / 2
+        nodes = [x.node for v in nodes for x in tree.split(v, level, int(rng.integers(bins - 1)) if level != 1 else 0, bool(rng.integers(2)))]
+    routers = [Router(tree, 4, bins)] * 3
+    assert (codes.margins(routers, 1000) == sum(r.values(places.astype(np.intp)) for r in routers)).all()
