@@ -47,12 +47,17 @@ def disjoint(df: DataFrame, parts: list[float], key: str, id_col: str = "row_key
 
 def with_trees(df: DataFrame, trees: int, gamma: float, key: str, id_col: str = "row_key") -> DataFrame:
     """One row per (row, tree whose sample has it), with tree_id: all samples from one pass."""
-    if gamma >= 1:
-        return df.withColumn("tree_id", F.explode(F.sequence(F.lit(0), F.lit(trees - 1))))
+    return with_draws(df, [(0, trees, key)], gamma, id_col).drop("draw")
+
+
+def with_draws(df: DataFrame, draws: list[tuple[int, int, str]], gamma: float, id_col: str = "row_key") -> DataFrame:
+    """The same for several draws (number, trees, key), with the draw's number as `draw`: all from one pass."""
     # one condition in a loop over trees: a condition each makes a method that is too long for the JVM to compile
-    each = F.array(*[F.struct(F.lit(t).alias("tree"), F.lit(f"{key}|sample|{t}").alias("key")) for t in range(trees)])
-    drawn = df.withColumn("_draw", F.explode(each)).where(below(gamma, F.col("_draw.key"), id_col))
-    return drawn.withColumn("tree_id", F.col("_draw.tree")).drop("_draw")
+    each = F.array(*[F.struct(F.lit(d).cast("smallint").alias("draw"), F.lit(t).alias("tree"), F.lit(f"{key}|sample|{t}").alias("key")) for d, trees, key in draws for t in range(trees)])
+    drawn = df.withColumn("_draw", F.explode(each))
+    if gamma < 1:
+        drawn = drawn.where(below(gamma, F.col("_draw.key"), id_col))
+    return drawn.withColumns({"tree_id": F.col("_draw.tree"), "draw": F.col("_draw.draw")}).drop("_draw")
 
 
 def materialize(df: DataFrame, path: str, trees: int, gamma: float, key: str, id_col: str = "row_key") -> DataFrame:

@@ -96,16 +96,18 @@ def rows_of(chunks: list[pa.RecordBatch], m: int) -> tuple[np.ndarray, np.ndarra
     return np.concatenate([b for b, _ in parts], axis=1), np.concatenate([y for _, y in parts])
 
 
-def chunked(drawn: DataFrame, m: int, bins: int) -> DataFrame:
+def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bins: int) -> DataFrame:
     """CHUNKS of samples: what rows of a tree and a draw a task has, bins by feature and targets as plain bytes.
 
+    Each part is of some features and a target, whose draws are numbered from `draws` times its place; rows without its
+    target are not in it.
     Small ones of some tasks are then joined, full ones stay; so a small sample is one chunk, and none is large.
     """
     kind = np.uint8 if bins < 256 else np.uint16 if bins < 1 << 16 else np.uint32
     names = ["tree_id", "draw", "salt", "n", "bins", "y"]
 
-    def row(key: tuple, parts: list[tuple[np.ndarray, np.ndarray]], spread: int) -> pa.RecordBatch:
-        b, y = np.concatenate([x for x, _ in parts], axis=1), np.concatenate([x for _, x in parts])
+    def row(key: tuple, found: list[tuple[np.ndarray, np.ndarray]], spread: int) -> pa.RecordBatch:
+        b, y = np.concatenate([x for x, _ in found], axis=1), np.concatenate([x for _, x in found])
         salt = ~spread if len(y) >= CHUNK // 2 else spread // 32
         columns = [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int16()), pa.array([salt], pa.int32()), pa.array([len(y)], pa.int32()), pa.array([b.tobytes()], pa.binary()), pa.array([y.tobytes()], pa.binary())]
         return pa.RecordBatch.from_arrays(columns, names=names)
@@ -113,19 +115,19 @@ def chunked(drawn: DataFrame, m: int, bins: int) -> DataFrame:
     def gathered(pieces: Iterator[tuple[tuple, np.ndarray, np.ndarray]], spread: int) -> Iterator[pa.RecordBatch]:
         held, total = {}, 0
         for key, b, y in pieces:
-            parts, n = held.get(key, ([], 0))
-            parts.append((b, y))
-            held[key] = parts, n + len(y)
+            found, n = held.get(key, ([], 0))
+            found.append((b, y))
+            held[key] = found, n + len(y)
             total += len(y)
             if n + len(y) >= CHUNK:
-                yield row(key, parts, spread)
+                yield row(key, found, spread)
                 total -= held.pop(key)[1]
             elif total >= 64 * CHUNK:
-                for k, (parts, _) in held.items():
-                    yield row(k, parts, spread)
+                for k, (found, _) in held.items():
+                    yield row(k, found, spread)
                 held, total = {}, 0
-        for k, (parts, _) in held.items():
-            yield row(k, parts, spread)
+        for k, (found, _) in held.items():
+            yield row(k, found, spread)
 
     def of_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def pieces():
@@ -133,12 +135,16 @@ def chunked(drawn: DataFrame, m: int, bins: int) -> DataFrame:
                 tree, draw = batch.column("tree_id").to_numpy().astype(np.int64), batch.column("draw").to_numpy().astype(np.int64)
                 key = draw << 32 | tree
                 order = np.argsort(key, kind="stable")
-                key = key[order]
-                b = np.stack([(batch.column(f"b_{k}").to_numpy(zero_copy_only=False)[order] + 1).astype(kind) for k in range(m)]) if m else np.zeros((0, len(key)), kind)
-                y = batch.column("y").to_numpy(zero_copy_only=False)[order]
-                ends = np.flatnonzero(np.diff(key, append=-1)) + 1
-                for start, end in zip([0, *ends.tolist()], ends.tolist()):
-                    yield (int(key[start] & 0xFFFFFFFF), int(key[start] >> 32)), b[:, start:end], y[start:end]
+                column = {k: (batch.column(f"b_{k}").to_numpy(zero_copy_only=False)[order] + 1).astype(kind) for k in used}
+                for i, (features, target) in enumerate(parts):
+                    y = batch.column(target).to_numpy(zero_copy_only=False)[order]
+                    own, b = key[order], np.stack([column[k] for k in features]) if features else np.zeros((0, len(key)), kind)
+                    if batch.column(target).null_count:
+                        has = batch.column(target).is_valid().to_numpy(zero_copy_only=False)[order]
+                        own, b, y = own[has], b[:, has], y[has]
+                    ends = np.flatnonzero(np.diff(own, append=-1)) + 1
+                    for start, end in zip([0, *ends.tolist()], ends.tolist()):
+                        yield (int(own[start] & 0xFFFFFFFF), int(own[start] >> 32) + i * draws), b[:, start:end], y[start:end]
 
         yield from gathered(pieces(), TaskContext.get().partitionId())
 
@@ -146,13 +152,14 @@ def chunked(drawn: DataFrame, m: int, bins: int) -> DataFrame:
         def pieces():
             for batch in batches:
                 for tree, draw, n, b, y in zip(*(batch.column(c).to_pylist() for c in ("tree_id", "draw", "n", "bins", "y"))):
-                    yield (tree, draw), np.frombuffer(b, kind).reshape(m, n), np.frombuffer(y)
+                    yield (tree, draw), np.frombuffer(b, kind).reshape(len(parts[draw // draws][0]), n), np.frombuffer(y)
 
         yield from (x.select(["tree_id", "draw", "n", "bins", "y"]) for x in gathered(pieces(), 0))
 
-    rows = drawn.select(*[f"b_{k}" for k in range(m)], F.col("y").cast("double").alias("y"), "tree_id", "draw")
-    parts = rows.mapInArrow(of_rows, CHUNKS.replace("n int", "salt int, n int"))
-    return parts.repartition("tree_id", "draw", "salt").mapInArrow(of_chunks, CHUNKS)
+    used, targets = sorted({k for features, _ in parts for k in features}), sorted({target for _, target in parts})
+    rows = drawn.select(*[f"b_{k}" for k in used], *[F.col(y).cast("double").alias(y) for y in targets], "tree_id", "draw")
+    some = rows.mapInArrow(of_rows, CHUNKS.replace("n int", "salt int, n int"))
+    return some.repartition("tree_id", "draw", "salt").mapInArrow(of_chunks, CHUNKS)
 
 
 WORKSET = "n int, draw smallint, bins binary, g binary"
@@ -585,12 +592,27 @@ def strict_plan(params: BoostParams, plan: BudgetPlan) -> BudgetPlan:
     return replace(plan, eps_tree=low)
 
 
-def drawn_for(binned: DataFrame, params: BoostParams) -> DataFrame:
-    """The rows of all trees' samples, with tree_id."""
-    if params.disjoint:
-        eta = params.learning_rate
-        return sampling.disjoint(binned, [eta * (1 - eta) ** t for t in range(params.trees)], params.noise_key)
-    return sampling.with_trees(binned, params.trees, params.subsample, params.noise_key)
+def drawn_for(binned: DataFrame, draws: list[BoostParams]) -> DataFrame:
+    """The rows of all trees' samples of each draw, with tree_id and the draw's number; the samples by draws of one share
+    are from one pass."""
+    found, shares = [], {}
+    for d, p in enumerate(draws):
+        if p.disjoint:
+            eta = p.learning_rate
+            found.append(sampling.disjoint(binned, [eta * (1 - eta) ** t for t in range(p.trees)], p.noise_key).withColumn("draw", F.lit(d).cast("smallint")))
+        else:
+            shares.setdefault(p.subsample, []).append((d, p.trees, p.noise_key))
+    return reduce(DataFrame.unionByName, [*found, *(sampling.with_draws(binned, each, gamma) for gamma, each in shares.items())])
+
+
+@dataclass(frozen=True)
+class Target:
+    """What runs learn from rows (row_key, b_.., and targets): some of their features, in the spec's order, and a target."""
+
+    spec: DatasetSpec
+    runs: list[BoostParams]
+    features: list[int]
+    y: str = "y"
 
 
 def fit_many(binned: DataFrame, spec: DatasetSpec, runs: list[BoostParams], materialized: bool = True, bins: int | None = None) -> list[tuple[TreeModel, Ledger, list[float]]]:
@@ -600,23 +622,43 @@ def fit_many(binned: DataFrame, spec: DatasetSpec, runs: list[BoostParams], mate
     Every run's result is what `fit` gives for it alone. With `bins`, the even bins of the rows, runs may have coarser ones:
     a half as many, a quarter and so on, which are the same as if the rows had them.
     """
-    if bins is None and len({p.bins for p in runs}) != 1:
+    return fit_targets(binned, [Target(spec, runs, list(range(spec.m)))], materialized, bins)[0]
+
+
+def fit_targets(binned: DataFrame, targets: list[Target], materialized: bool = True, bins: int | None = None) -> list[list[tuple[TreeModel, Ledger, list[float]]]]:
+    """The same for several targets of the same rows, of each what `fit_many` gives for it alone: samples of all are drawn
+    once. A row whose target is null is not one of that target."""
+    every = [p for target in targets for p in target.runs]
+    if bins is None and len({p.bins for p in every}) != 1:
         raise ValueError("runs need one bin count, that of the rows")
-    bins = bins or runs[0].bins
-    width_of, shifts = {r: p.bins for r, p in enumerate(runs)}, {r: (bins // p.bins).bit_length() - 1 for r, p in enumerate(runs)}
-    if any(p.bins << shifts[r] != bins for r, p in enumerate(runs)):
+    bins = bins or every[0].bins
+    if any(p.bins << ((bins // p.bins).bit_length() - 1) != bins for p in every):
         raise ValueError("a run's bin count must be that of the rows, or a half of it, a quarter and so on")
-    spark = binned.sparkSession
-    drawing = [(p.noise_key, p.trees, p.disjoint, p.learning_rate if p.disjoint else p.subsample) for p in runs]
+    drawing = [(p.noise_key, p.trees, p.disjoint, p.learning_rate if p.disjoint else p.subsample) for p in every]
     draws = sorted(set(drawing))
-    draw_of = [draws.index(d) for d in drawing]
-    by_draw = {d: [r for r in range(len(runs)) if draw_of[r] == d] for d in range(len(draws))}
-    kept = [*[f"b_{k}" for k in range(spec.m)], "y", "tree_id"]
-    drawn = reduce(DataFrame.unionByName, [drawn_for(binned, runs[draw_of.index(k)]).select(*kept, F.lit(k).cast("smallint").alias("draw")) for k in range(len(draws))])
+    drawn = drawn_for(binned, [every[drawing.index(d)] for d in draws])
+    parts = [(target.features, target.y) for target in targets]
     if materialized:
-        path = shared_dir(spark, "samples")
-        chunked(drawn, spec.m, bins).write.mode("overwrite").partitionBy("tree_id").parquet(path)
-        drawn = spark.read.schema(CHUNKS).parquet(path)
+        path = shared_dir(binned.sparkSession, "samples")
+        chunked(drawn, parts, len(draws), bins).write.mode("overwrite").partitionBy("tree_id").parquet(path)
+        drawn = binned.sparkSession.read.schema(CHUNKS).parquet(path)
+    out, done = [], 0
+    for i, target in enumerate(targets):
+        draw_of = [draws.index(d) for d in drawing[done : done + len(target.runs)]]
+        done += len(target.runs)
+        if materialized:
+            own = drawn.where(F.col("draw").between(i * len(draws), (i + 1) * len(draws) - 1)).withColumn("draw", (F.col("draw") - i * len(draws)).cast("smallint")) if i or len(targets) > 1 else drawn
+        else:
+            own = drawn.where(F.col(target.y).isNotNull())
+        out.append(fit_drawn(own, target, draw_of, materialized, bins))
+    return out
+
+
+def fit_drawn(drawn: DataFrame, target: Target, draw_of: list[int], materialized: bool, bins: int) -> list[tuple[TreeModel, Ledger, list[float]]]:
+    """The models of a target from CHUNKS, or if not `materialized` from drawn rows, and the draw of each run."""
+    spark, spec, runs = drawn.sparkSession, target.spec, target.runs
+    width_of, shifts = {r: p.bins for r, p in enumerate(runs)}, {r: (bins // p.bins).bit_length() - 1 for r, p in enumerate(runs)}
+    by_draw = {d: [r for r in range(len(runs)) if draw_of[r] == d] for d in sorted(set(draw_of))}
     plans = [x and [strict_plan(p, plan) for plan in x] for p, x in ((p, plans_of(spec, p)) for p in runs)]
     ledgers = [Ledger(p.epsilon_total if x else float("inf"), 1.0 if p.disjoint else p.subsample, disjoint_trees=p.disjoint) for p, x in zip(runs, plans)]
     models, seconds = [TreeModel(spec, p.bins, params=asdict(p) | {"noise_key": ""}) for p in runs], [[] for _ in runs]
@@ -638,7 +680,7 @@ def fit_many(binned: DataFrame, spec: DatasetSpec, runs: list[BoostParams], mate
         began = time.time()
         active = {d: [r for r in rs if t < runs[r].trees] for d, rs in many.items()}
         of_tree = drawn.where((F.col("tree_id") == t) & F.col("draw").isin([d for d, rs in active.items() if rs]))
-        of_tree = of_tree if materialized else chunked(of_tree, spec.m, bins)
+        of_tree = of_tree if materialized else chunked(of_tree, [(target.features, target.y)], max(by_draw) + 1, bins)
         work = of_tree.mapInArrow(workset_of(spec.m, lambda r, trees=tuple(released): [x.value[r] for x in trees], active, runs, shifts), WORKSET).persist(StorageLevel.MEMORY_AND_DISK)
         trees = grown_by_jobs(work, {r: growers[r][t] for rs in active.values() for r in rs}, active, spec.m, width_of, shifts)
         released.append(spark.sparkContext.broadcast({r: Router(tree, spec.m, runs[r].bins) for r, tree in trees.items()}))

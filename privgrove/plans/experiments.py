@@ -16,9 +16,10 @@ from pyspark.sql import functions as F
 from privgrove.operators import sketch
 from privgrove.operators.sampling import is_test
 from privgrove.plans import cost, metrics
-from privgrove.plans.boost import BoostParams, coarser, fit_many
+from privgrove.plans.boost import BoostParams, Target, coarser, fit_many, fit_targets
 from privgrove.plans.tree import Router, TreeModel, places_of
 from privgrove.plans.workloads import Workload, for_tables
+from privgrove.sources.io import load
 
 #: Budgets of the result table, and how often a trial is repeated with another key.
 EPSILONS, TRIALS = (1.0, 2.0, 4.0, 6.0, 8.0, 10.0), 5
@@ -66,6 +67,14 @@ class Bench:
         self.train = self.binned.where("NOT test").drop("test")
         self.test = self.binned.where("test").drop("test")
 
+    @classmethod
+    def of(cls, work: Workload, binned: DataFrame, n: int, bins: int) -> Bench:
+        """Of rows in even bins with `test`, that another holds."""
+        self = cls.__new__(cls)
+        self.work, self.n, self.settings, self.bins, self.bins_by, self.binned = work, n, work.settings(n), bins, "even", binned
+        self.train, self.test = binned.where("NOT test").drop("test"), binned.where("test").drop("test")
+        return self
+
     def params(self, **changes) -> BoostParams:
         return BoostParams(**({"min_child": self.settings["min_child"], "bins": self.bins} | changes))
 
@@ -104,7 +113,10 @@ class Bench:
         """Fit and measure (variant, params, trial), all in step."""
         if self.bins_by != "even" and any(p.private for _, p, _ in asked):
             raise ValueError("bins that come from the data are not private")
-        fitted = fit_many(self.train, self.work.spec, [p for _, p, _ in asked], bins=self.bins)
+        return self.measured(asked, fit_many(self.train, self.work.spec, [p for _, p, _ in asked], bins=self.bins))
+
+    def measured(self, asked: list[tuple[str, BoostParams, int]], fitted: list) -> list[Run]:
+        """The runs of (variant, params, trial) and what they were fitted to."""
         found = self.measures([model for model, _, _ in fitted])
         free = float("inf")
         return [
@@ -168,21 +180,63 @@ def side_by_side(parts: list[Callable[[], list[Run]]]) -> list[Run]:
 
 def sweep_runs(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> list[Run]:
     bench = Bench(spark, sf_dir, name)
-    asked = [("open", bench.params(noise_key=f"k{t}", **changes).open(), t) for t in range(trials)]
-    asked += [("private", bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes), t) for eps in epsilons for t in range(trials)]
-    runs = [bench.floor(), *bench.run_many(asked)]
+    runs = [bench.floor(), *bench.run_many(swept(bench, epsilons, trials, **changes))]
     bench.close()
     return runs
 
 
+def swept(bench: Bench, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> list[tuple[str, BoostParams, int]]:
+    asked = [("open", bench.params(noise_key=f"k{t}", **changes).open(), t) for t in range(trials)]
+    return asked + [("private", bench.params(epsilon_total=eps, noise_key=f"k{t}", **changes), t) for eps in epsilons for t in range(trials)]
+
+
+#: Two workloads over the same lines; the first has all features of the second, and only lines with an order.
+SAME_LINES = ("w01", "w04")
+
+
+def same_lines_runs(spark: SparkSession, sf_dir: str, **changes) -> list[Run]:
+    """The sweeps of both, whose equal samples are drawn once: from lines with the targets of both, where the first's is
+    null without an order. Where orders repeat or the two sizes have other bins, each has its own."""
+    works = [for_tables(sf_dir)[name] for name in SAME_LINES]
+    wide, narrow = (work.spec for work in works)
+    lines, orders = (load(spark, sf_dir, t) for t in works[0].tables)
+    o = orders.select("o_orderkey", "o_totalprice", "o_orderdate")
+    both = lines.join(o, lines.l_orderkey == o.o_orderkey, "left")
+    ys = {"y_0": F.when(F.col("o_orderkey").isNotNull(), wide.target.column()), "y_1": narrow.target.column()}
+    n, *sizes = both.select(*[y.alias(k) for k, y in ys.items()]).agg(F.count(F.lit(1)), F.count("y_0"), F.count("y_1")).first()
+    settings = [work.settings(k) for work, k in zip(works, sizes)]
+    bins = settings[0]["bins"]
+    if n != lines.count() or settings[1]["bins"] != bins:
+        return [run for name in SAME_LINES for run in sweep_runs(spark, sf_dir, name, **changes)]
+    rows = both.select(F.expr(wide.row_key).cast("string").alias("row_key"), *[f.column().alias(f"x_{k}") for k, f in enumerate(wide.features)], *[y.alias(k) for k, y in ys.items()])
+    binned = wide.binned(rows.withColumn("y", F.struct(*ys)), bins).select("*", "y.*").drop("y").withColumn("test", is_test())
+    if binned.rdd.getNumPartitions() < spark.sparkContext.defaultParallelism:
+        binned = binned.repartition(spark.sparkContext.defaultParallelism)
+    binned = binned.persist(StorageLevel.MEMORY_AND_DISK)
+    features = [list(range(wide.m)), [wide.features.index(f) for f in narrow.features]]
+    benches = [
+        Bench.of(work, binned.select("row_key", *[F.col(f"b_{k}").alias(f"b_{i}") for i, k in enumerate(own)], F.col(y).alias("y"), "test").where("y IS NOT NULL"), size, bins)
+        for work, own, y, size in zip(works, features, ys, sizes)
+    ]
+    asked = [swept(bench, **changes) for bench in benches]
+    targets = [Target(work.spec, [p for _, p, _ in each], own, y) for work, each, own, y in zip(works, asked, features, ys)]
+    fitted = fit_targets(binned.where("NOT test").drop("test"), targets, bins=bins)
+    runs = [run for bench, each, models in zip(benches, asked, fitted) for run in (bench.floor(), *bench.measured(each, models))]
+    binned.unpersist()
+    return runs
+
+
 def sweep(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> DataFrame:
     """Error of the private model by budget and trial, with the open model and the constant."""
     return table(spark, sweep_runs(spark, sf_dir, name, epsilons, trials, **changes))
 
 
-def sweeps(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
+def sweeps(spark: SparkSession, sf_dir: str, names: tuple[str, ...], **changes) -> DataFrame:
     """The sweeps of several workloads."""
-    return table(spark, side_by_side([partial(sweep_runs, spark, sf_dir, name) for name in names]))
+    alone = [name for name in names if not set(SAME_LINES) <= set(names) or name not in SAME_LINES]
+    together = [partial(same_lines_runs, spark, sf_dir, **changes)] if len(alone) < len(names) else []
+    runs = side_by_side([*together, *[partial(sweep_runs, spark, sf_dir, name, **changes) for name in alone]])
+    return table(spark, sorted(runs, key=lambda run: names.index(run.workload)))
 
 
 def open_models(spark: SparkSession, sf_dir: str, name: str, trials: int = TRIALS, ways: tuple[str, ...] = ("even", "sketch", "exact"), **changes) -> DataFrame:

@@ -145,3 +145,18 @@ def test_a_task_sums_up_the_smaller_part_of_a_node(bins, monkeypatch):
         nodes = [x.node for v in nodes for x in tree.split(v, level, int(rng.integers(bins - 1)) if level != 1 else 0, bool(rng.integers(2)))]
     routers = [Router(tree, 4, bins)] * 3
     assert (codes.margins(routers, 1000) == sum(r.values(places.astype(np.intp)) for r in routers)).all()
+
+
+def test_workloads_over_the_same_lines_draw_once(spark, sf_dir, tmp_path, monkeypatch):
+    small = {"epsilons": (1.0,), "trials": 2, "trees": 2, "max_depth": 2}
+    for name in ("lineitem", "orders"):
+        spark.read.parquet(f"{sf_dir}/{name}.parquet").where("o_orderkey % 5 > 0" if name == "orders" else "true").write.parquet(f"{tmp_path}/sf0.001/{name}.parquet")
+    path, drawn = f"{tmp_path}/sf0.001", []  # some lines are without an order
+    draw = boost.drawn_for
+    monkeypatch.setattr(boost, "drawn_for", lambda *a: drawn.append(1) or draw(*a))
+    both = experiments.sweeps(spark, path, ("w04", "w01"), **small).drop("seconds_per_tree").collect()
+    assert len(drawn) == 1
+    alone = [r for w in ("w04", "w01") for r in experiments.sweep(spark, path, w, **small).drop("seconds_per_tree").collect()]
+    assert both == alone and len({r["n_test"] for r in alone}) == 2
+    spark.read.parquet(f"{sf_dir}/orders.parquet").where("o_orderkey % 5 = 1").write.mode("append").parquet(f"{path}/orders.parquet")
+    assert experiments.sweeps(spark, path, ("w01", "w04"), **small).count() == len(alone) and len(drawn) == 5
