@@ -160,3 +160,14 @@ def test_workloads_over_the_same_lines_draw_once(spark, sf_dir, tmp_path, monkey
     assert both == alone and len({r["n_test"] for r in alone}) == 2
     spark.read.parquet(f"{sf_dir}/orders.parquet").where("o_orderkey % 5 = 1").write.mode("append").parquet(f"{path}/orders.parquet")
     assert experiments.sweeps(spark, path, ("w01", "w04"), **small).count() == len(alone) and len(drawn) == 5
+
+
+def test_draws_of_one_share_are_from_one_pass(spark):
+    rows = spark.range(2000).select(F.col("id").cast("string").alias("row_key"))
+    runs = [boost.BoostParams(trees=3 + k % 2, noise_key=f"k{k}", disjoint=k == 2) for k in range(4)]
+    drawn = boost.drawn_for(rows, runs)
+    assert drawn._jdf.queryExecution().optimizedPlan().toString().count("Range") == 2  # that of the disjoint one is another
+    alone = [sampling.with_trees(rows, p.trees, p.subsample, p.noise_key) for p in runs if not p.disjoint]
+    alone.insert(2, boost.drawn_for(rows, runs[2:3]).drop("draw"))
+    each = [sorted(map(str, drawn.where(F.col("draw") == k).select("row_key", "tree_id").collect())) for k in range(4)]
+    assert each == [sorted(map(str, x.select("row_key", "tree_id").collect())) for x in alone]
