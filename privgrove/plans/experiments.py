@@ -68,9 +68,10 @@ class Bench:
         self.test = self.binned.where("test").drop("test")
 
     @classmethod
-    def of(cls, work: Workload, binned: DataFrame, n: int, bins: int) -> Bench:
-        """Of rows in even bins with `test`, that another holds."""
+    def of(cls, work: Workload, binned: DataFrame, n: int, bins: int, fitted: Callable[[list[BoostParams]], list]) -> Bench:
+        """Of rows in even bins with `test`, that another holds, and fits."""
         self = cls.__new__(cls)
+        self.fitted = fitted
         self.work, self.n, self.settings, self.bins, self.bins_by, self.binned = work, n, work.settings(n), bins, "even", binned
         self.train, self.test = binned.where("NOT test").drop("test"), binned.where("test").drop("test")
         return self
@@ -113,10 +114,7 @@ class Bench:
         """Fit and measure (variant, params, trial), all in step."""
         if self.bins_by != "even" and any(p.private for _, p, _ in asked):
             raise ValueError("bins that come from the data are not private")
-        return self.measured(asked, fit_many(self.train, self.work.spec, [p for _, p, _ in asked], bins=self.bins))
-
-    def measured(self, asked: list[tuple[str, BoostParams, int]], fitted: list) -> list[Run]:
-        """The runs of (variant, params, trial) and what they were fitted to."""
+        fitted = self.fitted([p for _, p, _ in asked])
         found = self.measures([model for model, _, _ in fitted])
         free = float("inf")
         return [
@@ -124,6 +122,9 @@ class Bench:
             for (variant, p, trial), (_, ledger, seconds), (measure, value, n) in zip(asked, fitted, found)
         ]
 
+    def fitted(self, runs: list[BoostParams]) -> list:
+        return fit_many(self.train, self.work.spec, runs, bins=self.bins)
+
     def run(self, variant: str, params: BoostParams, trial: int = 0) -> Run:
         return self.run_many([(variant, params, trial)])[0]
 
@@ -214,14 +215,21 @@ def same_lines_runs(spark: SparkSession, sf_dir: str, **changes) -> list[Run]:
         binned = binned.repartition(spark.sparkContext.defaultParallelism)
     binned = binned.persist(StorageLevel.MEMORY_AND_DISK)
     features = [list(range(wide.m)), [wide.features.index(f) for f in narrow.features]]
+    asked, models = [], []
+
+    def fitted(i: int, runs: list[BoostParams]) -> list:
+        """One's models, with those of the other."""
+        if not models:
+            targets = [Target(work.spec, [p for _, p, _ in each], own, y) for work, each, own, y in zip(works, asked, features, ys)]
+            models.extend(fit_targets(binned.where("NOT test").drop("test"), targets, bins=bins))
+        return models[i]
+
     benches = [
-        Bench.of(work, binned.select("row_key", *[F.col(f"b_{k}").alias(f"b_{i}") for i, k in enumerate(own)], F.col(y).alias("y"), "test").where("y IS NOT NULL"), size, bins)
-        for work, own, y, size in zip(works, features, ys, sizes)
+        Bench.of(work, binned.select("row_key", *[F.col(f"b_{k}").alias(f"b_{i}") for i, k in enumerate(own)], F.col(y).alias("y"), "test").where("y IS NOT NULL"), size, bins, partial(fitted, i))
+        for i, (work, own, y, size) in enumerate(zip(works, features, ys, sizes))
     ]
-    asked = [swept(bench, **changes) for bench in benches]
-    targets = [Target(work.spec, [p for _, p, _ in each], own, y) for work, each, own, y in zip(works, asked, features, ys)]
-    fitted = fit_targets(binned.where("NOT test").drop("test"), targets, bins=bins)
-    runs = [run for bench, each, models in zip(benches, asked, fitted) for run in (bench.floor(), *bench.measured(each, models))]
+    asked.extend(swept(bench, **changes) for bench in benches)
+    runs = [run for bench, each in zip(benches, asked) for run in (bench.floor(), *bench.run_many(each))]
     binned.unpersist()
     return runs
 
@@ -247,7 +255,7 @@ def open_models(spark: SparkSession, sf_dir: str, name: str, trials: int = TRIAL
         shared.count()
 
     def part(way: str) -> list[Run]:
-        bench = Bench(spark, sf_dir, name, bins_by=way, rows=shared)
+        bench = Bench(spark, sf_dir, name, bins_by=way) if shared is None else Bench(spark, sf_dir, name, bins_by=way, rows=shared)
         each = [bench.params(noise_key=f"k{t}", **changes).open() for t in range(trials)]
         every = max(bench.bins, getattr(bench, "n", 0))  # so many even shares that no value in a sample is without a cut
         runs = bench.run_many([(f"open_{way}", replace(p, max_cuts=every) if way == "exact" else p, t) for t, p in enumerate(each)])
