@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from privgrove.functions.noise import race_key, race_keys, uniform, uniforms_of
+from privgrove.functions.noise import in_race, race_key, race_keys, uniform, uniforms_of
 from privgrove.operators.gradient import UNIT
 
 
@@ -198,6 +198,8 @@ def best_split(sg: np.ndarray, n: np.ndarray, cuts: list[np.ndarray], lam: float
     if eps_level is None or eps_level == float("inf"):
         best = ok[int(np.argmax(np.round(value[ok], 6)))]
     else:
+        weight = value * eps_level / (6 * g_star**2)
+        ok = ok[in_race(weight[ok])]
         u = uniforms_of(ids, [f"{f}|{s}|{d}" for f, s, d in zip(feature[ok].tolist(), slot[ok].tolist(), left[ok].astype(int).tolist())])
-        best = ok[int(np.argmin(race_keys(value[ok] * eps_level / (6 * g_star**2), u)))]
+        best = ok[int(np.argmin(race_keys(weight[ok], u)))]
     return Split(int(feature[best]), int(cut[best]), bool(left[best]), float(value[best]), float(gl[best]), int(nl[best]), float(gr[best]), int(nr[best]))

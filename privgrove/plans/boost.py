@@ -59,6 +59,7 @@ class BoostParams:
     early_leaf_bonus: bool = False
     strict: bool = False
     disjoint: bool = False
+    shared_draws: bool = False  # a hash of a row serves several trees; the samples are others, and as independent
     gradient_filter: bool = True
     noise_key: str = "k0"
 
@@ -96,11 +97,11 @@ def rows_of(chunks: list[pa.RecordBatch], m: int) -> tuple[np.ndarray, np.ndarra
     return np.concatenate([b for b, _ in parts], axis=1), np.concatenate([y for _, y in parts])
 
 
-def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bins: int) -> DataFrame:
+def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bins: int, later: dict[int, BoostParams] | None = None) -> DataFrame:
     """CHUNKS of samples: what rows of a tree and a draw a task has, bins by feature and targets as plain bytes.
 
     Each part is of some features and a target, whose draws are numbered from `draws` times its place; rows without its
-    target are not in it.
+    target are not in it. From rows without a tree_id, the task takes the samples of the draws `later`.
     Small ones of some tasks are then joined, full ones stay; so a small sample is one chunk, and none is large.
     """
     kind = np.uint8 if bins < 256 else np.uint16 if bins < 1 << 16 else np.uint32
@@ -129,16 +130,32 @@ def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bi
         for k, (found, _) in held.items():
             yield row(k, found, spread)
 
+    def placed(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+        """(draw and tree as one number, row) of what the samples have of a batch, by that number within a draw."""
+        has = batch.column("tree_id").is_valid().to_numpy(zero_copy_only=False)
+        given, found = np.flatnonzero(has), []
+        if len(given):
+            tree, draw = (batch.column(c).take(pa.array(given)).to_numpy().astype(np.int64) for c in ("tree_id", "draw"))
+            order = np.argsort(key := draw << 32 | tree, kind="stable")
+            found.append((key[order], given[order]))
+        if len(given) < len(has):
+            rows = np.flatnonzero(~has)
+            ids = batch.column("row_key").take(pa.array(rows)).cast(pa.binary()).to_pylist()
+            for d, p in later.items():
+                at, tree = sampling.disjoint_rows(ids, parts_of(p), p.noise_key) if p.disjoint else sampling.shared_rows(ids, p.trees, p.subsample, p.noise_key)
+                found.append((d << 32 | tree, rows[at]))
+        return tuple(np.concatenate(x) for x in zip(*found)) if found else (np.zeros(0, np.int64), given)
+
     def of_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def pieces():
             for batch in batches:
-                tree, draw = batch.column("tree_id").to_numpy().astype(np.int64), batch.column("draw").to_numpy().astype(np.int64)
-                key = draw << 32 | tree
-                order = np.argsort(key, kind="stable")
-                column = {k: (batch.column(f"b_{k}").to_numpy(zero_copy_only=False)[order] + 1).astype(kind) for k in used}
+                key, order = placed(batch)
+                column = {k: (batch.column(f"b_{k}").to_numpy(zero_copy_only=False) + 1).astype(kind) for k in used}
                 for i, (features, target) in enumerate(parts):
                     y = batch.column(target).to_numpy(zero_copy_only=False)[order]
-                    own, b = key[order], np.stack([column[k] for k in features]) if features else np.zeros((0, len(key)), kind)
+                    own, b = key, np.empty((len(features), len(key)), kind)
+                    for place, k in enumerate(features):
+                        column[k].take(order, out=b[place], mode="clip")
                     if batch.column(target).null_count:
                         has = batch.column(target).is_valid().to_numpy(zero_copy_only=False)[order]
                         own, b, y = own[has], b[:, has], y[has]
@@ -157,7 +174,7 @@ def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bi
         yield from (x.select(["tree_id", "draw", "n", "bins", "y"]) for x in gathered(pieces(), 0))
 
     used, targets = sorted({k for features, _ in parts for k in features}), sorted({target for _, target in parts})
-    rows = drawn.select(*[f"b_{k}" for k in used], *[F.col(y).cast("double").alias(y) for y in targets], "tree_id", "draw")
+    rows = drawn.select(*[f"b_{k}" for k in used], *[F.col(y).cast("double").alias(y) for y in targets], "tree_id", "draw", *([F.col("row_key").cast("string").alias("row_key")] if later else []))
     some = rows.mapInArrow(of_rows, CHUNKS.replace("n int", "salt int, n int"))
     return some.repartition("tree_id", "draw", "salt").mapInArrow(of_chunks, CHUNKS)
 
@@ -592,17 +609,25 @@ def strict_plan(params: BoostParams, plan: BudgetPlan) -> BudgetPlan:
     return replace(plan, eps_tree=low)
 
 
-def drawn_for(binned: DataFrame, draws: list[BoostParams]) -> DataFrame:
+def parts_of(params: BoostParams) -> list[float]:
+    """The shares of the trees' disjoint parts."""
+    return [params.learning_rate * (1 - params.learning_rate) ** t for t in range(params.trees)]
+
+
+def drawn_for(binned: DataFrame, draws: list[BoostParams], later: dict[int, BoostParams] | None = None) -> DataFrame:
     """The rows of all trees' samples of each draw, with tree_id and the draw's number; the samples by draws of one share
-    are from one pass."""
+    are from one pass. Draws in `later` are left to `chunked`, which has all of them from one pass: its rows are without both."""
     found, shares = [], {}
+    if later:
+        found.append(binned.withColumns({"tree_id": F.lit(None).cast("int"), "draw": F.lit(None).cast("smallint")}))
     for d, p in enumerate(draws):
+        if later and d in later:
+            continue
         if p.disjoint:
-            eta = p.learning_rate
-            found.append(sampling.disjoint(binned, [eta * (1 - eta) ** t for t in range(p.trees)], p.noise_key).withColumn("draw", F.lit(d).cast("smallint")))
+            found.append(sampling.disjoint(binned, parts_of(p), p.noise_key).withColumn("draw", F.lit(d).cast("smallint")))
         else:
-            shares.setdefault(p.subsample, []).append((d, p.trees, p.noise_key))
-    return reduce(DataFrame.unionByName, [*found, *(sampling.with_draws(binned, each, gamma) for gamma, each in shares.items())])
+            shares.setdefault((p.subsample, p.shared_draws), []).append((d, p.trees, p.noise_key))
+    return reduce(DataFrame.unionByName, [*found, *(sampling.with_draws(binned, each, gamma, shared=shared) for (gamma, shared), each in shares.items())])
 
 
 @dataclass(frozen=True)
@@ -634,13 +659,15 @@ def fit_targets(binned: DataFrame, targets: list[Target], materialized: bool = T
     bins = bins or every[0].bins
     if any(p.bins << ((bins // p.bins).bit_length() - 1) != bins for p in every):
         raise ValueError("a run's bin count must be that of the rows, or a half of it, a quarter and so on")
-    drawing = [(p.noise_key, p.trees, p.disjoint, p.learning_rate if p.disjoint else p.subsample) for p in every]
+    drawing = [(p.noise_key, p.trees, p.disjoint, *((p.learning_rate, False) if p.disjoint else (p.subsample, p.shared_draws))) for p in every]
     draws = sorted(set(drawing))
-    drawn = drawn_for(binned, [every[drawing.index(d)] for d in draws])
+    each = [every[drawing.index(d)] for d in draws]
+    later = {d: p for d, p in enumerate(each) if materialized and (p.disjoint or p.shared_draws)}
+    drawn = drawn_for(binned, each, later)
     parts = [(target.features, target.y) for target in targets]
     if materialized:
         path = shared_dir(binned.sparkSession, "samples")
-        chunked(drawn, parts, len(draws), bins).write.mode("overwrite").partitionBy("tree_id").parquet(path)
+        chunked(drawn, parts, len(draws), bins, later).write.mode("overwrite").partitionBy("tree_id").parquet(path)
         drawn = binned.sparkSession.read.schema(CHUNKS).parquet(path)
     out, done = [], 0
     for i, target in enumerate(targets):

@@ -49,21 +49,22 @@ class Bench:
         where benches share them."""
         self.work: Workload = for_tables(sf_dir)[name]
         rows = self.work.rows(spark, sf_dir) if rows is None else rows
-        self.n = rows.count()
-        self.settings = self.work.settings(self.n)
-        self.bins = bins or self.settings["bins"]
         spec = self.work.spec
         self.bins_by = bins_by
-        if bins_by == "even":
-            binned = spec.binned(rows, self.bins)
+        if bins_by == "even":  # rows are counted in the bins of a large table, which are kept if it is one
+            self.bins = bins or self.work.bins[1]
+            self.binned, self.n = held(spec.binned(rows, self.bins))
+            self.settings = self.work.settings(self.n)
+            if not bins and self.bins != self.settings["bins"]:
+                self.binned.unpersist()
+                self.bins = self.settings["bins"]
+                self.binned, _ = held(spec.binned(rows, self.bins))
         else:
-            cuts = sketched_cuts(rows.where(~is_test()), spec.m, self.bins - 1) if bins_by == "sketch" else all_cuts(rows.where(~is_test()), spec.m)
+            self.n = rows.count()
+            self.settings = self.work.settings(self.n)
+            cuts = sketched_cuts(rows.where(~is_test()), spec.m, (bins or self.settings["bins"]) - 1) if bins_by == "sketch" else all_cuts(rows.where(~is_test()), spec.m)
             self.bins = 1 + max(map(len, cuts.values()), default=0)
-            binned = spec.binned_at(rows, cuts)
-        binned = binned.withColumn("test", is_test())
-        if binned.rdd.getNumPartitions() < spark.sparkContext.defaultParallelism:
-            binned = binned.repartition(spark.sparkContext.defaultParallelism)
-        self.binned = binned.persist(StorageLevel.MEMORY_AND_DISK)
+            self.binned, _ = held(spec.binned_at(rows, cuts))
         self.train = self.binned.where("NOT test").drop("test")
         self.test = self.binned.where("test").drop("test")
 
@@ -77,7 +78,7 @@ class Bench:
         return self
 
     def params(self, **changes) -> BoostParams:
-        return BoostParams(**({"min_child": self.settings["min_child"], "bins": self.bins} | changes))
+        return BoostParams(**({"min_child": self.settings["min_child"], "bins": self.bins, "shared_draws": True} | changes))
 
     def measure(self, scored: DataFrame) -> tuple[str, float, int]:
         if self.work.classes:
@@ -137,6 +138,18 @@ class Bench:
         self.binned.unpersist()
 
 
+def held(binned: DataFrame) -> tuple[DataFrame, int]:
+    """(BINNED rows with `test`, kept in as many parts as there are cores at least, their number)."""
+    ways = binned.sparkSession.sparkContext.defaultParallelism
+    kept = binned.withColumn("test", is_test()).persist(StorageLevel.MEMORY_AND_DISK)
+    n = kept.count()
+    if kept.rdd.getNumPartitions() < ways:  # asked of what is kept: else Spark would run the join to tell
+        few, kept = kept, kept.repartition(ways).persist(StorageLevel.MEMORY_AND_DISK)
+        kept.count()
+        few.unpersist()
+    return kept, n
+
+
 def precursor(params: BoostParams) -> BoostParams:
     """The earlier private trees: cuts from the data itself, half of the budget to the leaves and half to the splits,
     geometric leaf clipping, trees on disjoint rows, no minimum child."""

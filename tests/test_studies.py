@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from privgrove.functions.noise import below, uniform
+from privgrove.functions.noise import below, in_race, race_keys, uniform
 from privgrove.operators import sampling
 from privgrove.plans import boost, cost, experiments, workloads
 from privgrove.plans.tree import Codes, Router, Tree, routed
@@ -171,3 +171,57 @@ def test_draws_of_one_share_are_from_one_pass(spark):
     alone.insert(2, boost.drawn_for(rows, runs[2:3]).drop("draw"))
     each = [sorted(map(str, drawn.where(F.col("draw") == k).select("row_key", "tree_id").collect())) for k in range(4)]
     assert each == [sorted(map(str, x.select("row_key", "tree_id").collect())) for x in alone]
+
+
+def test_trees_share_the_hashes_of_a_row(spark, monkeypatch):
+    rows = spark.range(4000).select(F.when(F.col("id") % 1000 > 0, F.col("id").cast("string")).alias("row_key")).orderBy("row_key")
+    ids, hashed = [r[0] and r[0].encode() for r in rows.collect()], []
+    digests = sampling.digests_of
+    monkeypatch.setattr(sampling, "digests_of", lambda key, ids: hashed.append(key) or digests(key, ids))
+    key = lambda r: (str(r["row_key"]), r["tree_id"])
+    for trees, share in ((20, 0.1), (45, 1 / 3), (3, 1.0), (3, 0.0)):
+        at, tree = sampling.shared_rows(ids, trees, share, "k")
+        drawn = sampling.with_draws(rows, [(0, trees, "k")], share, shared=True)
+        assert sorted((str(ids[i] and ids[i].decode()), t) for i, t in zip(at, tree)) == sorted(map(key, drawn.collect()))
+        assert (np.diff(tree) >= 0).all() and (trees > 20 or abs(len(at) / len(ids) / trees - share) < 0.01)
+    assert hashed == ["k|samples|0", *(f"k|samples|{b}" for b in range(3)), "k|samples|0"]
+    place, part = sampling.disjoint_rows(ids, [2, 1, 1], "k")
+    assert sorted((str(ids[i] and ids[i].decode()), t) for i, t in zip(place, part)) == sorted(map(key, sampling.disjoint(rows, [2, 1, 1], "k").collect()))
+
+
+def test_samples_that_tasks_draw_are_those_of_the_rows(spark, sf_dir):
+    b = m.binned(spark, sf_dir).persist()
+    runs = [replace(SMALL, shared_draws=True), replace(SMALL, disjoint=True), SMALL, replace(SMALL, shared_draws=True, noise_key="k1", subsample=0.3)]
+    later = {k: p for k, p in enumerate(runs) if k != 2}
+    assert boost.drawn_for(b, runs, later).count() == b.count() + boost.drawn_for(b, runs[2:3]).count()  # a pass for three draws
+    assert nodes(spark, boost.fit_many(b, m.SPEC, runs)) == nodes(spark, boost.fit_many(b, m.SPEC, runs, materialized=False))
+    b.unpersist()
+
+
+def test_only_those_that_can_win_a_race_draw():
+    rng = np.random.default_rng(4)
+    for spread in (1, 30, 3000):
+        weight, least = rng.random(300) * spread, 2.0**-53
+        kept = in_race(weight)
+        keys = race_keys(weight, np.full(300, 1 - least))  # the best that the others can draw
+        keys[kept] = race_keys(weight[kept], np.full(len(kept), least))  # the worst
+        assert len(kept) == 300 or np.delete(keys, kept).min() > keys[np.argmax(weight)]
+    assert len(kept) < 20 and in_race(np.array([np.nan, 1.0])).tolist() == [0, 1]
+
+
+def test_a_bench_computes_its_rows_once(spark, sf_dir):
+    rows, read = experiments.for_tables(sf_dir)["w03"].rows(spark, sf_dir), spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for batch in batches:
+            read.add(batch.num_rows)
+            yield batch
+
+    few = experiments.Bench(spark, sf_dir, "w03", rows=rows)
+    assert few.bins == 16 and few.n == rows.count() and few.binned.selectExpr("max(b_0)").first()[0] < 16
+    few.close()
+    many = rows.crossJoin(spark.range(120).select()).coalesce(1).mapInArrow(counted, rows.schema)
+    bench = experiments.Bench(spark, sf_dir, "w03", rows=many)
+    assert bench.bins == 64 and bench.binned.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+    assert read.value == bench.n == bench.binned.count() == 120 * few.n >= 100_000
+    bench.close()
