@@ -89,9 +89,18 @@ def matrix_of(bins: bytes, n: int, m: int, indices: bool = True) -> np.ndarray:
     return stored.astype(np.intp) if indices else stored
 
 
+def packed_targets(y: np.ndarray) -> bytes:
+    """Targets as plain bytes: one each for classes, else eight."""
+    return (y.astype(np.int8) if (np.abs(y) == 1).all() else y).tobytes()
+
+
+def targets_of(y: bytes, n: int) -> np.ndarray:
+    return np.frombuffer(y, np.int8).astype(np.float64) if len(y) == n else np.frombuffer(y)
+
+
 def rows_of(chunks: list[pa.RecordBatch], m: int) -> tuple[np.ndarray, np.ndarray]:
     """(1 + bin by (feature, row), targets) of a tree's chunks, in as few bytes as they have there."""
-    parts = [(matrix_of(b, n, m, False), np.frombuffer(y)) for x in chunks for n, b, y in zip(*(x.column(c).to_pylist() for c in ("n", "bins", "y")))]
+    parts = [(matrix_of(b, n, m, False), targets_of(y, n)) for x in chunks for n, b, y in zip(*(x.column(c).to_pylist() for c in ("n", "bins", "y")))]
     if not parts:
         return np.zeros((m, 0), np.uint8), np.zeros(0)
     return np.concatenate([b for b, _ in parts], axis=1), np.concatenate([y for _, y in parts])
@@ -110,7 +119,7 @@ def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bi
     def row(key: tuple, found: list[tuple[np.ndarray, np.ndarray]], spread: int) -> pa.RecordBatch:
         b, y = np.concatenate([x for x, _ in found], axis=1), np.concatenate([x for _, x in found])
         salt = ~spread if len(y) >= CHUNK // 2 else spread // 32
-        columns = [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int16()), pa.array([salt], pa.int32()), pa.array([len(y)], pa.int32()), pa.array([b.tobytes()], pa.binary()), pa.array([y.tobytes()], pa.binary())]
+        columns = [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int16()), pa.array([salt], pa.int32()), pa.array([len(y)], pa.int32()), pa.array([b.tobytes()], pa.binary()), pa.array([packed_targets(y)], pa.binary())]
         return pa.RecordBatch.from_arrays(columns, names=names)
 
     def gathered(pieces: Iterator[tuple[tuple, np.ndarray, np.ndarray]], spread: int) -> Iterator[pa.RecordBatch]:
@@ -169,7 +178,7 @@ def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bi
         def pieces():
             for batch in batches:
                 for tree, draw, n, b, y in zip(*(batch.column(c).to_pylist() for c in ("tree_id", "draw", "n", "bins", "y"))):
-                    yield (tree, draw), np.frombuffer(b, kind).reshape(len(parts[draw // draws][0]), n), np.frombuffer(y)
+                    yield (tree, draw), np.frombuffer(b, kind).reshape(len(parts[draw // draws][0]), n), targets_of(y, n)
 
         yield from (x.select(["tree_id", "draw", "n", "bins", "y"]) for x in gathered(pieces(), 0))
 
@@ -192,7 +201,7 @@ def workset_of(m: int, released: Callable[[int], list[Router]], by_draw: dict[in
             for d, n, packed, y in zip(*(batch.column(c).to_pylist() for c in ("draw", "n", "bins", "y"))):
                 if d not in by_draw:
                     continue
-                whole, y, out = matrix_of(packed, n, m), np.frombuffer(y), np.empty((len(by_draw[d]), n), np.int64)
+                whole, y, out = matrix_of(packed, n, m), targets_of(y, n), np.empty((len(by_draw[d]), n), np.int64)
                 by_shift = {x: coarser(whole, x) for x in {shifts[r] for r in by_draw[d]}}
                 for k, r in enumerate(by_draw[d]):
                     g, bins = np.zeros(n), by_shift[shifts[r]]
@@ -515,7 +524,8 @@ def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: d
     """(trees, seconds of each) of runs whose samples fit a task: a task has some of a draw's runs and its chunks in order of
     their trees, and asks its own rows level by level, so all the models are one job."""
     spark = chunks.sparkSession
-    parts = -(-3 * max(1, spark.sparkContext.defaultParallelism) // len(by_draw))
+    ways = max(1, spark.sparkContext.defaultParallelism)
+    parts = 1 if len(by_draw) >= ways else -(-3 * ways // len(by_draw))  # each has a copy of its draw's chunks
     sets = [(d, rs[k::parts]) for d, rs in by_draw.items() for k in range(min(parts, len(rs)))]
     params = {r: gs[0].params for r, gs in growers.items()}
     bound = {r: p.g_star if p.gradient_filter else np.inf for r, p in params.items()}

@@ -225,3 +225,9 @@ def test_a_bench_computes_its_rows_once(spark, sf_dir):
     assert bench.bins == 64 and bench.binned.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
     assert read.value == bench.n == bench.binned.count() == 120 * few.n >= 100_000
     bench.close()
+
+
+def test_chunks_keep_targets_whole_and_classes_small():
+    for y in (np.array([1.0, -1.0, 1.0]), np.array([0.25, -1.0, 1.0]), np.array([1.0, np.nan]), np.zeros(0)):
+        packed = boost.packed_targets(y)
+        assert np.array_equal(boost.targets_of(packed, len(y)), y, equal_nan=True) and (len(packed) == len(y)) == (np.abs(y) == 1).all()
