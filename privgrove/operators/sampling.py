@@ -91,6 +91,15 @@ def shared_rows(ids: list[bytes | None], trees: int, gamma: float, key: str) ->
     return tuple(np.concatenate(x) for x in zip(*found))
 
 
+def own_rows(ids: list[bytes | None], trees: int, gamma: float, key: str) -> tuple[np.ndarray, np.ndarray]:
+    """The same where each tree has a hash of its own, as in `with_trees`."""
+    least, n = least_digits(gamma), len(ids)
+    if least is None:
+        return np.tile(np.arange(n), trees), np.repeat(np.arange(trees), n)
+    inside = [np.flatnonzero(digests_of(f"{key}|sample|{t}", ids).view(">u8")[:, 0] >> 12 < int(least, 16)) for t in range(trees)]
+    return np.concatenate(inside), np.repeat(np.arange(trees), [len(x) for x in inside])
+
+
 def with_trees(df: DataFrame, trees: int, gamma: float, key: str, id_col: str = "row_key") -> DataFrame:
     """One row per (row, tree whose sample has it), with tree_id: all samples from one pass."""
     return with_draws(df, [(0, trees, key)], gamma, id_col).drop("draw")

@@ -1,10 +1,11 @@
 """Training: private cuts, private splits, private leaves, tree after tree on fresh samples.
 
 Any number of models, such as the trials and budgets of a study, are trained in step: a level of all of them is one job.
-Only counts leave the tasks. A tree's sample is its own partition of a table written once, in chunks of packed bins, so a
-pass reads a byte or two per feature. One job per level sums fixed-point gradients by (node, feature, bin) and decides on
+Only counts leave the tasks. Rows are written once, in blocks of packed bins with a bit for each sample, so a tree's sample
+is read from them at a byte or two per feature and never stored. One job per level sums fixed-point gradients by (node, feature, bin) and decides on
 the split of a node in the task where its sums meet. What reaches the driver is a row per node. Where a run's samples fit
-a task, that task asks its own rows for the sums, and all models are one job; the trees are the same.
+a task, that task asks its own rows for the sums, and a job grows as many trees of all models as have few rows enough to
+be dealt out at once; the trees are the same.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ from privgrove.operators.schema import DatasetSpec
 from privgrove.operators.splits import Split, best_split
 from privgrove.plans.ledger import BudgetPlan, Charge, Ledger, plan_ensemble, sequential
 from privgrove.plans.tree import Codes, Router, Tree, TreeModel
-from privgrove.sources.io import shared_dir
+from privgrove.sources.io import freed, stored
 
 
 @dataclass(frozen=True)
@@ -71,6 +72,8 @@ class BoostParams:
 #: Rows that a chunk is filled up to, and cells of a task's sums up to which they are held whole.
 CHUNK, DENSE = 1 << 15, 1 << 21
 CHUNKS = "tree_id int, draw smallint, n int, bins binary, y binary"
+CHUNK_KINDS, CHUNK_NAMES = [pa.int32(), pa.int16(), pa.int32(), pa.binary(), pa.binary()], ["tree_id", "draw", "n", "bins", "y"]
+EMPTY_CHUNKS = pa.RecordBatch.from_arrays([pa.array([], t) for t in CHUNK_KINDS], names=CHUNK_NAMES)
 
 
 def coarser(bins: np.ndarray, shift: int) -> np.ndarray:
@@ -106,86 +109,121 @@ def rows_of(chunks: list[pa.RecordBatch], m: int) -> tuple[np.ndarray, np.ndarra
     return np.concatenate([b for b, _ in parts], axis=1), np.concatenate([y for _, y in parts])
 
 
-def chunked(drawn: DataFrame, parts: list[tuple[list[int], str]], draws: int, bins: int, later: dict[int, BoostParams] | None = None) -> DataFrame:
-    """CHUNKS of samples: what rows of a tree and a draw a task has, bins by feature and targets as plain bytes.
+def kind_of(bins: int) -> type:
+    """The integers that hold 1 + bin."""
+    return np.uint8 if bins < 256 else np.uint16 if bins < 1 << 16 else np.uint32
 
-    Each part is of some features and a target, whose draws are numbered from `draws` times its place; rows without its
-    target are not in it. From rows without a tree_id, the task takes the samples of the draws `later`.
-    Small ones of some tasks are then joined, full ones stay; so a small sample is one chunk, and none is large.
-    """
-    kind = np.uint8 if bins < 256 else np.uint16 if bins < 1 << 16 else np.uint32
-    names = ["tree_id", "draw", "salt", "n", "bins", "y"]
-
-    def row(key: tuple, found: list[tuple[np.ndarray, np.ndarray]], spread: int) -> pa.RecordBatch:
-        b, y = np.concatenate([x for x, _ in found], axis=1), np.concatenate([x for _, x in found])
-        salt = ~spread if len(y) >= CHUNK // 2 else spread // 32
-        columns = [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int16()), pa.array([salt], pa.int32()), pa.array([len(y)], pa.int32()), pa.array([b.tobytes()], pa.binary()), pa.array([packed_targets(y)], pa.binary())]
-        return pa.RecordBatch.from_arrays(columns, names=names)
-
-    def gathered(pieces: Iterator[tuple[tuple, np.ndarray, np.ndarray]], spread: int) -> Iterator[pa.RecordBatch]:
-        held, total = {}, 0
-        for key, b, y in pieces:
-            found, n = held.get(key, ([], 0))
-            found.append((b, y))
-            held[key] = found, n + len(y)
-            total += len(y)
-            if n + len(y) >= CHUNK:
-                yield row(key, found, spread)
-                total -= held.pop(key)[1]
-            elif total >= 64 * CHUNK:
-                for k, (found, _) in held.items():
-                    yield row(k, found, spread)
-                held, total = {}, 0
-        for k, (found, _) in held.items():
-            yield row(k, found, spread)
-
-    def placed(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
-        """(draw and tree as one number, row) of what the samples have of a batch, by that number within a draw."""
-        has = batch.column("tree_id").is_valid().to_numpy(zero_copy_only=False)
-        given, found = np.flatnonzero(has), []
-        if len(given):
-            tree, draw = (batch.column(c).take(pa.array(given)).to_numpy().astype(np.int64) for c in ("tree_id", "draw"))
-            order = np.argsort(key := draw << 32 | tree, kind="stable")
-            found.append((key[order], given[order]))
-        if len(given) < len(has):
-            rows = np.flatnonzero(~has)
-            ids = batch.column("row_key").take(pa.array(rows)).cast(pa.binary()).to_pylist()
-            for d, p in later.items():
-                at, tree = sampling.disjoint_rows(ids, parts_of(p), p.noise_key) if p.disjoint else sampling.shared_rows(ids, p.trees, p.subsample, p.noise_key)
-                found.append((d << 32 | tree, rows[at]))
-        return tuple(np.concatenate(x) for x in zip(*found)) if found else (np.zeros(0, np.int64), given)
-
-    def of_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def pieces():
-            for batch in batches:
-                key, order = placed(batch)
-                column = {k: (batch.column(f"b_{k}").to_numpy(zero_copy_only=False) + 1).astype(kind) for k in used}
-                for i, (features, target) in enumerate(parts):
-                    y = batch.column(target).to_numpy(zero_copy_only=False)[order]
-                    own, b = key, np.empty((len(features), len(key)), kind)
-                    for place, k in enumerate(features):
-                        column[k].take(order, out=b[place], mode="clip")
-                    if batch.column(target).null_count:
-                        has = batch.column(target).is_valid().to_numpy(zero_copy_only=False)[order]
-                        own, b, y = own[has], b[:, has], y[has]
-                    ends = np.flatnonzero(np.diff(own, append=-1)) + 1
-                    for start, end in zip([0, *ends.tolist()], ends.tolist()):
-                        yield (int(own[start] & 0xFFFFFFFF), int(own[start] >> 32) + i * draws), b[:, start:end], y[start:end]
-
-        yield from gathered(pieces(), TaskContext.get().partitionId())
-
-    def of_chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def pieces():
+
+def chunk(tree: int, draw: int, bins: np.ndarray, y: np.ndarray) -> tuple:
+    return tree, draw, len(y), bins.tobytes(), packed_targets(y)
+
+
+def chunked(drawn: DataFrame, features: list[int], target: str, bins: int) -> DataFrame:
+    """CHUNKS of drawn rows (b_.., a target, tree_id, draw): what a tree and a draw have in a task, bins by feature and
+    targets as plain bytes. None is large."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            key = batch.column("draw").to_numpy().astype(np.int64) << 32 | batch.column("tree_id").to_numpy()
+            order = np.argsort(key, kind="stable")
+            key, y = key[order], batch.column(target).to_numpy(zero_copy_only=False)[order]
+            b = np.stack([(batch.column(f"b_{k}").to_numpy(zero_copy_only=False) + 1).astype(kind_of(bins))[order] for k in features] or [np.zeros((0, len(key)))])
+            ends = np.flatnonzero(np.diff(key, append=-1)) + 1
+            rows = [chunk(int(key[i] & 0xFFFFFFFF), int(key[i] >> 32), b[:, i:j], y[i:j]) for i, j in zip([0, *ends.tolist()], ends.tolist())]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), CHUNK_KINDS)], names=CHUNK_NAMES) if rows else EMPTY_CHUNKS
+
+    return drawn.select(*[f"b_{k}" for k in features], F.col(target).cast("double").alias(target), "tree_id", "draw").mapInArrow(run, CHUNKS)
+
+
+def rows_in(p: BoostParams, ids: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
+    """(place, tree) of what a draw's samples have of rows at hand."""
+    if p.disjoint:
+        return sampling.disjoint_rows(ids, parts_of(p), p.noise_key)
+    return (sampling.shared_rows if p.shared_draws else sampling.own_rows)(ids, p.trees, p.subsample, p.noise_key)
+
+
+@dataclass(frozen=True)
+class Samples:
+    """The samples of all trees and draws, of one target: which rows of stored blocks each has."""
+
+    blocks: DataFrame  # n, bins by feature, y_.., has_.. and a tree's bits by (draw, row) as t_..
+    place: int  # of the target
+    features: list[int]  # of those that the blocks have
+    width: int  # features of the blocks
+    sizes: np.ndarray  # rows by (draw, tree)
+
+    def chunks(self, trees: range, draws: list[int]) -> DataFrame:
+        """CHUNKS of some trees and draws, read from the blocks where they lie."""
+        features, width, place, every = self.features, self.width, self.place, len(self.sizes)
+        whole = features == list(range(width))
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                for tree, draw, n, b, y in zip(*(batch.column(c).to_pylist() for c in ("tree_id", "draw", "n", "bins", "y"))):
-                    yield (tree, draw), np.frombuffer(b, kind).reshape(len(parts[draw // draws][0]), n), targets_of(y, n)
+                column = {c: batch.column(c).to_pylist() for c in batch.schema.names}
+                for k, n in enumerate(column["n"]):
+                    b, y, has = matrix_of(column["bins"][k], n, width, False), targets_of(column[f"y_{place}"][k], n), column[f"has_{place}"][k]
+                    b, rows = b if whole else b[features], []
+                    for t in trees:
+                        bits = np.frombuffer(column[f"t_{t}"][k], np.uint8).reshape(every, -1)
+                        bits = bits if has is None else bits & np.frombuffer(has, np.uint8)
+                        for d in draws:
+                            at = np.flatnonzero(np.unpackbits(bits[d], count=n))
+                            if len(at):
+                                rows.append(chunk(t, d, b.take(at, axis=1), y.take(at)))
+                    if rows:
+                        yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*rows), CHUNK_KINDS)], names=CHUNK_NAMES)
+
+        return self.blocks.select("n", "bins", f"y_{place}", f"has_{place}", *[f"t_{t}" for t in trees]).mapInArrow(run, CHUNKS)
+
+
+def sampled(rows: DataFrame, draws: list[BoostParams], parts: list[tuple[list[int], str]], bins: int) -> list[Samples]:
+    """The samples of all draws, for each part: some of the features and a target, without whose value a row is in none of
+    its. Rows are written once, in blocks, with a bit for each draw and tree."""
+    used, ys, trees = sorted({k for features, _ in parts for k in features}), [y for _, y in parts], max((p.trees for p in draws), default=0)
+    names = ["n", "bins", *[f"{x}_{i}" for x in ("y", "has") for i in range(len(ys))], "sizes", *[f"t_{t}" for t in range(trees)]]
+
+    def block(found: list[tuple]) -> pa.RecordBatch:
+        b, y, has, bits = (np.concatenate(x, axis=-1) for x in zip(*found))
+        targets = [packed_targets(np.where(h, v, 1.0)) for v, h in zip(y, has)]
+        present = [None if h.all() else np.packbits(h).tobytes() for h in has]
+        sizes = np.stack([(bits if h.all() else bits & h).sum(axis=-1) for h in has]).astype(np.int64).tobytes()
+        values = [b.shape[1], b.tobytes(), *targets, *present, sizes, *[np.packbits(bits[:, t], axis=-1).tobytes() for t in range(trees)]]
+        return pa.RecordBatch.from_arrays([pa.array([v], pa.binary() if k else pa.int32()) for k, v in enumerate(values)], names=names)
 
-        yield from (x.select(["tree_id", "draw", "n", "bins", "y"]) for x in gathered(pieces(), 0))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, n = [], 0
+        for batch in batches:
+            ids = batch.column("row_key").cast(pa.binary()).to_pylist()
+            bits = np.zeros((len(draws), trees, len(ids)), bool)
+            for d, p in enumerate(draws):
+                at, tree = rows_in(p, ids)
+                bits[d, tree, at] = True
+            b = np.empty((len(used), len(ids)), kind_of(bins))
+            for i, k in enumerate(used):
+                b[i] = batch.column(f"b_{k}").to_numpy(zero_copy_only=False) + 1
+            y = np.stack([batch.column(c).to_numpy(zero_copy_only=False) for c in ys])
+            held.append((b, y, np.stack([batch.column(c).is_valid().to_numpy(zero_copy_only=False) for c in ys]), bits))
+            n += len(ids)
+            if n >= CHUNK:
+                yield block(held)
+                held, n = [], 0
+        if n:
+            yield block(held)
+
+    columns = [f"b_{k}" for k in used] + [F.col(y).cast("double").alias(y) for y in dict.fromkeys(ys)]
+    made = rows.select(*columns, F.col("row_key").cast("string").alias("row_key")).mapInArrow(run, ", ".join(f"{c} {'binary' if k else 'int'}" for k, c in enumerate(names)))
+    blocks, sizes = stored(made, "samples"), np.zeros((len(ys), len(draws), trees), np.int64)
+
+    def added(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(sizes.size, np.int64)
+        for batch in batches:
+            for x in batch.column(0):
+                total += np.frombuffer(x.as_py(), np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["sizes"])
 
-    used, targets = sorted({k for features, _ in parts for k in features}), sorted({target for _, target in parts})
-    rows = drawn.select(*[f"b_{k}" for k in used], *[F.col(y).cast("double").alias(y) for y in targets], "tree_id", "draw", *([F.col("row_key").cast("string").alias("row_key")] if later else []))
-    some = rows.mapInArrow(of_rows, CHUNKS.replace("n int", "salt int, n int"))
-    return some.repartition("tree_id", "draw", "salt").mapInArrow(of_chunks, CHUNKS)
+    for r in blocks.select("sizes").mapInArrow(added, "sizes binary").collect():
+        sizes += np.frombuffer(r["sizes"], np.int64).reshape(sizes.shape)
+    return [Samples(blocks, i, [used.index(k) for k in features], len(used), sizes[i]) for i, (features, _) in enumerate(parts)]
 
 
 WORKSET = "n int, draw smallint, bins binary, g binary"
@@ -443,6 +481,8 @@ def grown_by_jobs(work: DataFrame, growers: dict[int, Grower], by_draw: dict[int
 
 #: Rows of a tree's sample up to which one task grows all trees of a run; it holds some 50 bytes and three bins per feature of each.
 IN_A_TASK = 1 << 22
+#: Rows of samples, with their copies, that a job deals out to tasks: on disk, some 10 to 20 bytes each until the next job.
+DEALT = 1 << 24
 
 
 def gradients_of(codes: Codes, y: np.ndarray, routers: list[Router], bound: float) -> np.ndarray:
@@ -520,13 +560,46 @@ class HeldRows:
             yield v, *found
 
 
-def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: dict[int, list[int]], m: int, bins: dict[int, int], shifts: dict[int, int]) -> dict[int, tuple[list[Tree], list[float]]]:
+def windows(rows: list[int], most: int) -> Iterator[range]:
+    """All trees in turn, as many at a time as have at most so many rows together; one that has more is alone."""
+    first, total = 0, 0
+    for t, n in enumerate(rows):
+        if t > first and total + n > most:
+            yield range(first, t)
+            first, total = t, 0
+        total += n
+    yield range(first, len(rows))
+
+
+def ways_to_part(draws: int, ways: int) -> int:
+    """Into how many sets the runs of each draw go, each with a copy of its rows: the fewest that leave no core idle that
+    more would not."""
+    return min(range(1, max(1, 3 * ways // draws) + 1), key=lambda k: (-(-draws * k // ways) / k, k))
+
+
+def whole_models(samples: Samples, growers: dict[int, list[Grower]], by_draw: dict[int, list[int]], m: int, bins: dict[int, int], shifts: dict[int, int]) -> dict[int, tuple[list[Tree], list[float]]]:
     """(trees, seconds of each) of runs whose samples fit a task: a task has some of a draw's runs and its chunks in order of
-    their trees, and asks its own rows level by level, so all the models are one job."""
-    spark = chunks.sparkSession
-    ways = max(1, spark.sparkContext.defaultParallelism)
-    parts = 1 if len(by_draw) >= ways else -(-3 * ways // len(by_draw))  # each has a copy of its draw's chunks
+    their trees, and asks its own rows level by level, so as many trees of all the models are one job as DEALT lets be."""
+    spark = samples.blocks.sparkSession
+    parts = ways_to_part(len(by_draw), max(1, spark.sparkContext.defaultParallelism))  # each has a copy of its draw's chunks
     sets = [(d, rs[k::parts]) for d, rs in by_draw.items() for k in range(min(parts, len(rs)))]
+    trees = max(map(len, growers.values()))
+    rows, found, released = sum(samples.sizes[d, :trees] for d, _ in sets).tolist(), {r: ([], []) for r in growers}, []
+    for window in windows(rows, DEALT):
+        got = models_of(samples.chunks(window, list(by_draw)), window, released, {r: gs for r, gs in growers.items() if len(gs) > window.start}, sets, m, bins, shifts)
+        for r, each in got.items():
+            for all_, some in zip(found[r], each):
+                all_.extend(some)
+        if window.stop < trees:
+            released.append(spark.sparkContext.broadcast({r: [Router(x, m, bins[r]) for x in new] for r, (new, _) in got.items()}))
+            freed(spark)
+    for routers in released:
+        routers.destroy()
+    return found
+
+
+def models_of(chunks: DataFrame, window: range, released: list, growers: dict[int, list[Grower]], sets: list[tuple[int, list[int]]], m: int, bins: dict[int, int], shifts: dict[int, int]) -> dict[int, tuple[list[Tree], list[float]]]:
+    """The same for some of the trees, in a job; the routers of those before are released."""
     params = {r: gs[0].params for r, gs in growers.items()}
     bound = {r: p.g_star if p.gradient_filter else np.inf for r, p in params.items()}
 
@@ -550,7 +623,7 @@ def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: d
                 began = time.time()
                 whole = y = codes = None
                 for r in sorted(sets[here][1], key=shifts.get):
-                    if t < len(growers[r]):
+                    if r in models and t < len(growers[r]):
                         routers, tree = models[r]
                         if m * (bins[r] + 1) > DENSE // 32:
                             ask = asks_sparsely(r, held, sets[here][0], routers)
@@ -562,7 +635,7 @@ def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: d
                             ask = asks(r, codes[1], y, routers)
                         tree.append(grown({r: growers[r][t]}, m, ask)[r])
                         routers.append(Router(tree[-1], m, bins[r]))
-                took.append((time.time() - began) / len(sets[here][1]))
+                took.append((time.time() - began) / max(1, len(models)))
                 held = []
             at = upto
 
@@ -570,7 +643,7 @@ def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: d
 
         def ended() -> Iterator[pa.RecordBatch]:
             if here is not None:
-                grow(max(len(growers[r]) for r in sets[here][1]))
+                grow(min(window.stop, max((len(growers[r]) for r in models), default=0)))
                 for r, (_, trees) in models.items():
                     yield pa.RecordBatch.from_arrays([pa.array([r], pa.int16()), pa.array([pickle.dumps((trees, took[: len(trees)]))], pa.binary())], names=["run", "model"])
 
@@ -579,17 +652,20 @@ def whole_models(chunks: DataFrame, growers: dict[int, list[Grower]], by_draw: d
                 part, t = batch.column("part")[k].as_py(), batch.column("tree_id")[k].as_py()
                 if part != here:
                     yield from ended()
-                    here, models, took, at, held = part, {r: ([], []) for r in sets[part][1]}, [], 0, []
+                    here, took, at, held = part, [], window.start, []
+                    models = {r: ([x for before in released for x in before.value.get(r, [])], []) for r in sets[part][1] if r in growers}
                 if t > at:
                     grow(t)
                 held.append(batch.slice(k, 1))
         yield from ended()
 
-    owner = F.coalesce(*[F.when(F.col("draw") == d, F.array(*[F.lit(k) for k, (x, _) in enumerate(sets) if x == d])) for d in by_draw])
+    draws = {d: F.array(*[F.lit(k) for k, (x, _) in enumerate(sets) if x == d]) for d, _ in sets}
+    owner = F.coalesce(*[F.when(F.col("draw") == d, own) for d, own in draws.items()])
     dealt = chunks.withColumn("part", F.explode(owner)).repartitionById(len(sets), F.col("part")).sortWithinPartitions("part", "tree_id")
     found = {r["run"]: pickle.loads(r["model"]) for r in dealt.mapInArrow(run, "run smallint, model binary").collect()}
     for r in growers.keys() - found.keys():  # no row was drawn for it
-        found[r] = [grown({r: g}, m, lambda asked, growing: [])[r] for g in growers[r]], [0.0] * len(growers[r])
+        own = growers[r][window.start : window.stop]
+        found[r] = [grown({r: g}, m, lambda asked, growing: [])[r] for g in own], [0.0] * len(own)
     return found
 
 
@@ -626,7 +702,7 @@ def parts_of(params: BoostParams) -> list[float]:
 
 def drawn_for(binned: DataFrame, draws: list[BoostParams], later: dict[int, BoostParams] | None = None) -> DataFrame:
     """The rows of all trees' samples of each draw, with tree_id and the draw's number; the samples by draws of one share
-    are from one pass. Draws in `later` are left to `chunked`, which has all of them from one pass: its rows are without both."""
+    are from one pass. Draws in `later` are left to `sampled`, which has all of them from one pass: its rows are without both."""
     found, shares = [], {}
     if later:
         found.append(binned.withColumns({"tree_id": F.lit(None).cast("int"), "draw": F.lit(None).cast("smallint")}))
@@ -672,28 +748,21 @@ def fit_targets(binned: DataFrame, targets: list[Target], materialized: bool = T
     drawing = [(p.noise_key, p.trees, p.disjoint, *((p.learning_rate, False) if p.disjoint else (p.subsample, p.shared_draws))) for p in every]
     draws = sorted(set(drawing))
     each = [every[drawing.index(d)] for d in draws]
-    later = {d: p for d, p in enumerate(each) if materialized and (p.disjoint or p.shared_draws)}
-    drawn = drawn_for(binned, each, later)
-    parts = [(target.features, target.y) for target in targets]
+    drawn = drawn_for(binned, each, dict(enumerate(each)) if materialized else None)
     if materialized:
-        path = shared_dir(binned.sparkSession, "samples")
-        chunked(drawn, parts, len(draws), bins, later).write.mode("overwrite").partitionBy("tree_id").parquet(path)
-        drawn = binned.sparkSession.read.schema(CHUNKS).parquet(path)
+        held = sampled(drawn, each, [(target.features, target.y) for target in targets], bins)
     out, done = [], 0
     for i, target in enumerate(targets):
         draw_of = [draws.index(d) for d in drawing[done : done + len(target.runs)]]
         done += len(target.runs)
-        if materialized:
-            own = drawn.where(F.col("draw").between(i * len(draws), (i + 1) * len(draws) - 1)).withColumn("draw", (F.col("draw") - i * len(draws)).cast("smallint")) if i or len(targets) > 1 else drawn
-        else:
-            own = drawn.where(F.col(target.y).isNotNull())
-        out.append(fit_drawn(own, target, draw_of, materialized, bins))
+        out.append(fit_drawn(held[i] if materialized else drawn.where(F.col(target.y).isNotNull()), target, draw_of, bins))
     return out
 
 
-def fit_drawn(drawn: DataFrame, target: Target, draw_of: list[int], materialized: bool, bins: int) -> list[tuple[TreeModel, Ledger, list[float]]]:
-    """The models of a target from CHUNKS, or if not `materialized` from drawn rows, and the draw of each run."""
-    spark, spec, runs = drawn.sparkSession, target.spec, target.runs
+def fit_drawn(drawn: Samples | DataFrame, target: Target, draw_of: list[int], bins: int) -> list[tuple[TreeModel, Ledger, list[float]]]:
+    """The models of a target from its samples, or from drawn rows, and the draw of each run."""
+    materialized = isinstance(drawn, Samples)
+    spark, spec, runs = (drawn.blocks if materialized else drawn).sparkSession, target.spec, target.runs
     width_of, shifts = {r: p.bins for r, p in enumerate(runs)}, {r: (bins // p.bins).bit_length() - 1 for r, p in enumerate(runs)}
     by_draw = {d: [r for r in range(len(runs)) if draw_of[r] == d] for d in sorted(set(draw_of))}
     plans = [x and [strict_plan(p, plan) for plan in x] for p, x in ((p, plans_of(spec, p)) for p in runs)]
@@ -705,19 +774,17 @@ def fit_drawn(drawn: DataFrame, target: Target, draw_of: list[int], materialized
             ledgers[r].charge(charges_of(p, plans[r][t], t))
     large = set(by_draw)
     if materialized:
-        rows = {d: 0 for d in by_draw} | {x["draw"]: x["n"] for x in drawn.groupBy("draw", "tree_id").agg(F.sum("n").alias("n")).groupBy("draw").agg(F.max("n").alias("n")).collect()}
-        large = {d for d, n in rows.items() if n > IN_A_TASK}
+        large = {d for d in by_draw if drawn.sizes[d].max(initial=0) > IN_A_TASK}
     if small := {d: rs for d, rs in by_draw.items() if d not in large}:
-        own = drawn.where(F.col("draw").isin(list(small))) if large else drawn
-        for r, (trees, each) in whole_models(own, {r: growers[r] for rs in small.values() for r in rs}, small, spec.m, width_of, shifts).items():
+        for r, (trees, each) in whole_models(drawn, {r: growers[r] for rs in small.values() for r in rs}, small, spec.m, width_of, shifts).items():
             models[r].trees, seconds[r] = trees, each
     many = {d: by_draw[d] for d in large}
     released = []
     for t in range(max((runs[r].trees for rs in many.values() for r in rs), default=0)):
         began = time.time()
         active = {d: [r for r in rs if t < runs[r].trees] for d, rs in many.items()}
-        of_tree = drawn.where((F.col("tree_id") == t) & F.col("draw").isin([d for d, rs in active.items() if rs]))
-        of_tree = of_tree if materialized else chunked(of_tree, [(target.features, target.y)], max(by_draw) + 1, bins)
+        own = [d for d, rs in active.items() if rs]
+        of_tree = drawn.chunks(range(t, t + 1), own) if materialized else chunked(drawn.where((F.col("tree_id") == t) & F.col("draw").isin(own)), target.features, target.y, bins)
         work = of_tree.mapInArrow(workset_of(spec.m, lambda r, trees=tuple(released): [x.value[r] for x in trees], active, runs, shifts), WORKSET).persist(StorageLevel.MEMORY_AND_DISK)
         trees = grown_by_jobs(work, {r: growers[r][t] for rs in active.values() for r in rs}, active, spec.m, width_of, shifts)
         released.append(spark.sparkContext.broadcast({r: Router(tree, spec.m, runs[r].bins) for r, tree in trees.items()}))

@@ -19,7 +19,7 @@ from privgrove.plans import cost, metrics
 from privgrove.plans.boost import BoostParams, Target, coarser, fit_many, fit_targets
 from privgrove.plans.tree import Router, TreeModel, places_of
 from privgrove.plans.workloads import Workload, for_tables
-from privgrove.sources.io import load
+from privgrove.sources.io import freed, load, stored
 
 #: Budgets of the result table, and how often a trial is repeated with another key.
 EPSILONS, TRIALS = (1.0, 2.0, 4.0, 6.0, 8.0, 10.0), 5
@@ -41,7 +41,7 @@ class Run:
 
 
 class Bench:
-    """A workload's train and test rows in static bins, kept for all runs over it."""
+    """A workload's train and test rows in static bins, stored for all runs over it."""
 
     def __init__(self, spark: SparkSession, sf_dir: str, name: str, bins: int | None = None, bins_by: str = "even", rows: DataFrame | None = None):
         """Bins are even over the public bounds, or lie between the data's quantiles (`sketch`) or between all of its
@@ -51,12 +51,11 @@ class Bench:
         rows = self.work.rows(spark, sf_dir) if rows is None else rows
         spec = self.work.spec
         self.bins_by = bins_by
-        if bins_by == "even":  # rows are counted in the bins of a large table, which are kept if it is one
+        if bins_by == "even":  # rows are counted in the bins of a large table, which stay if it is one
             self.bins = bins or self.work.bins[1]
             self.binned, self.n = held(spec.binned(rows, self.bins))
             self.settings = self.work.settings(self.n)
             if not bins and self.bins != self.settings["bins"]:
-                self.binned.unpersist()
                 self.bins = self.settings["bins"]
                 self.binned, _ = held(spec.binned(rows, self.bins))
         else:
@@ -139,14 +138,13 @@ class Bench:
 
 
 def held(binned: DataFrame) -> tuple[DataFrame, int]:
-    """(BINNED rows with `test`, kept in as many parts as there are cores at least, their number)."""
-    ways = binned.sparkSession.sparkContext.defaultParallelism
-    kept = binned.withColumn("test", is_test()).persist(StorageLevel.MEMORY_AND_DISK)
+    """(BINNED rows with `test`, stored in as many parts as there are cores at least, their number)."""
+    spark = binned.sparkSession
+    ways, kept = spark.sparkContext.defaultParallelism, stored(binned.withColumn("test", is_test()), "rows")
     n = kept.count()
-    if kept.rdd.getNumPartitions() < ways:  # asked of what is kept: else Spark would run the join to tell
-        few, kept = kept, kept.repartition(ways).persist(StorageLevel.MEMORY_AND_DISK)
-        kept.count()
-        few.unpersist()
+    if len(kept.inputFiles()) < ways:
+        kept = stored(kept.repartition(ways), "rows")
+    freed(spark)
     return kept, n
 
 
@@ -217,16 +215,17 @@ def same_lines_runs(spark: SparkSession, sf_dir: str, **changes) -> list[Run]:
     o = orders.select("o_orderkey", "o_totalprice", "o_orderdate")
     both = lines.join(o, lines.l_orderkey == o.o_orderkey, "left")
     ys = {"y_0": F.when(F.col("o_orderkey").isNotNull(), wide.target.column()), "y_1": narrow.target.column()}
-    n, *sizes = both.select(*[y.alias(k) for k, y in ys.items()]).agg(F.count(F.lit(1)), F.count("y_0"), F.count("y_1")).first()
+    rows = both.select(F.expr(wide.row_key).cast("string").alias("row_key"), *[f.column().alias(f"x_{k}") for k, f in enumerate(wide.features)], F.struct(*[y.alias(k) for k, y in ys.items()]).alias("y"))
+    kept = lambda bins: held(wide.binned(rows, bins).select("*", "y.*").drop("y"))
+    bins = works[0].bins[1]
+    binned, n = kept(bins)  # rows are counted in the bins of a large table, which stay if it is one
+    sizes = list(binned.agg(*[F.count(k) for k in ys]).first())
     settings = [work.settings(k) for work, k in zip(works, sizes)]
-    bins = settings[0]["bins"]
-    if n != lines.count() or settings[1]["bins"] != bins:
+    if n != lines.count() or settings[1]["bins"] != settings[0]["bins"]:
         return [run for name in SAME_LINES for run in sweep_runs(spark, sf_dir, name, **changes)]
-    rows = both.select(F.expr(wide.row_key).cast("string").alias("row_key"), *[f.column().alias(f"x_{k}") for k, f in enumerate(wide.features)], *[y.alias(k) for k, y in ys.items()])
-    binned = wide.binned(rows.withColumn("y", F.struct(*ys)), bins).select("*", "y.*").drop("y").withColumn("test", is_test())
-    if binned.rdd.getNumPartitions() < spark.sparkContext.defaultParallelism:
-        binned = binned.repartition(spark.sparkContext.defaultParallelism)
-    binned = binned.persist(StorageLevel.MEMORY_AND_DISK)
+    if bins != settings[0]["bins"]:
+        bins = settings[0]["bins"]
+        binned, _ = kept(bins)
     features = [list(range(wide.m)), [wide.features.index(f) for f in narrow.features]]
     asked, models = [], []
 
@@ -242,9 +241,7 @@ def same_lines_runs(spark: SparkSession, sf_dir: str, **changes) -> list[Run]:
         for i, (work, own, y, size) in enumerate(zip(works, features, ys, sizes))
     ]
     asked.extend(swept(bench, **changes) for bench in benches)
-    runs = [run for bench, each in zip(benches, asked) for run in (bench.floor(), *bench.run_many(each))]
-    binned.unpersist()
-    return runs
+    return [run for bench, each in zip(benches, asked) for run in (bench.floor(), *bench.run_many(each))]
 
 
 def sweep(spark: SparkSession, sf_dir: str, name: str, epsilons=EPSILONS, trials: int = TRIALS, **changes) -> DataFrame:

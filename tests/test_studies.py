@@ -1,6 +1,7 @@
 """Studies in full: few jobs, the same models by every way of training, any number of values and of bins."""
 
 from dataclasses import replace
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -231,3 +232,25 @@ def test_chunks_keep_targets_whole_and_classes_small():
     for y in (np.array([1.0, -1.0, 1.0]), np.array([0.25, -1.0, 1.0]), np.array([1.0, np.nan]), np.zeros(0)):
         packed = boost.packed_targets(y)
         assert np.array_equal(boost.targets_of(packed, len(y)), y, equal_nan=True) and (len(packed) == len(y)) == (np.abs(y) == 1).all()
+
+
+def test_samples_are_bits_beside_rows_that_are_stored_once(spark, sf_dir):
+    """160 samples of half of the rows are 80 times the rows; on disk they are a bit each beside them."""
+    b, found = m.binned(spark, sf_dir), lambda: {x: x.stat().st_size for x in Path("/tmp/checkpoints").glob("grove-samples-*/**/*.parquet")}
+    n, runs, before = b.count(), [replace(SMALL, trees=20, max_depth=1, shared_draws=True, noise_key=f"k{k}") for k in range(8)], found()
+    fitted = boost.fit_many(b, m.SPEC, runs)
+    assert len(fitted) == 8 and all(len(model.trees) == 20 for model, _, _ in fitted)
+    assert 0 < sum(size for x, size in found().items() if x not in before) < 20 * n + n * (m.SPEC.m + 1) + 200_000 < 80 * n
+
+
+def test_trees_of_a_job_are_those_of_few_rows(spark, sf_dir, monkeypatch):
+    assert list(boost.windows([5, 5, 5, 20, 1, 9], 10)) == [range(2), range(2, 3), range(3, 4), range(4, 6)]
+    assert boost.ways_to_part(5, 6) == 1 and boost.ways_to_part(1, 6) == 6 and boost.ways_to_part(10, 6) == 1 and boost.ways_to_part(4, 6) == 3
+    b = m.binned(spark, sf_dir).persist()
+    runs = [SMALL, replace(SMALL, noise_key="k1", trees=2), replace(SMALL, disjoint=True), replace(SMALL, shared_draws=True, trees=5), replace(SMALL, subsample=1e-9)]
+    whole = nodes(spark, boost.fit_many(b, m.SPEC, runs))
+    for most in (1, 3 * b.count()):
+        monkeypatch.setattr(boost, "DEALT", most)
+        used = cost.measured(spark, lambda: nodes(spark, boost.fit_many(b, m.SPEC, runs)) == whole or pytest.fail("other trees"))
+        assert used["jobs"] > 5
+    b.unpersist()
